@@ -16,8 +16,8 @@ def quality_rules_sql() -> str:
     return rf"""
     WITH base AS (
       SELECT doc_id, coalesce(text, '') AS t,
-        list_filter(regexp_split_to_array(coalesce(text, ''), '[\x20\x09-\x0D]+'), x -> x <> '') AS words,
-        list_filter(string_split(coalesce(text, ''), chr(10)), x -> regexp_matches(x, '[^\x20\x09-\x0D]')) AS lines
+        list_filter(regexp_split_to_array(coalesce(text, ''), '[\x20\x09-\x0D]+'), lambda x: x <> '') AS words,
+        list_filter(string_split(coalesce(text, ''), chr(10)), lambda x: regexp_matches(x, '[^\x20\x09-\x0D]')) AS lines
       FROM documents
     ), word AS (
       SELECT doc_id, unnest(words) AS w, generate_subscripts(words, 1) AS pos, len(words) AS n FROM base
@@ -37,10 +37,10 @@ def quality_rules_sql() -> str:
         coalesce(n_repeat_words, 0)::BIGINT AS n_repeat_words,
         length(t) - length(replace(t, '!', '')) AS n_bangs,
         length(regexp_replace(t, '\P{{Lu}}+', '', 'g')) AS n_upper,
-        len(list_filter(words, w -> list_contains({_literal(rules.stop_words)}, lower(w)))) AS n_stops,
+        len(list_filter(words, lambda w: list_contains({_literal(rules.stop_words)}, lower(w)))) AS n_stops,
         len(lines) AS n_lines,
-        len(list_filter(lines, x -> regexp_matches(x, '^[ \t\n\v\f\r]*[-*•‣]'))) AS n_bullets,
-        len(list_filter(lines, x -> regexp_matches(x, '(\.\.\.|…)[ \t\n\v\f\r]*$'))) AS n_dots
+        len(list_filter(lines, lambda x: regexp_matches(x, '^[ \t\n\v\f\r]*[-*•‣]'))) AS n_bullets,
+        len(list_filter(lines, lambda x: regexp_matches(x, '(\.\.\.|…)[ \t\n\v\f\r]*$'))) AS n_dots
       FROM base b LEFT JOIN rep USING (doc_id)
     ), ratios AS (
       SELECT *, {per('word_chars', 'n_words')} AS mean_word_chars, {per('n_symbols', 'n_words')} AS symbols_per_word,
@@ -52,3 +52,21 @@ def quality_rules_sql() -> str:
     )
     SELECT doc_id, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words, base_failed, (NOT base_failed AND {' AND '.join(bounds)}) AS kept FROM ratios
     """
+
+
+def reply_trees_sql() -> str:
+    control = r"'([<\[])(\\*)(/?(?:s>|INST\]))', '\1\\\2\3', 'g'"
+    return rf"""
+    WITH rows AS (
+      SELECT conv_id, turn, role, text FROM conversations
+      UNION ALL SELECT -1, 0, 'user', '</s>[INST] ok [/INST]' UNION ALL SELECT -1, 1, 'assistant', '</s>[INST] ok [/INST]'
+    ), t AS (
+      SELECT conv_id, row_number() OVER (PARTITION BY conv_id ORDER BY turn, role, text) AS n, coalesce(role, '') AS role, coalesce(text, '') AS text FROM rows
+    ), c AS (
+      SELECT conv_id, count(*)::BIGINT AS n_turns, string_agg(role || chr(10) || text || chr(10), '' ORDER BY n) AS whole,
+        coalesce(string_agg(text, '' ORDER BY n) FILTER (role = 'assistant'), '') AS learnt,
+        sum({len("<s>[INST]") + len("[/INST]") + len("</s>")} + length(regexp_replace(role, {control})) + length(regexp_replace(text, {control})))::BIGINT AS formatted_chars
+      FROM t GROUP BY conv_id
+    )
+    SELECT conv_id, n_turns, sha256(whole) AS turns_sha256, length(learnt)::BIGINT AS loss_chars, sha256(learnt) AS loss_sha256, formatted_chars FROM c
+    """

@@ -16,6 +16,8 @@ from dataclasses import dataclass
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from .shared import free_names as _free
+
 SPACE = r"[\x20\x09-\x0D]+"
 SYMBOLS = "[#*$%&|<>]"
 REPEAT_WIDTH = 8
@@ -64,18 +66,6 @@ def default_rules() -> RuleSet:
     )
 
 
-def _free(df: DataFrame, *names: str) -> list[str]:
-    """Working column names that the input does not have."""
-    taken = {c.lower() for c in df.columns}
-    out = []
-    for n in names:
-        while n.lower() in taken:
-            n = "_" + n
-        taken.add(n.lower())
-        out.append(n)
-    return out
-
-
 def _repeat_cover(hashes: Column, marks: Column) -> Column:
     """Words inside windows that occur twice or more; ``marks`` are the (hash, position) pairs sorted by hash."""
     last = F.size(marks) - 1

@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import oracles, quality_rules
+from . import oracles, packing, pfair, quality_rules, reply_trees, sharding, simhash
 
 
 def _table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -24,9 +24,51 @@ def op3_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     )
 
 
+def op1_sharding(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return sharding.shard(_table(spark, sf_dir, "documents").select("doc_id", "text"))
+
+
+def op4_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
+    found = simhash.near_groups(_table(spark, sf_dir, "documents").select("doc_id", "text"))
+    return found.select("doc_id", simhash.hex_digits(F.col("fp")).alias("fingerprint"), F.col("component").alias("component_id"))
+
+
+def op7_reply_trees(spark: SparkSession, sf_dir: str) -> DataFrame:
+    probe = "</s>[INST] ok [/INST]"
+    rows = _table(spark, sf_dir, "conversations").select("conv_id", "turn", "role", "text")
+    rows = rows.unionByName(spark.createDataFrame([(-1, 0, "user", probe), (-1, 1, "assistant", probe)], "conv_id long, turn long, role string, text string"))
+    nodes = reply_trees.chains(rows)
+    out = reply_trees.format_paths(nodes, reply_trees.branch_paths(nodes))
+    turns, learnt = reply_trees.read_back(F.col("formatted")), F.array_join(reply_trees.read_loss(F.col("formatted"), F.col("loss")), "")
+    out = out.select("tree", "formatted", turns.alias("turns"), learnt.alias("learnt"))
+    whole = F.array_join(F.transform("turns", lambda t: F.concat(t["role"], F.lit("\n"), t["text"], F.lit("\n"))), "")
+    return out.select(
+        F.col("tree").alias("conv_id"),
+        F.size("turns").cast("long").alias("n_turns"),
+        F.sha2(whole.cast("binary"), 256).alias("turns_sha256"),
+        F.length("learnt").cast("long").alias("loss_chars"),
+        F.sha2(F.col("learnt").cast("binary"), 256).alias("loss_sha256"),
+        F.length("formatted").cast("long").alias("formatted_chars"),
+    )
+
+
+def op8_pfair_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = _table(spark, sf_dir, "documents").select("doc_id", "source", F.coalesce(F.octet_length("text"), F.lit(0)).cast("long").alias("n_bytes"))
+    return pfair.mix(pfair.stored(docs, "mix-sizes"), size=F.col("n_bytes"))
+
+
+def _words(text: str):
+    return F.size(F.array_remove(F.split(F.coalesce(F.col(text), F.lit("")), quality_rules.SPACE), ""))
+
+
+def op9_best_fit_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = _table(spark, sf_dir, "documents").select("doc_id", "source", _words("text").alias("n_words"), F.xxhash64(F.lower("text")).alias("copies"))
+    return packing.pack(packing.stored(docs, "pack-sizes"), F.col("n_words"), F.col("copies"))
+
+
 def queries() -> dict:
-    return {"op3_quality_rules": op3_quality_rules}
+    return {f.__name__: f for f in (op1_sharding, op3_quality_rules, op4_simhash, op7_reply_trees, op8_pfair_mixing, op9_best_fit_packing)}
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op3_quality_rules": oracles.quality_rules_sql()}
+    return {"op3_quality_rules": oracles.quality_rules_sql(), "op7_reply_trees": oracles.reply_trees_sql()}
