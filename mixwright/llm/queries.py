@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import oracles, packing, pfair, quality_rules, reply_trees, sharding, simhash
+from . import mpeg_audio, oracles, packing, pfair, quality_rules, reply_trees, sharding, simhash, token_store
 
 
 def _table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -33,6 +33,17 @@ def op4_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     return found.select("doc_id", simhash.hex_digits(F.col("fp")).alias("fingerprint"), F.col("component").alias("component_id"))
 
 
+def op5_token_store(spark: SparkSession, sf_dir: str) -> DataFrame:
+    import public_tokenizers
+
+    index = token_store.write_tokens(_table(spark, sf_dir, "documents").select("doc_id", "text"), public_tokenizers.path("word_bpe_49k.json"))
+    return token_store.read_digests(index)
+
+
+def op6_mpeg_audio(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return mpeg_audio.describe(mpeg_audio.with_media(_table(spark, sf_dir, "documents").select("doc_id", "text"), replace=True))
+
+
 def op7_reply_trees(spark: SparkSession, sf_dir: str) -> DataFrame:
     probe = "</s>[INST] ok [/INST]"
     rows = _table(spark, sf_dir, "conversations").select("conv_id", "turn", "role", "text")
@@ -67,7 +78,7 @@ def op9_best_fit_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict:
-    return {f.__name__: f for f in (op1_sharding, op3_quality_rules, op4_simhash, op7_reply_trees, op8_pfair_mixing, op9_best_fit_packing)}
+    return {f.__name__: f for f in (op1_sharding, op3_quality_rules, op4_simhash, op5_token_store, op6_mpeg_audio, op7_reply_trees, op8_pfair_mixing, op9_best_fit_packing)}
 
 
 def oracle_sql() -> dict[str, str]:
