@@ -5,13 +5,22 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import mpeg_audio, oracles, packing, pfair, quality_rules, reply_trees, sharding, simhash, token_store
+from . import kneser_ney, mpeg_audio, oracles, packing, pfair, quality_rules, reply_trees, sharding, simhash, token_store
 
 
 def _table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
+def op2_kneser_ney(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = _table(spark, sf_dir, "documents").select("doc_id", "text")
+    held_out = kneser_ney.fold(F.col("doc_id")) == 2
+    model = kneser_ney.fit(docs.filter(~held_out))
+    return kneser_ney.score(docs, model).select(
+        "doc_id", held_out.alias("held_out"), "n_tokens", "n_known", F.lit(model.tokens).cast("long").alias("train_tokens"), "base_score", "score"
+    )
+
+
 def op3_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = _table(spark, sf_dir, "documents").select("doc_id", "text")
     m = F.col("measures")
@@ -78,7 +87,7 @@ def op9_best_fit_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict:
-    return {f.__name__: f for f in (op1_sharding, op3_quality_rules, op4_simhash, op5_token_store, op6_mpeg_audio, op7_reply_trees, op8_pfair_mixing, op9_best_fit_packing)}
+    return {f.__name__: f for f in (op1_sharding, op2_kneser_ney, op3_quality_rules, op4_simhash, op5_token_store, op6_mpeg_audio, op7_reply_trees, op8_pfair_mixing, op9_best_fit_packing)}
 
 
 def oracle_sql() -> dict[str, str]:
