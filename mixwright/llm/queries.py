@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import kneser_ney, mpeg_audio, oracles, packing, pfair, quality_rules, reply_trees, sharding, simhash, token_store
+from . import kneser_ney, mpeg_audio, oracles, packing, pfair, quality_rules, reply_trees, sharding, simhash, suffix_dedup, token_store
 
 
 def _table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -86,8 +86,12 @@ def op9_best_fit_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return packing.pack(packing.stored(docs, "pack-sizes"), F.col("n_words"), F.col("copies"))
 
 
+def op10_suffix_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return suffix_dedup.digests(_table(spark, sf_dir, "documents").select("doc_id", "text"))
+
+
 def queries() -> dict:
-    return {f.__name__: f for f in (op1_sharding, op2_kneser_ney, op3_quality_rules, op4_simhash, op5_token_store, op6_mpeg_audio, op7_reply_trees, op8_pfair_mixing, op9_best_fit_packing)}
+    return {f.__name__: f for f in (op1_sharding, op2_kneser_ney, op3_quality_rules, op4_simhash, op5_token_store, op6_mpeg_audio, op7_reply_trees, op8_pfair_mixing, op9_best_fit_packing, op10_suffix_dedup)}
 
 
 def oracle_sql() -> dict[str, str]:
