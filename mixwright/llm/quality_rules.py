@@ -162,5 +162,7 @@ def broken_rules(measures: Column, rules: RuleSet | None = None) -> Column:
 
 def keep_good(df: DataFrame, text: str = "text", rules: RuleSet | None = None) -> DataFrame:
     """The rows whose text passes every rule, with the input's columns."""
-    (m,) = _free(df, "_q_measures")
-    return measure(df, text, m, rules).filter(passes(F.col(m), rules)).drop(m)
+    m, keep = _free(df, "_q_measures", "_q_keep")
+    # The verdict passes a generator, below which no filter is pushed: pushed down, it would repeat each measure's expression per rule.
+    judged = measure(df, text, m, rules).select(*[F.col(f"`{c}`") for c in df.columns], F.explode(F.array(passes(F.col(m), rules))).alias(keep))
+    return judged.filter(F.col(keep)).drop(keep)

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import corpus_pipeline
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -91,8 +92,8 @@ def op10_suffix_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict:
-    return {f.__name__: f for f in (op1_sharding, op2_kneser_ney, op3_quality_rules, op4_simhash, op5_token_store, op6_mpeg_audio, op7_reply_trees, op8_pfair_mixing, op9_best_fit_packing, op10_suffix_dedup)}
+    return {f.__name__: f for f in (op1_sharding, op2_kneser_ney, op3_quality_rules, op4_simhash, op5_token_store, op6_mpeg_audio, op7_reply_trees, op8_pfair_mixing, op9_best_fit_packing, op10_suffix_dedup)} | {"pipeline": corpus_pipeline.run}
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op3_quality_rules": oracles.quality_rules_sql(), "op7_reply_trees": oracles.reply_trees_sql()}
+    return {"op3_quality_rules": oracles.quality_rules_sql(), "op7_reply_trees": oracles.reply_trees_sql()} | ({"pipeline": corpus_pipeline.ORACLE_SQL} if corpus_pipeline.ORACLE_SQL else {})

@@ -292,8 +292,10 @@ def cut_spans(marks: list[tuple[int, int]], length: int) -> list[tuple[int, int]
     return out
 
 
-def removals(df: DataFrame, id_col: str = "doc_id", text: str = "text", length: int = 100, **options) -> DataFrame:
-    """One row per input row: all columns, ``removed`` spans of bytes as a binary block, and ``kept`` bytes."""
+def removals(df: DataFrame, id_col: str = "doc_id", text: str = "text", length: int = 100, whole_chars: bool = False, **options) -> DataFrame:
+    """The input's rows with ``text`` as the kept bytes, and two columns more: ``_x_n_bytes`` of the text before, and
+    ``_x_spans``, starts and ends of what is removed. With ``whole_chars`` a character that a cut splits goes whole.
+    """
     marks, buckets = repeat_marks(df, id_col, text, length, **options)
     names = [*df.columns]
     place, hashed, key = free_names(df, "_x_place", "_x_hash", "_x_id")
@@ -314,7 +316,8 @@ def removals(df: DataFrame, id_col: str = "doc_id", text: str = "text", length:
             for a, b in found:
                 left.append(t[at:a])
                 at = b
-            kept.append(b"".join([*left, t[at:]]) if found else t)
+            rest_of = b"".join([*left, t[at:]]) if found else t
+            kept.append(rest_of.decode("utf-8", "ignore").encode() if whole_chars and found else rest_of)
             sizes.append(len(t))
             spans.append([x for span in found for x in span])
         rest = {n: rows.column(n) for n in names}
@@ -338,8 +341,6 @@ def digests(df: DataFrame, id_col: str = "doc_id", text: str = "text", length: i
 
 def clean(df: DataFrame, id_col: str = "doc_id", text: str = "text", chars: str | None = "n_chars", length: int = 100, **options) -> DataFrame:
     """The input with repeated strings cut out of its texts, and ``chars`` counted anew. A character that a cut splits goes whole."""
-    out = removals(df, id_col, text, length, **options)
-    fixed = F.regexp_replace(F.decode(F.col(text), "UTF-8"), "�", "")
-    whole = F.when(F.size("_x_spans") > 0, fixed).otherwise(F.decode(F.col(text), "UTF-8"))
-    out = out.withColumn(text, whole).drop("_x_n_bytes", "_x_spans")
+    out = removals(df, id_col, text, length, whole_chars=True, **options)
+    out = out.withColumn(text, F.col(text).cast("string")).drop("_x_n_bytes", "_x_spans")
     return out.withColumn(chars, F.length(text).cast(df.schema[chars].dataType)) if chars and chars in df.columns else out
