@@ -60,25 +60,26 @@ def branch_paths(nodes: DataFrame, per_tree: int = 1, score: Column | None = Non
     links = links.select("n.tree", "n.node", F.when(F.col("there"), F.col("parent")).alias("up"), F.coalesce("score", F.lit(0.0)).alias("score"), F.lit(1).cast("long").alias("hops"))
     parents = nodes.select("tree", F.col("parent").alias("node")).filter("node is not null").distinct()
     leaf = links.alias("n").join(parents.alias("p"), _at("n", "p", "node", "node"), "left_anti").select("n.tree", "n.node")
-    jumps = [stored(links, "reply-links")]
-    limit = max(1, jumps[0].count()).bit_length() + 1
-    while len(jumps) <= limit and not jumps[-1].filter("up is not null").isEmpty():
-        a, b = jumps[-1].alias("a"), jumps[-1].alias("b")
-        jumps.append(
-            stored(
-                a.join(b, _at("a", "b", "up", "node"), "left").select(
-                    "a.tree", "a.node", F.col("b.up").alias("up"), (F.col("a.score") + F.coalesce("b.score", F.lit(0.0))).alias("score"), (F.col("a.hops") + F.coalesce("b.hops", F.lit(0))).alias("hops")
-                ),
-                "reply-links",
-            )
+    start = stored(links, "reply-links")
+    limit = max(1, start.count()).bit_length() + 1
+    # A message that has reached its root is done and joins no more; what is left of a round is its live links.
+    live, done = start.filter("up is not null"), start.filter("up is null")
+    jumps = []
+    while len(jumps) <= limit and not live.isEmpty():
+        jumps.append(live)
+        a, b = live.alias("a"), live.unionByName(done).alias("b")
+        step = stored(
+            a.join(b, _at("a", "b", "up", "node")).select("a.tree", "a.node", F.col("b.up").alias("up"), (F.col("a.score") + F.col("b.score")).alias("score"), (F.col("a.hops") + F.col("b.hops")).alias("hops")),
+            "reply-links",
         )
-    whole = leaf.alias("l").join(jumps[-1].filter("up is null").alias("j"), _at("l", "j", "node", "node")).select("l.tree", F.col("l.node").alias("leaf"), "j.score", "j.hops")
+        live, done = step.filter("up is not null"), done.unionByName(step.filter("up is null"))
+    whole = leaf.alias("l").join(done.alias("j"), _at("l", "j", "node", "node")).select("l.tree", F.col("l.node").alias("leaf"), "j.score", "j.hops")
     rank = F.row_number().over(Window.partitionBy("tree").orderBy(F.col("score").desc(), F.col("hops").desc(), "leaf"))
     chosen = whole.withColumn("rank", rank).filter(F.col("rank") <= per_tree)
     # Members at distance d from the leaf: each stored jump of 2^k doubles the distances reached.
     paths = chosen.select("tree", "leaf", "rank", "hops", F.col("leaf").alias("node"), F.lit(0).cast("long").alias("back"))
-    for k, jump in enumerate(jumps[:-1]):
-        j = jump.filter("up is not null").alias("j")
+    for k, jump in enumerate(jumps):
+        j = jump.alias("j")
         paths = stored(
             paths.unionByName(paths.alias("p").join(j, _at("p", "j", "node", "node")).select("p.tree", "leaf", "rank", "p.hops", F.col("j.up").alias("node"), (F.col("back") + (1 << k)).alias("back"))),
             "reply-paths",
