@@ -20,6 +20,8 @@ import uuid
 
 import numpy as np
 
+from .blocks import powers
+
 TOP = 127
 
 
@@ -201,14 +203,14 @@ def suffix_array(data: np.ndarray, depth: int = 100, memory: int = 64 << 20, fol
     text[:-1] = data.astype(np.uint16) + 1
     if n == 1:
         return np.zeros(1, np.int32), np.zeros(1, np.uint8)
-    step = text[1:].astype(np.int32) - text[:-1]
-    index = np.where(step != 0, np.arange(n - 1), n)
-    change = np.minimum.accumulate(index[::-1])[::-1]  # where the run of equal bytes at each position ends
-    change = np.minimum(change, n - 2)
+    place = np.arange(n - 1, dtype=np.int32)
+    change = np.where(text[1:] != text[:-1], place, np.int32(n - 2))
+    change = np.minimum.accumulate(change[::-1])[::-1]  # where the run of equal bytes at each position ends
     is_s = np.empty(n, bool)
-    is_s[:-1] = step[change] > 0
+    is_s[:-1] = text[1:][change] > text[change]
     is_s[-1] = True
-    runs = np.append(np.minimum(change - np.arange(n - 1) + 1, TOP - 1), 1).astype(np.uint8)
+    runs = np.append(np.minimum(change - place + 1, TOP - 1), 1).astype(np.uint8)
+    del place, change
     marks = np.flatnonzero(is_s[1:] & ~is_s[:-1]) + 1  # in text order; the last is the end
     m = len(marks)
     order = marks[np.argsort(text[marks], kind="stable")].astype(np.int32)
@@ -220,11 +222,11 @@ def suffix_array(data: np.ndarray, depth: int = 100, memory: int = 64 << 20, fol
     number = np.zeros(n, np.int32)
     number[marks] = np.arange(m, dtype=np.int32)
     stop = np.append(marks[1:], n - 1) + 1
-    weights = np.multiply.accumulate(np.concatenate([[1], np.full(n, 0x5851F42D4C957F2D)]).astype(np.uint64))
-    sums = np.concatenate([np.zeros(1, np.uint64), np.cumsum((text.astype(np.uint64) + np.uint64(1)) * np.uint64(0x9E3779B97F4A7C15) * weights[:n])])
-    inverse = np.multiply.accumulate(np.concatenate([np.array([1], np.uint64), np.full(n, pow(0x5851F42D4C957F2D, -1, 1 << 64), np.uint64)]))
-    code = (sums[stop] - sums[marks]) * inverse[marks]
+    up, back = powers(n)
+    sums = np.concatenate([np.zeros(1, np.uint64), np.cumsum((text.astype(np.uint64) + np.uint64(1)) * np.uint64(0x9E3779B97F4A7C15) * up)])
+    code = (sums[stop] - sums[marks]) * back[marks]
     size = stop - marks
+    del sums, up, back
     nth = number[order]
     fresh = np.concatenate([[True], (size[nth[1:]] != size[nth[:-1]]) | (code[nth[1:]] != code[nth[:-1]])])
     rank = np.empty(m, np.int64)

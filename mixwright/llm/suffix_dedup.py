@@ -133,7 +133,7 @@ def _local_path(uri: str) -> str | None:
     return parts.path if parts.scheme in ("", "file") else None
 
 
-def repeat_marks(df: DataFrame, id_col: str = "doc_id", text: str = "text", length: int = 100, gram: int = 32, shard_bytes: int = 16 << 20, sort_bytes: int = 3 << 20, hot_sample: int = 2000, memory: int = 64 << 20) -> tuple[DataFrame, int]:
+def repeat_marks(df: DataFrame, id_col: str = "doc_id", text: str = "text", length: int = 100, gram: int = 32, shard_bytes: int = 8 << 20, sort_bytes: int = 3 << 19, hot_sample: int = 2000, memory: int = 64 << 20) -> tuple[DataFrame, int]:
     """(bucket, block) of marked windows, dealt by document to the returned number of buckets; see ``MARK``."""
     spark = df.sparkSession
     body = F.encode(F.coalesce(F.col(text), F.lit("")), "UTF-8")
@@ -175,7 +175,7 @@ def repeat_marks(df: DataFrame, id_col: str = "doc_id", text: str = "text", leng
                 for t, anchor, stretch, start, count in stretches(piece.column(2).to_pylist(), length, gram):
                     held.append((doc[t], anchor, stretch, hashed[t], start, count))
                     waiting += len(t)
-                    if waiting > 1_500_000:
+                    if waiting > 800_000:
                         yield flush()
                         held, waiting = [], 0
         if held:
