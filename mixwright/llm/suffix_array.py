@@ -179,16 +179,20 @@ def induce(text: np.ndarray, is_s: np.ndarray, anchors: np.ndarray, prefixes: np
 
 def _common(raw: np.ndarray, a: np.ndarray, b: np.ndarray, depth: int) -> np.ndarray:
     """Common prefix of the suffixes at a and b, up to depth; ``raw`` is padded behind by as much."""
-    out = np.zeros(len(a), np.int64)
-    live = np.arange(len(a))
-    for at in range(0, depth, 16):
-        same = raw[a[live, None] + np.arange(at, at + 16)] == raw[b[live, None] + np.arange(at, at + 16)]
-        n = np.where(same.all(axis=1), 16, same.argmin(axis=1))
-        out[live] += n
-        live = live[n == 16]
-        if not len(live):
-            break
-    return np.minimum(out, depth).astype(np.uint8)
+    out = np.zeros(len(a), np.uint8)
+    wide = np.arange(16, dtype=np.int32)
+    for lo in range(0, len(a), 1 << 15):
+        left, right = a[lo : lo + (1 << 15)], b[lo : lo + (1 << 15)]
+        live, part = np.arange(len(left)), np.zeros(len(left), np.int32)
+        for at in range(0, depth, 16):
+            same = raw[(left[live] + at)[:, None] + wide] == raw[(right[live] + at)[:, None] + wide]
+            n = np.where(same.all(axis=1), 16, same.argmin(axis=1))
+            part[live] += n
+            live = live[n == 16]
+            if not len(live):
+                break
+        out[lo : lo + (1 << 15)] = np.minimum(part, depth)
+    return out
 
 
 def suffix_array(data: np.ndarray, depth: int = 100, memory: int = 64 << 20, folder: str | None = None) -> tuple[np.ndarray, np.ndarray]:
@@ -244,6 +248,6 @@ def suffix_array(data: np.ndarray, depth: int = 100, memory: int = 64 << 20, fol
     order = marks[nth].astype(np.int32)
     padded = np.concatenate([text, np.zeros(depth + 16, np.uint16)])
     lcp = np.zeros(m, np.uint8)
-    lcp[1:] = _common(padded, order[1:].astype(np.int64), order[:-1].astype(np.int64), depth)
+    lcp[1:] = _common(padded, order[1:], order[:-1], depth)
     lcp[1:] = np.where(text[order[1:]] == text[order[:-1]], lcp[1:], 0)
     return induce(text, is_s, order, lcp, runs, memory, folder)

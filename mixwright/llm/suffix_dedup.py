@@ -39,7 +39,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .blocks import by_shard, changes, mix64, rolling_sums, spread_all, squeeze, stretch_hash
-from .shared import folder, free_names, stored
+from .shared import folder, free_names, release_memory, stored
 from .suffix_array import suffix_array
 
 PIECE = 1 << 20
@@ -133,7 +133,7 @@ def _local_path(uri: str) -> str | None:
     return parts.path if parts.scheme in ("", "file") else None
 
 
-def repeat_marks(df: DataFrame, id_col: str = "doc_id", text: str = "text", length: int = 100, gram: int = 32, shard_bytes: int = 8 << 20, sort_bytes: int = 3 << 19, hot_sample: int = 2000, memory: int = 64 << 20) -> tuple[DataFrame, int]:
+def repeat_marks(df: DataFrame, id_col: str = "doc_id", text: str = "text", length: int = 100, gram: int = 32, shard_bytes: int = 8 << 20, sort_bytes: int = 1 << 20, hot_sample: int = 2000, memory: int = 64 << 20) -> tuple[DataFrame, int]:
     """(bucket, block) of marked windows, dealt by document to the returned number of buckets; see ``MARK``."""
     spark = df.sparkSession
     body = F.encode(F.coalesce(F.col(text), F.lit("")), "UTF-8")
@@ -164,6 +164,7 @@ def repeat_marks(df: DataFrame, id_col: str = "doc_id", text: str = "text", leng
             rows = tuple(r[opens] for r in rows)
             order = np.lexsort((rows[4], rows[3], rows[0]))
             rows = tuple(r[order] for r in rows)
+            release_memory()
             place = mix64(np.where(np.isin(rows[1], hot), rows[2], rows[1])) % np.uint64(shards)
             out += [("list", s, len(at), squeeze(tuple(r[at] for r in rows))) for s, at in by_shard(place, shards)]
             return rows_out(out)
@@ -194,6 +195,7 @@ def repeat_marks(df: DataFrame, id_col: str = "doc_id", text: str = "text", leng
         call = tuple(r[order] for r in (doc, anchor, hashed, start, count))
         for b, at in by_shard(mix64(call[0]) % np.uint64(buckets), buckets):
             out.append(("call", b, int(np.where(np.isin(call[1][at], hot), call[4][at].astype(np.int64) * length, call[4][at].astype(np.int64) + length - 1).sum()), squeeze(tuple(c[at] for c in call))))
+        release_memory()
         return pa.Table.from_batches([rows_out(out)])
 
     shape = "kind string, place int, amount long, block binary"
@@ -221,6 +223,7 @@ def repeat_marks(df: DataFrame, id_col: str = "doc_id", text: str = "text", leng
                 at = sorted(at.tolist(), key=lambda i: (cut[i][0], cut[i][2], cut[i][3]))
                 columns = tuple(np.array([cut[i][k] for i in at], t) for k, t in zip((0, 1, 2, 3, 4), CALL, strict=True))
                 out.append((p, squeeze(columns), squeeze_bytes([cut[i][5] for i in at])))
+        release_memory()
         return pa.table({"place": pa.array([r[0] for r in out], pa.int32()), "block": pa.array([r[1] for r in out], pa.binary()), "bytes": pa.array([r[2] for r in out], pa.binary())})
 
     def sorted_marks(table: pa.Table) -> pa.Table:
@@ -246,6 +249,7 @@ def repeat_marks(df: DataFrame, id_col: str = "doc_id", text: str = "text", leng
         again = ~changes((group[order],)) & changes((d[order], h[order], s[order]))
         order = order[again]
         out = mark_rows(d[order], h[order], s[order], np.ones(len(order), np.uint32))
+        release_memory()
         return pa.Table.from_batches([rows_out(out)])
 
     dealt = F.col("id")
@@ -320,6 +324,7 @@ def removals(df: DataFrame, id_col: str = "doc_id", text: str = "text", length:
             kept.append(rest_of.decode("utf-8", "ignore").encode() if whole_chars and found else rest_of)
             sizes.append(len(t))
             spans.append([x for span in found for x in span])
+        release_memory()
         rest = {n: rows.column(n) for n in names}
         rest[text] = pa.array(kept, pa.binary())
         return pa.table({**rest, "_x_n_bytes": pa.array(sizes, pa.int64()), "_x_spans": pa.array(spans, pa.list_(pa.int64()))})
