@@ -9,9 +9,10 @@ import numpy as np
 import pandas as pd
 from pyspark.sql import Column
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 
-@F.pandas_udf("string")
+@F.pandas_udf(T.StringType())
 def _nfc(batches: Iterator[pd.Series]) -> Iterator[pd.Series]:
     for s in batches:
         yield s.map(lambda x: unicodedata.normalize("NFC", x), na_action="ignore")
@@ -21,7 +22,7 @@ def nfc(text: str | Column) -> Column:
     return _nfc(F.col(text) if isinstance(text, str) else text)
 
 
-@F.pandas_udf("double")
+@F.pandas_udf(T.DoubleType())
 def log_sum_exp(x: pd.Series) -> float:
     """Grouped aggregate; the native way is a maximum, then a sum of shifted exponentials."""
     if not len(x):
@@ -30,7 +31,7 @@ def log_sum_exp(x: pd.Series) -> float:
     return float(top + np.log(np.exp(x - top).sum()))
 
 
-@F.udtf(returnType="position int, gram string")
+@F.udtf(returnType=T.StructType([T.StructField("position", T.IntegerType()), T.StructField("gram", T.StringType())]))
 class NGrams:
     """SELECT * FROM ngrams(text, n), laterally."""
 
