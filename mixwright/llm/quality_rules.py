@@ -133,7 +133,9 @@ def measure(df: DataFrame, text: str = "text", out: str = "measures", rules: Rul
         per("n_bullets", "n_lines").alias("bullet_line_share"),
         per("n_dots", "n_lines").alias("ellipsis_line_share"),
     )
-    return staged.withColumn(out, struct).drop(*names.values())
+    # The struct passes a generator, below which no filter is pushed: pushed down, a rule would repeat the expressions of its measure.
+    kept = [F.col(f"`{x}`") for x in df.columns if x.lower() != out.lower()]
+    return staged.select(*kept, F.explode(F.array(struct)).alias(out))
 
 
 def passes(measures: Column, rules: RuleSet | None = None) -> Column:
@@ -162,7 +164,5 @@ def broken_rules(measures: Column, rules: RuleSet | None = None) -> Column:
 
 def keep_good(df: DataFrame, text: str = "text", rules: RuleSet | None = None) -> DataFrame:
     """The rows whose text passes every rule, with the input's columns."""
-    m, keep = _free(df, "_q_measures", "_q_keep")
-    # The verdict passes a generator, below which no filter is pushed: pushed down, it would repeat each measure's expression per rule.
-    judged = measure(df, text, m, rules).select(*[F.col(f"`{c}`") for c in df.columns], F.explode(F.array(passes(F.col(m), rules))).alias(keep))
-    return judged.filter(F.col(keep)).drop(keep)
+    (m,) = _free(df, "_q_measures")
+    return measure(df, text, m, rules).filter(passes(F.col(m), rules)).drop(m)
