@@ -12,7 +12,8 @@ Block numbers need running sums inside a source. A source may hold a third of al
 chunks of about ``chunk_rows`` rows, and the chunk totals are summed in a second, small step.
 
 Defined results: a null source is a source of its own; a null text has no bytes; repeated rows and ids are each
-placed; an empty table gives an empty result; columns of the input pass through.
+placed; an empty table gives an empty
+result; columns of the input pass through, but for those named like a result, which are replaced.
 """
 
 from __future__ import annotations
@@ -87,7 +88,7 @@ def mix(
     block_bytes: int = 1 << 16,
     period: int = 4096,
     ceiling: float = 0.25,
-    chunk_rows: int = 50_000,
+    chunk_rows: int = 8_192,
 ) -> DataFrame:
     """Append block, slot, release, deadline and selected.
 
@@ -99,7 +100,7 @@ def mix(
     c, s, b, u, base, share, per = free_names(df, "_m_chunk", "_m_size", "_m_before", "_m_upto", "_m_base", "_m_share", "_m_in")
     sized = df.withColumn(s, F.coalesce(size, F.lit(0)).cast("long"))
     stats = {r[0]: (r[1], r[2]) for r in sized.groupBy(source).agg(F.sum(s), F.count("*")).collect()}
-    out_cols = [F.col(f"`{x}`") for x in df.columns]
+    out_cols = [F.col(f"`{x}`") for x in df.columns if x.lower() not in ("block", "slot", "release", "deadline", "selected")]
     if not stats:
         return sized.select(*out_cols, *[F.lit(0).cast("long").alias(x) for x in ("block", "slot", "release", "deadline")], F.lit(True).alias("selected"))
     mass = {k: max(1, v[0]) for k, v in stats.items()}
@@ -140,9 +141,4 @@ def mix(
     )
 
 
-def mixed(df: DataFrame, label: str = "mixture", **options) -> DataFrame:
-    """The selected rows in schedule order, with the input's columns."""
-    return mix(df, **options).filter("selected").repartitionByRange("slot", "block").sortWithinPartitions("slot").select(*[F.col(f"`{x}`") for x in df.columns])
-
-
-__all__ = ["capped_weights", "mix", "mixed", "one_period", "stored", "whole_weights", "windows"]
+__all__ = ["capped_weights", "mix", "one_period", "stored", "whole_weights", "windows"]
