@@ -10,7 +10,8 @@ ancillary data hold 192 payload bytes each, behind an ID3 tag with the payload's
 
 Defined results: a null text counts as empty, and an empty payload is padded to one frame; a media value that is null,
 empty or without any frame parses to zero frames; rows that repeat an id are handled one by one; an empty table gives
-an empty result; columns of the input pass through.
+an empty result; columns of the input pass through, but for one of the
+result's name, which is replaced.
 """
 
 from __future__ import annotations
@@ -243,7 +244,7 @@ def payload(data: bytes, stream: Stream | None = None) -> bytes:
 
 def with_media(df: DataFrame, text: str = "text", out: str = "media", replace: bool = False) -> DataFrame:
     """Append a binary column of streams that carry the texts; ``replace`` drops the text."""
-    keep = [c for c in df.columns if not (replace and c == text)]
+    keep = [c for c in df.columns if not (replace and c == text) and c != out]
     schema = df.select(*[F.col(f"`{c}`") for c in keep]).withColumn(out, F.lit(b"")).schema
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
