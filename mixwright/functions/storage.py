@@ -4,10 +4,17 @@ from __future__ import annotations
 
 import uuid
 
-from pyspark.sql import SparkSession
+from pyspark.sql import DataFrame, SparkSession
 
 
 def scratch(spark: SparkSession, label: str) -> str:
     """A fresh folder below ``spark.checkpoint.dir``; a fixed local one where that is unset, as in tests."""
     root = spark.conf.get("spark.checkpoint.dir", None) or "file:///tmp/checkpoints/mixwright"
     return f"{root.rstrip('/')}/{label}-{uuid.uuid4().hex}"
+
+
+def kept(df: DataFrame, label: str) -> DataFrame:
+    """Written once and reread, where several later steps would each compute it anew."""
+    path = scratch(df.sparkSession, label)
+    df.write.parquet(path)
+    return df.sparkSession.read.schema(df.schema).parquet(path)

@@ -6,6 +6,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from mixwright.functions.hashing import bucket
+from mixwright.functions.storage import kept
 from mixwright.functions.text import words
 
 VOCAB = 1 << 14
@@ -31,7 +32,7 @@ def fit(docs: DataFrame, man: DataFrame, order: int = 2, vocab: int = VOCAB, by:
     """Count tables with copies as multiplicities; ``by`` keeps further columns of the manifest as keys of separate models."""
     chosen = man.filter("copies > 0").select("doc_id", "copies", *by)
     rows = grams(docs.join(chosen, "doc_id"), "doc_id", order, vocab, keep=("copies", *by))
-    pairs = rows.groupBy(*by, "x", "t").agg(F.sum("copies").alias("n"))
+    pairs = kept(rows.groupBy(*by, "x", "t").agg(F.sum("copies").alias("n")), "ngram-pairs")
     model = {"vocab": vocab, "by": by, "order": order}
     model["uni"] = pairs.groupBy(*by, "t").agg(F.sum("n").alias("n_t"))
     model["bi"] = pairs.filter("x is not null").withColumnRenamed("n", "n_xt")

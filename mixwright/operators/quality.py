@@ -11,6 +11,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from mixwright.functions.hashing import uniform
+from mixwright.functions.storage import scratch
 from mixwright.functions.text import words
 
 # The rubric's dimensions and the greatest score of each.
@@ -209,12 +210,14 @@ def pairwise_scores(pairs: DataFrame, iterations: int = 20) -> DataFrame:
     wins = pairs.groupBy("criterion", F.col("winner").alias("item")).agg(F.count("*").alias("wins"))
     items = both.select("criterion", F.col("a").alias("item")).distinct().join(wins, ["criterion", "item"], "left").na.fill(0, ["wins"])
     strength = items.withColumn("strength", F.lit(1.0))
-    for k in range(iterations):
+    for _ in range(iterations):
         own, other = strength.select("criterion", F.col("item").alias("a"), F.col("strength").alias("s_a")), strength.select("criterion", F.col("item").alias("b"), F.col("strength").alias("s_b"))
         rate = both.join(own, ["criterion", "a"]).join(other, ["criterion", "b"]).groupBy("criterion", F.col("a").alias("item")).agg(F.sum(F.col("n") / (F.col("s_a") + F.col("s_b"))).alias("rate"), F.first("s_a").alias("s_own"))
         new = items.join(rate, ["criterion", "item"]).select("criterion", "item", "wins", ((F.col("wins") + 0.5) / (F.col("rate") + 1 / (F.col("s_own") + 1))).alias("raw"))
         mean = new.groupBy("criterion").agg(F.avg("raw").alias("mean"))
         strength = new.join(F.broadcast(mean), "criterion").select("criterion", "item", "wins", (F.col("raw") / F.col("mean")).alias("strength"))
-        if k % 4 == 3:
-            strength = strength.checkpoint() if strength.sparkSession.sparkContext.getCheckpointDir() else strength.persist()
+        # The strengths enter the next round twice: without a written table the plan would double each time.
+        path = scratch(strength.sparkSession, "pairwise")
+        strength.write.parquet(path)
+        strength = strength.sparkSession.read.schema(strength.schema).parquet(path)
     return strength.select("criterion", "item", "strength")

@@ -7,7 +7,7 @@ from functools import reduce
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from mixwright.functions.storage import scratch
+from mixwright.functions.storage import kept, scratch
 from mixwright.functions.text import n_tokens
 from mixwright.operators import analysis, baselines, cluster, corpus, diversity, domains, embed, metrics, ngram, quality, sampling
 from mixwright.sources.tables import load
@@ -26,10 +26,10 @@ def union(parts: list[DataFrame]) -> DataFrame:
 
 def text_scored(docs: DataFrame, k: int = CLUSTERS) -> DataFrame:
     """Rubric quality and diversity of hashed text vectors, for every document."""
-    v = embed.hashed(docs)
-    assigned = cluster.assign(v, cluster.fit_kmeans(v, k)).select("doc_id", "cluster", "v")
+    v = kept(embed.hashed(docs), "text-vectors")
+    assigned = kept(cluster.assign(v, cluster.fit_kmeans(v, k)).select("doc_id", "cluster", "v"), "text-clusters")
     graded = quality.grade(docs).select("doc_id", "domain", "n_tokens", "quality")
-    return diversity.score(graded.join(assigned.select("doc_id", "cluster"), "doc_id"), diversity.cluster_table(assigned))
+    return kept(diversity.score(graded.join(assigned.select("doc_id", "cluster"), "doc_id"), diversity.cluster_table(assigned)), "text-scored")
 
 
 def manifests(spark, docs: DataFrame, share: float = SHARE, methods: tuple[str, ...] | None = None, seed: int = 42) -> DataFrame:
@@ -39,13 +39,13 @@ def manifests(spark, docs: DataFrame, share: float = SHARE, methods: tuple[str,
     parts = [domains.sample(narrow, w, share, seed=seed).select(F.lit(m).alias("method"), "doc_id", "domain", "n_tokens", "copies") for m, w in weights.items() if methods is None or m in methods]
     pdm = sampling.copies(sampling.score_frequencies(text_scored(docs), share=share), seed)
     parts.append(pdm.select(F.lit("per_document").alias("method"), "doc_id", "domain", "n_tokens", "copies"))
-    return union(parts).filter("copies > 0")
+    return kept(union(parts).filter("copies > 0"), "manifests")
 
 
 def results(docs: DataFrame, man: DataFrame, bench: DataFrame, chat: DataFrame, order: int = 2, vocab: int = ngram.VOCAB) -> DataFrame:
     """(method, metric, value, higher): tokens drawn, two perplexities, the share of benchmark items where the method's model does best."""
     model = ngram.fit(docs, man.select("doc_id", "copies", "method"), order, vocab, by=("method",))
-    valid = ngram.score(model, bench, "item_id")
+    valid = kept(ngram.score(model, bench, "item_id"), "scored-items")
     drawn = man.groupBy("method").agg(F.sum(F.col("copies") * F.col("n_tokens")).cast("double").alias("value")).select("method", F.lit("tokens").alias("metric"), "value", F.lit(True).alias("higher"))
     parts = [drawn]
     for name, got in (("validation_ppl", valid), ("instruction_ppl", ngram.score(model, chat, "conv_id"))):
@@ -59,7 +59,7 @@ def results(docs: DataFrame, man: DataFrame, bench: DataFrame, chat: DataFrame,
 
 def lang_clean(spark, sf) -> DataFrame:
     d = clean_docs(spark, sf)
-    return d.withColumn("n_tokens", n_tokens("text"))
+    return kept(d.withColumn("n_tokens", n_tokens("text")), "clean-documents")
 
 
 def chat_of(spark, sf) -> DataFrame:
@@ -102,7 +102,7 @@ def _(spark, sf):
 @query("small_source_table")
 def _(spark, sf):
     """The source cut to a fifth, so that the budget is all of it."""
-    docs = corpus.fraction(lang_clean(spark, sf), 0.2, 9)
+    docs = kept(corpus.fraction(lang_clean(spark, sf), 0.2, 9), "small-source")
     return results(docs, manifests(spark, docs, share=1.0), load(spark, sf, "benchmark"), chat_of(spark, sf))
 
 
@@ -117,7 +117,7 @@ def _(spark, sf):
     first = F.floor(uniform(F.concat_ws("/", F.col("doc_id").cast("string"), F.col("copy").cast("string"))) * 10).cast("int") + 1
     steps = rows.select("method", "doc_id", F.explode(F.sequence(first, F.lit(10))).alias("step")).groupBy("method", "doc_id", "step").agg(F.count("*").alias("copies"))
     model = ngram.fit(docs, steps, by=("method", "step"))
-    curve = ngram.perplexity(ngram.score(model, load(spark, sf, "benchmark"), "item_id"), ("method", "step")).select("method", "step", F.col("perplexity").alias("metric"))
+    curve = kept(ngram.perplexity(ngram.score(model, load(spark, sf, "benchmark"), "item_id"), ("method", "step")).select("method", "step", F.col("perplexity").alias("metric")), "curve")
     target = curve.filter("method <> 'per_document' and step = 10").agg(F.avg("metric").alias("target"))
     return metrics.steps_to_target(curve, target, higher_is_better=False)
 
@@ -127,7 +127,7 @@ def _(spark, sf):
     """The alpha grid on rubric quality and text clusters, one model per alpha in one pass."""
     docs = lang_clean(spark, sf)
     s = text_scored(docs)
-    man = union([sampling.copies(sampling.score_frequencies(s, a, share=SHARE)).select(F.lit(a).alias("alpha"), "doc_id", "copies") for a in (0.0, 0.2, 0.4, 0.6, 0.8, 1.0)]).filter("copies > 0")
+    man = kept(union([sampling.copies(sampling.score_frequencies(s, a, share=SHARE)).select(F.lit(a).alias("alpha"), "doc_id", "copies") for a in (0.0, 0.2, 0.4, 0.6, 0.8, 1.0)]).filter("copies > 0"), "alpha-manifests")
     model = ngram.fit(docs, man, by=("alpha",))
     return ngram.perplexity(ngram.score(model, load(spark, sf, "benchmark"), "item_id"), ("alpha",))
 
@@ -136,7 +136,7 @@ def _(spark, sf):
 def _(spark, sf):
     docs = load(spark, sf, "documents")
     graded = quality.grade(docs.select("doc_id", "text")).select("doc_id", "text", "quality")
-    rows = quality.text_features(graded, embed.hashed(docs)).select("doc_id", "features", "quality")
+    rows = kept(quality.text_features(graded, embed.hashed(docs)).select("doc_id", "features", "quality"), "features")
     train, test = quality.graded_split(rows, 1.0, 0.2)
     scored_by = {
         "ordinal": quality.OrdinalEvaluator().fit(train).score(test),
@@ -150,7 +150,7 @@ def _(spark, sf):
 def _(spark, sf):
     """Held-out accuracy on external quality and toxicity labels."""
     docs = load(spark, sf, "documents").join(load(spark, sf, "labels"), "doc_id")
-    rows = quality.text_features(docs, embed.hashed(docs)).select("doc_id", "features", "quality", "toxic")
+    rows = kept(quality.text_features(docs, embed.hashed(docs)).select("doc_id", "features", "quality", "toxic"), "features")
     train, test = quality.graded_split(rows, 1.0, 0.3)
     out = []
     for label in ("quality", "toxic"):
