@@ -18,9 +18,12 @@ are all written, next to each other; an empty table gives an empty result; other
 
 from __future__ import annotations
 
+import re
 import struct
+import sys
 import uuid
 import zlib
+from array import array
 from collections.abc import Iterator
 
 import numpy as np
@@ -34,20 +37,34 @@ from .shared import folder, stored
 
 MAGIC = b"DAC1"
 BLOCK = 512
-CACHE_WORDS = 300_000
+CACHE_WORDS = 500_000
 _loaded: dict = {}
 
 
+LETTERS = re.compile(r"[A-Za-zÀ-ÖØ-öø-ÿ]+")
+PROBES = ("word", "Word", "WORD", "été", "ÉTÉ", "straße", "a", "é", "unbelievable", "ñandúes", "word.", "Mot,", "été.")
+
+
 class WordEncoder:
-    """Ids of a text as little-endian bytes of ``dtype``, by a dictionary of words."""
+    """Ids of a text as little-endian bytes of ``dtype``, by a dictionary of words.
+
+    A word of Latin letters alone, or with one full stop or comma behind, goes straight to the vocabulary model, past
+    normaliser and splitter, if this tokenizer gives the probe words the same ids either way; other words take the whole way.
+    """
 
     def __init__(self, path: str, end_id: int):
-        from tokenizers import Tokenizer
+        from tokenizers import Tokenizer, pre_tokenizers
 
         self.tokenizer = Tokenizer.from_file(path)
         self.dtype = np.dtype("<u2" if self.tokenizer.get_vocab_size(with_added_tokens=True) <= 1 << 16 and end_id < 1 << 16 else "<u4")
-        self.end = np.array([end_id], dtype=self.dtype).tobytes()
+        self.code = "H" if self.dtype.itemsize == 2 else "I"
+        self.end = self._bytes([end_id])
         self.known: dict[bytes, bytes] = {}
+        visible = pre_tokenizers.ByteLevel(add_prefix_space=False, use_regex=False)
+        self.letters = {ord(c): visible.pre_tokenize_str(c)[0][0] for c in map(chr, range(0x41, 0x100)) if LETTERS.fullmatch(c)}
+        self.marks = {m: self._bytes(self.tokenizer.encode(m, add_special_tokens=False).ids) for m in ".,"}
+        self.direct, self.caseless = True, self._case_is_lost()
+        self.direct = all(self._straight(w) == self._bytes(self.tokenizer.encode(w, add_special_tokens=False).ids) for w in PROBES)
 
     @classmethod
     def shared(cls, path: str, end_id: int) -> WordEncoder:
@@ -56,16 +73,45 @@ class WordEncoder:
             _loaded[path, end_id] = cls(path, end_id)
         return _loaded[path, end_id]
 
+    def _bytes(self, ids: list[int]) -> bytes:
+        if sys.byteorder == "little":
+            return array(self.code, ids).tobytes()
+        return np.array(ids, dtype=self.dtype).tobytes()
+
+    def _case_is_lost(self) -> bool:
+        """Whether A-Z and a-z are one to this tokenizer, so that both may share a dictionary entry."""
+        ids = lambda t: self.tokenizer.encode(t, add_special_tokens=False).ids
+        upper = "".join(map(chr, range(65, 91)))
+        return all(ids(w) == ids(w.lower()) for w in (*upper, upper, *PROBES))
+
+    def _straight(self, word: str) -> bytes | None:
+        tail = b""
+        if len(word) > 1 and word[-1] in self.marks:
+            word, tail = word[:-1], self.marks[word[-1]]
+        if not self.direct or not LETTERS.fullmatch(word):
+            return None
+        return self._bytes([t.id for t in self.tokenizer.model.tokenize(word.lower().translate(self.letters))]) + tail
+
+    def _learn(self, words: set[bytes]) -> None:
+        rest = []
+        for w in words:
+            text = w.decode("utf-8", "replace")
+            if (got := self._straight(text)) is None:
+                rest.append((w, text))
+            else:
+                self.known[w] = got
+        for k in range(0, len(rest), 20_000):
+            part = rest[k : k + 20_000]
+            got = self.tokenizer.encode_batch([t for _, t in part], add_special_tokens=False)
+            self.known.update((w, self._bytes(e.ids)) for (w, _), e in zip(part, got, strict=True))
+
     def encode(self, texts: list[bytes]) -> Iterator[bytes]:
         for at in range(0, len(texts), 256):
-            docs = [t.split() for t in texts[at : at + 256]]
+            # A text that might spell a special token keeps its case.
+            docs = [(t.lower() if self.caseless and b"<|" not in t else t).split() for t in texts[at : at + 256]]
             if len(self.known) > CACHE_WORDS:
                 self.known.clear()
-            new = list({w for d in docs for w in d}.difference(self.known))
-            for k in range(0, len(new), 20_000):
-                part = new[k : k + 20_000]
-                got = self.tokenizer.encode_batch([w.decode("utf-8", "replace") for w in part], add_special_tokens=False)
-                self.known.update((w, np.array(e.ids, dtype=self.dtype).tobytes()) for w, e in zip(part, got, strict=True))
+            self._learn(set().union(*docs).difference(self.known))
             look = self.known.__getitem__
             for d in docs:
                 yield b"".join(map(look, d)) + self.end
@@ -213,7 +259,8 @@ def read_digests(index: DataFrame) -> DataFrame:
                     [pa.array(ids, pa.int64()), pa.array(offsets[:-1] + start), pa.array(np.diff(offsets)), pa.array(crc, pa.int64())], names=["doc_id", "start", "n_tokens", "ids_crc32"]
                 )
 
-    files = index.select("path", "start").repartition("path")
+    files = index.select("path", "start")
+    files = files.repartition(min(1 + index.count(), 4096))  # a number keeps a few small rows from being put into one task
     return files.mapInArrow(read, "doc_id long, start long, n_tokens long, ids_crc32 long")
 
 
