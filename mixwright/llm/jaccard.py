@@ -1,0 +1,201 @@
+"""Near-duplicates by exact Jaccard similarity of word shingles: no pair at or above the threshold is missed.
+
+A text is the set of its distinct shingle hashes; a text of fewer words than a shingle is one shingle of all its words.
+Equal sets are folded first, so copies cost one row however many there are. Under one order of all shingles, two sets of
+similarity t or more share a shingle among the first n - ceil(t n) + 1 of each, and the first one they share leaves room for the
+overlap that t asks for. Those leading shingles are joined, with both bounds in the join, and the sets themselves decide.
+
+The order puts shingles that are frequent in a sample last, so that a common passage leads no text but those made of such
+passages. It changes where sets meet, not which pairs are found. A shingle that leads up to ``bucket_rows`` sets is paired in the
+join. Sets that meet in larger buckets are gathered into groups over those buckets, and a group is compared inside
+one task: one set against all at a time, by default only with sets that are not connected to it yet.
+
+Defined results: null and blank texts are one empty set, alike only among themselves; null ids never link but keep their rows; rows that
+repeat an id are one node; an empty table gives an empty result; other columns of the input are ignored.
+"""
+
+from __future__ import annotations
+
+import math
+from collections.abc import Iterator
+
+import numpy as np
+import pyarrow as pa
+import xxhash
+from pyspark.sql import Column, DataFrame
+from pyspark.sql import functions as F
+
+from .shared import free_names, stored
+from .simhash import components
+
+SEED = 42
+PAIR = "a binary, b binary, shared long"
+
+
+def folded(text: str = "text") -> Column:
+    """Lower-cased text as bytes."""
+    return F.encode(F.lower(F.coalesce(F.col(text), F.lit(""))), "UTF-8")
+
+
+def shingle_set(body: bytes, width: int) -> np.ndarray:
+    """Sorted distinct shingle hashes."""
+    words = body.split()
+    if not words:
+        return np.zeros(0, "u8")
+    shingles = [b" ".join(words)] if len(words) < width else map(b" ".join, zip(*(words[i:] for i in range(width)), strict=False))
+    digest = xxhash.xxh64_intdigest
+    return np.unique(np.array([digest(s, SEED) for s in shingles], "u8"))
+
+
+def _key(s: np.ndarray) -> bytes:
+    return xxhash.xxh3_128_digest(s.tobytes())
+
+
+def _ceil(x: float) -> int:
+    return math.ceil(x - 1e-9)
+
+
+def frequent(docs: DataFrame, width: int, sample: int = 4000, most: int = 50_000) -> tuple[np.ndarray, np.ndarray]:
+    """Shingles that at least three texts of a sample have, sorted, and how many have them."""
+    n = docs.count()
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            for x in b.column(0):
+                yield pa.RecordBatch.from_arrays([pa.array(shingle_set(x.as_py(), width).view("i8"))], names=["h"])
+
+    drawn = docs.filter(F.pmod(F.xxhash64("body"), F.lit(max(1, n // sample))) == 0).select("body").distinct()
+    rows = drawn.mapInArrow(run, "h long").groupBy("h").agg(F.count("*").alias("n")).filter("n > 2").orderBy(F.desc("n"), "h").limit(most).collect()
+    h = np.array([r[0] for r in rows], "i8").view("u8")
+    order = np.argsort(h)
+    return h[order], np.array([r[1] for r in rows], "i8")[order]
+
+
+def _leads(docs: DataFrame, width: int, threshold: float) -> DataFrame:
+    """(id, key, n, lead): the set's digest, its size and its leading shingles."""
+    common, times = frequent(docs, width)
+
+    def lead(s: np.ndarray) -> np.ndarray:
+        rank = np.zeros(len(s), "i8")
+        if len(common):
+            at = np.minimum(np.searchsorted(common, s), len(common) - 1)
+            rank = np.where(common[at] == s, times[at], 0)
+        return s[np.argsort(rank, kind="stable")][: len(s) - _ceil(threshold * len(s)) + 1]
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for whole in batches:
+            for i in range(0, whole.num_rows, 512):
+                b = whole.slice(i, 512)
+                sets = [shingle_set(x.as_py(), width) for x in b.column(1)]
+                leads = pa.array([lead(s).view("i8") for s in sets], pa.list_(pa.int64()))
+                yield pa.RecordBatch.from_arrays([b.column(0), pa.array([_key(s) for s in sets], pa.binary()), pa.array([len(s) for s in sets], pa.int64()), leads], names=["id", "key", "n", "lead"])
+
+    return docs.mapInArrow(run, f"id {docs.schema['id'].dataType.simpleString()}, key binary, n long, lead array<long>")
+
+
+def _sets(docs: DataFrame, wanted: DataFrame, width: int) -> DataFrame:
+    """(key, hashes) of the wanted (id, key)."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for whole in batches:
+            for i in range(0, whole.num_rows, 512):
+                sets = [shingle_set(x.as_py(), width) for x in whole.column(0).slice(i, 512)]
+                yield pa.RecordBatch.from_arrays([pa.array([_key(s) for s in sets], pa.binary()), pa.array([s.tobytes() for s in sets], pa.binary())], names=["key", "hashes"])
+
+    texts = docs.join(wanted.select("id").distinct(), "id", "left_semi").select("body")
+    # A repeated id may bring a text that is not asked for; its set finds no pair.
+    return stored(texts.mapInArrow(run, "key binary, hashes binary").dropDuplicates(["key"]), "jaccard-sets")
+
+
+def _verify(threshold: float):
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            a, c = ([np.frombuffer(x.as_py(), "u8") for x in b.column(k)] for k in (2, 3))
+            shared = [len(np.intersect1d(x, y, assume_unique=True)) for x, y in zip(a, c, strict=True)]
+            good = np.array([s >= threshold * (len(x) + len(y) - s) - 1e-9 for s, x, y in zip(shared, a, c, strict=True)], bool)
+            yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array(shared, pa.int64())], names=["a", "b", "shared"]).filter(pa.array(good))
+
+    return run
+
+
+def compare(sets: list[np.ndarray], threshold: float, every: bool) -> Iterator[tuple[int, int, int]]:
+    """(i, j, shared) of all pairs at the threshold, or of enough of them to connect what all would connect."""
+    size = np.array([len(s) for s in sets])
+    starts = np.concatenate([[0], np.cumsum(size)])
+    values, codes = np.unique(np.concatenate(sets), return_inverse=True)
+    mark, label = np.zeros(len(values), bool), np.arange(len(sets))
+    for i in range(len(sets) - 1):
+        rest = np.arange(i + 1, len(sets))
+        small, large = np.minimum(size[rest], size[i]), np.maximum(size[rest], size[i])
+        rest = rest[(small >= threshold * large - 1e-9) & (every | (label[rest] != label[i]))]
+        if not len(rest):
+            continue
+        mine = codes[starts[i] : starts[i + 1]]
+        mark[mine] = True
+        n = size[rest]
+        cuts = np.concatenate([[0], np.cumsum(n)[:-1]])
+        at = np.repeat(starts[rest] - cuts, n) + np.arange(n.sum())
+        shared = np.add.reduceat(mark[codes[at]].astype(np.int64), cuts)
+        mark[mine] = False
+        good = shared >= threshold * (n + size[i] - shared) - 1e-9
+        for j, s in zip(rest[good], shared[good], strict=True):
+            if every or label[j] != label[i]:
+                label[label == label[j]] = label[i]
+                yield i, int(j), int(s)
+
+
+def _group_pairs(threshold: float, every: bool):
+    def run(table: pa.Table) -> pa.Table:
+        order = sorted(range(table.num_rows), key=(keys := table.column("key").to_pylist()).__getitem__)
+        found = list(compare([np.frombuffer(table.column("hashes")[i].as_py(), "u8") for i in order], threshold, every))
+        return pa.table([pa.array([keys[order[f[0]]] for f in found], pa.binary()), pa.array([keys[order[f[1]]] for f in found], pa.binary()), pa.array([f[2] for f in found], pa.int64())], names=["a", "b", "shared"])
+
+    return run
+
+
+def near_sets(df: DataFrame, id_col: str = "doc_id", body: Column | None = None, width: int = 5, threshold: float = 0.8, every: bool = False, bucket_rows: int = 16) -> tuple[DataFrame, DataFrame, DataFrame]:
+    """Three tables: (id, key), a row per row of ``df``; (key, least, n), a row per set; (a, b, shared), links of sets.
+
+    Links are all pairs at the threshold with ``every``, or else enough of them to connect what all would connect.
+    """
+    docs = df.select(F.col(id_col).alias("id"), (folded() if body is None else body).alias("body"))
+    prints = stored(_leads(docs, width, threshold), "jaccard-leads")
+    nodes = stored(prints.groupBy("key").agg(F.min("id").alias("least"), F.min(F.struct("n", "lead")).alias("s")).select("key", "least", "s.n", "s.lead").filter("least is not null"), "jaccard-nodes")
+    entries = nodes.select("key", "least", "n", F.posexplode("lead").alias("pos", "h"))
+    often = entries.groupBy("h").agg(F.count("*").alias("m")).filter("m > 1")
+    busy = stored(entries.join(often, "h"), "jaccard-buckets")
+    side = lambda x: busy.filter(F.col("m") <= bucket_rows).select("h", *[F.col(c).alias(f"{c}_{x}") for c in ("key", "n", "pos")])
+    na, nb = F.col("n_a"), F.col("n_b")
+    alike = F.least(na, nb) >= threshold * F.greatest(na, nb) - 1e-9
+    room = 1 + F.least(na - 1 - F.col("pos_a"), nb - 1 - F.col("pos_b")) >= threshold / (1 + threshold) * (na + nb) - 1e-9
+    left, right = side("a"), side("b")
+    asked = stored(left.join(right, (left["h"] == right["h"]) & (F.col("key_a") < F.col("key_b")) & alike & room).select(F.col("key_a").alias("a"), F.col("key_b").alias("b")).distinct(), "jaccard-pairs")
+    hot = busy.filter(F.col("m") > bucket_rows).select("h", "key", F.xxhash64("key").alias("node"))
+    hubs = hot.groupBy("h").agg(F.min("node").alias("hub"))
+    groups = components(hot.join(hubs, "h").select(F.col("hub").alias("a"), F.col("node").alias("b")).distinct())
+    members = stored(hot.select("key", "node").distinct().join(groups, "node", "left").select("key", F.coalesce("component", "node").alias("group")), "jaccard-groups")
+    used = asked.select(F.col("a").alias("key")).unionByName(asked.select(F.col("b").alias("key"))).unionByName(members.select("key")).distinct()
+    sets = _sets(docs, nodes.join(used, "key", "left_semi").select(F.col("least").alias("id"), "key"), width)
+    at = lambda x: sets.select(F.col("key").alias(x), F.col("hashes").alias(f"hashes_{x}"))
+    few = asked.join(at("a"), "a").join(at("b"), "b").select("a", "b", "hashes_a", "hashes_b").mapInArrow(_verify(threshold), PAIR)
+    many = members.join(sets, "key").groupBy("group").applyInArrow(_group_pairs(threshold, every), PAIR)
+    return prints.select("id", "key"), nodes.select("key", "least", "n"), stored(few.unionByName(many).distinct(), "jaccard-links")
+
+
+def classes(prints: DataFrame, nodes: DataFrame, links: DataFrame) -> DataFrame:
+    """(id, component): for each row the smallest id that links reach, its own included; null ids have none."""
+    least = lambda x: nodes.select(F.col("key").alias(x), F.col("least").cast("long").alias(f"{x}_id"))
+    edges = links.join(least("a"), "a").join(least("b"), "b").select(F.col("a_id").alias("a"), F.col("b_id").alias("b"))
+    # Rows that share an id but not a set are one node too.
+    same = prints.groupBy("id").agg(F.min("key").alias("x"), F.max("key").alias("y")).filter("x <> y").select("id")
+    twice = prints.join(same, "id").join(nodes, "key").select(F.col("id").cast("long").alias("a"), F.col("least").cast("long").alias("b"))
+    found = components(edges.unionByName(twice))
+    named = nodes.join(found, F.col("least") == F.col("node"), "left").select("key", F.coalesce("component", F.col("least").cast("long")).alias("component"))
+    return prints.join(named, "key", "left").select("id", F.when(F.col("id").isNotNull(), F.col("component")).alias("component"))
+
+
+def keep_one(df: DataFrame, id_col: str = "doc_id", **options) -> DataFrame:
+    """One row of each class, that of the smallest id; rows without an id stay."""
+    (drop,) = free_names(df, "_j_drop")
+    gone = classes(*near_sets(df, id_col, **options)).filter(F.col("id") != F.col("component")).select(F.col("id").alias(drop)).distinct()
+    return df.join(gone, F.col(id_col) == F.col(drop), "left_anti")

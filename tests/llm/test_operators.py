@@ -11,7 +11,7 @@ import pytest
 import xxhash
 from pyspark.sql import functions as F
 
-from mixwright.llm import kneser_ney, mpeg_audio, packing, pfair, quality_rules, reply_trees, sharding, simhash, suffix_dedup, token_store
+from mixwright.llm import jaccard, kneser_ney, mpeg_audio, packing, pfair, quality_rules, reply_trees, sharding, simhash, suffix_dedup, token_store
 from mixwright.llm.suffix_array import suffix_array
 
 VOCAB = public_tokenizers.path("word_bpe_49k.json")
@@ -351,3 +351,57 @@ def test_pipeline(spark):
         if name == "best_fit_packing":
             assert {r.doc_id for r in after} == set(before)
         docs = corpus_pipeline.shared.stored(docs, "test")
+
+
+def brute_classes(docs, width=5, threshold=0.8):
+    """Least id of each document's class, and the pairs of distinct sets, by comparing all with all."""
+    sets = {}
+    for d, t in docs:
+        w = (t or "").lower().encode().split()
+        sets[d] = frozenset(zip(*(w[i:] for i in range(width)))) if len(w) >= width else frozenset([tuple(w)])
+    boss = {d: d for d in sets}
+
+    def top(x):
+        while boss[x] != x:
+            x = boss[x]
+        return x
+
+    pairs = set()
+    for a in sets:
+        for b in sets:
+            if a < b and len(sets[a] & sets[b]) >= threshold * len(sets[a] | sets[b]):
+                pairs.add((a, b))
+                x, y = sorted((top(a), top(b)))
+                boss[y] = x
+    return {d: top(d) for d in sets}, pairs
+
+
+def planted(spark, seed=5):
+    """Copies with so many words changed that similarities lie between 0.6 and 0.98, a common passage, and short texts."""
+    rng = np.random.default_rng(seed)
+    word = lambda: f"w{rng.integers(5000)}"
+    texts, common = [None, "", "one two", "ONE two", "one two three", "a b c d", "a b c d e"], [word() for _ in range(60)]
+    for i in range(12):
+        base = [word() for _ in range(150)] if i else common + [word() for _ in range(5)]
+        texts.append(" ".join(base))
+        for k in range(1, 7 if i else 40):
+            near = list(base)
+            for at in rng.choice(len(near), 1 + k % 7 if i else 1 + k % 3, replace=False):
+                near[at] = word()
+            texts.append(" ".join(near))
+    texts += [" ".join(common + [word() for _ in range(40)]) for _ in range(25)]
+    return spark.createDataFrame([(int(i), t) for i, t in enumerate(texts)], "doc_id long, text string").repartition(3)
+
+
+@pytest.mark.parametrize("bucket", [1, 16])
+def test_near_sets_equal_brute_force(spark, bucket):
+    docs = planted(spark)
+    assert {r.id: r.component for r in jaccard.classes(*jaccard.near_sets(docs, bucket_rows=bucket)).collect()} == brute_classes(rows(docs))[0]
+
+
+def test_pipeline_near_dedup_links_all_at_the_threshold(spark, rough, empty):
+    import corpus_pipeline
+
+    docs = planted(spark).unionByName(rough.select((F.col("doc_id") + 1000).alias("doc_id"), "text"))
+    assert {r.doc_id for r in corpus_pipeline.drop_near_copies(spark, docs, "").collect()} == set(brute_classes(rows(docs))[0].values())
+    assert corpus_pipeline.drop_near_copies(spark, empty, "").count() == 0
