@@ -405,3 +405,12 @@ def test_pipeline_near_dedup_links_all_at_the_threshold(spark, rough, empty):
     docs = planted(spark).unionByName(rough.select((F.col("doc_id") + 1000).alias("doc_id"), "text"))
     assert {r.doc_id for r in corpus_pipeline.drop_near_copies(spark, docs, "").collect()} == set(brute_classes(rows(docs))[0].values())
     assert corpus_pipeline.drop_near_copies(spark, empty, "").count() == 0
+
+
+def test_pipeline_mixing_keeps_every_document(spark, rough, empty):
+    import corpus_pipeline
+
+    uneven = spark.range(300).select(F.col("id").alias("doc_id"), F.lit("some words here").alias("text"), F.when(F.col("id") < 3, "small").otherwise("large").alias("source"))
+    for docs in (uneven, rough, empty):
+        got = corpus_pipeline.mix_sources(spark, docs, "")
+        assert got.columns == docs.columns and sorted(r.doc_id for r in got.select("doc_id").collect()) == sorted(r.doc_id for r in docs.select("doc_id").collect())
