@@ -8,6 +8,7 @@ from pyspark.sql import functions as F
 from mixwright.functions.hashing import uniform
 from mixwright.functions.text import n_tokens, ngrams, words
 from mixwright.functions.udfs import nfc as nfc_of
+from mixwright.llm import jaccard
 
 
 def stats(docs: DataFrame, by: tuple[str, ...] = ("domain",)) -> DataFrame:
@@ -56,25 +57,23 @@ def decontaminate(docs: DataFrame, bench: DataFrame, n: int = 8, text: str = "te
 
 
 def near_pairs(docs: DataFrame, n: int = 5, perms: int = 64, bands: int = 16, threshold: float = 0.8, text: str = "text", id_col: str = "doc_id") -> DataFrame:
-    """Pairs of distinct texts with Jaccard similarity of at least ``threshold``.
+    """All pairs of distinct sets of word n-grams with Jaccard similarity of at least ``threshold``, by the smallest id of each set.
 
-    Min-hash bands name candidates; within a band's bucket each document is compared with those that follow it in order of
-    hash, and exact similarity decides. Equal texts are folded first, so a group of copies is one row.
+    The join is exact: ``perms`` and ``bands`` of the min-hash search it replaces are accepted and have no effect. A text of
+    fewer than ``n`` words is one gram. ``near_members`` tells which documents each id stands for.
     """
-    first = dedup_exact(docs, text, id_col).select(id_col)
-    grams = shingles(docs.join(first, id_col, "left_semi"), n, text, id_col)
-    hashed = grams.select(id_col, F.xxhash64("gram").alias("h"))
-    slots = hashed.select(id_col, F.explode(F.transform(F.sequence(F.lit(0), F.lit(perms - 1)), lambda k: F.struct(k.alias("k"), F.xxhash64("h", k).alias("v")))).alias("s"))
-    least = slots.groupBy(id_col, F.col("s.k").alias("k")).agg(F.min("s.v").alias("v"))
-    rows = perms // bands
-    keys = least.groupBy(id_col, (F.floor(F.col("k") / rows)).alias("band")).agg(F.xxhash64(F.array_sort(F.collect_list(F.struct("k", "v")))).alias("key"))
-    left, right = keys.select("band", "key", F.col(id_col).alias("id_a")), keys.select("band", "key", F.col(id_col).alias("id_b"))
-    pairs = left.join(right, ["band", "key"]).filter("id_a < id_b").select("id_a", "id_b").distinct()
-    sizes = hashed.groupBy(id_col).agg(F.count_distinct("h").alias("size"))
-    a, b = hashed.select(F.col(id_col).alias("id_a"), "h"), hashed.select(F.col(id_col).alias("id_b"), "h")
-    both = pairs.join(a, "id_a").join(b, ["id_b", "h"]).groupBy("id_a", "id_b").agg(F.count_distinct("h").alias("shared"))
-    sized = both.join(sizes.select(F.col(id_col).alias("id_a"), F.col("size").alias("size_a")), "id_a").join(sizes.select(F.col(id_col).alias("id_b"), F.col("size").alias("size_b")), "id_b")
-    return sized.select("id_a", "id_b", (F.col("shared") / (F.col("size_a") + F.col("size_b") - F.col("shared"))).alias("jaccard")).filter(F.col("jaccard") >= threshold)
+    _, nodes, links = jaccard.near_sets(docs, id_col, jaccard.folded(text), n, threshold, every=True)
+    at = lambda x: nodes.select(F.col("key").alias(x), F.col("least").alias(f"least_{x}"), F.col("n").alias(f"n_{x}"))
+    both = links.join(at("a"), "a").join(at("b"), "b")
+    return both.select(F.least("least_a", "least_b").alias("id_a"), F.greatest("least_a", "least_b").alias("id_b"), (F.col("shared") / (F.col("n_a") + F.col("n_b") - F.col("shared"))).alias("jaccard"))
+
+
+def near_members(docs: DataFrame, n: int = 5, threshold: float = 0.8, text: str = "text", id_col: str = "doc_id") -> DataFrame:
+    """(id, representative, class_id) of every document: the smallest id with its set of n-grams, and the smallest its near copies connect it to."""
+    prints, nodes, links = jaccard.near_sets(docs, id_col, jaccard.folded(text), n, threshold)
+    classes = jaccard.classes(prints, nodes, links).groupBy("id").agg(F.first("component").alias("class_id"))
+    named = prints.join(nodes, "key").groupBy("id").agg(F.min("least").alias("representative"))
+    return named.join(classes, "id").select(F.col("id").alias(id_col), "representative", "class_id")
 
 
 def fraction(docs: DataFrame, share: float, seed: int = 42, id_col: str = "doc_id") -> DataFrame:

@@ -414,3 +414,17 @@ def test_pipeline_mixing_keeps_every_document(spark, rough, empty):
     for docs in (uneven, rough, empty):
         got = corpus_pipeline.mix_sources(spark, docs, "")
         assert got.columns == docs.columns and sorted(r.doc_id for r in got.select("doc_id").collect()) == sorted(r.doc_id for r in docs.select("doc_id").collect())
+
+
+def test_near_pairs_and_members(spark):
+    from mixwright.operators import corpus
+
+    docs = planted(spark)
+    docs = docs.unionByName(docs.select((F.col("doc_id") + 1000).alias("doc_id"), "text"))
+    least, pairs = brute_classes(rows(docs))
+    got = {r.doc_id: (r.representative, r.class_id) for r in corpus.near_members(docs).collect()}
+    assert {d: c for d, (_, c) in got.items()} == least
+    same = {d: p for d, (p, _) in got.items()}
+    assert all(same[d + 1000] == same[d] for d in same if d < 1000) and same[3] == 2
+    want = {(min(x), max(x)) for x in ((same[a], same[b]) for a, b in pairs) if x[0] != x[1]}
+    assert {(r.id_a, r.id_b) for r in corpus.near_pairs(docs).collect()} == want
