@@ -110,7 +110,7 @@ def _(spark, sf):
 def _(spark, sf):
     """Ten checkpoints of a hash-ordered manifest; counts are additive, so a checkpoint's model is a tagged aggregate."""
     docs = lang_clean(spark, sf)
-    man = manifests(spark, docs, methods=("natural", "cond_entropy"))
+    man = manifests(spark, docs)
     rows = man.select("method", "doc_id", F.explode(F.sequence(F.lit(1), F.col("copies"))).alias("copy"))
     from mixwright.functions.hashing import uniform
 
