@@ -9,6 +9,9 @@ write sorted arrays too. Discounts come from the counts of counts, a few numbers
 Scoring tasks map the arrays from the shared folder and look up the sorted distinct hashes of a batch of texts, so a
 batch reads each array front to back. Where the folder is not a local mount the arrays are read through Arrow's file systems.
 
+In order three the same form over triples stands on top, p(w | x v) = max(c(xvw) - D, 0) / c(xv) + gamma(x v) p(w | v), and c(vw)
+below is the number of distinct x; a text has two start marks before it, so a pair at its start has one.
+
 p(w | v) = max(c(vw) - D, 0) / c(v) + gamma(v) p(w), with D by count 1, 2, 3+, and p(w) of the same form over numbers of
 distinct left neighbours, resting on 1 / (V + 1) for each of V known tokens and one unknown.
 
@@ -92,6 +95,14 @@ def pairs(tokens: np.ndarray, n: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     return left, tokens
 
 
+def triples(tokens: np.ndarray, n: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(hash of the two tokens to the left, left, token) for each token; a text has start marks before it."""
+    left, _ = pairs(tokens, n)
+    back = np.concatenate([[START], left[:-1]]) if len(left) else left
+    back[np.concatenate([[0], np.cumsum(n)[:-1]])] = START
+    return pair_hash(back, left), left, tokens
+
+
 def _chunks(texts: list[bytes], limit: int = 4 << 20) -> Iterator[tuple[int, int]]:
     at = size = 0
     for i, t in enumerate(texts):
@@ -134,7 +145,8 @@ def _spread(blob: bytes, dtypes: tuple) -> tuple[np.ndarray, ...]:
     return tuple(out)
 
 
-PAIR = ("u8", "u8", "u4")
+PAIR = ("u8", "u8", "u4", "u4")  # left, token, count (distinct tokens before the pair in order three), occurrences
+TRIPLE = ("u8", "u8", "u8", "u4")
 WORD = ("u8", "u4", "u4", "u4", "u4", "u4", "u4")  # occurrences; left neighbours; as a context: total, pairs seen 1, 2, 3+ times
 WORD_FILE = ("u8", "u8", "u8", "u8", "u8", "u8", "u8")
 
@@ -151,6 +163,8 @@ class Model:
     pair_discounts: tuple[float, float, float]
     word_discounts: tuple[float, float, float]
     hot: np.ndarray  # contexts whose pairs are spread over all shards
+    order: int = 2
+    triple_discounts: tuple[float, float, float] = (0.0, 0.0, 0.0)
 
 
 def discounts(t1: int, t2: int, t3: int, t4: int) -> tuple[float, float, float]:
@@ -198,8 +212,10 @@ def _by_shard(shard: np.ndarray, shards: int) -> Iterator[tuple[int, np.ndarray]
             yield s, order[cuts[s] : cuts[s + 1]]
 
 
-def fit(df: DataFrame, text: str = "text", shard_bytes: int = 24 << 20, hot_sample: int = 2000, hot_share: float = 0.002) -> Model:
-    """Count a model over all rows of ``df``."""
+def fit(df: DataFrame, text: str = "text", shard_bytes: int = 24 << 20, hot_sample: int = 2000, hot_share: float = 0.002, order: int = 2) -> Model:
+    """Count a model of order two or three over all rows of ``df``."""
+    if order not in (2, 3):
+        raise ValueError("the order is two or three")
     spark = df.sparkSession
     body = F.encode(F.coalesce(F.col(text), F.lit("")), "UTF-8").alias("text")
     size = df.agg(F.coalesce(F.sum(F.octet_length(text)), F.lit(0)), F.count("*")).first()
@@ -217,40 +233,61 @@ def fit(df: DataFrame, text: str = "text", shard_bytes: int = 24 << 20, hot_samp
     def batch(rows: list) -> pa.RecordBatch:
         return pa.RecordBatch.from_arrays([pa.array([r[0] for r in rows], pa.int32()), pa.array([r[1] for r in rows], pa.binary())], names=["shard", "block"])
 
+    def split_pairs(v: np.ndarray, w: np.ndarray, c: np.ndarray, raw: np.ndarray) -> Iterator[tuple[int, bytes]]:
+        at = mix64(np.where(np.isin(v, hot), v ^ mix64(w), v)) % np.uint64(shards)
+        yield from rows_of((v, w, c.astype(np.uint32), raw.astype(np.uint32)), at, shards)
+
     def gather(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held, waiting = [], 0
 
         def flush() -> Iterator[pa.RecordBatch]:
-            (v, w), (c,) = count_rows(tuple(np.concatenate([h[k] for h in held]) for k in (0, 1)), (np.concatenate([h[2] for h in held]),))
-            at = mix64(np.where(np.isin(v, hot), v ^ mix64(w), v)) % np.uint64(shards)
-            for s, rows in _by_shard(at, shards):
-                yield batch([(s, _squeeze((v[rows], w[rows], c[rows].astype(np.uint32))))])
+            keys, (c,) = count_rows(tuple(np.concatenate([h[k] for h in held]) for k in range(order)), (np.concatenate([h[-1] for h in held]),))
+            if order == 2:
+                found = split_pairs(*keys, c, c)
+            else:
+                found = rows_of((*keys, c.astype(np.uint32)), mix64(keys[0]) % np.uint64(shards), shards)
+            for row in found:
+                yield batch([row])
 
         for b in batches:
             for i in range(0, b.num_rows, 512):
                 texts = b.column(0).slice(i, 512).to_pylist()
                 for lo, hi in _chunks(texts):
-                    v, w = pairs(*tokenise(texts[lo:hi]))
-                    (v, w), (c,) = count_rows((v, w), (np.ones(len(v), np.uint32),))
-                    held.append((v, w, c.astype(np.uint32)))
-                    waiting += len(v)
-                    if waiting > 3_000_000:
+                    keys = (pairs if order == 2 else triples)(*tokenise(texts[lo:hi]))
+                    keys, (c,) = count_rows(keys, (np.ones(len(keys[0]), np.uint32),))
+                    held.append((*keys, c.astype(np.uint32)))
+                    waiting += len(c)
+                    if waiting > 6_000_000 // order:
                         yield from flush()
                         held, waiting = [], 0
         if held:
             yield from flush()
 
+    def merge_triples(table: pa.Table) -> pa.Table:
+        shard = table.column("shard")[0].as_py()
+        parts = [_spread(b.as_py(), TRIPLE) for b in table.column("block")]
+        (u, v, w), (c,) = count_rows(tuple(np.concatenate([p[k] for p in parts]) for k in (0, 1, 2)), (np.concatenate([p[3] for p in parts]),))
+        h = pair_hash(u, w)
+        by_hash = np.argsort(h)
+        _write(f"{target}/triples-{shard:07d}", (h[by_hash], c[by_hash].astype(np.uint32)))
+        (us,), sums = count_rows((u,), (c, *((x.astype(np.uint32)) for x in (c == 1, c == 2, c > 2))))
+        _write(f"{target}/contexts-{shard:07d}", (us, *(x.astype(np.uint32) for x in sums)))
+        (vs, ws), (befores, raw) = count_rows((v, w), (np.ones(len(c), np.uint32), c))
+        rows = list(split_pairs(vs, ws, befores, raw))
+        rows.append((-1, np.array([int((c == k).sum()) for k in (1, 2, 3, 4)], "<i8").tobytes()))
+        return pa.Table.from_batches([batch(rows)])
+
     def merge_pairs(table: pa.Table) -> pa.Table:
         shard = table.column("shard")[0].as_py()
         parts = [_spread(b.as_py(), PAIR) for b in table.column("block")]
-        (v, w), (c,) = count_rows(tuple(np.concatenate([p[k] for p in parts]) for k in (0, 1)), (np.concatenate([p[2] for p in parts]),))
-        c = c.astype(np.uint32)
+        (v, w), (c, raw) = count_rows(tuple(np.concatenate([p[k] for p in parts]) for k in (0, 1)), tuple(np.concatenate([p[k] for p in parts]) for k in (2, 3)))
+        c, raw = c.astype(np.uint32), raw.astype(np.uint32)
         h = pair_hash(v, w)
         order = np.argsort(h)
         _write(f"{target}/pairs-{shard:07d}", (h[order], c[order]))
         coc = [int((c == k).sum()) for k in (1, 2, 3, 4)]
         one = np.ones(len(c), np.uint32)
-        (ws,), (occ, lefts) = count_rows((w,), (c, one))
+        (ws,), (occ, lefts) = count_rows((w,), (raw, one))
         (vs,), (tot, n1, n2, n3) = count_rows((v,), (c, (c == 1).astype(np.uint32), (c == 2).astype(np.uint32), (c > 2).astype(np.uint32)))
         zw, zv = np.zeros(len(ws), np.uint32), np.zeros(len(vs), np.uint32)
         keys, values = count_rows((np.concatenate([ws, vs]),), tuple(np.concatenate(x).astype(np.uint32) for x in ((occ, zv), (lefts, zv), (zw, tot), (zw, n1), (zw, n2), (zw, n3))))
@@ -271,13 +308,21 @@ def fit(df: DataFrame, text: str = "text", shard_bytes: int = 24 << 20, hot_samp
         return pa.table({"kind": ["words"], "sums": [[int((occ > 0).sum()), int(occ.sum()), *(int((lefts == n).sum()) for n in (1, 2, 3, 4))]]})
 
     blocks = df.select(body).mapInArrow(gather, "shard int, block binary")
+    triple_discounts = (0.0, 0.0, 0.0)
+    if order == 3:
+        blocks = stored(blocks.groupBy("shard").applyInArrow(merge_triples, "shard int, block binary"), "kneser-ney-pairs")
+        sums = [0] * 4
+        for r in blocks.filter("shard < 0").select("block").collect():
+            sums = [int(a + b) for a, b in zip(sums, np.frombuffer(bytes(r[0]), "<i8"), strict=True)]
+        triple_discounts = discounts(*sums)
+        blocks = blocks.filter("shard >= 0")
     known = stored(blocks.groupBy("shard").applyInArrow(merge_pairs, "shard int, block binary"), "kneser-ney-words")
     facts = known.groupBy("shard").applyInArrow(merge_words, "kind string, sums array<long>")
     total = {"pairs": [0] * 5, "words": [0] * 6}
     for kind, at, n in facts.select("kind", F.posexplode("sums").alias("at", "n")).groupBy("kind", "at").agg(F.sum("n")).collect():
         total[kind][at] = n
     p, w = total["pairs"], total["words"]
-    return Model(target, shards, word_shards, w[1], w[0], p[0], (w[2], w[3], w[0] - w[2] - w[3]), discounts(*p[1:]), discounts(*w[2:]), hot)
+    return Model(target, shards, word_shards, w[1], w[0], p[0], (w[2], w[3], w[0] - w[2] - w[3]), discounts(*p[1:]), discounts(*w[2:]), hot, order, triple_discounts)
 
 
 class Lookup:
@@ -288,7 +333,7 @@ class Lookup:
 
     def _shard(self, kind: str, s: int) -> tuple[np.ndarray, ...]:
         if (kind, s) not in self.files:
-            self.files[kind, s] = _open(f"{self.model.path}/{kind}-{s:07d}", ("u8", "u4") if kind == "pairs" else WORD_FILE)
+            self.files[kind, s] = _open(f"{self.model.path}/{kind}-{s:07d}", {"words": WORD_FILE, "contexts": ("u8", "u4", "u4", "u4", "u4")}.get(kind, ("u8", "u4")))
         return self.files[kind, s]
 
     def _find(self, kind: str, keys: np.ndarray, shard: np.ndarray, shards: int, fields: int) -> list[np.ndarray]:
@@ -312,6 +357,14 @@ class Lookup:
         m = self.model.pair_shards
         return self._find("pairs", pair_hash(v, w), mix64(np.where(hot, v ^ mix64(w), v)) % np.uint64(m), m, 1)[0]
 
+    def contexts(self, u: np.ndarray) -> list[np.ndarray]:
+        m = self.model.pair_shards
+        return self._find("contexts", u, mix64(u) % np.uint64(m), m, 4)
+
+    def triple_counts(self, u: np.ndarray, w: np.ndarray) -> np.ndarray:
+        m = self.model.pair_shards
+        return self._find("triples", pair_hash(u, w), mix64(u) % np.uint64(m), m, 1)[0]
+
 
 def _discount(count: np.ndarray, d: tuple[float, float, float]) -> np.ndarray:
     return np.where(count > 0, count - np.array([0.0, *d])[np.minimum(count, 3)], 0.0)
@@ -339,8 +392,16 @@ def log_scores(look: Lookup, texts: list[bytes]) -> tuple[np.ndarray, ...]:
     d, ctx = m.pair_discounts, total[cv]
     gamma = np.where(ctx > 0, (d[0] * n1[cv] + d[1] * n2[cv] + d[2] * n3[cv]) / np.maximum(ctx, 1), 1.0)
     prob = np.where(ctx > 0, _discount(count, d) / np.maximum(ctx, 1), 0.0) + gamma * low[cw]
+    each = prob[where]
+    if m.order == 3:
+        u = triples(tokens, n)[0]
+        us, at = np.unique(u, return_inverse=True)
+        total, n1, n2, n3 = (x[at] for x in look.contexts(us))
+        d = m.triple_discounts
+        gamma = np.where(total > 0, (d[0] * n1 + d[1] * n2 + d[2] * n3) / np.maximum(total, 1), 1.0)
+        each = np.where(total > 0, _discount(look.triple_counts(u, tokens), d) / np.maximum(total, 1), 0.0) + gamma * each
     base = np.log10((occ + 1) / (m.tokens + (m.vocabulary + 1)))
-    return n, np.add.reduceat((occ[w] > 0).astype(np.int64), first), np.add.reduceat(base[w], first), np.add.reduceat(np.log10(prob)[where], first)
+    return n, np.add.reduceat((occ[w] > 0).astype(np.int64), first), np.add.reduceat(base[w], first), np.add.reduceat(np.log10(each), first)
 
 
 def score(df: DataFrame, model: Model, id_col: str = "doc_id", text: str = "text") -> DataFrame:

@@ -16,7 +16,7 @@ def _table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 def op2_kneser_ney(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = _table(spark, sf_dir, "documents").select("doc_id", "text")
     held_out = kneser_ney.fold(F.col("doc_id")) == 2
-    model = kneser_ney.fit(docs.filter(~held_out))
+    model = kneser_ney.fit(docs.filter(~held_out), order=3)
     return kneser_ney.score(docs, model).select(
         "doc_id", held_out.alias("held_out"), "n_tokens", "n_known", F.lit(model.tokens).cast("long").alias("train_tokens"), "base_score", "score"
     )

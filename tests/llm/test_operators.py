@@ -428,3 +428,40 @@ def test_near_pairs_and_members(spark):
     assert all(same[d + 1000] == same[d] for d in same if d < 1000) and same[3] == 2
     want = {(min(x), max(x)) for x in ((same[a], same[b]) for a, b in pairs) if x[0] != x[1]}
     assert {(r.id_a, r.id_b) for r in corpus.near_pairs(docs).collect()} == want
+
+
+def test_kneser_ney_of_order_three(rough, empty):
+    train = rough.filter("doc_id % 3 > 0")
+    model = kneser_ney.fit(train, shard_bytes=4000, hot_sample=5, order=3)
+    toks = {d: (t or "").encode().lower().split() + [b"</s>"] for d, t in rows(rough)}
+    c, tri = collections.Counter(), collections.Counter()
+    for d in (d for d, _ in rows(train)):
+        c.update(toks[d])
+        pad = [b"<s>", b"<s>"] + toks[d]
+        tri.update(zip(pad, pad[1:], pad[2:]))
+    big = collections.Counter(g[1:] for g in tri)
+    uni = collections.Counter(g[1:] for g in big)
+    levels = []
+    for grams in (tri, big, uni):
+        disc = kneser_ney.discounts(*(sum(1 for x in grams.values() if x == k) for k in (1, 2, 3, 4)))
+        total, freed = collections.Counter(), collections.Counter()
+        for g, k in grams.items():
+            total[g[:-1]] += k
+            freed[g[:-1]] += disc[min(k, 3) - 1]
+        levels.append((grams, disc, total, freed))
+
+    def p(gram):
+        if not gram:
+            return 1 / (len(c) + 1)
+        grams, disc, total, freed = levels[3 - len(gram)]
+        if not total[gram[:-1]]:
+            return p(gram[1:])
+        k = grams.get(gram, 0)
+        return (k - disc[min(k, 3) - 1] if k else 0) / total[gram[:-1]] + freed[gram[:-1]] / total[gram[:-1]] * p(gram[1:])
+
+    assert math.isclose(sum(p((b"<s>", b"<s>", w)) for w in [*c, b"never seen"]), 1)
+    for r in kneser_ney.score(rough, model).collect():
+        pad = [b"<s>", b"<s>"] + toks[r.doc_id]
+        assert r.n_known == sum(c[x] > 0 for x in toks[r.doc_id])
+        assert math.isclose(r.score, sum(math.log10(p(g)) for g in zip(pad, pad[1:], pad[2:])), rel_tol=1e-9)
+    assert kneser_ney.score(rough, kneser_ney.fit(empty, order=3)).filter("isnan(score)").count() == 0
