@@ -8,7 +8,8 @@ from pyspark.sql import functions as F
 from mixwright.functions.hashing import uniform
 from mixwright.functions.text import n_tokens, ngrams, words
 from mixwright.functions.udfs import nfc as nfc_of
-from mixwright.llm import jaccard
+
+from .near import NearSets, folded
 
 
 def stats(docs: DataFrame, by: tuple[str, ...] = ("domain",)) -> DataFrame:
@@ -56,26 +57,32 @@ def decontaminate(docs: DataFrame, bench: DataFrame, n: int = 8, text: str = "te
     return docs.join(hit, id_col, "left_anti")
 
 
-def near_pairs(docs: DataFrame, n: int = 5, perms: int = 64, bands: int = 16, threshold: float = 0.8, text: str = "text", id_col: str = "doc_id") -> DataFrame:
+def near_pairs(docs: DataFrame, n: int = 5, threshold: float = 0.8, text: str = "text", id_col: str = "doc_id") -> DataFrame:
     """All pairs of distinct sets of word n-grams with Jaccard similarity of at least ``threshold``, by the smallest id of each set.
 
-    The join is exact: ``perms`` and ``bands`` of the min-hash search it replaces are accepted and have no effect. A text of
-    fewer than ``n`` words is one gram. ``near_members`` tells which documents each id stands for.
+    A text of fewer than ``n`` words is one gram. ``near_members`` tells which documents each id stands for.
     """
-    _, nodes, links = jaccard.near_sets(docs, id_col, jaccard.folded(text), n, threshold, every=True)
-    at = lambda x: nodes.select(F.col("key").alias(x), F.col("least").alias(f"least_{x}"), F.col("n").alias(f"n_{x}"))
-    both = links.join(at("a"), "a").join(at("b"), "b")
+    near = NearSets(docs, id_col, folded(text), n, threshold)
+    at = lambda x: near.nodes.select(F.col("node").alias(x), F.col("least").alias(f"least_{x}"), F.col("n").alias(f"n_{x}"))
+    both = near.links(every=True).join(at("a"), "a").join(at("b"), "b")
     return both.select(F.least("least_a", "least_b").alias("id_a"), F.greatest("least_a", "least_b").alias("id_b"), (F.col("shared") / (F.col("n_a") + F.col("n_b") - F.col("shared"))).alias("jaccard"))
 
 
 def near_members(docs: DataFrame, n: int = 5, threshold: float = 0.8, text: str = "text", id_col: str = "doc_id") -> DataFrame:
     """(id, representative, class_id) of every document: the smallest id with its set of n-grams, and the smallest its near copies connect it to."""
-    prints, nodes, links = jaccard.near_sets(docs, id_col, jaccard.folded(text), n, threshold)
-    classes = jaccard.classes(prints, nodes, links).groupBy("id").agg(F.first("component").alias("class_id"))
-    named = prints.join(nodes, "key").groupBy("id").agg(F.min("least").alias("representative"))
+    near = NearSets(docs, id_col, folded(text), n, threshold)
+    classes = near.classes(near.links()).groupBy("id").agg(F.first("component").alias("class_id"))
+    named = near.prints.join(near.nodes.select("key", "least"), "key").groupBy("id").agg(F.min("least").alias("representative"))
     return named.join(classes, "id").select(F.col("id").alias(id_col), "representative", "class_id")
 
 
+def near_dedup(docs: DataFrame, n: int = 5, threshold: float = 0.8, text: str = "text", id_col: str = "doc_id") -> DataFrame:
+    """The first document of each class of near copies; rows without an id stay."""
+    near = NearSets(docs, id_col, folded(text), n, threshold)
+    gone = near.classes(near.links()).filter("id <> component").select(F.col("id").alias("_gone")).distinct()
+    return docs.join(gone, F.col(id_col) == F.col("_gone"), "left_anti")
+
+
 def fraction(docs: DataFrame, share: float, seed: int = 42, id_col: str = "doc_id") -> DataFrame:
     """The rows whose draw is below ``share``; samples of growing share are nested."""
     return docs.filter(uniform(id_col, seed) < share)
