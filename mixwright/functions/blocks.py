@@ -23,20 +23,20 @@ def changes(keys: tuple[np.ndarray, ...]) -> np.ndarray:
     return np.concatenate([[True], np.logical_or.reduce([k[1:] != k[:-1] for k in keys])]) if len(keys[0]) else np.zeros(0, bool)
 
 
-def squeeze(columns: tuple[np.ndarray, ...]) -> bytes:
-    """Columns as one compressed block; the first is sorted, unsigned and stored as differences, the second as it is, the others by byte planes."""
+def squeeze(columns: tuple[np.ndarray, ...], plain: int = 1, level: int = 1) -> bytes:
+    """Columns as one compressed block; the first is sorted, unsigned and stored as differences, that at ``plain`` as it is, the others by byte planes."""
     lead = np.diff(columns[0], prepend=columns[0].dtype.type(0))
-    body = b"".join(c.tobytes() if i == 1 else np.ascontiguousarray(np.ascontiguousarray(c).view(np.uint8).reshape(-1, c.itemsize).T).tobytes() for i, c in enumerate((lead, *columns[1:])))
-    return zstandard.ZstdCompressor(level=1).compress(body)
+    body = b"".join(c.tobytes() if i == plain else np.ascontiguousarray(np.ascontiguousarray(c).view(np.uint8).reshape(-1, c.itemsize).T).tobytes() for i, c in enumerate((lead, *columns[1:])))
+    return zstandard.ZstdCompressor(level=level).compress(body)
 
 
-def spread(blob: bytes, dtypes: tuple) -> tuple[np.ndarray, ...]:
+def spread(blob: bytes, dtypes: tuple, plain: int = 1) -> tuple[np.ndarray, ...]:
     body = zstandard.ZstdDecompressor().decompress(blob)
     n, at, out = len(body) // sum(np.dtype(d).itemsize for d in dtypes), 0, []
     for i, d in enumerate(dtypes):
         d = np.dtype(d)
         part = np.frombuffer(body, np.uint8, n * d.itemsize, at)
-        out.append(part.view(d) if i == 1 else np.ascontiguousarray(part.reshape(d.itemsize, n).T).view(d).ravel())
+        out.append(part.view(d) if i == plain else np.ascontiguousarray(part.reshape(d.itemsize, n).T).view(d).ravel())
         at += n * d.itemsize
     out[0] = np.cumsum(out[0], dtype=out[0].dtype)
     return tuple(out)

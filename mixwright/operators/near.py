@@ -12,8 +12,10 @@ passages. It changes where nodes meet, not which pairs are found. Buckets of up
 once. Larger ones are compared set against sets, in units of two chunks of at most ``chunk_rows`` nodes, so memory is
 bounded whatever a bucket holds. Nodes that are known to be connected (``known``) are not compared again.
 
-Candidates are settled by the sets themselves, in buckets of bounded size: a second pass over the asked texts alone
-makes their sets and sends each to the buckets that ask for it, once.
+Every node has a sketch, how many of its shingles fall into each of 128 hash classes. Two sets share at most the sum of the
+smaller numbers, which rules out most candidates that have only a passage in common. The others are settled by
+the sets themselves, in buckets of bounded size: a second pass over the asked texts alone makes their sets and sends
+each to the buckets that ask for it, once.
 
 Defined results: null and blank texts are one empty set, alike only among themselves; null ids never link but keep their
 rows; rows that repeat an id are one node of the classes; an empty table gives an empty result; other columns of the input are
@@ -39,6 +41,7 @@ from .components import components
 
 SEED = 42
 ENTRY = ("u8", "u8", "u4", "u4", "u4")  # shingle, node, the shingle before it (hashed, 0: none), size of the set, place
+CLASSES = 128
 ASK = "unit long, a long, b long, label long, before long, side int"
 #: Ids of asked texts that are broadcast, 16 bytes each; beyond it they are joined by a shuffle.
 MAX_BROADCAST_ROWS = 2_000_000
@@ -77,7 +80,20 @@ def _slices(batches: Iterator[pa.RecordBatch], rows: int = 512) -> Iterator[pa.R
             yield whole.slice(i, rows)
 
 
-def frequent(docs: DataFrame, width: int, n: int, sample: int = 4000, most: int = 50_000) -> tuple[np.ndarray, np.ndarray]:
+def sketch_of(s: np.ndarray) -> bytes:
+    """Numbers of shingles by class; of a set too large for bytes, all 255, which rules nothing out."""
+    counts = np.bincount((s >> np.uint64(57)).astype(np.int64), minlength=CLASSES)
+    return (counts if counts.max() < 255 else np.full(CLASSES, 255)).astype("u1").tobytes()
+
+
+def may_be_alike(x: np.ndarray, y: np.ndarray, threshold: float) -> np.ndarray:
+    """Whether sets with these sketches (rows) can reach the threshold."""
+    size = x.sum(axis=-1, dtype=np.int64) + y.sum(axis=-1, dtype=np.int64)
+    shared = np.minimum(x, y).sum(axis=-1, dtype=np.int64)
+    return (shared >= threshold / (1 + threshold) * size - 1e-9) | (x[..., 0] == 255) | (y[..., 0] == 255)
+
+
+def frequent(docs: DataFrame, width: int, n: int, sample: int = 10_000, most: int = 100_000) -> tuple[np.ndarray, np.ndarray]:
     """Shingles that at least three texts of a sample have, sorted, and how many have them."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -93,7 +109,7 @@ def frequent(docs: DataFrame, width: int, n: int, sample: int = 4000, most: int
 
 
 def _scan(docs: DataFrame, width: int, threshold: float, shards: int, common: np.ndarray, times: np.ndarray, mark: Callable[[np.ndarray], int] | None) -> DataFrame:
-    """Rows of documents (id, key, node, n, mark), and blocks of leading shingles by shard."""
+    """Rows of documents (id, key, node, n, mark, sketch), and blocks of leading shingles by shard."""
     kind = docs.schema["id"].dataType
 
     def lead(s: np.ndarray) -> np.ndarray:
@@ -103,7 +119,7 @@ def _scan(docs: DataFrame, width: int, threshold: float, shards: int, common: np
             rank = np.where(common[at] == s, times[at], 0)
         return s[np.argsort(rank, kind="stable")][: len(s) - _ceil(threshold * len(s)) + 1]
 
-    names = ["shard", "id", "key", "node", "n", "mark", "block"]
+    names = ["shard", "id", "key", "node", "n", "mark", "block", "sketch"]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held, waiting, met = [], 0, set()
@@ -114,7 +130,7 @@ def _scan(docs: DataFrame, width: int, threshold: float, shards: int, common: np
             rows = tuple(r[order] for r in rows)
             out = [(s, squeeze(tuple(r[at] for r in rows))) for s, at in by_shard(mix64(rows[0]) % np.uint64(shards), shards)]
             none = lambda t: pa.nulls(len(out), t)
-            return pa.RecordBatch.from_arrays([pa.array([o[0] for o in out], pa.int32()), none(ids.type), none(pa.binary()), none(pa.int64()), none(pa.int64()), none(pa.int64()), pa.array([o[1] for o in out], pa.binary())], names=names)
+            return pa.RecordBatch.from_arrays([pa.array([o[0] for o in out], pa.int32()), none(ids.type), none(pa.binary()), none(pa.int64()), none(pa.int64()), none(pa.int64()), pa.array([o[1] for o in out], pa.binary()), none(pa.binary())], names=names)
 
         for b in _slices(batches):
             ids = b.column(0)
@@ -122,7 +138,7 @@ def _scan(docs: DataFrame, width: int, threshold: float, shards: int, common: np
             keys = [_key(s) for s in sets]
             nodes = [_node(k) for k in keys]
             marks = pa.array([mark(s) for s in sets], pa.int64()) if mark else pa.nulls(len(sets), pa.int64())
-            yield pa.RecordBatch.from_arrays([pa.array([-1] * len(sets), pa.int32()), ids, pa.array(keys, pa.binary()), pa.array(nodes, pa.int64()), pa.array([len(s) for s in sets], pa.int64()), marks, pa.nulls(len(sets), pa.binary())], names=names)
+            yield pa.RecordBatch.from_arrays([pa.array([-1] * len(sets), pa.int32()), ids, pa.array(keys, pa.binary()), pa.array(nodes, pa.int64()), pa.array([len(s) for s in sets], pa.int64()), marks, pa.nulls(len(sets), pa.binary()), pa.array([sketch_of(s) for s in sets], pa.binary())], names=names)
             for s, k, node, there in zip(sets, keys, nodes, ids.is_valid().to_pylist(), strict=True):
                 if not there or not len(s) or k in met:
                     continue
@@ -138,7 +154,7 @@ def _scan(docs: DataFrame, width: int, threshold: float, shards: int, common: np
         if held:
             yield flush()
 
-    return docs.mapInArrow(run, f"shard int, id {kind.simpleString()}, key binary, node long, n long, mark long, block binary")
+    return docs.mapInArrow(run, f"shard int, id {kind.simpleString()}, key binary, node long, n long, mark long, block binary, sketch binary")
 
 
 def _meetings(threshold: float, bucket_rows: int):
@@ -266,6 +282,43 @@ def settle(docs: DataFrame, nodes: DataFrame, asks: DataFrame, width: int, thres
     return kept(found.distinct(), "near-links")
 
 
+def plausible_pairs(pairs: DataFrame, nodes: DataFrame, threshold: float) -> DataFrame:
+    """The pairs (a, b) that their sketches do not rule out."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            x, y = (np.frombuffer(b"".join(b.column(k).to_pylist()), "u1").reshape(-1, CLASSES) for k in (2, 3))
+            yield pa.RecordBatch.from_arrays([b.column(0), b.column(1)], names=["a", "b"]).filter(pa.array(may_be_alike(x, y, threshold)))
+
+    at = lambda x: nodes.select(F.col("node").alias(x), F.col("sketch").alias(f"sketch_{x}"))
+    return pairs.join(at("a"), "a").join(at("b"), "b").select("a", "b", "sketch_a", "sketch_b").mapInArrow(run, "a long, b long")
+
+
+def plausible_units(asks: DataFrame, nodes: DataFrame, threshold: float) -> DataFrame:
+    """Of units, the rows that have a partner in their unit which the sketches do not rule out."""
+
+    def run(table: pa.Table) -> pa.Table:
+        units = table.column("unit").to_numpy()
+        sketches = np.frombuffer(b"".join(table.column("sketch").to_pylist()), "u1").reshape(-1, CLASSES)
+        label, before, side = (table.column(c).to_numpy() for c in ("label", "before", "side"))
+        order = np.argsort(units, kind="stable")
+        heads = np.flatnonzero(changes((units[order],)))
+        good = np.zeros(len(units), bool)
+        for lo, hi in zip(heads, np.append(heads[1:], len(units)), strict=True):
+            at = order[lo:hi]
+            for k, i in enumerate(at[:-1]):
+                rest = at[k + 1 :]
+                rest = rest[(label[rest] != label[i]) & ((before[rest] != before[i]) | (before[i] == 0)) & ((side[rest] != side[i]) | (side[i] < 0))]
+                if len(rest):
+                    found = rest[may_be_alike(sketches[i][None, :], sketches[rest], threshold)]
+                    good[found] = True
+                    good[i] |= len(found) > 0
+        return table.select(["bucket", "unit", "a", "b", "label", "before", "side"]).filter(pa.array(good))
+
+    with_sketch = asks.join(nodes.select(F.col("node").alias("a"), "sketch"), "a").select("bucket", "unit", "a", "b", "label", "before", "side", "sketch")
+    return with_sketch.groupBy("bucket").applyInArrow(run, f"bucket int, {ASK}")
+
+
 def asked_pairs(pairs: DataFrame, bucket_pairs: int = 20_000) -> DataFrame:
     """Rows of ``ASK`` for pairs (a, b), those of one neighbourhood in one bucket, and none above about ``bucket_pairs``."""
     ends = pairs.select(F.col("a").alias("node"), F.col("b").alias("other")).unionByName(pairs.select(F.col("b").alias("node"), F.col("a").alias("other")))
@@ -300,7 +353,7 @@ class NearSets:
     """Nodes of a corpus and the search for their links.
 
     ``prints`` has a row per document (id, key, node, n, mark), ``nodes`` one per distinct set with a non-null id (key, node, least,
-    n, mark), least being its smallest id. ``mark`` may compute a long from the sorted shingle hashes on the way.
+    n, mark, sketch), least being its smallest id. ``mark`` may compute a long from the sorted shingle hashes on the way.
     """
 
     def __init__(self, df: DataFrame, id_col: str = "doc_id", body: Column | None = None, width: int = 5, threshold: float = 0.8, mark: Callable[[np.ndarray], int] | None = None, shard_bytes: int = 64 << 20):
@@ -309,8 +362,8 @@ class NearSets:
         n, size = self.docs.agg(F.count("*"), F.coalesce(F.sum(F.octet_length("body")), F.lit(0))).first()
         common, times = frequent(self.docs, width, n)
         self.scanned = kept(_scan(self.docs, width, threshold, max(1, -(-int(size) // shard_bytes)), common, times, mark), "near-scan")
-        self.prints = self.scanned.filter("shard < 0").select("id", "key", "node", "n", "mark")
-        self.nodes = kept(self.prints.filter("id is not null").groupBy("key").agg(F.first("node").alias("node"), F.min("id").alias("least"), F.first("n").alias("n"), F.first("mark").alias("mark")), "near-nodes")
+        self.prints = self.scanned.filter("shard < 0").select("id", "key", "node", "n", "mark", "sketch")
+        self.nodes = kept(self.prints.filter("id is not null").groupBy("key").agg(F.first("node").alias("node"), F.min("id").alias("least"), F.first("n").alias("n"), F.first("mark").alias("mark"), F.first("sketch").alias("sketch")), "near-nodes")
 
     def links(self, every: bool = False, known: DataFrame | None = None, bucket_rows: int = 16, chunk_rows: int = 1024) -> DataFrame:
         """(a, b, shared) of nodes: all pairs at the threshold with ``every``, or enough of them to connect what all would connect,
@@ -326,10 +379,12 @@ class NearSets:
             hot = kept(hot.join(known, "node", "left").withColumn("label", F.coalesce("label", "node")), "near-hot")
             mixed = hot.groupBy("unit").agg(F.min("label").alias("x"), F.max("label").alias("y")).filter("x <> y").select("unit")
             hot = hot.join(mixed, "unit", "left_semi")
-        found = settle(self.docs, self.nodes, asked_pairs(kept(pairs, "near-pairs")), self.width, self.threshold, every)
+        pairs = kept(plausible_pairs(pairs, self.nodes, self.threshold), "near-pairs")
+        found = settle(self.docs, self.nodes, asked_pairs(pairs), self.width, self.threshold, every)
         if hot.isEmpty():
             return found
-        return found.unionByName(settle(self.docs, self.nodes, asked_units(hot, chunk_rows), self.width, self.threshold, every)).distinct()
+        units = plausible_units(asked_units(hot, chunk_rows), self.nodes, self.threshold)
+        return found.unionByName(settle(self.docs, self.nodes, units, self.width, self.threshold, every)).distinct()
 
     def classes(self, links: DataFrame) -> DataFrame:
         """(id, component): for each row the smallest id that links reach, its own included; null ids have none."""
