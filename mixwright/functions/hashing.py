@@ -2,6 +2,10 @@
 
 from __future__ import annotations
 
+import hashlib
+
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import Column
 from pyspark.sql import functions as F
 
@@ -20,3 +24,46 @@ def uniform(id_col: str | Column, seed: int = 42, rng: str = "md5") -> Column:
 def bucket(text: Column, buckets: int) -> Column:
     """A bucket number from the leading bits of a digest; the same in every engine."""
     return F.conv(F.substring(F.md5(text.cast("binary")), 1, 8), 16, 10).cast("long") % buckets
+
+
+def _word_codes(words: pa.Array, n: int) -> np.ndarray:
+    """Buckets of a flat array of words, one digest for each distinct word."""
+    coded = words.dictionary_encode()
+    names = [hashlib.md5((w or "").encode()).digest() for w in coded.dictionary.to_pylist()]
+    codes = np.array([int.from_bytes(d[:4], "big") % n for d in names], np.int64)
+    return codes[coded.indices.to_numpy()] if len(names) else np.zeros(0, np.int64)
+
+
+def _plain_lists(lists: pa.Array) -> pa.ListArray:
+    """Lists of a batch with null lists emptied."""
+    return lists if not lists.null_count else pa.array([x or [] for x in lists.to_pylist()], pa.list_(pa.string()))
+
+
+def buckets(words: Column, n: int) -> Column:
+    """``bucket`` of every word of an array column; a batch's distinct words are hashed once each."""
+
+    @F.arrow_udf("array<int>")
+    def run(lists: pa.Array) -> pa.Array:
+        lists = _plain_lists(lists)
+        sizes = np.diff(lists.offsets.to_numpy())
+        codes = _word_codes(lists.flatten(), n).astype(np.int32)
+        return pa.ListArray.from_arrays(pa.array(np.concatenate([[0], np.cumsum(sizes)]).astype(np.int32)), pa.array(codes))
+
+    return run(words)
+
+
+def hashed_bag(words: Column, dim: int) -> Column:
+    """Signed counts of an array column of words in ``dim`` hash buckets, at unit length; no word gives the zero vector."""
+
+    @F.arrow_udf("array<double>")
+    def run(lists: pa.Array) -> pa.Array:
+        lists = _plain_lists(lists)
+        sizes = np.diff(lists.offsets.to_numpy())
+        codes = _word_codes(lists.flatten(), 2 * dim)
+        row = np.repeat(np.arange(len(sizes)), sizes)
+        at = np.bincount(row * dim + codes % dim, np.where(codes < dim, 1.0, -1.0), len(sizes) * dim).reshape(len(sizes), dim)
+        norm = np.sqrt((at * at).sum(axis=1, keepdims=True))
+        flat = np.divide(at, norm, out=np.zeros_like(at), where=norm > 0).ravel()
+        return pa.ListArray.from_arrays(pa.array(np.arange(len(sizes) + 1) * dim, pa.int32()), pa.array(flat))
+
+    return run(words)

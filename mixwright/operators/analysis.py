@@ -9,9 +9,14 @@ from mixwright.functions.hashing import uniform
 from mixwright.functions.vectors import dot
 
 
-def quality_profile(docs: DataFrame, domain: str = "domain", level: str = "quality") -> DataFrame:
-    """(domain, level, n, share, mean of the domain)."""
+ALL = "*"
+
+
+def quality_profile(docs: DataFrame, domain: str = "domain", level: str = "quality", overall: bool = True) -> DataFrame:
+    """(domain, level, n, share, mean of the domain), and the same over all domains as domain ``ALL``."""
     g = docs.groupBy(F.col(domain).alias("domain"), F.col(level).alias("level")).agg(F.count("*").alias("n"))
+    if overall:
+        g = g.unionByName(g.groupBy(F.lit(ALL).alias("domain"), "level").agg(F.sum("n").alias("n")))
     w = Window.partitionBy("domain")
     return g.select("domain", "level", "n", (F.col("n") / F.sum("n").over(w)).alias("share"), (F.sum(F.col("n") * F.col("level")).over(w) / F.sum("n").over(w)).alias("mean_level"))
 
@@ -28,7 +33,13 @@ def diversity_profile(docs: DataFrame, bins: int = 10, domain: str = "domain", v
 
 
 def diversity_spread(docs: DataFrame, domain: str = "domain", value: str = "diversity_01") -> DataFrame:
-    return docs.groupBy(F.col(domain).alias("domain")).agg(F.count("*").alias("n"), F.avg(value).alias("mean_value"), F.stddev_pop(value).alias("sd_value"), F.percentile(value, F.lit(0.5)).alias("median_value"))
+    """(domain, n, mean, spread, exact median); the last step sees a row per domain and distinct value."""
+    g = docs.groupBy(F.col(domain).alias("domain"), F.col(value).alias("_v")).agg(F.count("*").alias("_n"))
+    mean = F.sum(F.col("_v") * F.col("_n")) / F.sum("_n")
+    out = g.groupBy("domain").agg(F.sum("_n").alias("n"), mean.alias("mean_value"), F.percentile("_v", F.lit(0.5), F.col("_n")).alias("median_value"))
+    gap = F.pow(F.col("_v") - F.col("mean_value"), 2)
+    spread = g.join(F.broadcast(out.select("domain", "mean_value")), "domain").groupBy("domain").agg(F.sqrt(F.sum(gap * F.col("_n")) / F.sum("_n")).alias("sd_value"))
+    return out.join(spread, "domain").select("domain", "n", "mean_value", "sd_value", "median_value")
 
 
 def domain_mix(drawn: DataFrame, domain: str = "domain") -> DataFrame:

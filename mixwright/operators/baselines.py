@@ -107,18 +107,27 @@ def trial_mixtures(t: Table, seed: int = 42, per_domain: int = 4) -> np.ndarray:
     return np.vstack([t.natural, np.full(m, 1 / m), corners, rng.dirichlet(np.ones(m), max(0, per_domain * m - m - 2))])
 
 
-def trial_losses(t: Table, mixes: np.ndarray, volumes: tuple[float, ...] = (1.0,)) -> pd.DataFrame:
-    """(trial, domain, share, volume, loss): a proxy of ``volume`` times the tokens, mixed by linearity of counts, is a unigram
-    model whose smoothing weighs less the more tokens it has. No pass over text."""
-    rows, v = [], t.p.shape[1]
-    for k, r in enumerate(mixes):
-        for s in volumes:
-            n = s * t.tokens.sum()
-            q = (n * (r @ t.p) + 25) / (n + 25 * v)
-            for d, name in enumerate(t.names):
-                own = n * r[d]
-                loss = -(t.p[d] * np.log(q)).sum() + 5.0 / (1 + own) ** 0.5
-                rows.append((k, name, float(r[d]), float(s), float(loss)))
+def trial_losses(counts: DataFrame, mixes: np.ndarray, volumes: tuple[float, ...] = (0.25, 0.5, 1.0), vocab: int = 1 << 10, smooth: float = 0.5) -> pd.DataFrame:
+    """(trial, domain, share, volume, loss): held-out losses of a unigram proxy for each mixture and volume, from (domain, part, t, n).
+
+    A proxy of volume s is counted on the documents of that slice, its domains weighed to their shares of as many tokens;
+    counts mix linearly, so no trial passes over text. The loss is the cross entropy on the domain's held-out documents.
+    """
+    cells = counts.count()
+    if cells > MAX_CELLS:
+        raise ValueError(f"{cells} cells; hash the vocabulary into fewer buckets")
+    pdf = counts.toPandas()
+    names = sorted(pdf["domain"].unique())
+    n = np.zeros((len(volumes) + 1, len(names), vocab))
+    np.add.at(n, (pdf["part"].to_numpy() + 1, pdf["domain"].map({x: i for i, x in enumerate(names)}).to_numpy(), pdf["t"].to_numpy()), pdf["n"].to_numpy())
+    held, rows = n[0] / np.maximum(n[0].sum(1, keepdims=True), 1), []
+    slices = np.cumsum(n[1:], axis=0)
+    for own, volume in zip(slices, volumes, strict=True):
+        tokens = own.sum(1)
+        rate = own / np.maximum(tokens[:, None], 1)
+        for k, r in enumerate(mixes):
+            q = (tokens.sum() * (r @ rate) + smooth) / (tokens.sum() + smooth * vocab)
+            rows += [(k, name, float(r[d]), float(volume), float(-(held[d] * np.log(q)).sum())) for d, name in enumerate(names)]
     return pd.DataFrame(rows, columns=["trial", "domain", "share", "volume", "loss"])
 
 
@@ -192,8 +201,8 @@ def all_weights(spark: SparkSession, docs: DataFrame, vocab: int = 1 << 10) -> d
 
     t = table(ngram.domain_table(docs, vocab))
     mixes = trial_mixtures(t)
-    two = trial_losses(t, mixes, (0.25, 0.5, 1.0))
-    one = trial_losses(t, mixes)
+    two = trial_losses(ngram.domain_parts(docs, vocab), mixes, vocab=vocab)
+    one = two[two["volume"] == 1.0]
     law_rows = [(r.domain, [float(x) for x in mixes[r.trial]], r.loss) for r in one.itertuples()]
     fits4 = fit_bivariate(spark.createDataFrame(two)).toPandas().set_index("domain").loc[t.names].reset_index()
     fits6 = fit_mixing_law(spark.createDataFrame(law_rows, "domain string, shares array<double>, loss double"), t.names).toPandas()

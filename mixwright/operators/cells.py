@@ -2,9 +2,14 @@
 
 from __future__ import annotations
 
+from functools import reduce
+from operator import and_
+
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from mixwright.functions.hashing import uniform
+
 from .sampling import check, minmax, score_frequencies, weight
 
 
@@ -37,6 +42,27 @@ def sweep(cells: DataFrame, grid: DataFrame) -> DataFrame:
     return with_top.join(F.broadcast(sums), keys).withColumn("c", F.col("n_total") * F.col("share") * F.col("e") / F.col("z_total")).drop("p_top", "e", "z_total", "n_total")
 
 
+def sweep_totals(df: DataFrame, swept: DataFrame, grid: list[tuple[float, ...]], names: tuple[str, ...], keys: tuple[str, ...] = ("domain", "cluster", "quality"), seed: int = 42, id_col: str = "doc_id") -> DataFrame:
+    """What each row of a grid draws: (names, n_copies, tokens_drawn, min_c, max_c, mean_p, zero_share).
+
+    A cell carries its frequencies over the grid as columns of one row, a document draws once and makes its copies of all of
+    them, and sums go by position, so no document is multiplied.
+    """
+    at = [reduce(and_, (F.col(n) == F.lit(x) for n, x in zip(names, point, strict=True))) for point in grid]
+    wide = swept.groupBy(*keys).agg(*[F.max(F.when(s, F.col(c))).alias(f"_{c}{i}") for i, s in enumerate(at) for c in ("p", "c")])
+    drawn = df.join(F.broadcast(wide), list(keys)).withColumn("_u", uniform(id_col, seed))
+
+    def whole(i: int):
+        c = F.round(f"_c{i}", 9)
+        return F.floor(c) + (F.col("_u") < c - F.floor(c)).cast("long")
+
+    drawn = drawn.select("n_tokens", *[x for i in range(len(grid)) for x in (f"_p{i}", f"_c{i}", whole(i).alias(f"_k{i}"))])
+    sums = drawn.agg(*[x.alias(f"{n}_{i}") for i in range(len(grid)) for n, x in (
+        ("n_copies", F.sum(f"_k{i}")), ("tokens_drawn", F.sum(F.col("n_tokens") * F.col(f"_k{i}"))), ("min_c", F.min(f"_c{i}")), ("max_c", F.max(f"_c{i}")), ("mean_p", F.avg(f"_p{i}")), ("zero_share", F.avg((F.col(f"_k{i}") == 0).cast("int"))))])
+    rows = [F.struct(*[F.lit(x).alias(n) for n, x in zip(names, point, strict=True)], *[F.col(f"{n}_{i}").alias(n) for n in ("n_copies", "tokens_drawn", "min_c", "max_c", "mean_p", "zero_share")]) for i, point in enumerate(grid)]
+    return sums.select(F.explode(F.array(*rows)).alias("r")).select("r.*")
+
+
 def expected_profile(solved: DataFrame, by: tuple[str, ...] = ()) -> DataFrame:
     """Expected share of documents at each copy count, without a draw."""
     low, rest = F.floor("c"), F.col("c") - F.floor("c")

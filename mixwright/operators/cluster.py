@@ -23,9 +23,15 @@ def given(df: DataFrame, column: str = "label") -> DataFrame:
     return df.withColumn("cluster", F.col(column))
 
 
-def fit_kmeans(vecs: DataFrame, k: int, seed: int = 42, iters: int = 20, engine: str = "mllib", fit_fraction: float = 1.0) -> DataFrame:
-    """(cluster, centroid). ``fit_fraction`` fits on a hashed sample of the ids; every row can still be assigned."""
-    sample = vecs if fit_fraction >= 1 else vecs.filter(uniform("doc_id", seed) < fit_fraction)
+FIT_ROWS = 500_000
+
+
+def fit_kmeans(vecs: DataFrame, k: int, seed: int = 42, iters: int = 20, engine: str = "mllib", fit_fraction: float = 1.0, fit_rows: int = FIT_ROWS) -> DataFrame:
+    """(cluster, centroid). The fit sees a hashed ``fit_fraction`` of the ids, at most about ``fit_rows`` of them, a documented bound;
+    every row can still be assigned."""
+    n = vecs.count()
+    share = min(fit_fraction, fit_rows / max(n, 1))
+    sample = vecs if share >= 1 else vecs.filter(uniform("doc_id", seed) < share)
     if engine == "lloyd":
         return lloyd(sample, k, iters)
     if engine != "mllib":
@@ -34,10 +40,11 @@ def fit_kmeans(vecs: DataFrame, k: int, seed: int = 42, iters: int = 20, engine:
     return vecs.sparkSession.createDataFrame([(i, [float(x) for x in c]) for i, c in enumerate(model.clusterCenters())], "cluster int, centroid array<double>")
 
 
-def nearest(vecs: DataFrame, cents: DataFrame) -> DataFrame:
-    """Append cluster and dist with column functions; ties go to the lowest cluster. Centroids, K rows, are broadcast as one array."""
+def nearest(vecs: DataFrame, cents: DataFrame, digits: int | None = None) -> DataFrame:
+    """Append cluster and dist with column functions; ties (to ``digits``, if given) go to the lowest cluster. Centroids, K rows, are broadcast as one array."""
     table = cents.agg(F.array_sort(F.collect_list(F.struct("cluster", "centroid"))).alias("_cents"))
-    gaps = lambda: F.transform("_cents", lambda c: F.struct(distance(F.col("v"), c["centroid"]).alias("dist"), c["cluster"].alias("cluster")))
+    cut = lambda x: F.round(x, digits) if digits is not None else x
+    gaps = lambda: F.transform("_cents", lambda c: F.struct(cut(distance(F.col("v"), c["centroid"])).alias("dist"), c["cluster"].alias("cluster")))
     best = vecs.crossJoin(F.broadcast(table)).withColumn("_best", F.array_min(gaps()))
     return best.withColumn("cluster", F.col("_best.cluster")).withColumn("dist", F.col("_best.dist")).drop("_best", "_cents")
 
@@ -64,7 +71,7 @@ def lloyd(vecs: DataFrame, k: int, rounds: int = 3) -> DataFrame:
     order = F.row_number().over(_by_digest())
     cents = starts.select((order - 1).alias("cluster"), F.col("v").alias("centroid"))
     for _ in range(rounds):
-        moved = mean_vector(nearest(vecs, cents).select("cluster", "v"), ["cluster"], "v", "moved")
+        moved = mean_vector(nearest(vecs, cents, 9).select("cluster", "v"), ["cluster"], "v", "moved")
         cents = cents.join(F.broadcast(moved), "cluster", "left").select("cluster", F.coalesce("moved", "centroid").alias("centroid"))
     return cents
 

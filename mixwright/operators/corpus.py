@@ -6,11 +6,15 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from mixwright.functions.hashing import uniform
+from mixwright.functions.storage import kept
 from mixwright.functions.text import n_tokens, ngrams, words
 from mixwright.functions.udfs import nfc as nfc_of
 
 from .near import NearSets, folded
 
+#: Rows of a broadcast table of grams or ids.
+MAX_GRAMS = 2_000_000
+
 
 def stats(docs: DataFrame, by: tuple[str, ...] = ("domain",)) -> DataFrame:
     """Documents and tokens per group, and their shares of all."""
@@ -51,10 +55,19 @@ def shingles(docs: DataFrame, n: int, text: str = "text", id_col: str = "doc_id"
 
 
 def decontaminate(docs: DataFrame, bench: DataFrame, n: int = 8, text: str = "text", id_col: str = "doc_id") -> DataFrame:
-    """Documents that share no n-gram with the benchmark. The benchmark's grams are joined by hash; documents' texts are not shuffled twice."""
-    bad = shingles(bench, n, text, bench.columns[0]).select("gram").distinct()
-    hit = shingles(docs, n, text, id_col).join(bad, "gram", "left_semi").select(id_col).distinct()
-    return docs.join(hit, id_col, "left_anti")
+    """Documents that share no n-gram with the benchmark.
+
+    The benchmark's distinct grams, 8 bytes each, are broadcast if they are counted to be at most ``MAX_GRAMS``; hashes of a
+    document's grams are made in its row, and documents that hit one are checked by the grams themselves.
+    """
+    bad = kept(shingles(bench, n, text, bench.columns[0]).select("gram").distinct().withColumn("h", F.xxhash64("gram")), "benchmark-grams")
+    hashes = bad.select("h").distinct()
+    hashes = F.broadcast(hashes) if bad.count() <= MAX_GRAMS else hashes
+    hit = shingles(docs, n, text, id_col, distinct=False).select(id_col, F.xxhash64("gram").alias("h")).join(hashes, "h", "left_semi").select(id_col).distinct()
+    hit = kept(hit, "benchmark-hits")
+    some = F.broadcast(hit) if hit.count() <= MAX_GRAMS else hit
+    dirty = shingles(docs.join(some, id_col, "left_semi"), n, text, id_col).join(bad, "gram", "left_semi").select(id_col).distinct()
+    return docs.join(dirty, id_col, "left_anti")
 
 
 def near_pairs(docs: DataFrame, n: int = 5, threshold: float = 0.8, text: str = "text", id_col: str = "doc_id") -> DataFrame:
@@ -83,6 +96,21 @@ def near_dedup(docs: DataFrame, n: int = 5, threshold: float = 0.8, text: str =
     return docs.join(gone, F.col(id_col) == F.col("_gone"), "left_anti")
 
 
+def preparation(docs: DataFrame, min_tokens: int = 20, max_tokens: int | None = None, text: str = "text", id_col: str = "doc_id") -> tuple[DataFrame, DataFrame]:
+    """The corpus in normal form C, within the length limits and without a second copy of any text; and (step, n_docs, n_tokens) of each step."""
+    steps = [("source", docs.withColumn("n_tokens", n_tokens(text)))]
+    normal = kept(nfc(docs, text).withColumn("n_tokens", n_tokens(text)), "normal-form")
+    fit = length_filter(normal, min_tokens, max_tokens)
+    first = kept(dedup_exact(fit, text, id_col).select(F.col(id_col).alias("_first")), "first-copies")
+    out = fit.join(first, F.col(id_col) == F.col("_first"), "left_semi")
+    steps += [("normal_form", normal), ("length", fit), ("dedup", out)]
+    counts = None
+    for k, (name, df) in enumerate(steps):
+        one = df.agg(F.lit(k).alias("step"), F.lit(name).alias("name"), F.count("*").alias("n_docs"), F.coalesce(F.sum("n_tokens"), F.lit(0)).cast("long").alias("n_tokens"))
+        counts = one if counts is None else counts.unionByName(one)
+    return out, counts
+
+
 def fraction(docs: DataFrame, share: float, seed: int = 42, id_col: str = "doc_id") -> DataFrame:
     """The rows whose draw is below ``share``; samples of growing share are nested."""
     return docs.filter(uniform(id_col, seed) < share)

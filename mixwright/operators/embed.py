@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from mixwright.functions.hashing import bucket
+from mixwright.functions.hashing import hashed_bag
 from mixwright.functions.text import words
 
 
@@ -17,12 +17,8 @@ def given(docs: DataFrame, embeddings: DataFrame) -> DataFrame:
 
 
 def hashed(docs: DataFrame, dim: int = 64, text: str = "text", id_col: str = "doc_id") -> DataFrame:
-    """(doc_id, v): word counts in signed hash buckets, at unit length. The shuffle carries at most ``dim`` rows a document."""
-    tokens = docs.select(F.col(id_col).alias("doc_id"), F.explode(words(F.lower(F.col(text)))).alias("w"))
-    b = bucket(F.col("w"), 2 * dim)
-    counts = tokens.groupBy("doc_id", (b % dim).cast("int").alias("at")).agg(F.sum(F.when(b < dim, 1.0).otherwise(-1.0)).alias("x"))
-    maps = counts.groupBy("doc_id").agg(F.map_from_entries(F.collect_list(F.struct("at", "x"))).alias("m"), F.sqrt(F.sum(F.col("x") * F.col("x"))).alias("norm"))
-    return maps.select("doc_id", F.transform(F.sequence(F.lit(0), F.lit(dim - 1)), lambda i: F.when(F.col("norm") > 0, F.coalesce(F.element_at("m", i), F.lit(0.0)) / F.col("norm")).otherwise(F.lit(0.0))).alias("v"))
+    """(doc_id, v): word counts in signed hash buckets, at unit length, made inside the row; a text without words has the zero vector."""
+    return docs.select(F.col(id_col).alias("doc_id"), hashed_bag(words(F.lower(F.col(text))), dim).alias("v"))
 
 
 def encoded(docs: DataFrame, encoder: Callable, text: str = "text") -> DataFrame:

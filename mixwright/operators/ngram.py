@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from mixwright.functions.hashing import bucket
+from mixwright.functions.hashing import buckets, uniform
 from mixwright.functions.storage import kept
 from mixwright.functions.text import words
 
@@ -16,22 +16,27 @@ LAMBDAS3 = (0.15, 0.20, 0.60, 0.05)  # trigram, bigram, unigram, flat
 
 def tokens(df: DataFrame, id_col: str, vocab: int = VOCAB, text: str = "text", keep: tuple[str, ...] = ()) -> DataFrame:
     """(id, pos, t, and keep): lower-cased words as buckets."""
-    rows = df.select(F.col(id_col).alias("id"), *keep, F.posexplode(words(F.lower(F.col(text)))).alias("pos", "w"))
-    return rows.select("id", *keep, "pos", bucket(F.col("w"), vocab).alias("t"))
+    return df.select(F.col(id_col).alias("id"), *keep, F.posexplode(buckets(words(F.lower(F.col(text))), vocab)).alias("pos", "t"))
 
 
 def grams(df: DataFrame, id_col: str, order: int = 2, vocab: int = VOCAB, text: str = "text", keep: tuple[str, ...] = ()) -> DataFrame:
     """Tokens with their predecessors as ``x`` (and ``x2``), built inside the row, so no window or shuffle."""
-    w = df.select(F.col(id_col).alias("id"), *keep, F.transform(words(F.lower(F.col(text))), lambda x: bucket(x, vocab)).alias("ts"))
+    w = df.select(F.col(id_col).alias("id"), *keep, buckets(words(F.lower(F.col(text))), vocab).alias("ts"))
     cells = F.transform("ts", lambda t, i: F.struct(i.alias("pos"), t.alias("t"), F.when(i > 0, F.get("ts", i - 1)).alias("x"), F.when(i > 1, F.get("ts", i - 2)).alias("x2")))
     out = w.select("id", *keep, F.explode(cells).alias("c")).select("id", *keep, "c.pos", "c.t", "c.x", "c.x2")
     return out if order > 2 else out.drop("x2")
 
 
-def fit(docs: DataFrame, man: DataFrame, order: int = 2, vocab: int = VOCAB, by: tuple[str, ...] = ()) -> dict:
-    """Count tables with copies as multiplicities; ``by`` keeps further columns of the manifest as keys of separate models."""
-    chosen = man.filter("copies > 0").select("doc_id", "copies", *by)
-    rows = grams(docs.join(chosen, "doc_id"), "doc_id", order, vocab, keep=("copies", *by))
+def fit(docs: DataFrame, man: DataFrame | None = None, order: int = 2, vocab: int = VOCAB, by: tuple[str, ...] = ()) -> dict:
+    """Count tables with copies as multiplicities; ``by`` keeps further columns of the manifest as keys of separate models.
+
+    Without a manifest every document counts once.
+    """
+    if man is None:
+        docs = docs.withColumn("copies", F.lit(1))
+    else:
+        docs = docs.join(man.filter("copies > 0").select("doc_id", "copies", *by), "doc_id")
+    rows = grams(docs, "doc_id", order, vocab, keep=("copies", *by))
     pairs = kept(rows.groupBy(*by, "x", "t").agg(F.sum("copies").alias("n")), "ngram-pairs")
     model = {"vocab": vocab, "by": by, "order": order}
     model["uni"] = pairs.groupBy(*by, "t").agg(F.sum("n").alias("n_t"))
@@ -39,7 +44,7 @@ def fit(docs: DataFrame, man: DataFrame, order: int = 2, vocab: int = VOCAB, by:
     model["ctx"] = model["bi"].groupBy(*by, "x").agg(F.sum("n_xt").alias("n_x"))
     model["total"] = model["uni"].groupBy(*by).agg(F.sum("n_t").alias("n_all"))
     if order > 2:
-        model["tri"] = rows.filter("x2 is not null").groupBy(*by, "x2", "x", "t").agg(F.sum("copies").alias("n_3"))
+        model["tri"] = kept(rows.filter("x2 is not null").groupBy(*by, "x2", "x", "t").agg(F.sum("copies").alias("n_3")), "ngram-triples")
         model["ctx2"] = model["tri"].groupBy(*by, "x2", "x").agg(F.sum("n_3").alias("n_2"))
     return model
 
@@ -65,8 +70,9 @@ def score(model: dict, texts: DataFrame, id_col: str, keep: tuple[str, ...] = ()
     return rows.select("id", *keep, *by, "pos", F.ln(p).alias("logp"))
 
 
-def unigram_perplexity(docs: DataFrame, man: DataFrame, texts: DataFrame, id_col: str, vocab: int = VOCAB, smooth: float = 0.05) -> DataFrame:
-    counts = tokens(docs.join(man.select("doc_id", "copies"), "doc_id"), "doc_id", vocab, keep=("copies",)).groupBy("t").agg(F.sum("copies").alias("n_t"))
+def unigram_perplexity(docs: DataFrame, man: DataFrame | None, texts: DataFrame, id_col: str, vocab: int = VOCAB, smooth: float = 0.05) -> DataFrame:
+    docs = docs.withColumn("copies", F.lit(1)) if man is None else docs.join(man.select("doc_id", "copies"), "doc_id")
+    counts = tokens(docs, "doc_id", vocab, keep=("copies",)).groupBy("t").agg(F.sum("copies").alias("n_t"))
     total = counts.agg(F.sum("n_t").alias("n_all"))
     rows = tokens(texts, id_col, vocab).join(counts, "t", "left").crossJoin(F.broadcast(total))
     p = (1 - smooth) * F.coalesce("n_t", F.lit(0)) / F.col("n_all") + smooth / vocab
@@ -82,6 +88,15 @@ def domain_table(docs: DataFrame, vocab: int = 1 << 10) -> DataFrame:
     return tokens(docs, "doc_id", vocab, keep=("domain",)).groupBy("domain", "t").agg(F.count("*").alias("n"))
 
 
+def domain_parts(docs: DataFrame, vocab: int = 1 << 10, volumes: tuple[float, ...] = (0.25, 0.5, 1.0), held: float = 0.2, seed: int = 17) -> DataFrame:
+    """(domain, part, t, n): part -1 is held out by hash of the id, part k is what the k-th volume of the others adds to the one before."""
+    v = uniform("doc_id", seed + 1)
+    part = F.when(uniform("doc_id", seed) < held, F.lit(-1))
+    for k, share in enumerate(volumes):
+        part = part.when(v < share, F.lit(k))
+    return tokens(docs.withColumn("part", part), "doc_id", vocab, keep=("domain", "part")).filter("part is not null").groupBy("domain", "part", "t").agg(F.count("*").alias("n"))
+
+
 def conditional_entropy(docs: DataFrame, vocab: int = VOCAB) -> DataFrame:
     """(domain, entropy) of the next token given the current one."""
     rows = grams(docs, "doc_id", 2, vocab, keep=("domain",)).filter("x is not null")
@@ -93,18 +108,21 @@ def conditional_entropy(docs: DataFrame, vocab: int = VOCAB) -> DataFrame:
 
 
 def last_word_accuracy(model: dict, texts: DataFrame, id_col: str) -> DataFrame:
-    """Share of texts whose last token is the likeliest after the one before it (ties: the least token)."""
-    rows = grams(texts, id_col, 2, model["vocab"])
-    last = rows.withColumn("n_pos", F.max("pos").over(Window.partitionBy("id"))).filter("pos = n_pos and x is not null").select("id", "x", "t")
-    uni = model["uni"].crossJoin(F.broadcast(model["total"]))
-    top = uni.agg(F.min(F.struct((-F.col("n_t")).alias("k"), "t", "n_all")).alias("s")).select(F.col("s.t").alias("top_t"), (-F.col("s.k")).alias("top_n"), F.col("s.n_all").alias("n_all"))
+    """(by, n, accuracy): share of texts whose last token is the likeliest after the one before it (ties: the least token)."""
+    by = list(model["by"])
+    w = texts.select(F.col(id_col).alias("id"), buckets(words(F.lower(F.col("text"))), model["vocab"]).alias("ts")).filter(F.size("ts") > 1)
+    last = w.select("id", F.element_at("ts", -2).alias("x"), F.element_at("ts", -1).alias("t")).crossJoin(F.broadcast(model["total"]))  # a row per model
+    uni = model["uni"].join(F.broadcast(model["total"]), by) if by else model["uni"].crossJoin(F.broadcast(model["total"]))
+    top = uni.groupBy(*by).agg(F.min(F.struct((-F.col("n_t")).alias("k"), "t")).alias("s")).select(*by, F.col("s.t").alias("top_t"), (-F.col("s.k")).alias("top_n"))
     l2, l1, _ = LAMBDAS
     # The best continuation is one seen after x, or else the commonest token overall.
-    seen = model["bi"].join(model["ctx"], "x").join(model["uni"], "t").crossJoin(F.broadcast(model["total"]))
-    best = seen.groupBy("x").agg(F.min(F.struct((-(l2 * F.col("n_xt") / F.col("n_x") + l1 * F.col("n_t") / F.col("n_all"))).alias("k"), "t")).alias("s"))
-    got = last.join(best, "x", "left").crossJoin(F.broadcast(top))
+    asked = last.select(*by, "x").distinct()
+    seen = model["bi"].join(asked, [*by, "x"]).join(model["ctx"], [*by, "x"]).join(uni, [*by, "t"])
+    best = seen.groupBy(*by, "x").agg(F.min(F.struct((-(l2 * F.col("n_xt") / F.col("n_x") + l1 * F.col("n_t") / F.col("n_all"))).alias("k"), "t")).alias("s"))
+    got = last.join(best, [*by, "x"], "left")
+    got = got.join(F.broadcast(top), by) if by else got.crossJoin(F.broadcast(top))
     guess = F.when(F.col("s").isNull() | (-F.col("s.k") < l1 * F.col("top_n") / F.col("n_all")), F.col("top_t")).otherwise(F.col("s.t"))
-    return got.agg(F.count("*").alias("n"), F.avg((guess == F.col("t")).cast("double")).alias("accuracy"))
+    return got.groupBy(*by).agg(F.count("*").alias("n"), F.avg((guess == F.col("t")).cast("double")).alias("accuracy"))
 
 
 def choices(texts: DataFrame, id_col: str, others: int = 3) -> DataFrame:
@@ -119,9 +137,18 @@ def choices(texts: DataFrame, id_col: str, others: int = 3) -> DataFrame:
 
 
 def choice_accuracy(model: dict, asked: DataFrame) -> DataFrame:
-    """Share of items whose own ending has the best mean log-probability (ties: the least option)."""
+    """(by, n, accuracy): share of items whose own ending has the best mean log-probability (ties: the least option)."""
+    by = list(model["by"])
     keyed = asked.withColumn("key", F.concat_ws("/", F.col("item").cast("string"), F.col("option").cast("string")))
     scored = score(model, keyed, "key", keep=("item", "option", "start")).filter("pos >= start")
-    means = scored.groupBy("item", "option").agg(F.round(F.avg("logp"), 9).alias("m"))
-    best = means.groupBy("item").agg(F.min(F.struct((-F.col("m")).alias("k"), "option")).alias("s"))
-    return best.agg(F.count("*").alias("n"), F.avg((F.col("s.option") == 0).cast("double")).alias("accuracy"))
+    means = scored.groupBy(*by, "item", "option").agg(F.round(F.avg("logp"), 9).alias("m"))
+    best = means.groupBy(*by, "item").agg(F.min(F.struct((-F.col("m")).alias("k"), "option")).alias("s"))
+    return best.groupBy(*by).agg(F.count("*").alias("n"), F.avg((F.col("s.option") == 0).cast("double")).alias("accuracy"))
+
+
+def accuracies(model: dict, texts: DataFrame, id_col: str) -> DataFrame:
+    """(by, metric, value) of both accuracies and their mean."""
+    by = list(model["by"])
+    both = last_word_accuracy(model, texts, id_col).select(*by, F.lit("last_word_accuracy").alias("metric"), F.col("accuracy").alias("value"))
+    both = kept(both.unionByName(choice_accuracy(model, choices(texts, id_col)).select(*by, F.lit("choice_accuracy").alias("metric"), F.col("accuracy").alias("value"))), "accuracies")
+    return both.unionByName(both.groupBy(*by).agg(F.avg("value").alias("value")).select(*by, F.lit("mean_accuracy").alias("metric"), "value"))

@@ -8,6 +8,7 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from mixwright.functions.hashing import uniform
+from mixwright.functions.storage import kept
 
 ALPHA, TAU, SEED = 0.8, 0.2, 42
 
@@ -27,8 +28,15 @@ def _scaled(c: Column, low: Column, high: Column) -> Column:
 def minmax(df: DataFrame, cols: Iterable[str] = ("quality", "diversity"), clip: tuple[float, float] | None = None, suffix: str = "_01") -> DataFrame:
     """Scale columns to [0, 1] over the whole table; a constant column becomes 0. ``clip`` takes quantiles for the ends."""
     cols = list(cols)
-    at = (lambda c, q: F.percentile(c, F.lit(q))) if clip else None
-    ends = df.agg(*[e for c in cols for e in ((at(c, clip[0]) if clip else F.min(c)).cast("double").alias(f"{c}_low"), (at(c, clip[1]) if clip else F.max(c)).cast("double").alias(f"{c}_high"))])
+    if clip:
+        # Exact over distinct values and their numbers: scores have a value per cell, so the last task sees few rows.
+        ends = None
+        for c in cols:
+            values = df.groupBy(F.col(c).cast("double").alias("_v")).agg(F.count("*").alias("_n"))
+            one = values.agg(*[F.percentile("_v", F.lit(q), F.col("_n")).alias(f"{c}_{end}") for q, end in zip(clip, ("low", "high"), strict=True)])
+            ends = one if ends is None else ends.crossJoin(F.broadcast(one))
+    else:
+        ends = df.agg(*[f(c).cast("double").alias(f"{c}_{end}") for c in cols for f, end in ((F.min, "low"), (F.max, "high"))])
     scaled = {f"{c}{suffix}": _scaled(F.col(c).cast("double"), F.col(f"{c}_low"), F.col(f"{c}_high")) for c in cols}
     return df.crossJoin(F.broadcast(ends)).withColumns(scaled).drop(*ends.columns)
 
@@ -101,6 +109,15 @@ def order(man: DataFrame, seed: int = SEED) -> DataFrame:
     return rows.withColumn("spot", key)
 
 
+def numbered(rows: DataFrame, keys: tuple[str, ...] = ("spot", "doc_id", "copy"), out: str = "place") -> DataFrame:
+    """Append the 1-based place in the order of ``keys``: ranges are sorted apart, and a row per range tells where each begins."""
+    ranged = kept(rows.repartitionByRange(*keys).withColumn("_part", F.spark_partition_id()), "ranges")
+    sizes = ranged.groupBy("_part").agg(F.count("*").alias("_n"))
+    starts = sizes.select("_part", (F.sum("_n").over(Window.orderBy("_part").rowsBetween(Window.unboundedPreceding, Window.currentRow)) - F.col("_n")).alias("_start"))
+    own = F.row_number().over(Window.partitionBy("_part").orderBy(*keys))
+    return ranged.join(F.broadcast(starts), "_part").withColumn(out, (F.col("_start") + own).cast("long")).drop("_part", "_start")
+
+
 def top_budget(df: DataFrame, share: float, id_col: str = "doc_id") -> DataFrame:
     """Best weights first until the budget is spent: the foil to sampling.
 

@@ -7,6 +7,7 @@ from functools import reduce
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from mixwright.functions.hashing import uniform
 from mixwright.functions.storage import kept, scratch
 from mixwright.functions.text import n_tokens
 from mixwright.operators import analysis, baselines, cluster, corpus, diversity, domains, embed, metrics, ngram, quality, sampling
@@ -25,7 +26,7 @@ def union(parts: list[DataFrame]) -> DataFrame:
 
 
 def text_scored(docs: DataFrame, k: int = CLUSTERS) -> DataFrame:
-    """Rubric quality and diversity of hashed text vectors, for every document."""
+    """Rubric quality and diversity of hashed text vectors, for every document, blank ones included."""
     v = kept(embed.hashed(docs), "text-vectors")
     assigned = kept(cluster.assign(v, cluster.fit_kmeans(v, k)).select("doc_id", "cluster", "v"), "text-clusters")
     graded = quality.grade(docs).select("doc_id", "domain", "n_tokens", "quality")
@@ -43,17 +44,12 @@ def manifests(spark, docs: DataFrame, share: float = SHARE, methods: tuple[str,
 
 
 def results(docs: DataFrame, man: DataFrame, bench: DataFrame, chat: DataFrame, order: int = 2, vocab: int = ngram.VOCAB) -> DataFrame:
-    """(method, metric, value, higher): tokens drawn, two perplexities, the share of benchmark items where the method's model does best."""
+    """(method, metric, value, higher, place): tokens drawn, two perplexities, two accuracies and their mean, of a model of each method's manifest."""
     model = ngram.fit(docs, man.select("doc_id", "copies", "method"), order, vocab, by=("method",))
-    valid = kept(ngram.score(model, bench, "item_id"), "scored-items")
-    drawn = man.groupBy("method").agg(F.sum(F.col("copies") * F.col("n_tokens")).cast("double").alias("value")).select("method", F.lit("tokens").alias("metric"), "value", F.lit(True).alias("higher"))
-    parts = [drawn]
-    for name, got in (("validation_ppl", valid), ("instruction_ppl", ngram.score(model, chat, "conv_id"))):
-        parts.append(ngram.perplexity(got, ("method",)).select("method", F.lit(name).alias("metric"), F.col("perplexity").alias("value"), F.lit(False).alias("higher")))
-    item = valid.groupBy("id", "method").agg(F.round(F.avg("logp"), 9).alias("m"))
-    best = item.groupBy("id").agg(F.max("m").alias("top"))
-    wins = item.join(best, "id").groupBy("method").agg(F.avg((F.col("m") == F.col("top")).cast("double")).alias("value"))
-    parts.append(wins.select("method", F.lit("items_won").alias("metric"), "value", F.lit(True).alias("higher")))
+    parts = [man.groupBy("method").agg(F.sum(F.col("copies") * F.col("n_tokens")).cast("double").alias("value")).select("method", F.lit("tokens").alias("metric"), "value", F.lit(True).alias("higher"))]
+    for name, texts, key in (("validation_ppl", bench, "item_id"), ("instruction_ppl", chat, "conv_id")):
+        parts.append(ngram.perplexity(ngram.score(model, texts, key), ("method",)).select("method", F.lit(name).alias("metric"), F.col("perplexity").alias("value"), F.lit(False).alias("higher")))
+    parts.append(ngram.accuracies(model, bench, "item_id").select("method", "metric", "value", F.lit(True).alias("higher")))
     return metrics.leaderboard(union(parts))
 
 
@@ -106,30 +102,46 @@ def _(spark, sf):
     return results(docs, manifests(spark, docs, share=1.0), load(spark, sf, "benchmark"), chat_of(spark, sf))
 
 
-@query("steps_to_target")
-def _(spark, sf):
-    """Ten checkpoints of a hash-ordered manifest; counts are additive, so a checkpoint's model is a tagged aggregate."""
+def curves(spark, sf) -> DataFrame:
+    """(method, step, metric) at ten checkpoints of a hash-ordered manifest; counts are additive, so a checkpoint's model is a tagged aggregate."""
     docs = lang_clean(spark, sf)
     man = manifests(spark, docs)
     rows = man.select("method", "doc_id", F.explode(F.sequence(F.lit(1), F.col("copies"))).alias("copy"))
-    from mixwright.functions.hashing import uniform
-
     first = F.floor(uniform(F.concat_ws("/", F.col("doc_id").cast("string"), F.col("copy").cast("string"))) * 10).cast("int") + 1
     steps = rows.select("method", "doc_id", F.explode(F.sequence(first, F.lit(10))).alias("step")).groupBy("method", "doc_id", "step").agg(F.count("*").alias("copies"))
     model = ngram.fit(docs, steps, by=("method", "step"))
-    curve = kept(ngram.perplexity(ngram.score(model, load(spark, sf, "benchmark"), "item_id"), ("method", "step")).select("method", "step", F.col("perplexity").alias("metric")), "curve")
+    return kept(ngram.perplexity(ngram.score(model, load(spark, sf, "benchmark"), "item_id"), ("method", "step")).select("method", "step", F.col("perplexity").alias("metric")), "curve")
+
+
+@query("steps_to_target")
+def _(spark, sf):
+    """The first checkpoint at which each method reaches the mean of all six baselines at their last one."""
+    curve = curves(spark, sf)
     target = curve.filter("method <> 'per_document' and step = 10").agg(F.avg("metric").alias("target"))
     return metrics.steps_to_target(curve, target, higher_is_better=False)
 
 
+@query("speed_up")
+def _(spark, sf):
+    """Against each baseline: the checkpoint at which the per-document mixer reaches its final value, and how many times fewer steps that is."""
+    curve = curves(spark, sf)
+    own = curve.filter("method = 'per_document'").select("step", "metric")
+    goals = curve.filter("method <> 'per_document' and step = 10").select(F.col("method").alias("baseline"), F.col("metric").alias("target"))
+    mean = goals.agg(F.lit("mean of all").alias("baseline"), F.avg("target").alias("target"))
+    met = goals.unionByName(mean).join(F.broadcast(own), F.col("metric") <= F.col("target"), "left").groupBy("baseline", "target").agg(F.min("step").alias("steps"))
+    return met.select("baseline", "target", "steps", (10 / F.col("steps")).alias("times_fewer"))
+
+
 @query("alpha_perplexity")
 def _(spark, sf):
-    """The alpha grid on rubric quality and text clusters, one model per alpha in one pass."""
+    """The alpha grid on rubric quality and text clusters, one model per alpha in one pass: perplexity, accuracies and their mean."""
     docs = lang_clean(spark, sf)
     s = text_scored(docs)
     man = kept(union([sampling.copies(sampling.score_frequencies(s, a, share=SHARE)).select(F.lit(a).alias("alpha"), "doc_id", "copies") for a in (0.0, 0.2, 0.4, 0.6, 0.8, 1.0)]).filter("copies > 0"), "alpha-manifests")
     model = ngram.fit(docs, man, by=("alpha",))
-    return ngram.perplexity(ngram.score(model, load(spark, sf, "benchmark"), "item_id"), ("alpha",))
+    bench = load(spark, sf, "benchmark")
+    ppl = ngram.perplexity(ngram.score(model, bench, "item_id"), ("alpha",)).select("alpha", F.lit("validation_ppl").alias("metric"), F.col("perplexity").alias("value"))
+    return ppl.unionByName(ngram.accuracies(model, bench, "item_id"))
 
 
 @query("ordinal_vs_classifier")

@@ -5,10 +5,12 @@ from __future__ import annotations
 import json
 from dataclasses import asdict, dataclass
 
+from pyspark.ml import Estimator, Model
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from mixwright.operators import cluster, diversity, sampling
+from mixwright.functions.storage import kept
+from mixwright.operators import cells, cluster, diversity, sampling
 
 
 @dataclass
@@ -32,18 +34,18 @@ class PerDocumentMixer:
         if "cluster" not in vecs.columns:
             k = self.k or cluster.default_k(vecs.count())
             cents = cluster.fit_kmeans(vecs.select("doc_id", "v"), k, self.seed, engine=self.engine, fit_fraction=self.fit_fraction)
-            vecs = cluster.assign(vecs, cents).drop("dist")
-        table = diversity.cluster_table(vecs, self.metric, self.separation, singleton=self.singleton, alone=1.0)
-        cents = diversity.centroids(vecs)
+            vecs = kept(cluster.assign(vecs.select("doc_id", "v"), cents).drop("dist"), "mixer-assigned")
+        cents = kept(diversity.centroids(vecs), "mixer-centroids")
+        table = kept(diversity.cluster_table(vecs, self.metric, self.separation, singleton=self.singleton, alone=1.0), "mixer-clusters")
         docs = docs if "cluster" in docs.columns else docs.join(vecs.select("doc_id", "cluster"), "doc_id")
-        scored = diversity.score(docs, table)
-        ends = scored.agg(*[f(c).cast("double").alias(f"{n}_{c}") for c in ("quality", "diversity") for n, f in (("low", F.min), ("high", F.max))], F.count("*").alias("n"), F.sum("n_tokens").cast("double").alias("tokens")).first()
+        # All that the softmax needs is in the cells: a row per cluster and level.
+        parts = kept(cells.build(diversity.score(docs, table), ("cluster", "quality")), "mixer-cells")
+        ends = parts.agg(*[f(c).cast("double").alias(f"{n}_{c}") for c in ("quality", "diversity") for n, f in (("low", F.min), ("high", F.max))], F.coalesce(F.sum("n"), F.lit(0)).alias("n"), F.sum("tokens").cast("double").alias("tokens")).first()
         clusters = [(r["cluster"], r["diversity"], [float(x) for x in r["centroid"]]) for r in table.join(cents, "cluster").collect()]  # K rows
         model = PerDocumentMixerModel(self.alpha, self.tau, self.seed, ends["low_quality"], ends["high_quality"], ends["low_diversity"], ends["high_diversity"], ends["n"], ends["tokens"] or 0.0, 0.0, 1.0, clusters)
-        weighed = model.weigh(scored)
-        top = weighed.agg(F.max("p")).first()[0]
-        z = weighed.agg(F.sum(F.exp((F.col("p") - F.lit(top or 0.0)) / self.tau))).first()[0]
-        model.top, model.z = top or 0.0, z or 1.0
+        weighed = model.weigh(parts)
+        top = weighed.agg(F.max("p")).first()[0] or 0.0
+        model.top, model.z = top, weighed.agg(F.sum(F.col("n") * F.exp((F.col("p") - F.lit(top)) / self.tau))).first()[0] or 1.0
         return model
 
 
@@ -85,14 +87,33 @@ class PerDocumentMixerModel:
     def sample(self, docs: DataFrame, share: float = 1.0) -> DataFrame:
         return sampling.manifest(self.transform(docs, share))
 
-    def save(self, path: str) -> None:
-        with open(path, "w") as f:
-            json.dump(asdict(self), f)
+    def save(self, spark: SparkSession, path: str) -> None:
+        """One row of JSON, wherever Spark can write."""
+        spark.createDataFrame([(json.dumps(asdict(self)),)], "value string").coalesce(1).write.text(path)
 
     @classmethod
-    def load(cls, path: str) -> PerDocumentMixerModel:
-        with open(path) as f:
-            return cls(**json.load(f))
+    def load(cls, spark: SparkSession, path: str) -> PerDocumentMixerModel:
+        return cls(**json.loads(spark.read.text(path, wholetext=True).first()[0]))
+
+
+class MixerEstimator(Estimator):
+    """The mixer as a stage of a Pipeline: rows of doc_id, domain, n_tokens, quality and ``v`` (or cluster)."""
+
+    def __init__(self, share: float = 1.0, **options):
+        super().__init__()
+        self.share, self.options = share, options
+
+    def _fit(self, dataset: DataFrame) -> MixerTransformer:
+        return MixerTransformer(PerDocumentMixer(**self.options).fit(dataset), self.share)
+
+
+class MixerTransformer(Model):
+    def __init__(self, model: PerDocumentMixerModel, share: float):
+        super().__init__()
+        self.model, self.share = model, share
+
+    def _transform(self, dataset: DataFrame) -> DataFrame:
+        return self.model.transform(dataset, self.share)
 
 
 def register_sql(spark: SparkSession) -> None:
