@@ -14,8 +14,8 @@ bounded whatever a bucket holds. Nodes that are known to be connected (``known``
 
 Every node has a sketch, how many of its shingles fall into each of 128 hash classes. Two sets share at most the sum of the
 smaller numbers, which rules out most candidates that have only a passage in common. The others are settled by
-the sets themselves, in buckets of bounded size: a second pass over the asked texts alone makes their sets and sends
-each to the buckets that ask for it, once.
+the sets themselves (40 bits of each hash, packed), in buckets of bounded size that hold what is near to each other: a second
+pass over the asked texts alone makes their sets and sends each to the buckets that ask for it, once.
 
 Defined results: null and blank texts are one empty set, alike only among themselves; null ids never link but keep their
 rows; rows that repeat an id are one node of the classes; an empty table gives an empty result; other columns of the input are
@@ -34,7 +34,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from mixwright.functions.blocks import by_shard, changes, mix64, spread_all, squeeze
+from mixwright.functions.blocks import by_shard, changes, mix64, spread, spread_all, squeeze
 from mixwright.functions.storage import kept
 
 from .components import components
@@ -233,7 +233,7 @@ def _settled(threshold: float, every: bool):
     """Of one bucket: the asked pairs and units that the sets confirm."""
 
     def run(_: tuple, asks: pa.Table, sets: pa.Table) -> pa.Table:
-        held = {node: np.frombuffer(x.as_buffer(), "u8") for node, x in zip(sets.column("node").to_pylist(), sets.column("hashes"), strict=True)}
+        held = {node: spread(x.as_py(), ("u8",), -1)[0] for node, x in zip(sets.column("node").to_pylist(), sets.column("hashes"), strict=True)}
         out, boss = [], {}
 
         def top(x: int) -> int:
@@ -273,7 +273,7 @@ def settle(docs: DataFrame, nodes: DataFrame, asks: DataFrame, width: int, thres
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in _slices(batches):
             sets = [shingle_set(x.as_py(), width) for x in b.column(0)]
-            rows = [(k, _node(_key(s)), s.tobytes()) for s, to in zip(sets, b.column(1).to_pylist(), strict=True) for k in to]
+            rows = [(k, _node(_key(s)), packed) for s, to in zip(sets, b.column(1).to_pylist(), strict=True) if (packed := squeeze((np.unique(s >> np.uint64(24)),), -1)) for k in to]
             yield pa.RecordBatch.from_arrays([pa.array([r[i] for r in rows], t) for i, t in enumerate((pa.int32(), pa.int64(), pa.binary()))], names=["bucket", "node", "hashes"])
 
     side = F.broadcast(need) if need.count() <= MAX_BROADCAST_ROWS else need
@@ -319,7 +319,7 @@ def plausible_units(asks: DataFrame, nodes: DataFrame, threshold: float) -> Data
     return with_sketch.groupBy("bucket").applyInArrow(run, f"bucket int, {ASK}")
 
 
-def asked_pairs(pairs: DataFrame, bucket_pairs: int = 20_000) -> DataFrame:
+def asked_pairs(pairs: DataFrame, bucket_pairs: int = 8_000) -> DataFrame:
     """Rows of ``ASK`` for pairs (a, b), those of one neighbourhood in one bucket, and none above about ``bucket_pairs``."""
     ends = pairs.select(F.col("a").alias("node"), F.col("b").alias("other")).unionByName(pairs.select(F.col("b").alias("node"), F.col("a").alias("other")))
     low = ends.groupBy("node").agg(F.least(F.col("node"), F.min("other")).alias("low"))
@@ -343,6 +343,19 @@ def asked_units(hot: DataFrame, chunk_rows: int = 1024, bucket_rows: int = 4096)
     return rows.select(F.pmod(F.xxhash64("unit"), F.lit(buckets)).cast("int").alias("bucket"), *rows.columns)
 
 
+def gathered_units(asks: DataFrame, bucket_rows: int = 4096) -> DataFrame:
+    """The rows of units in new buckets: units that share nodes go together, so that a set is sent to few buckets, and none gets much more than ``bucket_rows``."""
+    asks = kept(asks.drop("bucket"), "near-plausible")
+    low = asks.groupBy("unit").agg(F.min("a").alias("low"))
+    nodes = asks.select("unit", "a").join(low, "unit").groupBy("a").agg(F.min("low").alias("low"))
+    near = asks.select("unit", "a").join(nodes, "a").groupBy("unit").agg(F.min("low").alias("near"), F.count("*").alias("m"))
+    heavy = near.groupBy("near").agg(F.sum("m").alias("all"))
+    buckets = max(1, -(-asks.count() // bucket_rows))
+    part = F.when(F.col("all") > 4 * bucket_rows, F.pmod(F.xxhash64("unit"), F.ceil(F.col("all") / bucket_rows))).otherwise(F.lit(0))
+    where = near.join(heavy, "near").select("unit", F.pmod(F.xxhash64("near", part), F.lit(buckets)).cast("int").alias("bucket"))
+    return asks.join(where, "unit").select("bucket", *asks.columns)
+
+
 def integer_ids(df: DataFrame, id_col: str) -> None:
     """A clear refusal where a cast would fail row by row."""
     if not isinstance(df.schema[id_col].dataType, T.IntegralType):
@@ -383,7 +396,7 @@ class NearSets:
         found = settle(self.docs, self.nodes, asked_pairs(pairs), self.width, self.threshold, every)
         if hot.isEmpty():
             return found
-        units = plausible_units(asked_units(hot, chunk_rows), self.nodes, self.threshold)
+        units = gathered_units(plausible_units(asked_units(hot, chunk_rows), self.nodes, self.threshold))
         return found.unionByName(settle(self.docs, self.nodes, units, self.width, self.threshold, every)).distinct()
 
     def classes(self, links: DataFrame) -> DataFrame:
