@@ -5,17 +5,24 @@ A text's fingerprint has a bit set where over half of its shingle hashes have it
 keeps the positions whose vector has odd overlap with v. Any ``radius`` differing positions leave some v orthogonal
 to all of their vectors, and in that table the pair collides: 2^(radius+1) - 1 tables, no misses.
 
+Masks repeat one vector pattern over all 64 positions, so a table keeps 32 to 37 of them.
+
 Equal fingerprints are folded into one row first, so copies cost one row however many there are. In tables of the fold, a
 bucket of up to ``bucket_rows`` fingerprints is compared pair by pair inside one equi-join, whose condition lets
-only links out. A larger bucket is not paired: within it each fingerprint names all points within half the radius
-in the positions outside the mask; those that share a point are within the radius of each other for an even radius, and
+only links out. The fingerprints of larger buckets are not paired: each names all points within half the radius, in any
+of the 64 positions; those that share a point are within the radius of each other for an even radius, and
 a star around the smallest links them.
 Links are joined into components by alternating large-star and small-star rounds on ids, each stored in the shared
 folder; nothing but counts reaches the driver.
 
-Defined results: a null, empty or blank text has fingerprint zero, linked like any other; null ids never link but
-keep their rows; rows that repeat an id are one node; an empty table gives an empty result; other columns of the
-input are ignored.
+``near_texts`` finds near copies by the similarity of their shingle sets. Fingerprints group the sets, and each set of a group is
+checked exactly against the group's first. At a similarity of 0.8 fingerprints differ in 4 to 14 of 64 bits, beyond what
+covering tables can reach, so an exact join of leading shingles (``mixwright.operators.near``) adds the links between sets that
+the groups have not connected.
+
+Defined results: a null, empty or blank text has fingerprint zero, linked like any other (in ``near_texts``, an empty set, alike only to
+its like); null ids never link but keep their rows; rows that repeat an id are one node; an empty table gives an empty result; other
+columns of the input are ignored; ids must be integers.
 """
 
 from __future__ import annotations
@@ -28,7 +35,10 @@ import xxhash
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .shared import free_names, stored
+from mixwright.operators.components import components
+from mixwright.operators.near import NearSets, asked_pairs, integer_ids, settle
+
+from .shared import free_names, sized, stored
 
 BITS = 64
 SEED = 42
@@ -43,7 +53,11 @@ def fingerprint(text: bytes, width: int = 3) -> int:
     else:
         shingles = map(b" ".join, zip(*(words[i:] for i in range(width)), strict=False))
     digest = xxhash.xxh64_intdigest
-    hashes = np.array([digest(s, SEED) for s in shingles], dtype="<u8")
+    return majority(np.array([digest(s, SEED) for s in shingles], dtype="<u8"))
+
+
+def majority(hashes: np.ndarray) -> int:
+    """The fingerprint of shingle hashes: bits set in over half of them."""
     ones = np.zeros(BITS, dtype=np.int64)
     for at in range(0, len(hashes), 1 << 16):
         bits = np.unpackbits(hashes[at : at + (1 << 16)].view(np.uint8).reshape(-1, 8), axis=1, bitorder="little")
@@ -112,32 +126,11 @@ def links(nodes: DataFrame, radius: int = 2, bucket_rows: int = 64) -> DataFrame
     return pairs.select(F.col("fp").alias("a"), F.col("fp2").alias("b")).distinct().unionByName(_star_links(hot, radius))
 
 
-def components(edges: DataFrame, rounds: int = 60) -> DataFrame:
-    """(node, component) for the nodes of undirected (a, b) edges over longs; the component is its smallest node."""
-    state = lambda e: e.agg(F.count("*"), F.sum(F.xxhash64("u", "v").cast("decimal(38,0)"))).first()
-    e = stored(edges.select(F.greatest("a", "b").alias("u"), F.least("a", "b").alias("v")).filter("u <> v").distinct(), "components")
-    seen = state(e)
-    for _ in range(rounds):
-        if not seen[0]:
-            break
-        both = e.unionByName(e.select(F.col("v").alias("u"), F.col("u").alias("v")))
-        least = both.groupBy("u").agg(F.least(F.col("u"), F.min("v")).alias("m"))
-        large = both.join(least, "u").filter("v > u").select(F.col("v").alias("u"), F.col("m").alias("v")).distinct()
-        least = large.groupBy("u").agg(F.min("v").alias("m"))
-        small = large.join(least, "u").select(F.col("v").alias("u"), F.col("m").alias("v")).filter("u <> v").unionByName(least.select("u", F.col("m").alias("v"))).distinct()
-        e = stored(small, "components")
-        now = state(e)
-        if now == seen:
-            break
-        seen = now
-    else:
-        raise RuntimeError("components did not settle")
-    return e.select(F.col("u").alias("node"), F.col("v").alias("component"))
-
-
 def near_groups(df: DataFrame, id_col: str = "doc_id", text: str = "text", width: int = 3, radius: int = 2, bucket_rows: int = 64) -> DataFrame:
     """(id, fp, component): the smallest id reachable over links, its own included."""
-    prints = stored(fingerprints(df, id_col, text, width), "simhash-prints")
+    integer_ids(df, id_col)
+    df, id_given, id_col = df.select(F.col(f"`{id_col}`").alias("id"), F.col(f"`{text}`").alias("text")), id_col, "id"
+    prints = stored(fingerprints(df, id_col, "text", width), "simhash-prints")
     nodes = stored(prints.groupBy("fp").agg(F.min(id_col).cast("long").alias("least")), "simhash-nodes")
     found = links(nodes, radius, bucket_rows)
     at = lambda side: nodes.select(F.col("fp").alias(side), F.col("least").alias(f"{side}_id"))
@@ -147,15 +140,29 @@ def near_groups(df: DataFrame, id_col: str = "doc_id", text: str = "text", width
     twice = prints.join(same, id_col).join(nodes, "fp").select(F.col(id_col).cast("long").alias("a"), F.col("least").alias("b"))
     found = components(edges.unionByName(twice).filter("a is not null and b is not null"))
     named = nodes.join(found, F.col("least") == F.col("node"), "left").select("fp", F.coalesce("component", "least").alias("component"))
-    return prints.join(named, "fp").select(id_col, "fp", F.when(F.col(id_col).isNotNull(), F.col("component")).alias("component"))
+    return prints.join(named, "fp").select(F.col(id_col).alias(id_given), F.col("fp").alias("fp"), F.when(F.col(id_col).isNotNull(), F.col("component")).alias("component"))
 
 
 def hex_digits(fp: Column) -> Column:
     return F.lower(F.lpad(F.hex(fp), 16, "0"))
 
 
-def keep_one(df: DataFrame, id_col: str = "doc_id", text: str = "text", **options) -> DataFrame:
-    """One row of each group, that of the smallest id; rows without an id stay."""
+def near_texts(df: DataFrame, id_col: str = "doc_id", body: Column | None = None, width: int = 5, threshold: float = 0.8, radius: int = 2, bucket_rows: int = 64) -> DataFrame:
+    """(id, component): the smallest id reachable over links of shingle sets with a Jaccard similarity of ``threshold`` or more."""
+    near = NearSets(df, id_col, body, width, threshold, mark=lambda s: _signed(majority(s)))
+    found = components(links(near.nodes.select(F.col("mark").alias("fp")).distinct(), radius, bucket_rows))
+    grouped = near.nodes.select("node", "mark").join(found.select(F.col("node").alias("mark"), "component"), "mark", "left").select("node", F.coalesce("component", "mark").alias("group"))
+    grouped = stored(grouped, "simhash-groups")
+    hubs = grouped.groupBy("group").agg(F.min("node").alias("hub"), F.max("node").alias("last")).filter("hub < last").select("group", "hub")
+    asked = grouped.join(hubs, "group").filter("node <> hub").select(F.col("hub").alias("a"), F.col("node").alias("b"))
+    first = settle(near.docs, near.nodes, asked_pairs(stored(asked, "simhash-asked")), width, threshold)
+    known = first.select(F.col("b").alias("node"), F.col("a").alias("label")).unionByName(first.select(F.col("a").alias("node"), F.col("a").alias("label"))).distinct()
+    return near.classes(first.unionByName(near.links(known=known)))
+
+
+def keep_one(df: DataFrame, id_col: str = "doc_id", found: DataFrame | None = None, **options) -> DataFrame:
+    """One row of each group (of ``near_groups``, or of a given (id, component)), that of the smallest id; rows without an id stay."""
     (drop,) = free_names(df, "_s_drop")
-    gone = near_groups(df, id_col, text, **options).filter(F.col(id_col) != F.col("component")).select(F.col(id_col).alias(drop)).distinct()
-    return df.join(gone, F.col(id_col) == F.col(drop), "left_anti")
+    groups = near_groups(df, id_col, **options).select(F.col(f"`{id_col}`").alias("id"), "component") if found is None else found
+    gone = groups.filter(F.col("id") != F.col("component")).select(F.col("id").alias(drop)).distinct()
+    return df.join(sized(stored(gone, "simhash-gone")), F.col(f"`{id_col}`") == F.col(drop), "left_anti")
