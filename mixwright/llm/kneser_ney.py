@@ -1,72 +1,52 @@
 """Interpolated modified Kneser-Ney model: counted in Spark, kept as sorted hash arrays, memory-mapped by workers.
 
-A token is a 64-bit hash. Each map task counts its token pairs and ships them as compressed arrays, one row per shard; a
-shard merges them into two sorted arrays (pair hash, count), written to the shared folder, and passes on what it knows of
-single words: occurrences, distinct left neighbours, and as a context its total and its pairs seen once, twice and more.
-Those sums are additive, so the pairs of a frequent context can be spread over all shards. Word shards add them up and
-write sorted arrays too. Discounts come from the counts of counts, a few numbers.
+A token is a 64-bit hash. Each map task counts its n-grams under dense codes and ships them as compressed arrays, one row
+per shard, each with the hashes of its own words. N-grams are dealt by the token before the last, so one merge gives a shard
+the counts of every order below too: of a gram, how many tokens stand before it; of a context, its total and how
+many of its grams occur once, twice and more. Frequent contexts are spread: n-grams of a frequent token are dealt
+by the token before it as well, and those of a frequent pair by their last token; what that leaves in parts is added up
+in a second step, as are the counts of words. Discounts come from the counts of counts, a few numbers.
 
-Scoring tasks map the arrays from the shared folder and look up the sorted distinct hashes of a batch of texts, so a
-batch reads each array front to back. Where the folder is not a local mount the arrays are read through Arrow's file systems.
+Scoring tasks map the arrays (``hash_arrays``) from the shared folder and look up the distinct n-grams of a batch of texts in order.
 
-In order three the same form over triples stands on top, p(w | x v) = max(c(xvw) - D, 0) / c(xv) + gamma(x v) p(w | v), and c(vw)
-below is the number of distinct x; a text has two start marks before it, so a pair at its start has one.
+The model of order n is p(w | c) = max(count(c w) - D, 0) / count(c) + gamma(c) p(w | c without its first token), D by count 1, 2,
+3 and more; counts are occurrences at order n and numbers of distinct tokens before below; it rests on 1 / (V + 1)
+for each of V known tokens and one unknown. A text has n - 1 start marks before it and one end behind it.
 
-p(w | v) = max(c(vw) - D, 0) / c(v) + gamma(v) p(w), with D by count 1, 2, 3+, and p(w) of the same form over numbers of
-distinct left neighbours, resting on 1 / (V + 1) for each of V known tokens and one unknown.
-
-Sizes: shards are as many as the input's bytes ask for, so that one holds about ``shard_bytes`` of text's pairs. Which
-contexts are spread is read off a sample of at most ``hot_sample`` documents; it changes where pairs are counted, not any count.
+Sizes: shards are as many as the input's bytes ask for, so that one holds about ``shard_bytes`` of text's n-grams. Which
+contexts are spread is read off a sample that grows with the number of shards, so that none holds much more than a shard's
+part; it changes where n-grams are counted, not any count. Counts have 64 bits.
 
 Defined results: a null text counts as empty and is scored by its end token; a null id is as the text of no characters
-when choosing training rows; rows that repeat are counted and scored each; an empty table gives an empty
+when choosing training rows; ids may be of any type; rows that repeat are counted and scored each; an empty table gives an empty
 result; other columns of the input are ignored. Scores of a model without training text rest on the unknown token alone.
 """
 
 from __future__ import annotations
 
-import os
-import uuid
 from collections.abc import Iterator
 from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
-import pyarrow.fs as pafs
-import zstandard
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .shared import folder, stored
+from mixwright.functions.blocks import by_shard, changes, mix64, rolling_sums, spread, squeeze, stretch_hash
+
+from . import hash_arrays
+from .shared import dropped, folder, release_memory, stored
 
 END = np.uint64(0x9E3779B97F4A7C15)
 START = np.uint64(0xC2B2AE3D27D4EB4F)
 SPACES = np.zeros(256, bool)
 SPACES[[32, 9, 10, 11, 12, 13]] = True
-BASE = 0x5851F42D4C957F2D
-_TABLE = np.random.default_rng(20).integers(0, 1 << 63, 256, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
-
-
-def mix64(x: np.ndarray) -> np.ndarray:
-    """A bijection that spreads every bit."""
-    x = (x ^ (x >> np.uint64(30))) * np.uint64(0xBF58476D1CE4E5B9)
-    x = (x ^ (x >> np.uint64(27))) * np.uint64(0x94D049BB133111EB)
-    return x ^ (x >> np.uint64(31))
-
-
-def pair_hash(v: np.ndarray, w: np.ndarray) -> np.ndarray:
-    return mix64(mix64(v) * np.uint64(3) + w)
-
-
-_powers = [np.ones(1, np.uint64), np.ones(1, np.uint64)]
+FLUSH_TOKENS = 2_000_000
+WORD = ("u8",) * 7  # hash; occurrences; tokens before it; as a context: total, grams seen once, twice, more
 
 
-def _grow(n: int) -> None:
-    if len(_powers[0]) < n:
-        for k, base in enumerate((BASE, pow(BASE, -1, 1 << 64))):
-            steps = np.full(n, base, dtype=np.uint64)
-            steps[0] = 1
-            _powers[k] = np.multiply.accumulate(steps)
+def pair_hash(left: np.ndarray, right: np.ndarray) -> np.ndarray:
+    return mix64(mix64(left) * np.uint64(3) + right)
 
 
 def tokenise(texts: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
@@ -74,33 +54,11 @@ def tokenise(texts: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
     raw = np.frombuffer(b"\n".join(texts) + b"\n", np.uint8)
     raw = np.where((raw >= 65) & (raw <= 90), raw + 32, raw).astype(np.uint8)
     gap = SPACES[raw]
-    word = ~gap
     before = np.concatenate([[True], gap[:-1]])
-    starts = np.flatnonzero(word & before)
-    stops = np.flatnonzero(gap & ~before)
-    _grow(len(raw) + 1)
-    sums = np.concatenate([np.zeros(1, np.uint64), np.cumsum(_TABLE[raw] * _powers[0][: len(raw)])])
-    hashes = mix64((sums[stops] - sums[starts]) * _powers[1][starts] + (stops - starts).astype(np.uint64))
-    ends = np.cumsum([len(t) + 1 for t in texts])
-    upto = np.searchsorted(starts, ends)
-    n = np.diff(np.concatenate([[0], upto])) + 1
-    out = np.insert(hashes, upto, END)
-    return out, n
-
-
-def pairs(tokens: np.ndarray, n: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """(left, token) for each token; the first of a text has the start mark to its left."""
-    left = np.concatenate([[START], tokens[:-1]]) if len(tokens) else tokens
-    left[np.concatenate([[0], np.cumsum(n)[:-1]])] = START
-    return left, tokens
-
-
-def triples(tokens: np.ndarray, n: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """(hash of the two tokens to the left, left, token) for each token; a text has start marks before it."""
-    left, _ = pairs(tokens, n)
-    back = np.concatenate([[START], left[:-1]]) if len(left) else left
-    back[np.concatenate([[0], np.cumsum(n)[:-1]])] = START
-    return pair_hash(back, left), left, tokens
+    starts, stops = np.flatnonzero(~gap & before), np.flatnonzero(gap & ~before)
+    hashes = stretch_hash(rolling_sums(raw), starts, stops)
+    upto = np.searchsorted(starts, np.cumsum([len(t) + 1 for t in texts]))
+    return np.insert(hashes, upto, END), np.diff(np.concatenate([[0], upto])) + 1
 
 
 def _chunks(texts: list[bytes], limit: int = 4 << 20) -> Iterator[tuple[int, int]]:
@@ -114,57 +72,84 @@ def _chunks(texts: list[bytes], limit: int = 4 << 20) -> Iterator[tuple[int, int
         yield at, len(texts)
 
 
-def count_rows(keys: tuple[np.ndarray, ...], values: tuple[np.ndarray, ...]) -> tuple[tuple, tuple]:
-    """Sorted distinct keys and the sums of their values."""
-    order = np.lexsort(keys[::-1]) if len(keys) > 1 else np.argsort(keys[0], kind="stable")
-    keys = tuple(k[order] for k in keys)
-    if not len(order):
-        return keys, values
-    first = np.concatenate([[True], np.logical_or.reduce([k[1:] != k[:-1] for k in keys])])
-    at = np.flatnonzero(first)
-    return tuple(k[at] for k in keys), tuple(np.add.reduceat(v[order], at) for v in values)
-
-
-def _squeeze(columns: tuple[np.ndarray, ...]) -> bytes:
-    """Columns as compressed bytes; the first is sorted and stored as differences."""
-    lead = np.diff(columns[0], prepend=columns[0].dtype.type(0))
-    body = b"".join(np.ascontiguousarray(c.view(np.uint8).reshape(-1, c.itemsize).T).tobytes() if i != 1 else c.tobytes() for i, c in enumerate((lead, *columns[1:])))
-    return zstandard.ZstdCompressor(level=1).compress(body)
-
-
-def _spread(blob: bytes, dtypes: tuple) -> tuple[np.ndarray, ...]:
-    body = zstandard.ZstdDecompressor().decompress(blob)
-    width = sum(np.dtype(d).itemsize for d in dtypes)
-    n, at, out = len(body) // width, 0, []
-    for i, d in enumerate(dtypes):
-        d = np.dtype(d)
-        part = np.frombuffer(body, np.uint8, n * d.itemsize, at)
-        out.append(part.view(d) if i == 1 else np.ascontiguousarray(part.reshape(d.itemsize, n).T).view(d).ravel())
-        at += n * d.itemsize
-    out[0] = np.cumsum(out[0], dtype=out[0].dtype)
-    return tuple(out)
-
-
-PAIR = ("u8", "u8", "u4", "u4")  # left, token, count (distinct tokens before the pair in order three), occurrences
-TRIPLE = ("u8", "u8", "u8", "u4")
-WORD = ("u8", "u4", "u4", "u4", "u4", "u4", "u4")  # occurrences; left neighbours; as a context: total, pairs seen 1, 2, 3+ times
-WORD_FILE = ("u8", "u8", "u8", "u8", "u8", "u8", "u8")
+def coded(tokens: np.ndarray, n: np.ndarray, order: int) -> tuple[np.ndarray, list[np.ndarray]]:
+    """Distinct hashes, and columns of codes for each token's n-gram: the token before, those before that, last the token itself."""
+    words, code = np.unique(np.append(tokens, START), return_inverse=True)
+    start, code = code[-1], code[:-1]
+    first = np.concatenate([[0], np.cumsum(n)[:-1]]).astype(np.int64) if len(n) else np.zeros(0, np.int64)
+    columns, last = [], code
+    for _ in range(order - 1):
+        last = np.concatenate([[start], last[:-1]]) if len(last) else last
+        last[first] = start
+        columns.append(last)
+    return words, [*columns, code]
+
+
+def _packed(columns: list[np.ndarray], k: int) -> tuple[np.ndarray, list[np.ndarray] | None]:
+    """Rows of codes below k as single numbers of the same order, and, where 63 bits do not hold them, the distinct rows."""
+    bits = max(1, int(k - 1).bit_length())
+    if bits * len(columns) <= 63:
+        key = columns[0].astype(np.uint64)
+        for c in columns[1:]:
+            key = key << np.uint64(bits) | c.astype(np.uint64)
+        return key, None
+    order = np.lexsort(columns[::-1])
+    rows = [c[order] for c in columns]
+    own = changes(tuple(rows))
+    key = np.empty(len(order), np.uint64)
+    key[order] = np.cumsum(own) - 1
+    return key, [r[own] for r in rows]
+
+
+def grouped(columns: list[np.ndarray], k: int, counts: np.ndarray | None = None) -> tuple[list[np.ndarray], np.ndarray]:
+    """Distinct rows of codes in order, and how many there are of each or the sums of their counts."""
+    if not len(columns[0]):
+        return columns, np.zeros(0, np.uint64)
+    key, rows = _packed(columns, k)
+    if counts is None:
+        key = np.sort(key)
+    else:
+        order = np.argsort(key)
+        key, counts = key[order], counts[order]
+    at = np.flatnonzero(changes((key,)))
+    sums = np.diff(np.append(at, len(key))).astype(np.uint64) if counts is None else np.add.reduceat(counts, at).astype(np.uint64)
+    if rows is None:
+        bits = max(1, int(k - 1).bit_length())
+        rows = [(key[at] >> np.uint64(bits * j) & np.uint64((1 << bits) - 1)).astype(np.uint32) for j in range(len(columns) - 1, -1, -1)]
+    return rows, sums
+
+
+def _block(words: np.ndarray, columns: list[np.ndarray], counts: np.ndarray) -> bytes:
+    """A compressed block of sorted rows of codes, with the hashes of the words that occur in it."""
+    used = np.zeros(len(words), bool)
+    for c in columns:
+        used[c] = True
+    code = np.cumsum(used) - 1
+    kind = "u2" if code[-1] < 1 << 16 else "u4"
+    head = squeeze((words[used],), -1)
+    body = squeeze((*(code[c].astype(kind) for c in columns), counts.astype("u8")), -1, 3)
+    return bytes([int(kind[1])]) + len(head).to_bytes(4, "little") + head + body
+
+
+def _unblock(blob: bytes, order: int) -> tuple[np.ndarray, list[np.ndarray], np.ndarray]:
+    size = int.from_bytes(blob[1:5], "little")
+    *columns, counts = spread(blob[5 + size :], (f"u{blob[0]}",) * order + ("u8",), -1)
+    return spread(blob[5 : 5 + size], ("u8",), -1)[0], columns, counts
 
 
 @dataclass(frozen=True)
 class Model:
     path: str
-    pair_shards: int
+    order: int
+    shards: int
     word_shards: int
     tokens: int
     vocabulary: int
     pair_types: int
-    word_types: tuple[int, int, int]  # words with 1, 2, 3 and more distinct left neighbours
-    pair_discounts: tuple[float, float, float]
-    word_discounts: tuple[float, float, float]
-    hot: np.ndarray  # contexts whose pairs are spread over all shards
-    order: int = 2
-    triple_discounts: tuple[float, float, float] = (0.0, 0.0, 0.0)
+    word_types: tuple[int, int, int]  # words with 1, 2, 3 and more distinct tokens before them
+    discounts: tuple  # by order, from words up
+    hot: np.ndarray  # tokens whose n-grams are dealt by the token before as well
+    hot_pairs: np.ndarray  # pairs whose n-grams are dealt by their last token as well
 
 
 def discounts(t1: int, t2: int, t3: int, t4: int) -> tuple[float, float, float]:
@@ -174,199 +159,267 @@ def discounts(t1: int, t2: int, t3: int, t4: int) -> tuple[float, float, float]:
     return tuple(min(max(x, 0.05), k - 0.05) for k, x in zip((1, 2, 3), raw, strict=True))
 
 
-def _write(path: str, arrays: tuple[np.ndarray, ...]) -> None:
-    """One file with its length in front; the name appears only when it is whole, and any attempt's file is as good."""
-    fs, name = pafs.FileSystem.from_uri(path)
-    fs.create_dir(name.rsplit("/", 1)[0], recursive=True)
-    part = f"{name}.{uuid.uuid4().hex}"
-    with fs.open_output_stream(part) as f:
-        f.write(np.array([len(arrays[0])], "<u8").tobytes())
-        for a in arrays:
-            f.write(a.tobytes())
-    try:
-        fs.move(part, name)
-    except OSError:  # an earlier attempt of this task has put the same arrays there
-        fs.delete_file(part)
-
-
-def _open(path: str, dtypes: tuple) -> tuple[np.ndarray, ...]:
-    fs, name = pafs.FileSystem.from_uri(path)
-    if isinstance(fs, pafs.LocalFileSystem):
-        raw = np.memmap(name, np.uint8, "r") if os.path.exists(name) else np.zeros(8, np.uint8)
-    else:
-        info = fs.get_file_info(name)
-        raw = np.frombuffer(fs.open_input_file(name).read(), np.uint8) if info.type != pafs.FileType.NotFound else np.zeros(8, np.uint8)
-    n, at, out = int(raw[:8].view("<u8")[0]), 8, []
-    for d in dtypes:
-        size = n * np.dtype(d).itemsize
-        out.append(raw[at : at + size].view(d))
-        at += size
-    return tuple(out)
-
-
-def _by_shard(shard: np.ndarray, shards: int) -> Iterator[tuple[int, np.ndarray]]:
-    order = np.argsort(shard, kind="stable")
-    cuts = np.searchsorted(shard[order], np.arange(shards + 1))
-    for s in range(shards):
-        if cuts[s] < cuts[s + 1]:
-            yield s, order[cuts[s] : cuts[s + 1]]
-
-
-def fit(df: DataFrame, text: str = "text", shard_bytes: int = 24 << 20, hot_sample: int = 2000, hot_share: float = 0.002, order: int = 2) -> Model:
-    """Count a model of order two or three over all rows of ``df``."""
-    if order not in (2, 3):
-        raise ValueError("the order is two or three")
+def _among(values: np.ndarray, some: np.ndarray) -> np.ndarray:
+    """Which values are in a sorted array."""
+    if not len(some):
+        return np.zeros(len(values), bool)
+    return some[np.minimum(np.searchsorted(some, values), len(some) - 1)] == values
+
+
+def places(words: np.ndarray, columns: list[np.ndarray], hot: np.ndarray, hot_pairs: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Where n-grams are dealt (a hash), and which of them are of a hot token, of a hot pair."""
+    at = words[columns[0]]
+    is_hot = _among(words, hot)[columns[0]]
+    paired = pair_hash(at, words[columns[1]])
+    if len(columns) > 2:
+        is_pair = is_hot & _among(paired, hot_pairs)
+        return np.where(is_pair, pair_hash(paired, words[columns[-1]]), np.where(is_hot, paired, at)), is_hot, is_pair
+    return np.where(is_hot, paired, at), is_hot, np.zeros(len(at), bool)
+
+
+def _hashes(words: np.ndarray, columns: list[np.ndarray]) -> tuple[np.ndarray, np.ndarray]:
+    """Hashes of contexts and of whole n-grams."""
+    context = words[columns[0]]
+    for c in columns[1:-1]:
+        context = pair_hash(context, words[c])
+    return context, pair_hash(context, words[columns[-1]])
+
+
+def _array(keys: np.ndarray, *columns: np.ndarray) -> bytes:
+    order = np.argsort(keys)
+    return hash_arrays.pack(keys[order], [c[order] for c in columns])
+
+
+def _runs(columns: list[np.ndarray], counts: np.ndarray) -> tuple[np.ndarray, tuple[np.ndarray, ...]]:
+    """Of sorted n-grams: the first row of each context, and its total and grams seen once, twice and more."""
+    if not len(counts):
+        return np.zeros(0, np.int64), (np.zeros(0, np.uint64),) * 4
+    heads = np.flatnonzero(changes(tuple(columns[:-1])))
+    return heads, tuple(np.add.reduceat(x.astype(np.uint64), heads) for x in (counts, counts == 1, counts == 2, counts > 2))
+
+
+def _census(counts: np.ndarray) -> list[int]:
+    return [len(counts), *(int((counts == k).sum()) for k in (1, 2, 3, 4))]
+
+
+def fit(df: DataFrame, text: str = "text", shard_bytes: int = 24 << 20, hot_sample: int = 2000, hot_share: float = 0.1, order: int = 3) -> Model:
+    """Count a model of order two or more over all rows of ``df``."""
+    if order < 2:
+        raise ValueError("the order must be two or more")
     spark = df.sparkSession
     body = F.encode(F.coalesce(F.col(text), F.lit("")), "UTF-8").alias("text")
     size = df.agg(F.coalesce(F.sum(F.octet_length(text)), F.lit(0)), F.count("*")).first()
     shards = max(1, -(-int(size[0]) // shard_bytes))
     word_shards = max(1, -(-shards // 2))
-    drawn = [bytes(r[0]) for r in df.filter(F.pmod(F.xxhash64(text), F.lit(max(1, size[1] // hot_sample))) == 0).select(body).limit(hot_sample).collect()]
-    seen, times = np.unique(tokenise(drawn)[0], return_counts=True) if drawn else (np.zeros(0, np.uint64), np.zeros(0))
-    hot = np.sort(np.append(seen[times > hot_share * times.sum()], START))
+    hot, hot_pairs = _hot_contexts(df.filter(F.pmod(F.xxhash64(text), F.lit(max(1, size[1] // max(hot_sample, shards)))) == 0).select(body), hot_share / shards)
     target = folder(spark, "kneser-ney")
 
-    def rows_of(columns: tuple, shard: np.ndarray, n: int) -> Iterator[tuple[int, bytes]]:
-        for s, at in _by_shard(shard, n):
-            yield s, _squeeze(tuple(c[at] for c in columns))
-
     def batch(rows: list) -> pa.RecordBatch:
-        return pa.RecordBatch.from_arrays([pa.array([r[0] for r in rows], pa.int32()), pa.array([r[1] for r in rows], pa.binary())], names=["shard", "block"])
-
-    def split_pairs(v: np.ndarray, w: np.ndarray, c: np.ndarray, raw: np.ndarray) -> Iterator[tuple[int, bytes]]:
-        at = mix64(np.where(np.isin(v, hot), v ^ mix64(w), v)) % np.uint64(shards)
-        yield from rows_of((v, w, c.astype(np.uint32), raw.astype(np.uint32)), at, shards)
+        return pa.RecordBatch.from_arrays([pa.array([r[0] for r in rows], pa.string()), pa.array([r[1] for r in rows], pa.int32()), pa.array([r[2] for r in rows], pa.binary())], names=["kind", "shard", "block"])
 
     def gather(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        held, waiting = [], 0
+        held, sizes, waiting = [], [], 0
 
         def flush() -> Iterator[pa.RecordBatch]:
-            keys, (c,) = count_rows(tuple(np.concatenate([h[k] for h in held]) for k in range(order)), (np.concatenate([h[-1] for h in held]),))
-            if order == 2:
-                found = split_pairs(*keys, c, c)
-            else:
-                found = rows_of((*keys, c.astype(np.uint32)), mix64(keys[0]) % np.uint64(shards), shards)
-            for row in found:
-                yield batch([row])
+            words, columns = coded(np.concatenate(held), np.concatenate(sizes), order)
+            # Frequent words get small codes, which take little room in a block.
+            rank = np.argsort(-np.bincount(columns[-1], minlength=len(words)), kind="stable")
+            code = np.empty(len(words), np.uint32)
+            code[rank] = np.arange(len(words), dtype=np.uint32)
+            words = words[rank]
+            columns, counts = grouped([code[c] for c in columns], len(words))
+            for s, at in by_shard(mix64(places(words, columns, hot, hot_pairs)[0]) % np.uint64(shards), shards):
+                yield batch([("gram", s, _block(words, [c[at] for c in columns], counts[at]))])
+            release_memory()
 
         for b in batches:
             for i in range(0, b.num_rows, 512):
                 texts = b.column(0).slice(i, 512).to_pylist()
                 for lo, hi in _chunks(texts):
-                    keys = (pairs if order == 2 else triples)(*tokenise(texts[lo:hi]))
-                    keys, (c,) = count_rows(keys, (np.ones(len(keys[0]), np.uint32),))
-                    held.append((*keys, c.astype(np.uint32)))
-                    waiting += len(c)
-                    if waiting > 6_000_000 // order:
+                    tokens, n = tokenise(texts[lo:hi])
+                    held.append(tokens)
+                    sizes.append(n)
+                    waiting += len(tokens)
+                    if waiting > FLUSH_TOKENS:
                         yield from flush()
-                        held, waiting = [], 0
+                        held, sizes, waiting = [], [], 0
         if held:
             yield from flush()
 
-    def merge_triples(table: pa.Table) -> pa.Table:
-        shard = table.column("shard")[0].as_py()
-        parts = [_spread(b.as_py(), TRIPLE) for b in table.column("block")]
-        (u, v, w), (c,) = count_rows(tuple(np.concatenate([p[k] for p in parts]) for k in (0, 1, 2)), (np.concatenate([p[3] for p in parts]),))
-        h = pair_hash(u, w)
-        by_hash = np.argsort(h)
-        _write(f"{target}/triples-{shard:07d}", (h[by_hash], c[by_hash].astype(np.uint32)))
-        (us,), sums = count_rows((u,), (c, *((x.astype(np.uint32)) for x in (c == 1, c == 2, c > 2))))
-        _write(f"{target}/contexts-{shard:07d}", (us, *(x.astype(np.uint32) for x in sums)))
-        (vs, ws), (befores, raw) = count_rows((v, w), (np.ones(len(c), np.uint32), c))
-        rows = list(split_pairs(vs, ws, befores, raw))
-        rows.append((-1, np.array([int((c == k).sum()) for k in (1, 2, 3, 4)], "<i8").tobytes()))
-        return pa.Table.from_batches([batch(rows)])
-
-    def merge_pairs(table: pa.Table) -> pa.Table:
+    def word_rows(words: np.ndarray, numbers: np.ndarray) -> list:
+        """Blocks of word numbers, by the word's shard."""
+        some = numbers.any(axis=0)
+        words, numbers = words[some], numbers[:, some]
+        return [("word", s, squeeze((words[at], *(x[at] for x in numbers)), -1)) for s, at in by_shard(mix64(words) % np.uint64(word_shards), word_shards)]
+
+    def as_context(numbers: np.ndarray, columns: list[np.ndarray], counts: np.ndarray) -> None:
+        """Add what pairs tell of their words."""
+        numbers[1] += np.bincount(columns[1], minlength=numbers.shape[1]).astype(np.uint64)
+        heads, sums = _runs(columns, counts)
+        for k, x in enumerate(sums):
+            numbers[2 + k][columns[0][heads]] += x
+
+    def merge(table: pa.Table) -> pa.Table:
         shard = table.column("shard")[0].as_py()
-        parts = [_spread(b.as_py(), PAIR) for b in table.column("block")]
-        (v, w), (c, raw) = count_rows(tuple(np.concatenate([p[k] for p in parts]) for k in (0, 1)), tuple(np.concatenate([p[k] for p in parts]) for k in (2, 3)))
-        c, raw = c.astype(np.uint32), raw.astype(np.uint32)
-        h = pair_hash(v, w)
-        order = np.argsort(h)
-        _write(f"{target}/pairs-{shard:07d}", (h[order], c[order]))
-        coc = [int((c == k).sum()) for k in (1, 2, 3, 4)]
-        one = np.ones(len(c), np.uint32)
-        (ws,), (occ, lefts) = count_rows((w,), (raw, one))
-        (vs,), (tot, n1, n2, n3) = count_rows((v,), (c, (c == 1).astype(np.uint32), (c == 2).astype(np.uint32), (c > 2).astype(np.uint32)))
-        zw, zv = np.zeros(len(ws), np.uint32), np.zeros(len(vs), np.uint32)
-        keys, values = count_rows((np.concatenate([ws, vs]),), tuple(np.concatenate(x).astype(np.uint32) for x in ((occ, zv), (lefts, zv), (zw, tot), (zw, n1), (zw, n2), (zw, n3))))
-        columns = (*keys, *(x.astype(np.uint32) for x in values))
-        rows = list(rows_of(columns, mix64(columns[0]) % np.uint64(word_shards), word_shards))
-        rows.append((-1, np.array([len(c), *coc], "<i8").tobytes()))
-        return pa.Table.from_batches([batch(rows)])
+        parts = [_unblock(x.as_py(), order) for x in table.column("block")]
+        words = np.unique(np.concatenate([p[0] for p in parts]))
+        codes = [np.searchsorted(words, p[0]).astype(np.uint32) for p in parts]
+        columns = [np.concatenate([c[p[1][k]] for c, p in zip(codes, parts, strict=True)]) for k in range(order)]
+        counts = np.concatenate([p[2] for p in parts])
+        del parts
+        columns, counts = grouped(columns, len(words), counts)
+        numbers = np.zeros((6, len(words)), np.uint64)
+        np.add.at(numbers[0], columns[-1], counts)
+        arrays, out, facts = {}, [], np.zeros((order, 5), np.int64)
+        for level in range(order, 1, -1):
+            if level < order:  # drop the farthest token; what is left counts the tokens before it
+                columns, counts = grouped([*columns[:-2], columns[-1]], len(words))
+            whole, is_hot, is_pair = places(words, columns, hot, hot_pairs)
+            if level == 2:
+                part = is_hot if order > 2 else np.zeros(len(counts), bool)
+                for s, at in by_shard(mix64(_hashes(words, columns)[1][part]) % np.uint64(shards), shards):
+                    at = np.flatnonzero(part)[at]
+                    out.append(("pair", s, _block(words, [c[at] for c in columns], counts[at])))
+                columns, counts = [c[~part] for c in columns], counts[~part]
+                as_context(numbers, columns, counts)
+            else:
+                heads, sums = _runs(columns, counts)
+                context, split = _hashes(words, columns)[0][heads], is_pair[heads]
+                arrays[f"context{level}"] = _array(context[~split], *(x[~split] for x in sums))
+                if split.any():
+                    rows = np.sort(context[split]), np.argsort(context[split])
+                    out += [(f"context{level}", s, squeeze((rows[0][at], *(x[split][rows[1]][at] for x in sums)), -1)) for s, at in by_shard(mix64(rows[0]) % np.uint64(shards), shards)]
+            arrays[f"gram{level}"] = _array(_hashes(words, columns)[1], counts)
+            facts[level - 1] = _census(counts)
+        hash_arrays.write(f"{target}/grams-{shard:07d}", arrays)
+        out += word_rows(words, numbers)
+        out.append(("fact", -1, facts.tobytes()))
+        release_memory()
+        return pa.Table.from_batches([batch(out)])
+
+    def merge_hot(table: pa.Table) -> pa.Table:
+        shard, kinds, blocks = table.column("shard")[0].as_py(), table.column("kind").to_pylist(), table.column("block").to_pylist()
+        arrays, out, facts = {}, [], np.zeros((order, 5), np.int64)
+        for level in range(3, order + 1):
+            if parts := [spread(x, ("u8",) * 5, -1) for k, x in zip(kinds, blocks, strict=True) if k == f"context{level}"]:
+                keys, sums = _summed([np.concatenate([p[i] for p in parts]) for i in range(5)])
+                arrays[f"context{level}"] = hash_arrays.pack(keys, sums)
+        if parts := [_unblock(x, 2) for k, x in zip(kinds, blocks, strict=True) if k == "pair"]:
+            words = np.unique(np.concatenate([p[0] for p in parts]))
+            columns = [np.concatenate([np.searchsorted(words, p[0]).astype(np.uint32)[p[1][k]] for p in parts]) for k in range(2)]
+            columns, counts = grouped(columns, len(words), np.concatenate([p[2] for p in parts]))
+            arrays["gram2"] = _array(_hashes(words, columns)[1], counts)
+            facts[1] = _census(counts)
+            numbers = np.zeros((6, len(words)), np.uint64)
+            as_context(numbers, columns, counts)
+            out += word_rows(words, numbers)
+        hash_arrays.write(f"{target}/hot-{shard:07d}", arrays)
+        out.append(("fact", -1, facts.tobytes()))
+        return pa.Table.from_batches([batch(out)])
 
     def merge_words(table: pa.Table) -> pa.Table:
-        shard = table.column("shard")[0].as_py()
+        shard, blocks = table.column("shard")[0].as_py(), table.column("block").to_pylist()
         if shard < 0:
-            sums = np.sum([np.frombuffer(b.as_py(), "<i8") for b in table.column("block")], axis=0)
-            return pa.table({"kind": ["pairs"], "sums": [sums.tolist()]})
-        parts = [_spread(b.as_py(), WORD) for b in table.column("block")]
-        (k,), values = count_rows((np.concatenate([p[0] for p in parts]),), tuple(np.concatenate([p[i] for p in parts]).astype(np.uint64) for i in range(1, len(WORD))))
-        _write(f"{target}/words-{shard:07d}", (k, *values))
-        occ, lefts = values[0], values[1]
-        return pa.table({"kind": ["words"], "sums": [[int((occ > 0).sum()), int(occ.sum()), *(int((lefts == n).sum()) for n in (1, 2, 3, 4))]]})
-
-    blocks = df.select(body).mapInArrow(gather, "shard int, block binary")
-    triple_discounts = (0.0, 0.0, 0.0)
-    if order == 3:
-        blocks = stored(blocks.groupBy("shard").applyInArrow(merge_triples, "shard int, block binary"), "kneser-ney-pairs")
-        sums = [0] * 4
-        for r in blocks.filter("shard < 0").select("block").collect():
-            sums = [int(a + b) for a, b in zip(sums, np.frombuffer(bytes(r[0]), "<i8"), strict=True)]
-        triple_discounts = discounts(*sums)
-        blocks = blocks.filter("shard >= 0")
-    known = stored(blocks.groupBy("shard").applyInArrow(merge_pairs, "shard int, block binary"), "kneser-ney-words")
-    facts = known.groupBy("shard").applyInArrow(merge_words, "kind string, sums array<long>")
-    total = {"pairs": [0] * 5, "words": [0] * 6}
-    for kind, at, n in facts.select("kind", F.posexplode("sums").alias("at", "n")).groupBy("kind", "at").agg(F.sum("n")).collect():
+            facts = np.sum([np.frombuffer(x, np.int64) for x in blocks], axis=0)
+            return pa.table({"kind": ["grams"], "sums": [facts.tolist()]})
+        parts = [spread(x, WORD, -1) for x in blocks]
+        keys, sums = _summed([np.concatenate([p[i] for p in parts]) for i in range(7)])
+        hash_arrays.write(f"{target}/words-{shard:07d}", {"words": hash_arrays.pack(keys, sums)})
+        return pa.table({"kind": ["words"], "sums": [[int((sums[0] > 0).sum()), int(sums[0].sum()), *_census(sums[1])[1:]]]})
+
+    shape = "kind string, shard int, block binary"
+    first = stored(df.select(body).mapInArrow(gather, shape).groupBy("shard").applyInArrow(merge, shape), "kneser-ney-merged")
+    second = stored(first.filter(F.col("kind").rlike("pair|context")).groupBy("shard").applyInArrow(merge_hot, shape), "kneser-ney-hot")
+    final = first.unionByName(second).filter("kind in ('word', 'fact')").groupBy("shard").applyInArrow(merge_words, "kind string, sums array<long>")
+    total = {"grams": [0] * 5 * order, "words": [0] * 6}
+    for kind, at, n in final.select("kind", F.posexplode("sums").alias("at", "n")).groupBy("kind", "at").agg(F.sum("n")).collect():
         total[kind][at] = n
-    p, w = total["pairs"], total["words"]
-    return Model(target, shards, word_shards, w[1], w[0], p[0], (w[2], w[3], w[0] - w[2] - w[3]), discounts(*p[1:]), discounts(*w[2:]), hot, order, triple_discounts)
+    dropped(first, second)
+    w, g = total["words"], [total["grams"][5 * k : 5 * k + 5] for k in range(1, order)]
+    return Model(target, order, shards, word_shards, w[1], w[0], g[0][0], (w[2], w[3], w[0] - w[2] - w[3]), (discounts(*w[2:]), *(discounts(*x[1:]) for x in g)), hot, hot_pairs)
+
+
+def _summed(columns: list[np.ndarray]) -> tuple[np.ndarray, list[np.ndarray]]:
+    """Distinct keys (the first column) in order, and the sums of the other columns."""
+    order = np.argsort(columns[0])
+    keys = columns[0][order]
+    at = np.flatnonzero(changes((keys,)))
+    return keys[at], [np.add.reduceat(c[order], at) if len(at) else c for c in columns[1:]]
+
+
+def _hot_contexts(drawn: DataFrame, share: float) -> tuple[np.ndarray, np.ndarray]:
+    """Hashes of the tokens, and of the pairs of tokens, that stand before more than ``share`` of a sample's tokens.
+
+    At most 1 / share of each reach the driver; the marks before a text always count as frequent.
+    """
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            for i in range(0, b.num_rows, 512):
+                texts = b.column(0).slice(i, 512).to_pylist()
+                for lo, hi in _chunks(texts):
+                    words, (left, before, _) = coded(*tokenise(texts[lo:hi]), 3)
+                    single, pair = words[left], pair_hash(words[left], words[before])
+                    for kind, values in ((0, single), (1, pair)):
+                        h, n = np.unique(values, return_counts=True)
+                        yield pa.RecordBatch.from_arrays([pa.array(np.full(len(h), kind, "i4")), pa.array(h.view("i8")), pa.array(n)], names=["kind", "h", "n"])
+
+    counts = stored(drawn.mapInArrow(run, "kind int, h long, n long").groupBy("kind", "h").agg(F.sum("n").alias("n")), "kneser-ney-sample")
+    total = counts.filter("kind = 0").agg(F.coalesce(F.sum("n"), F.lit(0))).first()[0]
+    rows = counts.filter((F.col("n") > share * total) & (F.col("n") > 2)).collect()
+    dropped(counts)
+    mark = np.array([START])
+    found = [np.array([r["h"] for r in rows if r["kind"] == k], "i8").view("u8") for k in (0, 1)]
+    return np.unique(np.append(found[0], mark)), np.unique(np.append(found[1], pair_hash(mark, mark)))
 
 
 class Lookup:
     """The arrays of a model, opened when first needed."""
 
     def __init__(self, model: Model):
-        self.model, self.files = model, {}
-
-    def _shard(self, kind: str, s: int) -> tuple[np.ndarray, ...]:
-        if (kind, s) not in self.files:
-            self.files[kind, s] = _open(f"{self.model.path}/{kind}-{s:07d}", {"words": WORD_FILE, "contexts": ("u8", "u4", "u4", "u4", "u4")}.get(kind, ("u8", "u4")))
-        return self.files[kind, s]
+        self.model, self.files = model, hash_arrays.Files(model.path)
 
-    def _find(self, kind: str, keys: np.ndarray, shard: np.ndarray, shards: int, fields: int) -> list[np.ndarray]:
+    def find(self, file: str, label: str, keys: np.ndarray, place: np.ndarray, shards: int, fields: int) -> list[np.ndarray]:
+        """Numbers of each key, zero where it is not known; ``place`` tells the file."""
         out = [np.zeros(len(keys), np.int64) for _ in range(fields)]
-        for s, rows in _by_shard(shard, shards):
-            stored_keys, *values = self._shard(kind, s)
-            if not len(stored_keys):
+        for s, rows in by_shard(mix64(place) % np.uint64(shards), shards):
+            array = self.files.array(f"{file}-{s:07d}", label)
+            if array is None:
                 continue
             rows = rows[np.argsort(keys[rows])]
-            at = np.minimum(np.searchsorted(stored_keys, keys[rows]), len(stored_keys) - 1)
-            hit = stored_keys[at] == keys[rows]
-            for o, v in zip(out, values, strict=True):
-                o[rows[hit]] = v[at[hit]]
+            hit, got = array.find(keys[rows])
+            for o, v in zip(out, got, strict=True):
+                o[rows[hit]] = v
         return out
 
     def words(self, tokens: np.ndarray) -> list[np.ndarray]:
-        m = self.model.word_shards
-        return self._find("words", tokens, mix64(tokens) % np.uint64(m), m, 6)
-
-    def pair_counts(self, v: np.ndarray, w: np.ndarray, hot: np.ndarray) -> np.ndarray:
-        m = self.model.pair_shards
-        return self._find("pairs", pair_hash(v, w), mix64(np.where(hot, v ^ mix64(w), v)) % np.uint64(m), m, 1)[0]
-
-    def contexts(self, u: np.ndarray) -> list[np.ndarray]:
-        m = self.model.pair_shards
-        return self._find("contexts", u, mix64(u) % np.uint64(m), m, 4)
-
-    def triple_counts(self, u: np.ndarray, w: np.ndarray) -> np.ndarray:
-        m = self.model.pair_shards
-        return self._find("triples", pair_hash(u, w), mix64(u) % np.uint64(m), m, 1)[0]
-
-
-def _discount(count: np.ndarray, d: tuple[float, float, float]) -> np.ndarray:
+        return self.find("words", "words", tokens, tokens, self.model.word_shards, 6)
+
+    def grams(self, words: np.ndarray, columns: list[np.ndarray], numbers: list[np.ndarray]) -> tuple[np.ndarray, list[np.ndarray]]:
+        """Counts of n-grams, and totals and grams seen once, twice and more of their contexts."""
+        m, level = self.model, len(columns)
+        place, is_hot, is_pair = places(words, columns, m.hot, m.hot_pairs)
+        context, whole = _hashes(words, columns)
+
+        def split(label: str, keys: np.ndarray, part: np.ndarray, fields: int) -> list[np.ndarray]:
+            out = [np.zeros(len(keys), np.int64) for _ in range(fields)]
+            for rows, file, at in ((np.flatnonzero(~part), "grams", place), (np.flatnonzero(part), "hot", keys)):
+                if len(rows):
+                    for o, v in zip(out, self.find(file, label, keys[rows], at[rows], m.shards, fields), strict=True):
+                        o[rows] = v
+            return out
+
+        nothing = np.zeros(len(whole), bool)
+        count = split(f"gram{level}", whole, is_hot if level == 2 < m.order else nothing, 1)[0]
+        if level == 2:
+            return count, [x[columns[0]] for x in numbers]
+        heads = np.flatnonzero(changes(tuple(columns[:-1])))
+        run = np.cumsum(changes(tuple(columns[:-1]))) - 1
+        context, place, is_pair = context[heads], place[heads], is_pair[heads]
+        return count, [x[run] for x in split(f"context{level}", context, is_pair, 4)]
+
+
+def _discounted(count: np.ndarray, d: tuple[float, float, float]) -> np.ndarray:
     return np.where(count > 0, count - np.array([0.0, *d])[np.minimum(count, 3)], 0.0)
 
 
@@ -374,33 +427,28 @@ def log_scores(look: Lookup, texts: list[bytes]) -> tuple[np.ndarray, ...]:
     """Tokens, known tokens, base score and model score (log10) of each text."""
     m = look.model
     tokens, n = tokenise(texts)
-    words, back = np.unique(np.append(tokens, START), return_inverse=True)
-    occ, lefts, total, n1, n2, n3 = look.words(words)
-    w, start = back[:-1], back[-1]
-    first = np.concatenate([[0], np.cumsum(n)[:-1]])
-    v = np.concatenate([[start], w[:-1]])
-    v[first] = start
-    code, where = np.unique(v.astype(np.int64) * len(words) + w, return_inverse=True)
-    cv, cw = code // len(words), code % len(words)
-    count = look.pair_counts(words[cv], words[cw], np.isin(words[cv], m.hot))
-    spare = 1.0 / (m.vocabulary + 1)
+    words, columns = coded(tokens, n, m.order)
+    occ, lefts, *numbers = look.words(words)
+    w, k = columns[-1], len(words)
+    low = np.full(k, 1.0 / (m.vocabulary + 1))
     if m.pair_types:
-        freed = sum(d * t for d, t in zip(m.word_discounts, m.word_types, strict=True)) / m.pair_types
-        low = _discount(lefts, m.word_discounts) / m.pair_types + freed * spare
-    else:
-        low = np.full(len(words), spare)
-    d, ctx = m.pair_discounts, total[cv]
-    gamma = np.where(ctx > 0, (d[0] * n1[cv] + d[1] * n2[cv] + d[2] * n3[cv]) / np.maximum(ctx, 1), 1.0)
-    prob = np.where(ctx > 0, _discount(count, d) / np.maximum(ctx, 1), 0.0) + gamma * low[cw]
-    each = prob[where]
-    if m.order == 3:
-        u = triples(tokens, n)[0]
-        us, at = np.unique(u, return_inverse=True)
-        total, n1, n2, n3 = (x[at] for x in look.contexts(us))
-        d = m.triple_discounts
-        gamma = np.where(total > 0, (d[0] * n1 + d[1] * n2 + d[2] * n3) / np.maximum(total, 1), 1.0)
-        each = np.where(total > 0, _discount(look.triple_counts(u, tokens), d) / np.maximum(total, 1), 0.0) + gamma * each
+        freed = sum(d * t for d, t in zip(m.discounts[0], m.word_types, strict=True)) / m.pair_types
+        low = _discounted(lefts, m.discounts[0]) / m.pair_types + freed * low
+    keys, p_low = None, low
+    for level in range(2, m.order + 1):
+        # The distinct n-grams of this order, and the row of each token's.
+        key, rows = _packed([*columns[: level - 1], w], k)
+        _, first, where = np.unique(key, return_index=True, return_inverse=True)
+        some = [c[first] for c in [*columns[: level - 1], w]]
+        count, (total, n1, n2, n3) = look.grams(words, some, numbers)
+        d = m.discounts[level - 1]
+        known = total > 0
+        gamma = np.where(known, (d[0] * n1 + d[1] * n2 + d[2] * n3) / np.maximum(total, 1), 1.0)
+        below = p_low[some[-1]] if keys is None else p_low[keys[first]]
+        p_low, keys = np.where(known, _discounted(count, d) / np.maximum(total, 1), 0.0) + gamma * below, where
+    each = p_low[keys]
     base = np.log10((occ + 1) / (m.tokens + (m.vocabulary + 1)))
+    first = np.concatenate([[0], np.cumsum(n)[:-1]])
     return n, np.add.reduceat((occ[w] > 0).astype(np.int64), first), np.add.reduceat(base[w], first), np.add.reduceat(np.log10(each), first)
 
 
@@ -411,15 +459,13 @@ def score(df: DataFrame, model: Model, id_col: str = "doc_id", text: str = "text
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         look = Lookup(model)
         for b in batches:
-            for i in range(0, b.num_rows, 1024):
-                piece = b.slice(i, 1024)
-                texts = piece.column(1).to_pylist()
-                for lo, hi in _chunks(texts):
-                    n, known, base, got = log_scores(look, texts[lo:hi])
-                    yield pa.RecordBatch.from_arrays([piece.column(0).slice(lo, hi - lo), pa.array(n, pa.int64()), pa.array(known, pa.int64()), pa.array(base), pa.array(got)], names=[id_col, "n_tokens", "n_known", "base_score", "score"])
+            texts = b.column(1).to_pylist()
+            for lo, hi in _chunks(texts):
+                n, known, base, got = log_scores(look, texts[lo:hi])
+                yield pa.RecordBatch.from_arrays([b.column(0).slice(lo, hi - lo), pa.array(n, pa.int64()), pa.array(known, pa.int64()), pa.array(base), pa.array(got)], names=[id_col, "n_tokens", "n_known", "base_score", "score"])
 
     body = F.encode(F.coalesce(F.col(text), F.lit("")), "UTF-8")
-    return df.select(F.col(id_col), body.alias("text")).mapInArrow(run, f"`{id_col}` {kind}, n_tokens long, n_known long, base_score double, score double")
+    return df.select(F.col(f"`{id_col}`"), body.alias("text")).mapInArrow(run, f"`{id_col}` {kind}, n_tokens long, n_known long, base_score double, score double")
 
 
 def fold(id_col: Column, folds: int = 7) -> Column:
