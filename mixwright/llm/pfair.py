@@ -1,81 +1,83 @@
 """Mixing sources to target weights by Pfair scheduling.
 
-Each source's records are cut into blocks of about ``block_bytes``. With weight w, block j (from 0) may not come
-before floor(j / w) and is due by ceil((j + 1) / w). Earliest deadline first over these windows fills one block
+Each source's records are cut into blocks of about ``block_bytes``. With weight w, an exact fraction, block j (from 0) may
+not come before floor(j / w) and is due by ceil((j + 1) / w). Earliest deadline first over these windows fills one block
 per slot, and at every moment each source has had its weight's share of the slots to within less than one block.
 
-Weights are integers over a common ``period``; the windows then repeat with that period, so one period is
-simulated (``period`` slots, on the driver) and slot(source, j) follows by arithmetic for any number of blocks.
-What reaches the driver is a row per source; the schedule that is broadcast has ``period`` rows at any corpus size.
+When a source has no block left, the weights of the others are scaled up and their windows start anew from that slot, so every
+block gets a slot and none stays empty. The first such phase is the longest mixture at the target weights; its
+blocks are ``selected``.
+
+The schedule is simulated on the driver, a heap step a slot. Slots are at most ``most_slots`` and one a source, as blocks grow with the
+corpus beyond that; the schedule that is broadcast has as many rows. What else reaches the driver is a row per source.
 
 Block numbers need running sums inside a source. A source may hold a third of all rows, so sums run inside hashed
-chunks of about ``chunk_rows`` rows, and the chunk totals are summed in a second, small step.
+chunks of about ``chunk_rows`` rows of one source, and the chunk totals are summed in a second, small step. Rows alike in
+id, source and size, which need no order among them, share a chunk only up to a hash of their other columns.
 
-Defined results: a null source is a source of its own; a null text has no bytes; repeated rows and ids are each
-placed; an empty table gives an empty
-result; columns of the input pass through, but for those named like a result, which are replaced.
+Defined results: a null source is a source of its own; a null text has no bytes; repeated and null ids are each
+placed; a source without bytes is one block; an empty table gives an empty result; columns of the input pass through, but for those
+named like a result, which are replaced; ids may be of any type.
 """
 
 from __future__ import annotations
 
 import heapq
+from fractions import Fraction
 
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from .shared import free_names, stored
 
+RESULT = ("block", "slot", "release", "deadline", "selected")
+
 
-def capped_weights(mass: dict, ceiling: float) -> dict:
-    """Natural shares, but none above ``ceiling`` (or an even share, if that is larger); the excess goes to the others in proportion."""
-    mass = {k: v for k, v in mass.items() if v > 0}
-    limit = max(ceiling, 1 / len(mass)) if mass else 1.0
+def capped_weights(mass: dict, ceiling: float | Fraction) -> dict:
+    """Natural shares as fractions, but none above ``ceiling`` (or an even share, if that is larger); the excess goes to the others in proportion."""
+    mass = {k: Fraction(v) for k, v in mass.items() if v > 0}
+    limit = max(Fraction(ceiling).limit_denominator(10**9), Fraction(1, len(mass))) if mass else Fraction(1)
     fixed: set = set()
     while True:
         free = sum(v for k, v in mass.items() if k not in fixed)
         left = 1 - limit * len(fixed)
-        over = {k for k, v in mass.items() if k not in fixed and free and v * left > limit * free * (1 + 1e-12)}
+        over = {k for k, v in mass.items() if k not in fixed and free and v * left > limit * free}
         if not over:
             return {k: limit if k in fixed else v * left / free for k, v in mass.items()}
         fixed |= over
 
 
-def whole_weights(weights: dict, period: int) -> dict:
-    """Integers of sum ``period``, each at least 1, nearest to the weights by largest remainder."""
-    names = sorted(weights, key=lambda k: (k is not None, str(k)))
-    if len(names) > period:
-        raise ValueError(f"{len(names)} sources need a period of at least as many slots")
-    total = sum(weights.values())
-    exact = {k: weights[k] * period / total for k in names}
-    out = {k: max(1, int(exact[k])) for k in names}
-    for k in sorted(names, key=lambda k: int(exact[k]) - exact[k])[: max(0, period - sum(out.values()))]:
-        out[k] += 1
-    while (over := sum(out.values()) - period) > 0:
-        k = max(out, key=lambda k: (out[k] - exact[k], out[k]))
-        out[k] -= min(over, max(1, out[k] - max(1, round(exact[k]))))
-    return out
-
-
-def windows(j: int, share: int, period: int) -> tuple[int, int]:
+def windows(j: int, weight: Fraction) -> tuple[int, int]:
     """Release and deadline of block j."""
-    return j * period // share, -(-(j + 1) * period // share)
-
-
-def one_period(shares: dict, period: int) -> list[tuple]:
-    """(source, j, slot) of one period by earliest deadline first."""
-    ready, later, out = [], [], []
-    names = list(shares)
-    for i, k in enumerate(names):
-        heapq.heappush(later, (*windows(0, shares[k], period), i, 0))
-    for slot in range(period):
-        while later and later[0][0] <= slot:
-            release, due, i, j = heapq.heappop(later)
-            heapq.heappush(ready, (due, i, j))
-        due, i, j = heapq.heappop(ready)
-        if due <= slot:
-            raise AssertionError("a deadline is missed")
-        out.append((names[i], j, slot))
-        heapq.heappush(later, (*windows(j + 1, shares[names[i]], period), i, j + 1))
+    return j * weight.denominator // weight.numerator, -(-(j + 1) * weight.denominator // weight.numerator)
+
+
+def schedule(blocks: dict, weights: dict) -> list[tuple]:
+    """(source, block, slot, release, deadline, phase) of all blocks by earliest deadline first."""
+    names = sorted((k for k in blocks if blocks[k]), key=lambda k: (k is not None, str(k)))
+    done, out, slot, phase = dict.fromkeys(names, 0), [], 0, 0
+    while names:
+        total = sum(Fraction(weights[k]) for k in names)
+        share = [Fraction(weights[k]) / total for k in names]
+        origin, first = slot, [done[k] for k in names]
+        later, ready = [(0, windows(0, w)[1], i, 0) for i, w in enumerate(share)], []
+        heapq.heapify(later)
+        while True:
+            while later and later[0][0] <= slot - origin:
+                release, due, i, j = heapq.heappop(later)
+                heapq.heappush(ready, (due, i, j, release))
+            due, i, j, release = heapq.heappop(ready)
+            if due <= slot - origin:
+                raise AssertionError("a deadline is missed")
+            out.append((names[i], first[i] + j, slot, origin + release, origin + due, phase))
+            slot += 1
+            done[names[i]] += 1
+            if done[names[i]] == blocks[names[i]]:
+                break
+            heapq.heappush(later, (*windows(j + 1, share[i]), i, j + 1))
+        names = [k for k in names if done[k] < blocks[k]]
+        phase += 1
     return out
 
 
@@ -86,59 +88,53 @@ def mix(
     id_col: str = "doc_id",
     size: Column | None = None,
     block_bytes: int = 1 << 16,
-    period: int = 4096,
     ceiling: float = 0.25,
-    chunk_rows: int = 8_192,
+    chunk_rows: int = 2_048,
+    most_slots: int = 1 << 18,
 ) -> DataFrame:
     """Append block, slot, release, deadline and selected.
 
-    ``selected`` marks the longest mixture that holds the weights without repeating a record: a source gives at
-    most its weight's part of that mixture. Without ``weights`` each source has its natural share up to
-    ``ceiling``. Rows of equal slot belong to one block.
+    ``selected`` marks the longest mixture that holds the weights without repeating a record; the blocks behind it follow at the weights of
+    the sources that are left. Without ``weights`` each source has its natural share up to ``ceiling``. Rows of equal slot
+    belong to one block.
     """
     size = F.octet_length("text") if size is None else size
-    c, s, b, u, base, share, per = free_names(df, "_m_chunk", "_m_size", "_m_before", "_m_upto", "_m_base", "_m_share", "_m_in")
-    sized = df.withColumn(s, F.coalesce(size, F.lit(0)).cast("long"))
-    stats = {r[0]: (r[1], r[2]) for r in sized.groupBy(source).agg(F.sum(s), F.count("*")).collect()}
-    out_cols = [F.col(f"`{x}`") for x in df.columns if x.lower() not in ("block", "slot", "release", "deadline", "selected")]
+    id_, src, chunk, bytes_, upto, base, at, chunks = free_names(df, "_m_id", "_m_source", "_m_chunk", "_m_size", "_m_upto", "_m_base", "_m_block", "_m_chunks")
+    by_source, by_chunk, in_plan, of_block = free_names(df, "_s_source", "_c_source", "_p_source", "_p_block")
+    keep = [c for c in df.columns if c.lower() not in RESULT]
+    plain = [f.name for f in df.schema if not isinstance(f.dataType, (T.MapType, T.ArrayType, T.StructType, T.VariantType, T.BinaryType)) and f.name != "text"]
+    named = df.withColumns({id_: F.xxhash64(F.col(f"`{id_col}`").cast("string"), F.lit("mix")), src: F.col(f"`{source}`").cast("string"), bytes_: F.coalesce(size, F.lit(0)).cast("long"), chunk: F.xxhash64(*[F.col(f"`{c}`") for c in plain])})
+    stats = {r[0]: (r[1], r[2]) for r in named.groupBy(src).agg(F.sum(bytes_), F.count("*")).collect()}
+    shape = "block long, slot long, release long, deadline long, selected boolean"
     if not stats:
-        return sized.select(*out_cols, *[F.lit(0).cast("long").alias(x) for x in ("block", "slot", "release", "deadline")], F.lit(True).alias("selected"))
+        return named.select(*[F.col(f"`{c}`") for c in keep], *[F.lit(None).cast(f.split()[1]).alias(f.split()[0]) for f in shape.split(", ")])
     mass = {k: max(1, v[0]) for k, v in stats.items()}
     if weights is None:
         target = capped_weights(mass, ceiling)
     else:
         if missing := [k for k in mass if not weights.get(k)]:
             raise ValueError(f"no weight for sources {missing}")
-        target = {k: weights[k] for k in mass}
-    total = sum(target.values())
-    length = min(mass[k] * total / target[k] for k in mass)
-    quota = {k: target[k] / total * length for k in mass}
-    shares = whole_weights(target, period)
-    chunks = max(1, -(-sum(v[1] for v in stats.values()) // chunk_rows))
+        target = {k: Fraction(weights[k]) for k in mass}
+    step = max(block_bytes, -(-sum(mass.values()) // most_slots))
+    # A record lies in the block of its first byte; an empty one at a source's end may lie in a block of its own.
+    plan = schedule({k: v[0] // step + 1 for k, v in stats.items()}, target)
     spark = df.sparkSession
-    facts = spark.createDataFrame([(k, shares[k], float(quota[k])) for k in shares], f"_w_source string, {share} long, _w_quota double")
-    plan = spark.createDataFrame(one_period(shares, period), "_p_source string, _p_j long, _p_slot long")
-    known = sized.withColumn(c, F.pmod(F.xxhash64(F.col(id_col).cast("string")), F.lit(chunks)))
-    order = Window.partitionBy(source, c).orderBy(F.xxhash64(F.col(id_col).cast("string"), F.lit("mix")), id_col).rowsBetween(Window.unboundedPreceding, Window.currentRow)
-    parts = known.groupBy(F.col(source).alias("_c_source"), F.col(c).alias("_c_chunk")).agg(F.sum(s).alias("_c_size"))
-    parts = parts.withColumn(base, F.sum("_c_size").over(Window.partitionBy("_c_source").orderBy("_c_chunk").rowsBetween(Window.unboundedPreceding, Window.currentRow)) - F.col("_c_size"))
+    plan = spark.createDataFrame([(k, j, s, r, d, p == 0) for k, j, s, r, d, p in plan], f"{in_plan} string, {of_block} long, {shape.split(', ', 1)[1]}")
+    facts = spark.createDataFrame([(k, max(1, -(-v[1] // chunk_rows))) for k, v in stats.items()], f"{by_source} string, {chunks} long")
+    known = named.join(F.broadcast(facts), F.col(src).eqNullSafe(F.col(by_source))).withColumn(chunk, F.pmod(F.col(chunk), F.col(chunks)))
+    before = Window.partitionBy(src, chunk).orderBy(id_, f"`{id_col}`", bytes_).rowsBetween(Window.unboundedPreceding, Window.currentRow)
+    other = f"{by_chunk}_at"
+    parts = known.groupBy(F.col(src).alias(by_chunk), F.col(chunk).alias(other)).agg(F.sum(bytes_).alias(upto))
+    run = Window.partitionBy(by_chunk).orderBy(other).rowsBetween(Window.unboundedPreceding, Window.currentRow)
+    parts = parts.select(by_chunk, other, (F.sum(upto).over(run) - F.col(upto)).alias(base))
     placed = (
-        known.withColumn(u, F.sum(s).over(order) - F.col(s))
-        .join(parts, F.col(source).eqNullSafe(F.col("_c_source")) & (F.col(c) == F.col("_c_chunk")))
-        .join(F.broadcast(facts), F.col(source).cast("string").eqNullSafe(F.col("_w_source")))
-        .withColumn(b, F.col(base) + F.col(u))
-        .withColumn("block", F.expr(f"`{b}` div {block_bytes}"))
-        .withColumn(per, F.col("block") % F.col(share))
-        .join(F.broadcast(plan), F.col("_w_source").eqNullSafe(F.col("_p_source")) & (F.col(per) == F.col("_p_j")))
-    )
-    return placed.select(
-        *[x for x in out_cols],
-        "block",
-        F.expr(f"(block div `{share}`) * {period} + _p_slot").alias("slot"),
-        F.expr(f"block * {period} div `{share}`").alias("release"),
-        F.expr(f"((block + 1) * {period} + `{share}` - 1) div `{share}`").alias("deadline"),
-        (F.col(b) < F.col("_w_quota")).alias("selected"),
+        known.withColumn(upto, F.sum(bytes_).over(before) - F.col(bytes_))
+        .join(parts, F.col(src).eqNullSafe(F.col(by_chunk)) & (F.col(chunk) == F.col(other)))
+        .withColumn(at, F.expr(f"(`{base}` + `{upto}`) div {step}"))
+        .drop(*[c for c in df.columns if c not in keep])
+        .join(F.broadcast(plan), F.col(src).eqNullSafe(F.col(in_plan)) & (F.col(at) == F.col(of_block)))
     )
+    return placed.select(*[F.col(f"`{c}`") for c in keep], F.col(at).alias("block"), "slot", "release", "deadline", "selected")
 
 
-__all__ = ["capped_weights", "mix", "one_period", "stored", "whole_weights", "windows"]
+__all__ = ["capped_weights", "mix", "schedule", "stored", "windows"]
