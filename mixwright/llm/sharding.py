@@ -26,7 +26,7 @@ from .shared import stored
 OVERHEAD = 16
 
 
-def _locate(keys: np.ndarray, ties: np.ndarray, key: np.ndarray, tie: np.ndarray) -> np.ndarray:
+def locate(keys: np.ndarray, ties: np.ndarray, key: np.ndarray, tie: np.ndarray) -> np.ndarray:
     """Number of splitters at or below each (key, tie) pair."""
     low, high = np.searchsorted(keys, key, "left"), np.searchsorted(keys, key, "right")
     out = high.copy()
@@ -43,7 +43,7 @@ def _ranged(narrow: DataFrame, splitters: list[tuple[int, int]]) -> DataFrame:
     @F.pandas_udf("int")
     def place(batches: Iterator[tuple[pd.Series, pd.Series]]) -> Iterator[pd.Series]:
         for key, tie in batches:
-            yield pd.Series(_locate(keys, ties, key.to_numpy(), tie.to_numpy()).astype(np.int32))
+            yield pd.Series(locate(keys, ties, key.to_numpy(), tie.to_numpy()).astype(np.int32))
 
     return narrow.withColumn("range", place("key", "tie"))
 
@@ -77,7 +77,7 @@ def shard(df: DataFrame, shards: int = 40, id_col: str = "doc_id", text: str = "
             break
         mass = sum(counts[k][1] for k in full)
         inside = sample(placed.filter(F.col("range").isin(list(full))), sum(full.values()) * oversample, mass)
-        where = _locate(np.array([k for k, _ in splitters], dtype=np.int64), np.array([t for _, t in splitters], dtype=np.int64), np.array([k for k, _ in inside], dtype=np.int64), np.array([t for _, t in inside], dtype=np.int64))
+        where = locate(np.array([k for k, _ in splitters], dtype=np.int64), np.array([t for _, t in splitters], dtype=np.int64), np.array([k for k, _ in inside], dtype=np.int64), np.array([t for _, t in inside], dtype=np.int64))
         more = set(splitters)
         for k, parts in full.items():
             more.update(_quantiles([s for s, w in zip(inside, where, strict=True) if w == k], parts))

@@ -4,20 +4,25 @@ An id is split into chunks of 8 bits, lowest first. Level 0 holds the first chun
 which ids go on; level 1 holds the second chunks of those that do, and so on. A rank directory (ones before every 512th
 bit) turns a position in one level into that in the next, so token i is read with one byte and one rank a level.
 
-Texts are encoded where they are read; only ids, compressed, are shuffled, to ranges of the id column of about
-``file_rows`` records. Each range is sorted and written as one file in the shared folder, named afresh by each attempt, so a
-task that runs twice leaves an unused file and nothing else. Range boundaries are approximate quantiles of the ids:
-one number per file reaches the driver.
+Texts are encoded where they are read; only ids, compressed, are shuffled, to ranges of (id, hash of the text) of about
+``file_bytes`` of text, so rows of one id may fill many files. Each range is sorted and written as one file in the shared folder,
+named afresh by each attempt, so a task that runs twice leaves an unused file and nothing else. Boundaries are quantiles of a
+size-weighted sample of ``oversample`` keys a file; files are at most ``most_files``, as they grow with the corpus beyond
+that, and so is what reaches the driver. Single tokens are read by ranges of a file: one byte, one block of the bitmap
+and one rank a level.
 
 Encoding works on words between ASCII white space, which no tokenizer of this kind joins, and keeps a bounded dictionary of
-words met before; a test compares it with encoding whole texts.
+words met before; a test compares it with encoding whole texts. Words of Latin letters go straight to the vocabulary model only
+where the tokenizer's own rules say that its normaliser does no more to them than lower their case and compose them.
 
 Defined results: a null text counts as empty and gives the end id alone; a null id sorts first; rows that repeat an id
-are all written, next to each other; an empty table gives an empty result; other columns of the input are ignored.
+are all written, next to each other, by hash of text; an empty table gives an empty result; other columns of the input are ignored; ids must
+be integers.
 """
 
 from __future__ import annotations
 
+import json
 import re
 import struct
 import sys
@@ -33,10 +38,14 @@ import zstandard
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from mixwright.operators.near import integer_ids
+
 from .shared import folder, stored
+from .sharding import locate
 
 MAGIC = b"DAC1"
 BLOCK = 512
+LEAST = -(1 << 63)
 CACHE_WORDS = 500_000
 _loaded: dict = {}
 
@@ -45,11 +54,21 @@ LETTERS = re.compile(r"[A-Za-zÀ-ÖØ-öø-ÿ]+")
 PROBES = ("word", "Word", "WORD", "été", "ÉTÉ", "straße", "a", "é", "unbelievable", "ñandúes", "word.", "Mot,", "été.")
 
 
+def _plain_rules(rules: dict) -> bool:
+    """Whether a word of Latin letters, composed and in lower case, comes out of normaliser and splitter as one piece in visible bytes."""
+    steps = lambda part, kind: [] if not part else part[kind] if part["type"] == "Sequence" else [part]
+    normal, split = steps(rules["normalizer"], "normalizers"), steps(rules["pre_tokenizer"], "pretokenizers")
+    space = lambda x: x["type"] == "Replace" and x["pattern"] == {"Regex": r"\s+"}
+    letters = lambda x: x["type"] == "Split" and r"[\p{L}]+" in x["pattern"].get("Regex", "").split("|")
+    fine = all(x["type"] in ("NFC", "Lowercase") or space(x) for x in normal) and any(x["type"] == "Lowercase" for x in normal)
+    return fine and bool(split) and split[-1]["type"] == "ByteLevel" and not split[-1]["add_prefix_space"] and all(letters(x) for x in split[:-1])
+
+
 class WordEncoder:
     """Ids of a text as little-endian bytes of ``dtype``, by a dictionary of words.
 
     A word of Latin letters alone, or with one full stop or comma behind, goes straight to the vocabulary model, past
-    normaliser and splitter, if this tokenizer gives the probe words the same ids either way; other words take the whole way.
+    normaliser and splitter, if this tokenizer's rules allow it and the probe words get the same ids either way; other words take the whole way.
     """
 
     def __init__(self, path: str, end_id: int):
@@ -64,7 +83,7 @@ class WordEncoder:
         self.letters = {ord(c): visible.pre_tokenize_str(c)[0][0] for c in map(chr, range(0x41, 0x100)) if LETTERS.fullmatch(c)}
         self.marks = {m: self._bytes(self.tokenizer.encode(m, add_special_tokens=False).ids) for m in ".,"}
         self.direct, self.caseless = True, self._case_is_lost()
-        self.direct = all(self._straight(w) == self._bytes(self.tokenizer.encode(w, add_special_tokens=False).ids) for w in PROBES)
+        self.direct = _plain_rules(json.loads(self.tokenizer.to_str())) and all(self._straight(w) == self._bytes(self.tokenizer.encode(w, add_special_tokens=False).ids) for w in PROBES)
 
     @classmethod
     def shared(cls, path: str, end_id: int) -> WordEncoder:
@@ -210,13 +229,18 @@ def read_file(path: str) -> tuple[list, np.ndarray, Codes]:
     return [None if x else int(i) for i, x in zip(ids, null, strict=False)], offsets, Codes(memoryview(data)[at + 8 * (n + 1) :])
 
 
-def write_tokens(df: DataFrame, tokenizer: str, end_id: int = 1, id_col: str = "doc_id", text: str = "text", file_rows: int = 4096) -> DataFrame:
+def write_tokens(df: DataFrame, tokenizer: str, end_id: int = 1, id_col: str = "doc_id", text: str = "text", file_bytes: int = 8 << 20, oversample: int = 16, most_files: int = 1 << 16) -> DataFrame:
     """Encode and write; returns the stored index (part, path, n_docs, n_tokens, start)."""
+    integer_ids(df, id_col)
     spark = df.sparkSession
-    ids = df.select(F.col(id_col).cast("long").alias("id"))
-    parts = max(1, -(-ids.count() // file_rows))
-    cuts = ids.agg(F.percentile_approx("id", [i / parts for i in range(1, parts)], 100 * parts)).first()[0] if parts > 1 else []
-    bounds = np.unique(np.array(cuts or [], dtype=np.int64))
+    body = F.encode(F.coalesce(F.col(text), F.lit("")), "UTF-8")
+    keys = df.select(F.coalesce(F.col(f"`{id_col}`").cast("long"), F.lit(LEAST)).alias("id"), F.xxhash64(body).alias("hash"), (F.octet_length(body) + 16).alias("size"))
+    (total,) = df.agg(F.sum(F.coalesce(F.octet_length(text), F.lit(0)) + 16)).first()
+    parts = min(most_files, max(1, -(-int(total or 0) // file_bytes)))
+    coin = F.shiftrightunsigned(F.xxhash64("id", "hash", F.lit("files")), 11) / F.lit(float(1 << 53))
+    drawn = sorted((r[0], r[1]) for r in keys.filter(coin * F.lit(float(total or 1)) < F.col("size") * float(parts * oversample)).select("id", "hash").collect()) if parts > 1 else []
+    cuts = sorted({drawn[len(drawn) * i // parts] for i in range(1, parts)}) if drawn else []
+    cut_ids, cut_hashes = np.array([c[0] for c in cuts], np.int64), np.array([c[1] for c in cuts], np.int64)
     target = folder(spark, "token-files")
 
     def encode(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -224,15 +248,15 @@ def write_tokens(df: DataFrame, tokenizer: str, end_id: int = 1, id_col: str = "
         for batch in batches:
             for at in range(0, batch.num_rows, 1024):
                 piece = batch.slice(at, 1024)
-                numbers = np.array([-(1 << 63) if k is None else k for k in piece.column(0).to_pylist()], dtype=np.int64)
-                part = np.searchsorted(bounds, numbers, "right")
-                rows = [squeeze.compress(x) for x in coder.encode(piece.column(1).to_pylist())]
-                yield pa.RecordBatch.from_arrays([pa.array(part.astype(np.int32)), piece.column(0), pa.array(rows, pa.binary())], names=["part", "id", "ids"])
+                numbers = piece.column(0).fill_null(LEAST).to_numpy(zero_copy_only=False).astype(np.int64)
+                part = locate(cut_ids, cut_hashes, numbers, piece.column(1).to_numpy(zero_copy_only=False))
+                rows = [squeeze.compress(x) for x in coder.encode(piece.column(2).to_pylist())]
+                yield pa.RecordBatch.from_arrays([pa.array(part.astype(np.int32)), piece.column(0), piece.column(1), pa.array(rows, pa.binary())], names=["part", "id", "hash", "ids"])
 
     def save(table: pa.Table) -> pa.Table:
         coder, spread = WordEncoder.shared(tokenizer, end_id), zstandard.ZstdDecompressor()
-        keys, blobs = table.column("id").to_pylist(), table.column("ids").to_pylist()
-        order = sorted(range(len(keys)), key=lambda i: (keys[i] is not None, keys[i] or 0, blobs[i]))
+        keys, hashes, blobs = (table.column(c).to_pylist() for c in ("id", "hash", "ids"))
+        order = sorted(range(len(keys)), key=lambda i: (keys[i] is not None, keys[i] or 0, hashes[i], blobs[i]))
         raw = [spread.decompress(blobs[i]) for i in order]
         offsets = np.concatenate([[0], np.cumsum([len(x) // coder.dtype.itemsize for x in raw])])
         part = table.column("part")[0].as_py()
@@ -240,33 +264,91 @@ def write_tokens(df: DataFrame, tokenizer: str, end_id: int = 1, id_col: str = "
         write_file(path, [keys[i] for i in order], offsets, np.frombuffer(b"".join(raw), coder.dtype))
         return pa.table({"part": pa.array([part], pa.int32()), "path": [path], "n_docs": [len(keys)], "n_tokens": [int(offsets[-1])]})
 
-    body = F.encode(F.coalesce(F.col(text), F.lit("")), "UTF-8").alias("text")
-    coded = df.select(F.col(id_col).cast("long").alias("id"), body).mapInArrow(encode, "part int, id long, ids binary")
+    coded = df.select(F.col(f"`{id_col}`").cast("long").alias("id"), F.xxhash64(body).alias("hash"), body.alias("text")).mapInArrow(encode, "part int, id long, hash long, ids binary")
     index = stored(coded.groupBy("part").applyInArrow(save, "part int, path string, n_docs long, n_tokens long"), "token-index")
-    before = Window.orderBy("part").rowsBetween(Window.unboundedPreceding, -1)
+    before = Window.orderBy("part").rowsBetween(Window.unboundedPreceding, -1)  # a row per file
     return stored(index.withColumn("start", F.coalesce(F.sum("n_tokens").over(before), F.lit(0)).cast("long")), "token-index")
 
 
-def read_digests(index: DataFrame) -> DataFrame:
-    """(doc_id, start, n_tokens, ids_crc32) read from the files."""
+def _of_files(index: DataFrame, shape: str, rows) -> DataFrame:
+    """``rows`` of (path, start) of each file, files spread over tasks."""
 
     def read(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for path, start in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
-                ids, offsets, codes = read_file(path)
-                crc = [zlib.crc32(codes.slice(int(a), int(b)).astype("<u4").tobytes()) for a, b in zip(offsets[:-1], offsets[1:], strict=True)]
-                yield pa.RecordBatch.from_arrays(
-                    [pa.array(ids, pa.int64()), pa.array(offsets[:-1] + start), pa.array(np.diff(offsets)), pa.array(crc, pa.int64())], names=["doc_id", "start", "n_tokens", "ids_crc32"]
-                )
+                yield rows(path, start)
 
     files = index.select("path", "start")
-    files = files.repartition(min(1 + index.count(), 4096))  # a number keeps a few small rows from being put into one task
-    return files.mapInArrow(read, "doc_id long, start long, n_tokens long, ids_crc32 long")
+    return files.repartition(min(1 + index.count(), 4096)).mapInArrow(read, shape)  # a number keeps a few small rows from being put into one task
+
+
+def read_digests(index: DataFrame) -> DataFrame:
+    """(doc_id, start, n_tokens, ids_crc32) read from the files."""
+
+    def rows(path: str, start: int) -> pa.RecordBatch:
+        ids, offsets, codes = read_file(path)
+        crc = [zlib.crc32(codes.slice(int(a), int(b)).astype("<u4").tobytes()) for a, b in zip(offsets[:-1], offsets[1:], strict=True)]
+        return pa.RecordBatch.from_arrays([pa.array(ids, pa.int64()), pa.array(offsets[:-1] + start), pa.array(np.diff(offsets)), pa.array(crc, pa.int64())], names=["doc_id", "start", "n_tokens", "ids_crc32"])
+
+    return _of_files(index, "doc_id long, start long, n_tokens long, ids_crc32 long", rows)
+
+
+def documents(index: DataFrame) -> DataFrame:
+    """(doc_id, path, first, n_tokens): each document's file and the place of its first token in it."""
+
+    def rows(path: str, start: int) -> pa.RecordBatch:
+        ids, offsets, _ = read_file(path)
+        return pa.RecordBatch.from_arrays([pa.array(ids, pa.int64()), pa.array([path] * len(ids), pa.string()), pa.array(offsets[:-1]), pa.array(np.diff(offsets))], names=["doc_id", "path", "first", "n_tokens"])
+
+    return _of_files(index, "doc_id long, path string, first long, n_tokens long", rows)
+
+
+class TokenFile:
+    """Single tokens of a file by ranged reads; ``taken`` counts the bytes read."""
+
+    def __init__(self, path: str):
+        fs, name = pafs.FileSystem.from_uri(path)
+        self.file, self.taken = fs.open_input_file(name), 0
+        if self._read(0, 4) != MAGIC:
+            raise ValueError(f"{path} is not a token file")
+        n, n_null = struct.unpack("<QQ", self._read(4, 16))
+        at = 20 + n_null + 8 * n + 8 * (n + 1)
+        (levels,) = struct.unpack("<I", self._read(at, 4))
+        at, self.levels = at + 4, []
+        for _ in range(levels):
+            size, ranks = struct.unpack("<QQ", self._read(at, 16))
+            at += 16
+            bits = (ranks - 1) * BLOCK // 8
+            self.levels.append((size, at, at + size, at + size + bits))
+            at += size + bits + 8 * ranks
+
+    def _read(self, at: int, n: int) -> bytes:
+        self.taken += n
+        return self.file.read_at(n, at)
+
+    def __len__(self) -> int:
+        return self.levels[0][0]
+
+    def __getitem__(self, i: int) -> int:
+        if not 0 <= i < len(self):
+            raise IndexError(i)
+        value = shift = 0
+        for _, chunks, bits, ranks in self.levels:
+            value |= self._read(chunks + i, 1)[0] << shift
+            block = i // BLOCK
+            start = block * BLOCK // 8
+            inside = bytearray(self._read(bits + start, (i >> 3) + 1 - start))
+            if not inside[-1] >> (i & 7) & 1:
+                return value
+            inside[-1] &= (1 << (i & 7)) - 1
+            i = struct.unpack("<Q", self._read(ranks + 8 * block, 8))[0] + int.from_bytes(inside, "little").bit_count()
+            shift += 8
+        return value
 
 
 def token_at(index: DataFrame, position: int) -> int:
-    """The token at a global position, by its file's rank directory."""
+    """The token at a global position, by its file's rank directory and a few short reads."""
     row = index.filter((F.col("start") <= position) & (F.col("start") + F.col("n_tokens") > position)).first()
     if row is None:
         raise IndexError(position)
-    return read_file(row["path"])[2][position - row["start"]]
+    return TokenFile(row["path"])[position - row["start"]]
