@@ -83,8 +83,10 @@ def _words(text: str):
 
 
 def op9_best_fit_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
-    docs = _table(spark, sf_dir, "documents").select("doc_id", "source", _words("text").alias("n_words"), F.xxhash64(F.lower("text")).alias("copies"))
-    return packing.pack(packing.stored(docs, "pack-sizes"), F.col("n_words"), F.col("copies"))
+    docs = _table(spark, sf_dir, "documents")
+    near = simhash.near_groups(docs.select("doc_id", "text")).groupBy("doc_id").agg(F.min("component").alias("cluster"))
+    docs = docs.select(F.col("doc_id").alias("id"), "source", _words("text").alias("n_words")).join(near, F.col("id").eqNullSafe(F.col("doc_id")))
+    return packing.pack(packing.stored(docs.drop("id"), "pack-sizes"), F.col("n_words"), F.col("cluster"))
 
 
 def op10_suffix_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
