@@ -9,26 +9,24 @@ stretch of 2 * length - gram bytes at most.
 2. A shard keeps the earliest of stretches that are alike and marks the others as repeats in full. Anchors that different
    stretches share may hide windows in common; their stretches are called for.
 3. Documents, dealt to buckets by id and met by the calls for them, give the bytes of those stretches, again to shards by anchor.
-4. A shard joins its stretches into one text, sorts its suffixes by induction with common prefixes (``suffix_array``), and
-   marks in every group that shares ``length`` bytes all windows but the earliest.
+4. A shard joins its stretches into one text, sorts its suffixes by recursive induction with common prefixes (``suffix_array``), and
+   marks in every group that shares ``length`` bytes all windows but the earliest. Shards are larger than the ``memory`` of
+   their queues, which go to the shared folder, and groups are marked as the sort yields them.
 5. Documents, dealt as before and met by their marks, lose the marked bytes.
 
 Skew: a passage in a third of all documents reaches a shard as one stretch a task. An anchor that many different stretches
-share (a sample of ``hot_sample`` documents tells) is not sharded by itself: its stretches are dealt by their hash in step
-2 and all called for, and their windows are dealt by window hash in step 4. The sample changes the dealing and no result.
-Shards, buckets and queues are sized by bytes; queues past ``memory`` go to the shared folder.
+share (a sample of documents that grows with the number of shards tells) is not sharded by itself: its stretches are dealt by
+their hash in step 2 and all called for, and in step 4 they are cut where a second anchor, by another hash, changes, and
+dealt by it. The sample changes the dealing and no result. Shards, buckets and queues are sized by bytes.
 
 Windows are judged on the input, and one is earlier if its document's id is smaller, or in the same document its
 start. Defined results: a null text counts as empty; a null id sorts before all ids; rows equal in id and text are one document
 and get equal results; rows equal in id alone are ordered by a hash of the text; an empty table gives an empty result;
-``clean`` keeps the input's columns.
+``clean`` keeps the input's columns; ids must be integers.
 """
 
 from __future__ import annotations
 
-import hashlib
-import shutil
-import urllib.parse
 from collections.abc import Iterator
 
 import numpy as np
@@ -38,9 +36,11 @@ import zstandard
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .blocks import by_shard, changes, mix64, rolling_sums, spread_all, squeeze, stretch_hash
+from mixwright.functions.blocks import by_shard, changes, mix64, rolling_sums, spread_all, squeeze, stretch_hash
+from mixwright.operators.near import integer_ids
+
 from .shared import folder, free_names, release_memory, stored
-from .suffix_array import suffix_array
+from .suffix_array import MEMORY, sorted_suffixes
 
 PIECE = 1 << 20
 ROW = ("u8", "u8", "u8", "u8", "u4", "u1")  # document, anchor, stretch, text hash, start, windows
@@ -72,13 +72,14 @@ def _pieces(texts: list[bytes], length: int) -> Iterator[tuple[np.ndarray, list[
         yield np.frombuffer(b"".join(held), np.uint8), parts
 
 
-def stretches(texts: list[bytes], length: int = 100, gram: int = 32) -> Iterator[tuple[np.ndarray, ...]]:
-    """Arrays (text, anchor, stretch hash, start, windows)."""
+def stretches(texts: list[bytes], length: int = 100, gram: int = 32, turn: int = 0) -> Iterator[tuple[np.ndarray, ...]]:
+    """Arrays (text, anchor, stretch hash, start, windows); ``turn`` chooses the hash that makes anchors."""
     low = np.uint64((1 << 24) - 1)
     for raw, parts in _pieces(texts, length):
         sums = rolling_sums(raw)
         n = len(raw)
         grams = stretch_hash(sums, np.arange(n - gram + 1), np.arange(gram, n + 1))
+        grams = mix64(grams + np.uint64(turn)) if turn else grams
         best = (grams & ~low) | (low - np.arange(len(grams), dtype=np.uint64))
         width, have = length - gram + 1, 1
         first = best
@@ -128,24 +129,33 @@ def _joined_marks(doc: np.ndarray, text: np.ndarray, start: np.ndarray, count: n
     return doc[at], text[at], start[at].astype(np.uint32), (np.maximum.reduceat(stop, at) - start[at]).astype(np.uint32)
 
 
-def _local_path(uri: str) -> str | None:
-    parts = urllib.parse.urlparse(uri)
-    return parts.path if parts.scheme in ("", "file") else None
+def _hot_anchors(drawn: DataFrame, length: int, gram: int, docs: int, shards: int) -> np.ndarray:
+    """Anchors of more than a hundredth of a sample's documents, or of a quarter of a shard's part of its stretches; at most 4 a shard reach the driver."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            for i in range(0, b.num_rows, 512):
+                seen = [s[1] for s in stretches(b.column(0).slice(i, 512).to_pylist(), length, gram)]
+                h, n = np.unique(np.concatenate(seen), return_counts=True) if seen else (np.zeros(0, "u8"), np.zeros(0, "i8"))
+                yield pa.RecordBatch.from_arrays([pa.array(h.view("i8")), pa.array(n, pa.int64())], names=["h", "n"])
 
+    counts = stored(drawn.mapInArrow(run, "h long, n long").groupBy("h").agg(F.sum("n").alias("n")), "suffix-sample")
+    total = counts.agg(F.coalesce(F.sum("n"), F.lit(0))).first()[0]
+    least = max(8, min(0.01 * docs, 0.25 * total / shards))
+    return np.sort(np.array([r[0] for r in counts.filter(F.col("n") > least).select("h").collect()], "i8").view("u8"))
 
-def repeat_marks(df: DataFrame, id_col: str = "doc_id", text: str = "text", length: int = 100, gram: int = 32, shard_bytes: int = 8 << 20, sort_bytes: int = 1 << 20, hot_sample: int = 2000, memory: int = 64 << 20) -> tuple[DataFrame, int]:
+
+def repeat_marks(df: DataFrame, id_col: str = "doc_id", text: str = "text", length: int = 100, gram: int = 32, shard_bytes: int = 8 << 20, sort_bytes: int = 4 << 20, hot_sample: int = 2000, memory: int = MEMORY) -> tuple[DataFrame, int]:
     """(bucket, block) of marked windows, dealt by document to the returned number of buckets; see ``MARK``."""
+    integer_ids(df, id_col)
     spark = df.sparkSession
     body = F.encode(F.coalesce(F.col(text), F.lit("")), "UTF-8")
-    docs = df.select(F.col(id_col).cast("long").alias("id"), F.xxhash64(body).alias("hash"), body.alias("body"))
+    docs = df.select(F.col(f"`{id_col}`").cast("long").alias("id"), F.xxhash64(body).alias("hash"), body.alias("body"))
     n_docs, size = df.agg(F.count("*"), F.coalesce(F.sum(F.octet_length(text)), F.lit(0))).first()
     shards = buckets = max(1, -(-int(size) // shard_bytes))
-    every = max(1, n_docs // max(1, hot_sample))
-    drawn = [bytes(r[0]) for r in docs.filter(F.pmod("hash", F.lit(every)) == 0).limit(hot_sample).select("body").collect()]
-    seen = [s[1] for s in stretches(drawn, length, gram)]
-    values, times = np.unique(np.concatenate(seen), return_counts=True) if seen else (np.zeros(0, np.uint64), np.zeros(0))
-    hot = values[times > max(8, 0.01 * len(drawn))]
-    scratch = _local_path(folder(spark, "suffix-queues"))
+    wanted = max(1, hot_sample, shards)
+    hot = _hot_anchors(docs.filter(F.pmod("hash", F.lit(max(1, n_docs // wanted))) == 0).select("body"), length, gram, min(n_docs, wanted), shards)
+    scratch = folder(spark, "suffix-queues")
 
     def rows_out(rows: list) -> pa.RecordBatch:
         return pa.RecordBatch.from_arrays([pa.array([r[0] for r in rows], pa.string()), pa.array([r[1] for r in rows], pa.int32()), pa.array([r[2] for r in rows], pa.int64()), pa.array([r[3] for r in rows], pa.binary())], names=["kind", "place", "amount", "block"])
@@ -194,7 +204,7 @@ def repeat_marks(df: DataFrame, id_col: str = "doc_id", text: str = "text", leng
         order = np.lexsort((start, hashed, doc))
         call = tuple(r[order] for r in (doc, anchor, hashed, start, count))
         for b, at in by_shard(mix64(call[0]) % np.uint64(buckets), buckets):
-            out.append(("call", b, int(np.where(np.isin(call[1][at], hot), call[4][at].astype(np.int64) * length, call[4][at].astype(np.int64) + length - 1).sum()), squeeze(tuple(c[at] for c in call))))
+            out.append(("call", b, int((call[4][at].astype(np.int64) + length - 1).sum()), squeeze(tuple(c[at] for c in call))))
         release_memory()
         return pa.Table.from_batches([rows_out(out)])
 
@@ -211,62 +221,50 @@ def repeat_marks(df: DataFrame, id_col: str = "doc_id", text: str = "text", leng
             known = {k: i for i, k in enumerate(zip(document_key(texts.column("id").combine_chunks()).tolist(), texts.column("hash").to_numpy().view(np.uint64).tolist(), strict=True))}
             bodies = texts.column("body").to_pylist()
             is_hot = np.isin(anchor, hot)
-            cut = []
-            for d, a, h, s, c, many in zip(doc.tolist(), anchor.tolist(), hashed.tolist(), start.tolist(), count.tolist(), is_hot.tolist(), strict=True):
-                whole = bodies[known[d, h]]
-                if many:
-                    cut += [(d, hash_window(whole[x : x + length]), h, x, 1, whole[x : x + length]) for x in range(s, s + c)]
-                else:
-                    cut.append((d, a, h, s, c, whole[s : s + c + length - 1]))
-            place = mix64(np.array([x[1] for x in cut], np.uint64)) % np.uint64(sorts)
-            for p, at in by_shard(place, sorts):
-                at = sorted(at.tolist(), key=lambda i: (cut[i][0], cut[i][2], cut[i][3]))
-                columns = tuple(np.array([cut[i][k] for i in at], t) for k, t in zip((0, 1, 2, 3, 4), CALL, strict=True))
-                out.append((p, squeeze(columns), squeeze_bytes([cut[i][5] for i in at])))
+            pieces = [bodies[known[d, h]][x : x + c + length - 1] for d, h, x, c in zip(doc.tolist(), hashed.tolist(), start.tolist(), count.astype(np.int64).tolist(), strict=True)]
+            whole = np.flatnonzero(~is_hot)
+            rows = [[doc[whole], anchor[whole], hashed[whole], start[whole], count[whole]]]
+            cut = [pieces[i] for i in whole]
+            many = np.flatnonzero(is_hot)
+            for t, second, _, at, n in stretches([pieces[i] for i in many], length, gram, 1):
+                own = many[t]
+                rows.append([doc[own], mix64(anchor[own] ^ second), hashed[own], start[own] + at, n])
+                cut += [pieces[i][a : a + w + length - 1] for i, a, w in zip(own.tolist(), at.tolist(), n.astype(np.int64).tolist(), strict=True)]
+            columns = [np.concatenate([r[k] for r in rows]).astype(CALL[k]) for k in range(5)]
+            for p, at in by_shard(mix64(columns[1]) % np.uint64(sorts), sorts):
+                at = at[np.lexsort((columns[3][at], columns[2][at], columns[0][at]))]
+                out.append((p, squeeze(tuple(c[at] for c in columns)), squeeze_bytes([cut[i] for i in at.tolist()])))
         release_memory()
         return pa.table({"place": pa.array([r[0] for r in out], pa.int32()), "block": pa.array([r[1] for r in out], pa.binary()), "bytes": pa.array([r[2] for r in out], pa.binary())})
 
     def sorted_marks(table: pa.Table) -> pa.Table:
         doc, _, hashed, start, count = spread_all(table.column("block").to_pylist(), CALL)
         raw = b"".join(spread_bytes(x) for x in table.column("bytes").to_pylist())
-        sizes = count.astype(np.int64) + length - 1
-        begin = np.cumsum(sizes) - sizes
+        begin = np.cumsum(count.astype(np.int64) + length - 1) - (count.astype(np.int64) + length - 1)
+        out = []
         # A stretch holds its windows in full, so what follows it in the joined text decides nothing.
-        text_array = np.frombuffer(raw, np.uint8)
-        sa, lcp = suffix_array(text_array, length, memory, scratch)
-        group = np.cumsum(lcp < length)
-        part = np.full(len(text_array) + 1, -1, np.int64)
-        is_window = np.zeros(len(text_array) + 1, np.int32)
-        np.add.at(is_window, begin, 1)
-        np.add.at(is_window, begin + count, -1)
-        at = np.flatnonzero(np.cumsum(is_window)[:-1] > 0)
-        part[at] = np.searchsorted(begin, at, "right") - 1
-        mine = part[sa] >= 0
-        place, group = sa[mine].astype(np.int64), group[mine]
-        which = part[place]
-        d, h, s = doc[which], hashed[which], start[which] + (place - begin[which]).astype(np.uint32)
-        order = np.lexsort((s, h, d, group))
-        again = ~changes((group[order],)) & changes((d[order], h[order], s[order]))
-        order = order[again]
-        out = mark_rows(d[order], h[order], s[order], np.ones(len(order), np.uint32))
+        for place, lcp in sorted_suffixes(np.frombuffer(raw, np.uint8), length, memory, scratch):
+            which = np.searchsorted(begin, place, "right") - 1
+            mine = place - begin[which] < count[which]
+            group, place, which = np.cumsum(lcp < length)[mine], place[mine], which[mine]
+            d, h, s = doc[which], hashed[which], start[which] + (place - begin[which]).astype(np.uint32)
+            order = np.lexsort((s, h, d, group))
+            again = ~changes((group[order],)) & changes((d[order], h[order], s[order]))
+            out.append(tuple(x[order[again]] for x in (d, h, s)))
+        d, h, s = (np.concatenate([o[k] for o in out]) for k in range(3))
+        found = mark_rows(d, h, s, np.ones(len(d), np.uint32))
         release_memory()
-        return pa.Table.from_batches([rows_out(out)])
+        return pa.Table.from_batches([rows_out(found)])
 
     dealt = F.col("id")
     bucket_of = _bucket_udf(buckets)
     texts = docs.withColumn("place", bucket_of(dealt))
     stretched = texts.groupBy("place").cogroup(called.select("place", "block").groupBy("place")).applyInArrow(fetched, "place int, block binary, bytes binary")
     third = stored(stretched.groupBy("place").applyInArrow(sorted_marks, shape), "suffix-marks")
-    if scratch:
-        shutil.rmtree(scratch, ignore_errors=True)
     marks = first.filter("kind = 'mark'").unionByName(second.filter("kind = 'mark'")).unionByName(third).select("place", "block")
     return marks, buckets
 
 
-def hash_window(window: bytes) -> int:
-    return int.from_bytes(hashlib.blake2b(window, digest_size=8).digest(), "little")
-
-
 def squeeze_bytes(parts: list[bytes]) -> bytes:
     return zstandard.ZstdCompressor(level=1).compress(b"".join(parts))
 
@@ -296,16 +294,16 @@ def cut_spans(marks: list[tuple[int, int]], length: int) -> list[tuple[int, int]
     return out
 
 
-def removals(df: DataFrame, id_col: str = "doc_id", text: str = "text", length: int = 100, whole_chars: bool = False, **options) -> DataFrame:
-    """The input's rows with ``text`` as the kept bytes, and two columns more: ``_x_n_bytes`` of the text before, and
-    ``_x_spans``, starts and ends of what is removed. With ``whole_chars`` a character that a cut splits goes whole.
+def removals(df: DataFrame, id_col: str = "doc_id", text: str = "text", length: int = 100, whole_chars: bool = False, **options) -> tuple[DataFrame, str, str]:
+    """The input's rows with ``text`` as the kept bytes, and the names of two columns more: bytes of the text before, and
+    starts and ends of what is removed. With ``whole_chars`` a character that a cut splits goes whole.
     """
     marks, buckets = repeat_marks(df, id_col, text, length, **options)
     names = [*df.columns]
-    place, hashed, key = free_names(df, "_x_place", "_x_hash", "_x_id")
+    place, hashed, key, n_bytes, spans_in = free_names(df, "_x_place", "_x_hash", "_x_id", "_x_n_bytes", "_x_spans")
     body = F.encode(F.coalesce(F.col(text), F.lit("")), "UTF-8")
-    docs = df.withColumn(key, F.col(id_col).cast("long")).withColumn(hashed, F.xxhash64(body)).withColumn(text, body).withColumn(place, _bucket_udf(buckets)(F.col(key)))
-    shape = docs.drop(place, hashed, key).withColumns({"_x_n_bytes": F.lit(0).cast("long"), "_x_spans": F.lit(None).cast("array<bigint>")}).schema
+    docs = df.withColumn(key, F.col(f"`{id_col}`").cast("long")).withColumn(hashed, F.xxhash64(body)).withColumn(text, body).withColumn(place, _bucket_udf(buckets)(F.col(key)))
+    shape = docs.drop(place, hashed, key).withColumns({n_bytes: F.lit(0).cast("long"), spans_in: F.lit(None).cast("array<bigint>")}).schema
 
     def cut(_: tuple, rows: pa.Table, blocks: pa.Table) -> pa.Table:
         by_doc: dict[tuple[int, int], list[tuple[int, int]]] = {}
@@ -327,25 +325,25 @@ def removals(df: DataFrame, id_col: str = "doc_id", text: str = "text", length:
         release_memory()
         rest = {n: rows.column(n) for n in names}
         rest[text] = pa.array(kept, pa.binary())
-        return pa.table({**rest, "_x_n_bytes": pa.array(sizes, pa.int64()), "_x_spans": pa.array(spans, pa.list_(pa.int64()))})
+        return pa.table({**rest, n_bytes: pa.array(sizes, pa.int64()), spans_in: pa.array(spans, pa.list_(pa.int64()))})
 
-    return docs.groupBy(place).cogroup(marks.withColumnRenamed("place", place).groupBy(place)).applyInArrow(cut, shape)
+    return docs.groupBy(place).cogroup(marks.withColumnRenamed("place", place).groupBy(place)).applyInArrow(cut, shape), n_bytes, spans_in
 
 
 def digests(df: DataFrame, id_col: str = "doc_id", text: str = "text", length: int = 100, **options) -> DataFrame:
     """(id, n_bytes, n_removed, n_spans, kept_sha256)."""
-    out = removals(df.select(id_col, text), id_col, text, length, **options)
+    out, n_bytes, spans = removals(df.select(id_col, text), id_col, text, length, **options)
     return out.select(
         id_col,
-        F.col("_x_n_bytes").alias("n_bytes"),
-        (F.col("_x_n_bytes") - F.octet_length(text)).cast("long").alias("n_removed"),
-        (F.size("_x_spans") / 2).cast("long").alias("n_spans"),
+        F.col(n_bytes).alias("n_bytes"),
+        (F.col(n_bytes) - F.octet_length(text)).cast("long").alias("n_removed"),
+        (F.size(spans) / 2).cast("long").alias("n_spans"),
         F.sha2(text, 256).alias("kept_sha256"),
     )
 
 
 def clean(df: DataFrame, id_col: str = "doc_id", text: str = "text", chars: str | None = "n_chars", length: int = 100, **options) -> DataFrame:
     """The input with repeated strings cut out of its texts, and ``chars`` counted anew. A character that a cut splits goes whole."""
-    out = removals(df, id_col, text, length, whole_chars=True, **options)
-    out = out.withColumn(text, F.col(text).cast("string")).drop("_x_n_bytes", "_x_spans")
+    out, *own = removals(df, id_col, text, length, whole_chars=True, **options)
+    out = out.withColumn(text, F.col(text).cast("string")).drop(*own)
     return out.withColumn(chars, F.length(text).cast(df.schema[chars].dataType)) if chars and chars in df.columns else out
