@@ -4,6 +4,7 @@ import collections
 import hashlib
 import math
 import zlib
+from fractions import Fraction
 
 import numpy as np
 import public_tokenizers
@@ -11,8 +12,8 @@ import pytest
 import xxhash
 from pyspark.sql import functions as F
 
-from mixwright.llm import jaccard, kneser_ney, mpeg_audio, packing, pfair, quality_rules, reply_trees, sharding, simhash, suffix_dedup, token_store
-from mixwright.llm.suffix_array import suffix_array
+from mixwright.llm import hash_arrays, kneser_ney, mpeg_audio, packing, pfair, quality_rules, reply_trees, sharding, simhash, suffix_dedup, token_store
+from mixwright.llm.suffix_array import sorted_suffixes, suffix_array
 
 VOCAB = public_tokenizers.path("word_bpe_49k.json")
 
@@ -36,43 +37,6 @@ def test_sharding(rough, empty):
     assert sharding.shard(empty).count() == 0
 
 
-def test_kneser_ney(rough, empty):
-    train = rough.filter("doc_id % 3 > 0")
-    model = kneser_ney.fit(train, shard_bytes=4000, hot_sample=5)
-    toks = {d: (t or "").encode().lower().split() + [b"</s>"] for d, t in rows(rough)}
-    known = {d for d, _ in rows(train)}
-    c, big = collections.Counter(), collections.Counter()
-    for d in known:
-        c.update(toks[d])
-        big.update(zip([b"<s>"] + toks[d][:-1], toks[d]))
-    n, v = sum(c.values()), len(c)
-    left, total, seen = collections.Counter(w for _, w in big), collections.Counter(), collections.defaultdict(lambda: [0, 0, 0])
-    for (x, _), k in big.items():
-        total[x] += k
-        seen[x][min(k, 3) - 1] += 1
-    disc = lambda values: kneser_ney.discounts(*(sum(1 for x in values if x == k) for k in (1, 2, 3, 4)))
-    d2, d1 = disc(list(big.values())), disc(list(left.values()))
-    freed = sum(d1[min(x, 3) - 1] for x in left.values()) / len(big)
-    low = lambda w: (left[w] - d1[min(left[w], 3) - 1] if left[w] else 0) / len(big) + freed / (v + 1)
-
-    def p(x, w):
-        if not total[x]:
-            return low(w)
-        k = big.get((x, w), 0)
-        return (k - d2[min(k, 3) - 1] if k else 0) / total[x] + sum(a * b for a, b in zip(d2, seen[x])) / total[x] * low(w)
-
-    assert (model.tokens, model.vocabulary, model.pair_types) == (n, v, len(big))
-    assert math.isclose(sum(p(b"<s>", w) for w in c) + freed / (v + 1) * sum(a * b for a, b in zip(d2, seen[b"<s>"])) / total[b"<s>"], 1)
-    for r in kneser_ney.score(rough, model).collect():
-        w = toks[r.doc_id]
-        assert (r.n_tokens, r.n_known) == (len(w), sum(c[x] > 0 for x in w))
-        assert math.isclose(r.score, sum(math.log10(p(x, y)) for x, y in zip([b"<s>"] + w[:-1], w)), rel_tol=1e-9)
-        assert math.isclose(r.base_score, sum(math.log10((c[x] + 1) / (n + v + 1)) for x in w), rel_tol=1e-9)
-    bare = kneser_ney.fit(empty)
-    assert bare.tokens == 0 and kneser_ney.score(empty, bare).count() == 0
-    assert kneser_ney.score(rough, bare).filter("isnan(score)").count() == 0
-
-
 def test_quality_rules(rough, empty):
     for r in quality_rules.measure(rough).select("doc_id", "text", "measures").collect():
         t = r.text or ""
@@ -133,16 +97,11 @@ def test_simhash_keep_one(rough, empty):
     assert simhash.keep_one(empty).count() == 0
 
 
-def test_components_of_a_long_chain(spark):
-    edges = spark.createDataFrame([(i, i + 1) for i in range(60)] + [(100, 101)], "a long, b long")
-    got = dict(simhash.components(edges).collect())
-    assert got == {**{i: 0 for i in range(1, 61)}, 101: 100}
-
-
 def test_token_store(spark, rough, empty):
     from tokenizers import Tokenizer
 
-    index = token_store.write_tokens(rough, VOCAB, file_rows=9)
+    index = token_store.write_tokens(rough, VOCAB, file_bytes=2000)
+    assert index.count() > 5
     t, start, flat = Tokenizer.from_file(VOCAB), 0, []
     got = sorted(token_store.read_digests(index).collect())
     for r, (d, text) in zip(got, rows(rough), strict=True):
@@ -153,6 +112,19 @@ def test_token_store(spark, rough, empty):
     for i in (0, 7, len(flat) // 2, len(flat) - 1):
         assert token_store.token_at(index, i) == flat[i]
     assert token_store.read_digests(token_store.write_tokens(empty, VOCAB)).count() == 0
+    whole = token_store.write_tokens(rough, VOCAB).first()
+    one = token_store.TokenFile(whole.path)
+    opened = one.taken
+    assert [one[i] for i in range(0, len(flat), 97)] == flat[::97] and one.taken - opened <= 3 * 73 * len(flat[::97])
+
+
+def test_token_store_splits_a_repeated_id(spark):
+    docs = spark.range(60).select(F.lit(None).cast("long").alias("doc_id"), F.concat(F.lit("text number "), F.col("id").cast("string")).alias("text"))
+    index = token_store.write_tokens(docs, VOCAB, file_bytes=200)
+    got = sorted(token_store.read_digests(index).collect(), key=lambda r: r.start)
+    assert index.count() > 3 and len(got) == 60 and got[0].start == 0 and all(a.start + a.n_tokens == b.start for a, b in zip(got, got[1:]))
+    with pytest.raises(TypeError, match="integers"):
+        token_store.write_tokens(docs.withColumn("doc_id", F.lit("x")), VOCAB)
 
 
 @pytest.mark.parametrize("text", ["a<|endoftext|>b ć ́x don't I'LL 123a c\x1cd \x85e", "x\x00y 　z ÀÉ ﬁ é İ", "", " \n", "<|ENDOFTEXT|> <|endof text|>", "Straße. ÉTÉ, a., .b ... ß"])
@@ -225,32 +197,67 @@ def test_reply_chains_keep_ties(spark):
     assert reply_trees.format_paths(none, reply_trees.branch_paths(none)).count() == 0
 
 
-@pytest.mark.parametrize("shares", [{"a": 1, "b": 1, "c": 2}, {"a": 5, "b": 3, "c": 1, "d": 7}, {"a": 63, "b": 1}])
-def test_pfair_deviation_is_below_one_block(shares):
-    period = sum(shares.values())
-    given = collections.Counter()
-    for name, j, slot in pfair.one_period(shares, period):
-        assert given[name] == j
+@pytest.mark.parametrize("weights", [{"a": 1, "b": 1, "c": 2}, {"a": 5, "b": 3, "c": 1, "d": 7}, {"a": 63, "b": 1}, {"a": 999_999, "b": 1}, {None: 1, "x": Fraction(2, 7), "y": 3}])
+def test_pfair_deviation_is_below_one_block(weights):
+    total = sum(weights.values())
+    blocks = {k: int(4000 * w / total) + 2 for k, w in weights.items()}
+    plan, given, phase, origin, start = pfair.schedule(blocks, weights), collections.Counter(), 0, 0, {}
+    assert [p[2] for p in plan] == list(range(sum(blocks.values())))
+    for name, j, slot, release, due, p in plan:
+        if p != phase:
+            phase, origin, start = p, slot, dict(given)
+        assert given[name] == j and release <= slot < due
         given[name] += 1
-        release, due = pfair.windows(j, shares[name], period)
-        assert release <= slot < due
-        assert all(abs(given[k] - shares[k] * (slot + 1) / period) < 1 for k in shares)
-    assert given == shares
-
-
-def test_pfair_mix(rough, empty):
-    out = pfair.mix(rough, block_bytes=500, period=64, ceiling=0.4, chunk_rows=10)
+        live = [k for k in weights if start.get(k, 0) < blocks[k]]
+        share = {k: Fraction(weights[k]) / sum(Fraction(weights[x]) for x in live) for k in live}
+        assert all(abs(given[k] - start.get(k, 0) - share[k] * (slot + 1 - origin)) < 1 for k in live)
+    assert given == blocks
+
+
+def test_pfair_slots_of_tiny_weights_and_many_sources():
+    plan = pfair.schedule({"a": 20_000, "b": 3}, {"a": 10_000 - 1, "b": 1})
+    assert [p[2] // 10_000 for p in plan if p[0] == "b"] == [0, 1, 2]
+    many = pfair.schedule({str(i): 1 for i in range(5000)}, {str(i): i + 1 for i in range(5000)})
+    assert sorted(p[2] for p in many) == list(range(5000))
+
+
+def brute_mix(docs, sized, block, weights):
+    """Blocks and slots by walking the rows of each source in their order."""
+    blocks, where = {}, {}
+    for source, mine in docs.items():
+        upto = 0
+        for d in mine:
+            where[d] = (source, upto // block)
+            upto += sized[d]
+        blocks[source] = upto // block + 1
+    slots = {p[:2]: p[2:] for p in pfair.schedule(blocks, weights)}
+    return {d: (j, *slots[s, j]) for d, (s, j) in where.items()}
+
+
+def test_pfair_mix(spark, rough, empty):
+    sized = {d: len((t or "").encode()) for d, t in rows(rough)}
+    out = pfair.mix(rough, block_bytes=500, ceiling=0.4, chunk_rows=1000)
     got = out.collect()
-    assert sorted(r.doc_id for r in got) == sorted(d for d, _ in rows(rough)) and out.columns.count("slot") == 1
-    assert all(r.release <= r.slot < r.deadline for r in got)
-    mass = collections.Counter()
-    for r in got:
-        if r.selected:
-            mass[r.source] += len((r.text or "").encode())
-    longest = max(len((r.text or "").encode()) for r in got)
-    assert all(v <= 0.4 * sum(mass.values()) + longest for v in mass.values())
-    assert pfair.mix(empty).count() == 0
-    assert pfair.capped_weights({"a": 60, "b": 20, "c": 20}, 0.4) == pytest.approx({"a": 0.4, "b": 0.3, "c": 0.3})
+    assert sorted(r.doc_id for r in got) == sorted(sized) and out.columns.count("slot") == 1
+    mass, order = collections.Counter(), collections.defaultdict(list)
+    keyed = dict(rough.select("doc_id", F.xxhash64(F.col("doc_id").cast("string"), F.lit("mix"))).collect())
+    for r in sorted(got, key=lambda r: keyed[r.doc_id]):
+        mass[r.source] += sized[r.doc_id]
+        order[r.source].append(r.doc_id)
+    want = brute_mix(order, sized, 500, pfair.capped_weights({k: max(1, v) for k, v in mass.items()}, 0.4))
+    assert {r.doc_id: (r.block, r.slot, r.release, r.deadline, 0 if r.selected else 1) for r in got} == {d: (*w[:4], min(w[4], 1)) for d, w in want.items()}
+    chunked = pfair.mix(rough, block_bytes=500, ceiling=0.4, chunk_rows=3).collect()
+    taken = collections.Counter()
+    for r in chunked:
+        taken[r.source, r.block] += sized[r.doc_id]
+    assert sorted(r.doc_id for r in chunked) == sorted(sized) and all(r.release <= r.slot < r.deadline for r in chunked)
+    assert max(taken.values()) < 500 + max(sized.values())
+    assert pfair.mix(empty).count() == 0 and pfair.mix(empty).columns[-5:] == out.columns[-5:]
+    assert pfair.capped_weights({"a": 60, "b": 20, "c": 20}, 0.4) == {"a": Fraction(2, 5), "b": Fraction(3, 10), "c": Fraction(3, 10)}
+    given = pfair.mix(rough.filter("source is not null"), weights={"hot": 1, "s1": 1e-6, "s2": 3}, block_bytes=200)
+    assert given.count() == rough.filter("source is not null").count()
+    alike = spark.createDataFrame([(None, "x", "t")] * 50, "doc_id string, source string, text string")
+    assert pfair.mix(alike, chunk_rows=7).count() == 50
 
 
 def test_packing(rough, empty):
@@ -266,9 +273,40 @@ def test_packing(rough, empty):
         assert sum(r.n_tokens for r in mine) == mine[0].bin_tokens <= 100 and len(mine) == mine[0].bin_pieces
         assert max(collections.Counter(r.source for r in mine if r.source is not None).values(), default=0) <= 2
         assert max(collections.Counter(r.cluster for r in mine if r.cluster is not None).values(), default=0) <= 1
+        assert len({r.doc_id for r in mine}) == len(mine)
+        spans = sorted((r.bin_offset, r.n_tokens) for r in mine)
+        assert all(a + k == b for (a, k), (b, _) in zip(spans, spans[1:]))
     assert packing.pack(empty, n, F.lit(1)).count() == 0
 
 
+def test_pools_hand_their_open_bins_on(spark):
+    docs = spark.range(3000).select(F.col("id").alias("doc_id"), F.concat(F.lit("s"), F.col("id") % 40).alias("source"), (F.pmod(F.xxhash64("id"), F.lit(60)) + 1).alias("n"))
+    bins = lambda **o: packing.pack(docs, F.col("n"), F.col("doc_id"), capacity=200, per_source=20, **o).select("pool", "bin").distinct().count()
+    whole, pooled, alone = bins(pool_rows=4000), bins(pool_rows=100), bins(pool_rows=100, slack=1.0)
+    assert whole <= pooled < alone and pooled <= 1.01 * whole + 1
+
+
+def test_packed_bins_hold_the_ids(rough):
+    index = token_store.write_tokens(rough, VOCAB, file_bytes=3000)
+    sizes = token_store.documents(index).select("doc_id", F.col("n_tokens").alias("n"))
+    placed = packing.pack(sizes.join(rough.select("doc_id", "source"), "doc_id"), F.col("n"), F.col("doc_id"), capacity=300, pool_rows=30)
+    files = packing.write_bins(placed, index).collect()
+    from tokenizers import Tokenizer
+
+    t = Tokenizer.from_file(VOCAB)
+    ids = {d: t.encode(text or "", add_special_tokens=False).ids + [1] for d, text in rows(rough)}
+    held = {}
+    for f in files:
+        raw = np.fromfile(f.path.removeprefix("file://"), "<u1")
+        n = int(raw[:8].view("<u8")[0])
+        cuts, body = raw[8 : 16 + 8 * n].view("<u8"), raw[16 + 8 * n :].view("<u4")
+        assert (n, len(body)) == (f.n_bins, f.n_tokens)
+        held |= {(f.pool, b): body[int(cuts[b]) : int(cuts[b + 1])].tolist() for b in range(n)}
+    for r in placed.collect():
+        assert held[r.pool, r.bin][r.bin_offset : r.bin_offset + r.n_tokens] == ids[r.doc_id][r.piece_start : r.piece_start + r.n_tokens]
+    assert sum(map(len, held.values())) == sum(map(len, ids.values()))
+
+
 def test_best_fit_takes_the_tightest_compatible_bin():
     rng = np.random.default_rng(0)
     for _ in range(60):
@@ -321,7 +359,7 @@ def test_suffix_array(tmp_path):
     cases += [(b"".join(parts[int(i)] for i in rng.integers(0, 6, 60)), 100) for _ in range(5)]
     for b, depth in cases:
         for memory in (1 << 20, 100):
-            sa, lcp = suffix_array(np.frombuffer(b, np.uint8), depth, memory, str(tmp_path / "q"))
+            sa, lcp = suffix_array(np.frombuffer(b, np.uint8), depth, memory, f"file://{tmp_path}/q")
             assert sorted(sa.tolist()) == list(range(len(b) + 1))
             keys = [b[i : i + depth] for i in sa]
             assert keys == sorted(keys)
@@ -332,6 +370,21 @@ def test_suffix_array(tmp_path):
     assert not list((tmp_path / "q").iterdir())
 
 
+def test_default_sorts_go_to_disk(tmp_path):
+    import inspect
+
+    size = inspect.signature(suffix_dedup.repeat_marks).parameters["sort_bytes"].default
+    words = [bytes(w) for w in np.random.default_rng(2).integers(97, 123, (3000, 6), dtype=np.uint8)]
+    text = b" ".join(words[i] for i in np.random.default_rng(1).integers(0, 3000, size // 7))[:size]
+    spills, last, seen = [], None, 0
+    for sa, lcp in sorted_suffixes(np.frombuffer(text, np.uint8), 100, folder=f"file://{tmp_path}/q", spilt=spills.append):
+        seen += len(sa)
+        for a, b, n in zip(sa[:-1:999], sa[1::999], lcp[1::999]):
+            x, y = text[a : a + 100], text[b : b + 100]
+            assert x <= y and min(int(n), 100) == next((k for k, (u, v) in enumerate(zip(x, y)) if u != v), min(len(x), len(y)))
+    assert seen == len(text) + 1 and sum(spills) > 3 and not list((tmp_path / "q").iterdir())
+
+
 def test_pipeline(spark):
     import corpus_pipeline
 
@@ -353,54 +406,9 @@ def test_pipeline(spark):
         docs = corpus_pipeline.shared.stored(docs, "test")
 
 
-def brute_classes(docs, width=5, threshold=0.8):
-    """Least id of each document's class, and the pairs of distinct sets, by comparing all with all."""
-    sets = {}
-    for d, t in docs:
-        w = (t or "").lower().encode().split()
-        sets[d] = frozenset(zip(*(w[i:] for i in range(width)))) if len(w) >= width else frozenset([tuple(w)])
-    boss = {d: d for d in sets}
-
-    def top(x):
-        while boss[x] != x:
-            x = boss[x]
-        return x
-
-    pairs = set()
-    for a in sets:
-        for b in sets:
-            if a < b and len(sets[a] & sets[b]) >= threshold * len(sets[a] | sets[b]):
-                pairs.add((a, b))
-                x, y = sorted((top(a), top(b)))
-                boss[y] = x
-    return {d: top(d) for d in sets}, pairs
-
-
-def planted(spark, seed=5):
-    """Copies with so many words changed that similarities lie between 0.6 and 0.98, a common passage, and short texts."""
-    rng = np.random.default_rng(seed)
-    word = lambda: f"w{rng.integers(5000)}"
-    texts, common = [None, "", "one two", "ONE two", "one two three", "a b c d", "a b c d e"], [word() for _ in range(60)]
-    for i in range(12):
-        base = [word() for _ in range(150)] if i else common + [word() for _ in range(5)]
-        texts.append(" ".join(base))
-        for k in range(1, 7 if i else 40):
-            near = list(base)
-            for at in rng.choice(len(near), 1 + k % 7 if i else 1 + k % 3, replace=False):
-                near[at] = word()
-            texts.append(" ".join(near))
-    texts += [" ".join(common + [word() for _ in range(40)]) for _ in range(25)]
-    return spark.createDataFrame([(int(i), t) for i, t in enumerate(texts)], "doc_id long, text string").repartition(3)
-
-
-@pytest.mark.parametrize("bucket", [1, 16])
-def test_near_sets_equal_brute_force(spark, bucket):
-    docs = planted(spark)
-    assert {r.id: r.component for r in jaccard.classes(*jaccard.near_sets(docs, bucket_rows=bucket)).collect()} == brute_classes(rows(docs))[0]
-
-
 def test_pipeline_near_dedup_links_all_at_the_threshold(spark, rough, empty):
     import corpus_pipeline
+    from tests.test_near import brute_classes, planted
 
     docs = planted(spark).unionByName(rough.select((F.col("doc_id") + 1000).alias("doc_id"), "text"))
     assert {r.doc_id for r in corpus_pipeline.drop_near_copies(spark, docs, "").collect()} == set(brute_classes(rows(docs))[0].values())
@@ -416,33 +424,21 @@ def test_pipeline_mixing_keeps_every_document(spark, rough, empty):
         assert got.columns == docs.columns and sorted(r.doc_id for r in got.select("doc_id").collect()) == sorted(r.doc_id for r in docs.select("doc_id").collect())
 
 
-def test_near_pairs_and_members(spark):
-    from mixwright.operators import corpus
-
-    docs = planted(spark)
-    docs = docs.unionByName(docs.select((F.col("doc_id") + 1000).alias("doc_id"), "text"))
-    least, pairs = brute_classes(rows(docs))
-    got = {r.doc_id: (r.representative, r.class_id) for r in corpus.near_members(docs).collect()}
-    assert {d: c for d, (_, c) in got.items()} == least
-    same = {d: p for d, (p, _) in got.items()}
-    assert all(same[d + 1000] == same[d] for d in same if d < 1000) and same[3] == 2
-    want = {(min(x), max(x)) for x in ((same[a], same[b]) for a, b in pairs) if x[0] != x[1]}
-    assert {(r.id_a, r.id_b) for r in corpus.near_pairs(docs).collect()} == want
-
-
-def test_kneser_ney_of_order_three(rough, empty):
+@pytest.mark.parametrize("order,options", [(2, {}), (2, {"shard_bytes": 2000, "hot_share": 0.3}), (3, {"shard_bytes": 2000, "hot_share": 0.3}), (3, {"shard_bytes": 2000, "hot_share": 0.001}), (4, {"shard_bytes": 4000, "hot_share": 0.05})])
+def test_kneser_ney(rough, empty, order, options):
     train = rough.filter("doc_id % 3 > 0")
-    model = kneser_ney.fit(train, shard_bytes=4000, hot_sample=5, order=3)
+    model = kneser_ney.fit(train, order=order, **options)
     toks = {d: (t or "").encode().lower().split() + [b"</s>"] for d, t in rows(rough)}
-    c, tri = collections.Counter(), collections.Counter()
+    c, top = collections.Counter(), collections.Counter()
     for d in (d for d, _ in rows(train)):
         c.update(toks[d])
-        pad = [b"<s>", b"<s>"] + toks[d]
-        tri.update(zip(pad, pad[1:], pad[2:]))
-    big = collections.Counter(g[1:] for g in tri)
-    uni = collections.Counter(g[1:] for g in big)
+        pad = [b"<s>"] * (order - 1) + toks[d]
+        top.update(zip(*(pad[k:] for k in range(order))))
+    counts = [top]
+    for _ in range(order - 1):
+        counts.append(collections.Counter(g[1:] for g in counts[-1]))
     levels = []
-    for grams in (tri, big, uni):
+    for grams in counts:
         disc = kneser_ney.discounts(*(sum(1 for x in grams.values() if x == k) for k in (1, 2, 3, 4)))
         total, freed = collections.Counter(), collections.Counter()
         for g, k in grams.items():
@@ -453,15 +449,33 @@ def test_kneser_ney_of_order_three(rough, empty):
     def p(gram):
         if not gram:
             return 1 / (len(c) + 1)
-        grams, disc, total, freed = levels[3 - len(gram)]
+        grams, disc, total, freed = levels[order - len(gram)]
         if not total[gram[:-1]]:
             return p(gram[1:])
         k = grams.get(gram, 0)
         return (k - disc[min(k, 3) - 1] if k else 0) / total[gram[:-1]] + freed[gram[:-1]] / total[gram[:-1]] * p(gram[1:])
 
-    assert math.isclose(sum(p((b"<s>", b"<s>", w)) for w in [*c, b"never seen"]), 1)
+    n, v = sum(c.values()), len(c)
+    assert (model.tokens, model.vocabulary, model.pair_types) == (n, v, len(counts[-2]))
+    assert math.isclose(sum(p((b"<s>",) * (order - 1) + (w,)) for w in [*c, b"never seen"]), 1)
     for r in kneser_ney.score(rough, model).collect():
-        pad = [b"<s>", b"<s>"] + toks[r.doc_id]
-        assert r.n_known == sum(c[x] > 0 for x in toks[r.doc_id])
-        assert math.isclose(r.score, sum(math.log10(p(g)) for g in zip(pad, pad[1:], pad[2:])), rel_tol=1e-9)
-    assert kneser_ney.score(rough, kneser_ney.fit(empty, order=3)).filter("isnan(score)").count() == 0
+        pad = [b"<s>"] * (order - 1) + toks[r.doc_id]
+        assert (r.n_tokens, r.n_known) == (len(toks[r.doc_id]), sum(c[x] > 0 for x in toks[r.doc_id]))
+        assert math.isclose(r.score, sum(math.log10(p(g)) for g in zip(*(pad[k:] for k in range(order)))), rel_tol=1e-9)
+        assert math.isclose(r.base_score, sum(math.log10((c[x] + 1) / (n + v + 1)) for x in toks[r.doc_id]), rel_tol=1e-9)
+    bare = kneser_ney.fit(empty, order=order)
+    assert bare.tokens == 0 and kneser_ney.score(empty, bare).count() == 0
+    assert kneser_ney.score(rough, bare).filter("isnan(score)").count() == 0
+
+
+def test_hash_arrays(tmp_path):
+    rng = np.random.default_rng(3)
+    for n in (0, 1, 17, 5000):
+        keys = np.unique(rng.integers(0, 1 << 63, n, dtype=np.uint64) * np.uint64(2) + np.uint64(1))
+        numbers = [rng.integers(0, 300, len(keys)).astype(np.uint64), np.where(rng.random(len(keys)) < 0.1, np.uint64(1 << 40), np.uint64(3))]
+        hash_arrays.write(f"file://{tmp_path}/f{n}", {"a": hash_arrays.pack(keys, numbers), "none": hash_arrays.pack(keys[:0], [])})
+        files = hash_arrays.Files(f"file://{tmp_path}")
+        hit, got = files.array(f"f{n}", "a").find(np.concatenate([keys, keys ^ np.uint64(1 << 62)]))
+        assert hit[: len(keys)].all() and not hit[len(keys) :].any()
+        assert all((g == x).all() for g, x in zip(got, numbers))
+        assert not files.array(f"f{n}", "none").find(keys)[0].any() and files.array("missing", "a") is None
