@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 
@@ -51,3 +51,18 @@ def coverage(man: DataFrame) -> DataFrame:
     return total.crossJoin(texts).crossJoin(squares).select(
         F.col("all_copies").cast("long").alias("n_copies"), (1 - F.col("n_texts") / F.col("all_copies")).alias("repeated_share"), "n_clusters", (F.col("k2") / (F.col("all_copies") * F.col("all_copies"))).alias("concentration")
     )
+
+
+def engine_cost(spark: SparkSession) -> dict[str, float]:
+    """What the application's executors have spent so far: task seconds, GB read from files and moved through shuffles, peak GB of heap."""
+    store, gb = spark.sparkContext._jsc.sc().statusStore().executorList(False), float(1 << 30)
+    out = {"task_s": 0.0, "input_gb": 0.0, "shuffle_read_gb": 0.0, "shuffle_write_gb": 0.0, "peak_heap_gb": 0.0}
+    for i in range(store.size()):
+        e = store.apply(i)
+        out["task_s"] += e.totalDuration() / 1000
+        out["input_gb"] += e.totalInputBytes() / gb
+        out["shuffle_read_gb"] += e.totalShuffleRead() / gb
+        out["shuffle_write_gb"] += e.totalShuffleWrite() / gb
+        peak = e.peakMemoryMetrics()
+        out["peak_heap_gb"] = max(out["peak_heap_gb"], peak.get().getMetricValue("JVMHeapMemory") / gb if peak.isDefined() else 0.0)
+    return {k: round(v, 4) for k, v in out.items()}

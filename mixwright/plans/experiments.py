@@ -14,11 +14,13 @@ from mixwright.operators import analysis, baselines, cluster, corpus, diversity,
 from mixwright.sources.tables import load
 from mixwright.streaming import scoring
 
+from . import oracles as sql
 from .mixer import PerDocumentMixer
 from .queries import clean_docs, given_vectors, lang_corpus, query, scored
 
 SHARE = 0.2
 CLUSTERS = 20
+START = 1_600_000_000  # seconds; a watermark begins at zero
 
 
 def union(parts: list[DataFrame]) -> DataFrame:
@@ -218,3 +220,52 @@ def _(spark, sf):
     a = scoring.merged_cells(spark, table).select(*keys, "n", "tokens")
     b = cells.build(s).select(*keys, F.col("n").alias("n_batch"), F.col("tokens").alias("tokens_batch"))
     return a.join(b, keys, "full").agg(F.count("*").alias("n_cells"), F.count_if((F.col("n") == F.col("n_batch")) & (F.col("tokens") == F.col("tokens_batch"))).alias("n_equal"))
+
+
+@query("stream_windows", "SELECT epoch(b)::BIGINT AS start, event_type, count(*) AS n, round(sum(value), 4) AS total FROM (SELECT time_bucket(INTERVAL 1 HOUR, ts) AS b, event_type, value FROM events) WHERE b + INTERVAL 1 HOUR <= (SELECT max(ts) FROM events) - INTERVAL 30 MINUTE GROUP BY ALL")
+def _(spark, sf):
+    """Hourly windows of an event stream under a watermark: what is final when the stream's events are read."""
+    e = scoring.event_time(load(spark, sf, "events")).select("ts", "event_type", "value")
+    source, sink = scratch(spark, "windows-in"), scratch(spark, "windows-out")
+    e.repartitionByRange(4, "ts").sortWithinPartitions("ts").write.parquet(source)
+    scoring.run_to(scoring.tumbling(scoring.read_files(spark, source, "ts timestamp, event_type string, value double", 100), late="30 minutes"), sink, scratch(spark, "windows-state"))
+    return spark.read.parquet(sink).select(F.unix_seconds("start").alias("start"), "event_type", "n", F.round("total", 4).alias("total"))
+
+
+@query("stream_dedup", "SELECT event_type, count(*) AS n, count(DISTINCT event_id) AS n_ids FROM events GROUP BY event_type")
+def _(spark, sf):
+    """A stream in which every event comes twice, less its second arrivals."""
+    e = scoring.event_time(load(spark, sf, "events")).select("event_id", "ts", "event_type")
+    source, sink = scratch(spark, "dedup-in"), scratch(spark, "dedup-out")
+    e.unionByName(e).repartition(4, "event_id").write.parquet(source)
+    scoring.run_to(scoring.dedup(scoring.read_files(spark, source, "event_id long, ts timestamp, event_type string", 100), ["event_id"]), sink, scratch(spark, "dedup-state"))
+    return spark.read.parquet(sink).groupBy("event_type").agg(F.count("*").alias("n"), F.count_distinct("event_id").alias("n_ids"))
+
+
+@query("stream_static_join", f"{sql.mixer_cte()} SELECT domain, count(*) AS n, round(sum(c), 5) AS total FROM drawn GROUP BY domain")
+def _(spark, sf):
+    """A stream of documents against the static table of cell frequencies."""
+    from mixwright.operators import cells
+
+    rows = kept(scored(spark, sf).select("doc_id", "domain", "cluster", "quality", "diversity", "n_tokens"), "static-rows")
+    solved = cells.solve(cells.build(rows), share=1.0).select("domain", "cluster", "quality", "c")
+    source, sink = scratch(spark, "static-in"), scratch(spark, "static-out")
+    rows.drop("diversity").repartition(3).write.parquet(source)
+    stream = scoring.read_files(spark, source, "doc_id long, domain string, cluster int, quality int, n_tokens long")
+    scoring.run_to(scoring.join_cells(stream, solved, ["domain", "cluster", "quality"]).select("doc_id", "domain", "c"), sink, scratch(spark, "static-state"))
+    return spark.read.parquet(sink).groupBy("domain").agg(F.count("*").alias("n"), F.round(F.sum("c"), 5).alias("total"))
+
+
+@query("stream_stream_join", f"SELECT l.doc_id, l.quality::INT AS quality FROM documents d JOIN labels l USING (doc_id) WHERE {sql.draw(seed=33)} * 7200 <= 3600")
+def _(spark, sf):
+    """Documents with the grades that arrive within an hour of them; later ones find no document."""
+    at = F.timestamp_seconds(F.col("doc_id") + START)
+    docs = load(spark, sf, "documents").select("doc_id", at.alias("ts"))
+    late = (uniform("doc_id", 33) * 7_200_000_000).cast("long")
+    grades = load(spark, sf, "labels").select("doc_id", F.timestamp_micros((F.col("doc_id") + START) * 1_000_000 + late).alias("graded_at"), "quality")
+    left, right, sink = scratch(spark, "docs-in"), scratch(spark, "grades-in"), scratch(spark, "joined-out")
+    docs.repartition(2).write.parquet(left)
+    grades.repartition(2).write.parquet(right)
+    d, g = scoring.read_files(spark, left, "doc_id long, ts timestamp", 100), scoring.read_files(spark, right, "doc_id long, graded_at timestamp, quality int", 100)
+    scoring.run_to(scoring.join_grades(d, g).select(F.col("d.doc_id").alias("doc_id"), "quality"), sink, scratch(spark, "joined-state"))
+    return spark.read.parquet(sink)

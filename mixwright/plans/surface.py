@@ -88,6 +88,47 @@ def _(spark, sf):
     return part.groupBy("lang").agg(F.sum("n").cast("long").alias("n"), F.sum("total").cast("long").alias("total"))
 
 
+@query("q_agg_theta_kll", "SELECT lang, count(DISTINCT source || '/' || n_chars) AS exact, true AS theta_within, true AS kll_within FROM documents GROUP BY lang")
+def _(spark, sf):
+    """Theta and KLL sketches by group: the number of distinct pairs within 5 %, and the median between the exact 45th and 55th percentiles."""
+    d = load(spark, sf, "documents").select("lang", F.concat_ws("/", "source", "n_chars").alias("pair"), "n_chars")
+    own = d.groupBy("lang").agg(F.count_distinct("pair").alias("exact"), F.theta_sketch_estimate(F.theta_sketch_agg("pair")).alias("theta"), F.kll_sketch_agg_bigint("n_chars").alias("kll"), F.percentile("n_chars", F.array(F.lit(0.45), F.lit(0.55))).alias("around"))
+    middle = F.kll_sketch_get_quantile_bigint("kll", F.lit(0.5))
+    return own.select("lang", "exact", (F.abs(F.col("theta") - F.col("exact")) <= 0.05 * F.col("exact") + 1).alias("theta_within"), middle.between(F.col("around")[0] - 1, F.col("around")[1] + 1).alias("kll_within"))
+
+
+@query("q_join_skew_salted", "SELECT l_returnflag, p_brand, count(*) AS n, round(sum(l_quantity), 2) AS quantity FROM lineitem JOIN part ON l_partkey = p_partkey GROUP BY ALL")
+def _(spark, sf):
+    """A join whose keys are spread: the large side takes a salt by hash, the small one is repeated for every salt; no side is broadcast."""
+    salts = 8
+    line = load(spark, sf, "lineitem").select("l_partkey", "l_returnflag", "l_quantity", F.pmod(F.xxhash64("l_orderkey", "l_linenumber"), F.lit(salts)).cast("int").alias("salt"))
+    part = load(spark, sf, "part").select("p_partkey", "p_brand", F.explode(F.sequence(F.lit(0), F.lit(salts - 1))).alias("part_salt"))
+    both = line.hint("merge").join(part.hint("merge"), (F.col("l_partkey") == F.col("p_partkey")) & (F.col("salt") == F.col("part_salt")))
+    return both.groupBy("l_returnflag", "p_brand").agg(F.count("*").alias("n"), F.round(F.sum("l_quantity"), 2).alias("quantity"))
+
+
+@query("q_cogroup_map", "SELECT coalesce(d.source, l.source) AS source, coalesce(n_docs, 0) AS n_docs, coalesce(n_good, 0) AS n_good FROM (SELECT source, count(*) AS n_docs FROM documents GROUP BY 1) d FULL JOIN (SELECT source, count(*) AS n_good FROM documents JOIN labels USING (doc_id) WHERE quality = 1 GROUP BY 1) l USING (source)")
+def _(spark, sf):
+    """Two tables met group by group in Arrow."""
+    import pyarrow as pa
+
+    docs = load(spark, sf, "documents").select("doc_id", "source")
+    good = docs.join(load(spark, sf, "labels").filter("quality = 1"), "doc_id").select(F.col("source").alias("from_source"), F.col("doc_id").alias("good_id"))
+
+    def sizes(key: tuple, a: pa.Table, b: pa.Table) -> pa.Table:
+        return pa.table({"source": [key[0].as_py()], "n_docs": [a.num_rows], "n_good": [b.num_rows]})
+
+    return docs.groupBy("source").cogroup(good.groupBy("from_source")).applyInArrow(sizes, "source string, n_docs long, n_good long")
+
+
+@query("q_sort_ranges", "SELECT doc_id, n_chars, lag(doc_id) OVER (PARTITION BY floor(n_chars / 1000) ORDER BY n_chars, doc_id) AS before FROM documents")
+def _(spark, sf):
+    """Range partitions sorted apart; a neighbour is read off within bands."""
+    d = load(spark, sf, "documents").select("doc_id", "n_chars").withColumn("band", F.floor(F.col("n_chars") / 1000))
+    ranged = d.repartitionByRange(8, "band").sortWithinPartitions("band", "n_chars", "doc_id")
+    return ranged.withColumn("before", F.lag("doc_id").over(Window.partitionBy("band").orderBy("n_chars", "doc_id"))).drop("band")
+
+
 # windows
 W = "WINDOW w AS (PARTITION BY lang ORDER BY n_chars, doc_id)"
 simple("q_window_ranks", f"SELECT doc_id, row_number() OVER w AS rn, rank() OVER w AS rk, dense_rank() OVER w AS dr, round(percent_rank() OVER w, 6) AS pr, round(cume_dist() OVER w, 6) AS cd, ntile(4) OVER w AS quarter FROM documents {W}", f"SELECT doc_id, (row_number() OVER w)::INT AS rn, (rank() OVER w)::INT AS rk, (dense_rank() OVER w)::INT AS dr, round(percent_rank() OVER w, 6) AS pr, round(cume_dist() OVER w, 6) AS cd, (ntile(4) OVER w)::INT AS quarter FROM documents {W}", J)
