@@ -9,7 +9,8 @@ Only the sample (ranges x ``oversample`` keys) and one row of totals per range r
 ``range_rows`` records at any corpus size.
 
 Defined results: a null text counts as empty (16 bytes, checksum 0); null and repeated ids are placed like any
-others; an empty table gives an empty result; other columns of the input are ignored.
+others, rows alike in both id and text in one range; an empty table gives an empty result; other columns of the input are ignored; an
+id column named like a result or working column is refused.
 """
 
 from __future__ import annotations
@@ -21,7 +22,7 @@ import pandas as pd
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .shared import stored
+from .shared import id_name, stored
 
 OVERHEAD = 16
 
@@ -55,6 +56,7 @@ def _quantiles(sample: list[tuple[int, int]], parts: int) -> list[tuple[int, int
 
 def shard(df: DataFrame, shards: int = 40, id_col: str = "doc_id", text: str = "text", range_rows: int = 250_000, oversample: int = 32, rounds: int = 3) -> DataFrame:
     """One row per record: id, size, text_crc32, law, shard, slot, grown_shard."""
+    id_name(id_col, "size", "text_crc32", "key", "tie", "range", "start", "nth", "law", "shard", "slot", "grown_shard", "rows_before", "bytes_before", "first_nth")
     body = F.encode(F.coalesce(F.col(text), F.lit("")), "UTF-8")
     narrow = stored(
         df.select(F.col(id_col), (F.octet_length(body) + OVERHEAD).cast("long").alias("size"), F.crc32(body).alias("text_crc32"), F.xxhash64(body).alias("key"), F.xxhash64(F.col(id_col).cast("string")).alias("tie")),

@@ -57,6 +57,12 @@ def free_names(df: DataFrame, *names: str) -> list[str]:
     return out
 
 
+def id_name(id_col: str, *results: str) -> None:
+    """A clear refusal of an id column that is named like a column of the result."""
+    if id_col.lower() in results:
+        raise ValueError(f"the id column may not be named {id_col}: the result has a column of that name")
+
+
 def release_memory() -> None:
     """Give freed memory of a worker process back to the system; workers live on between tasks."""
     pa.default_memory_pool().release_unused()

@@ -38,7 +38,7 @@ from pyspark.sql import functions as F
 from mixwright.operators.components import components
 from mixwright.operators.near import NearSets, asked_pairs, integer_ids, settle
 
-from .shared import free_names, sized, stored
+from .shared import free_names, id_name, sized, stored
 
 BITS = 64
 SEED = 42
@@ -129,6 +129,7 @@ def links(nodes: DataFrame, radius: int = 2, bucket_rows: int = 64) -> DataFrame
 def near_groups(df: DataFrame, id_col: str = "doc_id", text: str = "text", width: int = 3, radius: int = 2, bucket_rows: int = 64) -> DataFrame:
     """(id, fp, component): the smallest id reachable over links, its own included."""
     integer_ids(df, id_col)
+    id_name(id_col, "fp", "component")
     df, id_given, id_col = df.select(F.col(f"`{id_col}`").alias("id"), F.col(f"`{text}`").alias("text")), id_col, "id"
     prints = stored(fingerprints(df, id_col, "text", width), "simhash-prints")
     nodes = stored(prints.groupBy("fp").agg(F.min(id_col).cast("long").alias("least")), "simhash-nodes")
