@@ -61,7 +61,7 @@ def hashed_bag(words: Column, dim: int) -> Column:
         sizes = np.diff(lists.offsets.to_numpy())
         codes = _word_codes(lists.flatten(), 2 * dim)
         row = np.repeat(np.arange(len(sizes)), sizes)
-        at = np.bincount(row * dim + codes % dim, np.where(codes < dim, 1.0, -1.0), len(sizes) * dim).reshape(len(sizes), dim)
+        at = np.bincount(row * dim + codes % dim, np.where(codes < dim, 1.0, -1.0), len(sizes) * dim).astype(float).reshape(len(sizes), dim)
         norm = np.sqrt((at * at).sum(axis=1, keepdims=True))
         flat = np.divide(at, norm, out=np.zeros_like(at), where=norm > 0).ravel()
         return pa.ListArray.from_arrays(pa.array(np.arange(len(sizes) + 1) * dim, pa.int32()), pa.array(flat))

@@ -3,18 +3,56 @@
 from __future__ import annotations
 
 import uuid
+from collections.abc import Iterator
+from contextlib import contextmanager
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
+
+#: Used only where the session names no folder, as in tests on one machine.
+FALLBACK = "file:///tmp/checkpoints/mixwright"
+#: Rows of a table that is broadcast.
+MAX_ROWS = 2_000_000
+_scopes: list[list[str]] = []
 
 
 def scratch(spark: SparkSession, label: str) -> str:
-    """A fresh folder below ``spark.checkpoint.dir``; a fixed local one where that is unset, as in tests."""
-    root = spark.conf.get("spark.checkpoint.dir", None) or "file:///tmp/checkpoints/mixwright"
-    return f"{root.rstrip('/')}/{label}-{uuid.uuid4().hex}"
+    """A fresh folder below ``spark.checkpoint.dir``."""
+    root = spark.conf.get("spark.checkpoint.dir", None) or FALLBACK
+    path = f"{root.rstrip('/')}/{label}-{uuid.uuid4().hex}"
+    for made in _scopes:
+        made.append(path)
+    return path
+
+
+def removed(spark: SparkSession, *paths: str) -> None:
+    """Delete folders, in whatever file system they are."""
+    for p in paths:
+        path = spark._jvm.org.apache.hadoop.fs.Path(p)
+        path.getFileSystem(spark._jsc.hadoopConfiguration()).delete(path, True)
+
+
+@contextmanager
+def tidied(spark: SparkSession, keep: list[str]) -> Iterator[None]:
+    """Delete, at the end, the folders that were made inside, but for those in ``keep``."""
+    made: list[str] = []
+    _scopes.append(made)
+    try:
+        yield
+    finally:
+        _scopes.remove(made)
+        removed(spark, *(p for p in made if p not in keep))
 
 
 def kept(df: DataFrame, label: str) -> DataFrame:
-    """Written once and reread, where several later steps would each compute it anew."""
+    """Written once and reread, where several later steps would each compute it anew; ``stored_at`` tells where."""
     path = scratch(df.sparkSession, label)
     df.write.parquet(path)
-    return df.sparkSession.read.schema(df.schema).parquet(path)
+    out = df.sparkSession.read.schema(df.schema).parquet(path)
+    out.stored_at = path
+    return out
+
+
+def checked(table: DataFrame, most: int = MAX_ROWS) -> DataFrame:
+    """A stored table with a broadcast hint, if its counted rows are at most ``most``; else as it is, for a join by shuffle."""
+    return F.broadcast(table) if table.count() <= most else table

@@ -9,6 +9,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from mixwright.functions.hashing import uniform
+from mixwright.functions.storage import checked, kept
 
 from .sampling import check, minmax, score_frequencies, weight
 
@@ -24,8 +25,8 @@ def solve(cells: DataFrame, alpha: float = 0.8, tau: float = 0.2, t_tgt: float |
 
 
 def apply(df: DataFrame, solved: DataFrame, keys: tuple[str, ...] = ("domain", "cluster", "quality")) -> DataFrame:
-    """Carry p and c back to documents by a broadcast of the cells."""
-    return df.join(F.broadcast(solved.select(*keys, "p", "c")), list(keys))
+    """Carry p and c back to documents by a broadcast of the cells, if they are counted to be few enough."""
+    return df.join(checked(kept(solved.select(*keys, "p", "c"), "cells")), list(keys))
 
 
 def sweep(cells: DataFrame, grid: DataFrame) -> DataFrame:
@@ -50,7 +51,7 @@ def sweep_totals(df: DataFrame, swept: DataFrame, grid: list[tuple[float, ...]],
     """
     at = [reduce(and_, (F.col(n) == F.lit(x) for n, x in zip(names, point, strict=True))) for point in grid]
     wide = swept.groupBy(*keys).agg(*[F.max(F.when(s, F.col(c))).alias(f"_{c}{i}") for i, s in enumerate(at) for c in ("p", "c")])
-    drawn = df.join(F.broadcast(wide), list(keys)).withColumn("_u", uniform(id_col, seed))
+    drawn = df.join(checked(kept(wide, "cells")), list(keys)).withColumn("_u", uniform(id_col, seed))
 
     def whole(i: int):
         c = F.round(f"_c{i}", 9)

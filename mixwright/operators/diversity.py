@@ -5,9 +5,14 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from mixwright.functions.storage import checked, kept
 from mixwright.functions.vectors import distance, dot, mean_vector
 
 
+#: Centroids that are broadcast.
+MAX_CLUSTERS = 100_000
+
+
 def centroids(assigned: DataFrame, vector: str = "v") -> DataFrame:
     """(cluster, centroid) as the mean of the members."""
     return mean_vector(assigned, ["cluster"], vector, "centroid")
@@ -18,7 +23,7 @@ def compactness(assigned: DataFrame, cents: DataFrame, metric: str = "euclidean"
 
     A cluster of one has compactness 0 by the letter; ``singleton`` may be 'median' or 'max' of the other clusters instead.
     """
-    near = assigned.join(F.broadcast(cents), "cluster")
+    near = assigned.join(checked(cents, MAX_CLUSTERS), "cluster")
     out = near.groupBy("cluster").agg(F.count("*").alias("n"), F.avg(distance(F.col(vector), F.col("centroid"), metric)).alias("compactness"))
     if singleton == "literal":
         return out
@@ -41,7 +46,7 @@ def separation(cents: DataFrame, agg: str = "mean", metric: str = "euclidean", n
         value = (k * dot(c, c) + F.col("norms") - 2 * k * dot(c, F.col("mean"))) / (k - 1)
         return cents.crossJoin(F.broadcast(total)).crossJoin(F.broadcast(sums)).select("cluster", F.when(k > 1, value).otherwise(F.lit(alone)).alias("separation"))
     other = cents.select(F.col("cluster").alias("other"), F.col("centroid").alias("far"))
-    # K rows against K rows: the number of clusters, not of documents.
+    # K rows against K rows: the number of clusters, not of documents. Beyond some ten thousand clusters 'mean_sq_fast' needs no pairs.
     gaps = cents.join(F.broadcast(other), F.col("cluster") != F.col("other")).select("cluster", "other", distance(F.col("centroid"), F.col("far"), metric).alias("gap"))
     if agg == "knn":
         w = Window.partitionBy("cluster").orderBy("gap", "other")
@@ -54,7 +59,7 @@ def separation(cents: DataFrame, agg: str = "mean", metric: str = "euclidean", n
 
 def cluster_table(assigned: DataFrame, metric: str = "euclidean", agg: str = "mean", vector: str = "v", singleton: str = "literal", alone: float | None = None) -> DataFrame:
     """(cluster, n, compactness, separation, diversity)."""
-    cents = centroids(assigned, vector)
+    cents = kept(centroids(assigned, vector), "centroids")
     both = compactness(assigned, cents, metric, vector, singleton).join(separation(cents, agg, metric, alone=alone), "cluster")
     return both.withColumn("diversity", F.col("compactness") * F.col("separation"))
 

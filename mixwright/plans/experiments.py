@@ -202,7 +202,7 @@ def _(spark, sf):
     source, sink = scratch(spark, "budget-in"), scratch(spark, "budget-out")
     lang_corpus(spark, sf).select("domain", "doc_id", "n_tokens").repartition(4).write.parquet(source)
     stream = scoring.read_files(spark, source, "domain string, doc_id long, n_tokens long")
-    scoring.run_to(scoring.within_budget(stream, 20_000), sink, scratch(spark, "budget-state"))
+    scoring.run_to(scoring.within_budget(stream, 20_000, 4), sink, scratch(spark, "budget-state"))
     return spark.read.parquet(sink).groupBy("domain").agg(F.sum("n_tokens").cast("long").alias("n_tokens"), (F.sum("n_tokens") <= 20_000).alias("within"))
 
 

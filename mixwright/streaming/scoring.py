@@ -56,20 +56,25 @@ def join_grades(docs: DataFrame, grades: DataFrame, late: str = "1 hour") -> Dat
     return d.join(g, F.expr(f"d.doc_id = g.doc_id AND g.graded_at BETWEEN d.ts AND d.ts + INTERVAL {late}"))
 
 
-def within_budget(stream: DataFrame, budget: int) -> DataFrame:
-    """Rows of each domain until its tokens are spent; the state is one counter per domain."""
+def within_budget(stream: DataFrame, budget: int, parts: int = 1) -> DataFrame:
+    """Rows of each domain until its tokens are spent; the state is a counter per domain and part.
+
+    A domain's documents are dealt by hash to ``parts``, each with its part of the budget, so that a large domain is no single task.
+    """
+    share = [budget // parts + (k < budget % parts) for k in range(parts)]
 
     def step(key: tuple, batches: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
         spent = state.get[0] if state.exists else 0
         for pdf in batches:
             pdf = pdf.sort_values("doc_id")
             upto = spent + pdf["n_tokens"].cumsum()
-            kept = pdf[upto <= budget]
+            kept = pdf[upto <= share[key[1]]]
             spent += int(kept["n_tokens"].sum())
             yield kept.assign(domain=key[0])[["domain", "doc_id", "n_tokens"]]
         state.update((spent,))
 
-    return stream.select("domain", "doc_id", "n_tokens").groupBy("domain").applyInPandasWithState(step, "domain string, doc_id long, n_tokens long", "spent long", "append", GroupStateTimeout.NoTimeout)
+    dealt = stream.select("domain", "doc_id", "n_tokens", F.pmod(F.xxhash64("doc_id"), F.lit(parts)).cast("int").alias("part"))
+    return dealt.groupBy("domain", "part").applyInPandasWithState(step, "domain string, doc_id long, n_tokens long", "spent long", "append", GroupStateTimeout.NoTimeout)
 
 
 def merge_cells(stream: DataFrame, path: str, checkpoint: str, keys: tuple[str, ...] = ("domain", "cluster", "quality")):
