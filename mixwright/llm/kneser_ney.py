@@ -1,11 +1,13 @@
 """Interpolated modified Kneser-Ney model: counted in Spark, kept as sorted hash arrays, memory-mapped by workers.
 
-A token is a 64-bit hash. Each map task counts its n-grams under dense codes and ships them as compressed arrays, one row
-per shard, each with the hashes of its own words. N-grams are dealt by the token before the last, so one merge gives a shard
+A token is a 64-bit hash; inside n-grams it is known by 40 bits of it. Each map task counts its n-grams under dense codes and ships
+them as compressed arrays, one row per shard, each with the short hashes of its own words; the whole hashes go
+with the tokens' counts alone. N-grams are dealt by the token before the last, so one merge gives a shard
 the counts of every order below too: of a gram, how many tokens stand before it; of a context, its total and how
 many of its grams occur once, twice and more. Frequent contexts are spread: n-grams of a frequent token are dealt
 by the token before it as well, and those of a frequent pair by their last token; what that leaves in parts is added up
-in a second step, as are the counts of words. Discounts come from the counts of counts, a few numbers.
+in a second step, as is what n-grams tell of their words. N-grams and contexts that occur once, most of them, are kept as bare
+hashes. Discounts come from the counts of counts, a few numbers.
 
 Scoring tasks map the arrays (``hash_arrays``) from the shared folder and look up the distinct n-grams of a batch of texts in order.
 
@@ -41,14 +43,19 @@ END = np.uint64(0x9E3779B97F4A7C15)
 START = np.uint64(0xC2B2AE3D27D4EB4F)
 SPACES = np.zeros(256, bool)
 SPACES[[32, 9, 10, 11, 12, 13]] = True
-FLUSH_TOKENS = 2_000_000
-WORD = ("u8",) * 7  # hash; occurrences; tokens before it; as a context: total, grams seen once, twice, more
+FLUSH_TOKENS = 1_200_000
+WORD = ("u8",) * 6  # short hash; tokens before it; as a context: total, grams seen once, twice, more
 
 
 def pair_hash(left: np.ndarray, right: np.ndarray) -> np.ndarray:
     return mix64(mix64(left) * np.uint64(3) + right)
 
 
+def short(words: np.ndarray) -> np.ndarray:
+    """40 bits of token hashes."""
+    return words >> np.uint64(24)
+
+
 def tokenise(texts: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
     """Token hashes of all texts one after another, an end token behind each, and the number of tokens of each."""
     raw = np.frombuffer(b"\n".join(texts) + b"\n", np.uint8)
@@ -61,7 +68,7 @@ def tokenise(texts: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
     return np.insert(hashes, upto, END), np.diff(np.concatenate([[0], upto])) + 1
 
 
-def _chunks(texts: list[bytes], limit: int = 4 << 20) -> Iterator[tuple[int, int]]:
+def _chunks(texts: list[bytes], limit: int = 2 << 20) -> Iterator[tuple[int, int]]:
     at = size = 0
     for i, t in enumerate(texts):
         if size and size + len(t) > limit:
@@ -75,11 +82,11 @@ def _chunks(texts: list[bytes], limit: int = 4 << 20) -> Iterator[tuple[int, int
 def coded(tokens: np.ndarray, n: np.ndarray, order: int) -> tuple[np.ndarray, list[np.ndarray]]:
     """Distinct hashes, and columns of codes for each token's n-gram: the token before, those before that, last the token itself."""
     words, code = np.unique(np.append(tokens, START), return_inverse=True)
-    start, code = code[-1], code[:-1]
+    start, code = code[-1], code[:-1].astype(np.uint32)
     first = np.concatenate([[0], np.cumsum(n)[:-1]]).astype(np.int64) if len(n) else np.zeros(0, np.int64)
     columns, last = [], code
     for _ in range(order - 1):
-        last = np.concatenate([[start], last[:-1]]) if len(last) else last
+        last = np.concatenate([last[:1], last[:-1]])
         last[first] = start
         columns.append(last)
     return words, [*columns, code]
@@ -120,7 +127,7 @@ def grouped(columns: list[np.ndarray], k: int, counts: np.ndarray | None = None)
 
 
 def _block(words: np.ndarray, columns: list[np.ndarray], counts: np.ndarray) -> bytes:
-    """A compressed block of sorted rows of codes, with the hashes of the words that occur in it."""
+    """A compressed block of sorted rows of codes, with the short hashes, sorted like the codes, of the words that occur in it."""
     used = np.zeros(len(words), bool)
     for c in columns:
         used[c] = True
@@ -139,6 +146,8 @@ def _unblock(blob: bytes, order: int) -> tuple[np.ndarray, list[np.ndarray], np.
 
 @dataclass(frozen=True)
 class Model:
+    """Where the arrays are, and the numbers that discounts and the lowest order need."""
+
     path: str
     order: int
     shards: int
@@ -190,6 +199,12 @@ def _array(keys: np.ndarray, *columns: np.ndarray) -> bytes:
     return hash_arrays.pack(keys[order], [c[order] for c in columns])
 
 
+def _once(label: str, keys: np.ndarray, *columns: np.ndarray) -> dict[str, bytes]:
+    """Two arrays: what occurs once as bare hashes, the others with their numbers."""
+    one = columns[0] == 1
+    return {label: _array(keys[~one], *(c[~one] for c in columns)), f"{label} once": _array(keys[one])}
+
+
 def _runs(columns: list[np.ndarray], counts: np.ndarray) -> tuple[np.ndarray, tuple[np.ndarray, ...]]:
     """Of sorted n-grams: the first row of each context, and its total and grams seen once, twice and more."""
     if not len(counts):
@@ -202,7 +217,7 @@ def _census(counts: np.ndarray) -> list[int]:
     return [len(counts), *(int((counts == k).sum()) for k in (1, 2, 3, 4))]
 
 
-def fit(df: DataFrame, text: str = "text", shard_bytes: int = 24 << 20, hot_sample: int = 2000, hot_share: float = 0.1, order: int = 3) -> Model:
+def fit(df: DataFrame, text: str = "text", shard_bytes: int = 16 << 20, hot_sample: int = 2000, hot_share: float = 0.1, order: int = 3) -> Model:
     """Count a model of order two or more over all rows of ``df``."""
     if order < 2:
         raise ValueError("the order must be two or more")
@@ -222,12 +237,15 @@ def fit(df: DataFrame, text: str = "text", shard_bytes: int = 24 << 20, hot_samp
 
         def flush() -> Iterator[pa.RecordBatch]:
             words, columns = coded(np.concatenate(held), np.concatenate(sizes), order)
-            # Frequent words get small codes, which take little room in a block.
-            rank = np.argsort(-np.bincount(columns[-1], minlength=len(words)), kind="stable")
-            code = np.empty(len(words), np.uint32)
-            code[rank] = np.arange(len(words), dtype=np.uint32)
-            words = words[rank]
-            columns, counts = grouped([code[c] for c in columns], len(words))
+            held.clear()
+            sizes.clear()
+            times = np.bincount(columns[-1], minlength=len(words)).astype(np.uint64)
+            seen = np.flatnonzero(times)
+            for s, at in by_shard(mix64(words[seen]) % np.uint64(shards), shards):
+                yield batch([("word", s, squeeze((words[seen[at]], times[seen[at]]), -1))])
+            # Codes keep the order of hashes, and so of short ones; two words with one short hash are one in n-grams.
+            words = short(words)
+            columns, counts = grouped(columns, len(words))
             for s, at in by_shard(mix64(places(words, columns, hot, hot_pairs)[0]) % np.uint64(shards), shards):
                 yield batch([("gram", s, _block(words, [c[at] for c in columns], counts[at]))])
             release_memory()
@@ -242,7 +260,7 @@ def fit(df: DataFrame, text: str = "text", shard_bytes: int = 24 << 20, hot_samp
                     waiting += len(tokens)
                     if waiting > FLUSH_TOKENS:
                         yield from flush()
-                        held, sizes, waiting = [], [], 0
+                        waiting = 0
         if held:
             yield from flush()
 
@@ -254,23 +272,30 @@ def fit(df: DataFrame, text: str = "text", shard_bytes: int = 24 << 20, hot_samp
 
     def as_context(numbers: np.ndarray, columns: list[np.ndarray], counts: np.ndarray) -> None:
         """Add what pairs tell of their words."""
-        numbers[1] += np.bincount(columns[1], minlength=numbers.shape[1]).astype(np.uint64)
+        numbers[0] += np.bincount(columns[1], minlength=numbers.shape[1]).astype(np.uint64)
         heads, sums = _runs(columns, counts)
         for k, x in enumerate(sums):
-            numbers[2 + k][columns[0][heads]] += x
+            numbers[1 + k][columns[0][heads]] += x
 
     def merge(table: pa.Table) -> pa.Table:
-        shard = table.column("shard")[0].as_py()
-        parts = [_unblock(x.as_py(), order) for x in table.column("block")]
+        shard, kinds = table.column("shard")[0].as_py(), table.column("kind").to_pylist()
+        arrays, out, facts = {}, [], np.zeros((order + 1, 5), np.int64)
+        parts = [spread(x.as_py(), ("u8", "u8"), -1) for k, x in zip(kinds, table.column("block"), strict=True) if k == "word"]
+        if parts:
+            keys, (times,) = _summed([np.concatenate([p[i] for p in parts]) for i in range(2)])
+            arrays["words"] = hash_arrays.pack(keys, [times])
+            facts[order, :2] = len(keys), times.sum()
+        parts = [_unblock(x.as_py(), order) for k, x in zip(kinds, table.column("block"), strict=True) if k == "gram"]
+        if not parts:
+            hash_arrays.write(f"{target}/grams-{shard:07d}", arrays)
+            return pa.Table.from_batches([batch([("fact", -1, facts.tobytes())])])
         words = np.unique(np.concatenate([p[0] for p in parts]))
         codes = [np.searchsorted(words, p[0]).astype(np.uint32) for p in parts]
         columns = [np.concatenate([c[p[1][k]] for c, p in zip(codes, parts, strict=True)]) for k in range(order)]
         counts = np.concatenate([p[2] for p in parts])
         del parts
         columns, counts = grouped(columns, len(words), counts)
-        numbers = np.zeros((6, len(words)), np.uint64)
-        np.add.at(numbers[0], columns[-1], counts)
-        arrays, out, facts = {}, [], np.zeros((order, 5), np.int64)
+        numbers = np.zeros((5, len(words)), np.uint64)
         for level in range(order, 1, -1):
             if level < order:  # drop the farthest token; what is left counts the tokens before it
                 columns, counts = grouped([*columns[:-2], columns[-1]], len(words))
@@ -285,11 +310,11 @@ def fit(df: DataFrame, text: str = "text", shard_bytes: int = 24 << 20, hot_samp
             else:
                 heads, sums = _runs(columns, counts)
                 context, split = _hashes(words, columns)[0][heads], is_pair[heads]
-                arrays[f"context{level}"] = _array(context[~split], *(x[~split] for x in sums))
+                arrays |= _once(f"context{level}", context[~split], *(x[~split] for x in sums))
                 if split.any():
                     rows = np.sort(context[split]), np.argsort(context[split])
                     out += [(f"context{level}", s, squeeze((rows[0][at], *(x[split][rows[1]][at] for x in sums)), -1)) for s, at in by_shard(mix64(rows[0]) % np.uint64(shards), shards)]
-            arrays[f"gram{level}"] = _array(_hashes(words, columns)[1], counts)
+            arrays |= _once(f"gram{level}", _hashes(words, columns)[1], counts)
             facts[level - 1] = _census(counts)
         hash_arrays.write(f"{target}/grams-{shard:07d}", arrays)
         out += word_rows(words, numbers)
@@ -299,18 +324,18 @@ def fit(df: DataFrame, text: str = "text", shard_bytes: int = 24 << 20, hot_samp
 
     def merge_hot(table: pa.Table) -> pa.Table:
         shard, kinds, blocks = table.column("shard")[0].as_py(), table.column("kind").to_pylist(), table.column("block").to_pylist()
-        arrays, out, facts = {}, [], np.zeros((order, 5), np.int64)
+        arrays, out, facts = {}, [], np.zeros((order + 1, 5), np.int64)
         for level in range(3, order + 1):
             if parts := [spread(x, ("u8",) * 5, -1) for k, x in zip(kinds, blocks, strict=True) if k == f"context{level}"]:
                 keys, sums = _summed([np.concatenate([p[i] for p in parts]) for i in range(5)])
-                arrays[f"context{level}"] = hash_arrays.pack(keys, sums)
+                arrays |= _once(f"context{level}", keys, *sums)
         if parts := [_unblock(x, 2) for k, x in zip(kinds, blocks, strict=True) if k == "pair"]:
             words = np.unique(np.concatenate([p[0] for p in parts]))
             columns = [np.concatenate([np.searchsorted(words, p[0]).astype(np.uint32)[p[1][k]] for p in parts]) for k in range(2)]
             columns, counts = grouped(columns, len(words), np.concatenate([p[2] for p in parts]))
-            arrays["gram2"] = _array(_hashes(words, columns)[1], counts)
+            arrays |= _once("gram2", _hashes(words, columns)[1], counts)
             facts[1] = _census(counts)
-            numbers = np.zeros((6, len(words)), np.uint64)
+            numbers = np.zeros((5, len(words)), np.uint64)
             as_context(numbers, columns, counts)
             out += word_rows(words, numbers)
         hash_arrays.write(f"{target}/hot-{shard:07d}", arrays)
@@ -323,20 +348,20 @@ def fit(df: DataFrame, text: str = "text", shard_bytes: int = 24 << 20, hot_samp
             facts = np.sum([np.frombuffer(x, np.int64) for x in blocks], axis=0)
             return pa.table({"kind": ["grams"], "sums": [facts.tolist()]})
         parts = [spread(x, WORD, -1) for x in blocks]
-        keys, sums = _summed([np.concatenate([p[i] for p in parts]) for i in range(7)])
-        hash_arrays.write(f"{target}/words-{shard:07d}", {"words": hash_arrays.pack(keys, sums)})
-        return pa.table({"kind": ["words"], "sums": [[int((sums[0] > 0).sum()), int(sums[0].sum()), *_census(sums[1])[1:]]]})
+        keys, sums = _summed([np.concatenate([p[i] for p in parts]) for i in range(6)])
+        hash_arrays.write(f"{target}/short-{shard:07d}", {"words": _array(mix64(keys), *sums)})
+        return pa.table({"kind": ["words"], "sums": [[int((sums[0] > 0).sum()), *_census(sums[0])[1:]]]})
 
     shape = "kind string, shard int, block binary"
     first = stored(df.select(body).mapInArrow(gather, shape).groupBy("shard").applyInArrow(merge, shape), "kneser-ney-merged")
     second = stored(first.filter(F.col("kind").rlike("pair|context")).groupBy("shard").applyInArrow(merge_hot, shape), "kneser-ney-hot")
     final = first.unionByName(second).filter("kind in ('word', 'fact')").groupBy("shard").applyInArrow(merge_words, "kind string, sums array<long>")
-    total = {"grams": [0] * 5 * order, "words": [0] * 6}
+    total = {"grams": [0] * 5 * (order + 1), "words": [0] * 5}
     for kind, at, n in final.select("kind", F.posexplode("sums").alias("at", "n")).groupBy("kind", "at").agg(F.sum("n")).collect():
         total[kind][at] = n
     dropped(first, second)
-    w, g = total["words"], [total["grams"][5 * k : 5 * k + 5] for k in range(1, order)]
-    return Model(target, order, shards, word_shards, w[1], w[0], g[0][0], (w[2], w[3], w[0] - w[2] - w[3]), (discounts(*w[2:]), *(discounts(*x[1:]) for x in g)), hot, hot_pairs)
+    w, g = total["words"], [total["grams"][5 * k : 5 * k + 5] for k in range(1, order + 1)]
+    return Model(target, order, shards, word_shards, g[-1][1], g[-1][0], g[0][0], (w[1], w[2], w[0] - w[1] - w[2]), (discounts(*w[1:]), *(discounts(*x[1:]) for x in g[:-1])), hot, hot_pairs)
 
 
 def _summed(columns: list[np.ndarray]) -> tuple[np.ndarray, list[np.ndarray]]:
@@ -359,6 +384,7 @@ def _hot_contexts(drawn: DataFrame, share: float) -> tuple[np.ndarray, np.ndarra
                 texts = b.column(0).slice(i, 512).to_pylist()
                 for lo, hi in _chunks(texts):
                     words, (left, before, _) = coded(*tokenise(texts[lo:hi]), 3)
+                    words = short(words)
                     single, pair = words[left], pair_hash(words[left], words[before])
                     for kind, values in ((0, single), (1, pair)):
                         h, n = np.unique(values, return_counts=True)
@@ -368,7 +394,7 @@ def _hot_contexts(drawn: DataFrame, share: float) -> tuple[np.ndarray, np.ndarra
     total = counts.filter("kind = 0").agg(F.coalesce(F.sum("n"), F.lit(0))).first()[0]
     rows = counts.filter((F.col("n") > share * total) & (F.col("n") > 2)).collect()
     dropped(counts)
-    mark = np.array([START])
+    mark = short(np.array([START]))
     found = [np.array([r["h"] for r in rows if r["kind"] == k], "i8").view("u8") for k in (0, 1)]
     return np.unique(np.append(found[0], mark)), np.unique(np.append(found[1], pair_hash(mark, mark)))
 
@@ -383,17 +409,22 @@ class Lookup:
         """Numbers of each key, zero where it is not known; ``place`` tells the file."""
         out = [np.zeros(len(keys), np.int64) for _ in range(fields)]
         for s, rows in by_shard(mix64(place) % np.uint64(shards), shards):
-            array = self.files.array(f"{file}-{s:07d}", label)
-            if array is None:
-                continue
             rows = rows[np.argsort(keys[rows])]
-            hit, got = array.find(keys[rows])
-            for o, v in zip(out, got, strict=True):
-                o[rows[hit]] = v
+            if array := self.files.array(f"{file}-{s:07d}", label):
+                hit, got = array.find(keys[rows])
+                for o, v in zip(out, got, strict=True):
+                    o[rows[hit]] = v
+                rows = rows[~hit]
+            if array := self.files.array(f"{file}-{s:07d}", f"{label} once"):
+                rows = rows[array.find(keys[rows])[0]]
+                for o in out[:2]:  # the count, or of a context its total and its one n-gram seen once
+                    o[rows] = 1
         return out
 
     def words(self, tokens: np.ndarray) -> list[np.ndarray]:
-        return self.find("words", "words", tokens, tokens, self.model.word_shards, 6)
+        """Occurrences; tokens before; as a context total, grams seen once, twice and more."""
+        known, m = short(tokens), self.model
+        return [*self.find("grams", "words", tokens, tokens, m.shards, 1), *self.find("short", "words", mix64(known), known, m.word_shards, 5)]
 
     def grams(self, words: np.ndarray, columns: list[np.ndarray], numbers: list[np.ndarray]) -> tuple[np.ndarray, list[np.ndarray]]:
         """Counts of n-grams, and totals and grams seen once, twice and more of their contexts."""
@@ -429,7 +460,7 @@ def log_scores(look: Lookup, texts: list[bytes]) -> tuple[np.ndarray, ...]:
     tokens, n = tokenise(texts)
     words, columns = coded(tokens, n, m.order)
     occ, lefts, *numbers = look.words(words)
-    w, k = columns[-1], len(words)
+    w, k, words = columns[-1], len(words), short(words)
     low = np.full(k, 1.0 / (m.vocabulary + 1))
     if m.pair_types:
         freed = sum(d * t for d, t in zip(m.discounts[0], m.word_types, strict=True)) / m.pair_types

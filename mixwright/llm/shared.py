@@ -3,46 +3,21 @@
 from __future__ import annotations
 
 import ctypes
-import uuid
 
 import pyarrow as pa
-from pyspark.sql import DataFrame, SparkSession
-from pyspark.sql import functions as F
+from pyspark.sql import DataFrame
 
-#: Used only where the session names no folder, as in tests on one machine.
-FALLBACK = "file:///tmp/checkpoints/mixwright"
+from mixwright.functions.storage import checked, kept, removed, scratch
 
-
-def folder(spark: SparkSession, label: str) -> str:
-    """A fresh folder below ``spark.checkpoint.dir``."""
-    root = spark.conf.get("spark.checkpoint.dir", None) or FALLBACK
-    return f"{root.rstrip('/')}/{label}-{uuid.uuid4().hex}"
-
-
-def stored(df: DataFrame, label: str) -> DataFrame:
-    """Write and reread: cuts the lineage, and a lost executor costs only the reading of files."""
-    path = folder(df.sparkSession, label)
-    df.write.parquet(path)
-    out = df.sparkSession.read.schema(df.schema).parquet(path)
-    out.stored_at = path
-    return out
+folder = scratch
+stored = kept
+sized = checked
 
 
 def dropped(*tables: DataFrame) -> None:
     """Delete stored tables that nothing reads any more."""
     for df in tables:
-        spark = df.sparkSession
-        path = spark._jvm.org.apache.hadoop.fs.Path(df.stored_at)
-        path.getFileSystem(spark._jsc.hadoopConfiguration()).delete(path, True)
-
-
-#: Ids that are broadcast to drop or find rows, at 16 bytes each; beyond it they meet by a shuffle.
-MAX_BROADCAST_IDS = 2_000_000
-
-
-def sized(ids: DataFrame) -> DataFrame:
-    """A stored, narrow id table with a broadcast hint where its counted rows allow it."""
-    return F.broadcast(ids) if ids.count() <= MAX_BROADCAST_IDS else ids
+        removed(df.sparkSession, df.stored_at)
 
 
 def free_names(df: DataFrame, *names: str) -> list[str]:

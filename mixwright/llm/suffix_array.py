@@ -1,8 +1,9 @@
 """Suffix arrays by recursive induced sorting, with priority queues that go to disk and common-prefix values carried along.
 
 Suffixes are of type L (greater than their successor) or S; the leftmost S of each group anchor the rest. An induction from the
-anchors in any order sorts the substrings between anchors; equal ones get equal names; the sequence of names, a third of
-the text or less, is sorted in its turn by the same steps, and a second induction from the sorted anchors orders all suffixes. The
+anchors in any order sorts the substrings of bytes between anchors; equal ones get equal names; the sequence of names, a third of
+the text or less, is sorted in its turn: its own anchors' substrings are ranked, their names sorted by recursion, and
+an induction orders the rest. A last induction from the sorted anchors orders all suffixes of the text. The
 recursion ends where all names differ or each stands for ``depth`` bytes.
 
 An induction takes suffixes in order and pushes each one's predecessor to a priority queue. Over bytes, the queue is one
@@ -25,7 +26,7 @@ import numpy as np
 import pyarrow.fs as pafs
 
 TOP = 127
-MEMORY = 4 << 20
+MEMORY = 1 << 20
 RANGE = 20_000  # suffixes of names whose keys share a queue
 NONE = np.zeros(0, np.int32), np.zeros(0, np.uint8)
 
@@ -284,19 +285,49 @@ def _names(text: np.ndarray, marks: np.ndarray, order: np.ndarray) -> np.ndarray
     return names
 
 
+def _ranked(values: np.ndarray) -> np.ndarray:
+    """Dense ranks."""
+    order = np.argsort(values, kind="stable")
+    out = np.empty(len(values), np.int64)
+    out[order] = np.cumsum(np.concatenate([[False], values[order[1:]] != values[order[:-1]]]))
+    return out
+
+
+def name_substrings(text: np.ndarray, is_s: np.ndarray, marks: np.ndarray) -> np.ndarray:
+    """Ranks of the substrings of names from each mark to the next, that included; of equal names, one of type L is less.
+
+    Ties are looked at again, a few symbols further on, until they are settled or at their end.
+    """
+    symbol = np.append(text.astype(np.int64) * 2 + is_s + 1, 0)  # 0 is behind the end of a substring
+    size = np.append(np.diff(marks) + 1, 1)
+    at = lambda rows, k: np.where(k < size[rows], symbol[np.minimum(marks[rows] + k, len(text))], 0)
+    rank, k = _ranked(symbol[marks]), 1
+    live = np.arange(len(marks))
+    while len(live):
+        tied = np.bincount(rank, minlength=len(marks))[rank[live]] > 1
+        live = live[tied & (size[live] > k)]
+        if not len(live):
+            return rank
+        # Within a rank, those at their end come first; new ranks leave room for all that were tied.
+        more = at(live, k) << 31 | _ranked(at(live, k + 1))
+        ahead = np.zeros(len(marks), np.int64)
+        ahead[live] = _ranked(more) + 1
+        order = np.lexsort((ahead, rank))
+        r, a = rank[order], ahead[order]
+        rank[order] = np.cumsum(np.concatenate([[False], (r[1:] != r[:-1]) | (a[1:] != a[:-1])]))
+        k += 2
+    return rank
+
+
 def sort_names(text: np.ndarray, spans: np.ndarray, depth: int, memory: int, folder: str | None, spilt: Callable[[int], None]) -> np.ndarray:
     """Suffixes of a text of names, each standing for ``spans`` bytes, in order up to ``depth`` bytes."""
     if int(text.max()) == len(text) - 1 or spans.min() >= depth:
         return np.argsort(text, kind="stable").astype(np.int32)
     is_s, _, marks = _types(text)
-    order = marks[np.argsort(text[marks], kind="stable")].astype(np.int32)
-    if len(marks) > 1:
-        sorted_all = induce_names(text, is_s, order, memory, folder, spilt)
-        flag = np.zeros(len(text), bool)
-        flag[marks] = True
-        upto = np.concatenate([np.zeros(1, np.int64), np.cumsum(np.minimum(spans, depth), dtype=np.int64)])
-        covered = np.append(upto[marks[1:]] - upto[marks[:-1]], depth)
-        order = marks[sort_names(_names(text, marks, sorted_all[flag[sorted_all]]), covered, depth, memory, folder, spilt)].astype(np.int32)
+    upto = np.concatenate([np.zeros(1, np.int64), np.cumsum(np.minimum(spans, depth), dtype=np.int64)])
+    covered = np.append(upto[marks[1:]] - upto[marks[:-1]], depth)
+    names = name_substrings(text, is_s, marks).astype(np.int32)
+    order = marks[sort_names(names, covered, depth, memory, folder, spilt)].astype(np.int32)
     return induce_names(text, is_s, order, memory, folder, spilt)
 
 

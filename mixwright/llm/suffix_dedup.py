@@ -42,7 +42,7 @@ from mixwright.operators.near import integer_ids
 from .shared import folder, free_names, release_memory, stored
 from .suffix_array import MEMORY, sorted_suffixes
 
-PIECE = 1 << 20
+PIECE = 1 << 19
 ROW = ("u8", "u8", "u8", "u8", "u4", "u1")  # document, anchor, stretch, text hash, start, windows
 MARK = ("u8", "u8", "u4", "u4")  # document, text hash, first start, windows
 CALL = ("u8", "u8", "u8", "u4", "u1")  # document, anchor, text hash, start, windows
@@ -145,7 +145,7 @@ def _hot_anchors(drawn: DataFrame, length: int, gram: int, docs: int, shards: in
     return np.sort(np.array([r[0] for r in counts.filter(F.col("n") > least).select("h").collect()], "i8").view("u8"))
 
 
-def repeat_marks(df: DataFrame, id_col: str = "doc_id", text: str = "text", length: int = 100, gram: int = 32, shard_bytes: int = 8 << 20, sort_bytes: int = 4 << 20, hot_sample: int = 2000, memory: int = MEMORY) -> tuple[DataFrame, int]:
+def repeat_marks(df: DataFrame, id_col: str = "doc_id", text: str = "text", length: int = 100, gram: int = 32, shard_bytes: int = 8 << 20, sort_bytes: int = 2 << 20, hot_sample: int = 2000, memory: int = MEMORY) -> tuple[DataFrame, int]:
     """(bucket, block) of marked windows, dealt by document to the returned number of buckets; see ``MARK``."""
     integer_ids(df, id_col)
     spark = df.sparkSession
@@ -186,7 +186,7 @@ def repeat_marks(df: DataFrame, id_col: str = "doc_id", text: str = "text", leng
                 for t, anchor, stretch, start, count in stretches(piece.column(2).to_pylist(), length, gram):
                     held.append((doc[t], anchor, stretch, hashed[t], start, count))
                     waiting += len(t)
-                    if waiting > 800_000:
+                    if waiting > 400_000:
                         yield flush()
                         held, waiting = [], 0
         if held:
