@@ -2,10 +2,12 @@
 
 from __future__ import annotations
 
+import ctypes
 import uuid
 from collections.abc import Iterator
 from contextlib import contextmanager
 
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -56,3 +58,12 @@ def kept(df: DataFrame, label: str) -> DataFrame:
 def checked(table: DataFrame, most: int = MAX_ROWS) -> DataFrame:
     """A stored table with a broadcast hint, if its counted rows are at most ``most``; else as it is, for a join by shuffle."""
     return F.broadcast(table) if table.count() <= most else table
+
+
+def release_memory() -> None:
+    """Give freed memory of a worker process back to the system; workers live on between tasks."""
+    pa.default_memory_pool().release_unused()
+    try:
+        ctypes.CDLL("libc.so.6").malloc_trim(0)
+    except (OSError, AttributeError):  # another C library
+        pass

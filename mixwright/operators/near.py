@@ -35,7 +35,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from mixwright.functions.blocks import by_shard, changes, mix64, spread, spread_all, squeeze
-from mixwright.functions.storage import kept
+from mixwright.functions.storage import kept, release_memory
 
 from .components import components
 
@@ -148,9 +148,10 @@ def _scan(docs: DataFrame, width: int, threshold: float, shards: int, common: np
                 before = np.concatenate([np.zeros(1, "u8"), first[:-1] >> np.uint64(32) | np.uint64(1)]).astype("u4")
                 held.append((first, np.full(len(first), node, "i8").view("u8"), before, np.full(len(first), len(s), "u4"), np.arange(len(first), dtype="u4")))
                 waiting += len(first)
-                if waiting > 1_000_000:
+                if waiting > 400_000:
                     yield flush()
                     held, waiting = [], 0
+                    release_memory()
         if held:
             yield flush()
 
@@ -188,6 +189,7 @@ def _meetings(threshold: float, bucket_rows: int):
         low, high = (f.reduceat(before, heads) if len(heads) else before for f in (np.minimum, np.maximum))
         hot = np.repeat((size > bucket_rows) & ((low != high) | (low == 0)), size)
         k, m = pairs.shape[1], int(hot.sum())
+        release_memory()
         column = lambda first, rest, t: pa.array(np.concatenate([first, rest]), t)
         return pa.table({"unit": column(np.zeros(k, "i8"), h[hot].view("i8"), pa.int64()), "a": column(pairs[0], node[hot].view("i8"), pa.int64()), "b": column(pairs[1], np.zeros(m, "i8"), pa.int64()), "before": column(np.zeros(k, "i8"), before[hot].astype("i8"), pa.int64()), "m": column(np.zeros(k, "i8"), many[hot], pa.int64())})
 
@@ -259,6 +261,7 @@ def _settled(threshold: float, every: bool):
                 for i, j, shared in compare([held[rows[1][i]] for i in at], threshold, every, label, before, side if side.min() >= 0 else None):
                     out.append((rows[1][at[i]], rows[1][at[j]], shared))
         a, b = np.array([o[0] for o in out], "i8"), np.array([o[1] for o in out], "i8")
+        release_memory()
         return pa.table([pa.array(np.minimum(a, b), pa.int64()), pa.array(np.maximum(a, b), pa.int64()), pa.array([o[2] for o in out], pa.int64())], names=["a", "b", "shared"])
 
     return run
@@ -319,7 +322,7 @@ def plausible_units(asks: DataFrame, nodes: DataFrame, threshold: float) -> Data
     return with_sketch.groupBy("bucket").applyInArrow(run, f"bucket int, {ASK}")
 
 
-def asked_pairs(pairs: DataFrame, bucket_pairs: int = 8_000) -> DataFrame:
+def asked_pairs(pairs: DataFrame, bucket_pairs: int = 2_000) -> DataFrame:
     """Rows of ``ASK`` for pairs (a, b), those of one neighbourhood in one bucket, and none above about ``bucket_pairs``."""
     ends = pairs.select(F.col("a").alias("node"), F.col("b").alias("other")).unionByName(pairs.select(F.col("b").alias("node"), F.col("a").alias("other")))
     low = ends.groupBy("node").agg(F.least(F.col("node"), F.min("other")).alias("low"))
@@ -343,7 +346,7 @@ def asked_units(hot: DataFrame, chunk_rows: int = 1024, bucket_rows: int = 4096)
     return rows.select(F.pmod(F.xxhash64("unit"), F.lit(buckets)).cast("int").alias("bucket"), *rows.columns)
 
 
-def gathered_units(asks: DataFrame, bucket_rows: int = 4096) -> DataFrame:
+def gathered_units(asks: DataFrame, bucket_rows: int = 1024) -> DataFrame:
     """The rows of units in new buckets: units that share nodes go together, so that a set is sent to few buckets, and none gets much more than ``bucket_rows``."""
     asks = kept(asks.drop("bucket"), "near-plausible")
     low = asks.groupBy("unit").agg(F.min("a").alias("low"))
@@ -369,7 +372,7 @@ class NearSets:
     n, mark, sketch), least being its smallest id. ``mark`` may compute a long from the sorted shingle hashes on the way.
     """
 
-    def __init__(self, df: DataFrame, id_col: str = "doc_id", body: Column | None = None, width: int = 5, threshold: float = 0.8, mark: Callable[[np.ndarray], int] | None = None, shard_bytes: int = 64 << 20):
+    def __init__(self, df: DataFrame, id_col: str = "doc_id", body: Column | None = None, width: int = 5, threshold: float = 0.8, mark: Callable[[np.ndarray], int] | None = None, shard_bytes: int = 16 << 20):
         integer_ids(df, id_col)
         self.docs, self.width, self.threshold = df.select(F.col(id_col).alias("id"), (folded() if body is None else body).alias("body")), width, threshold
         n, size = self.docs.agg(F.count("*"), F.coalesce(F.sum(F.octet_length("body")), F.lit(0))).first()
