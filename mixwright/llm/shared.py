@@ -2,12 +2,9 @@
 
 from __future__ import annotations
 
-import ctypes
-
-import pyarrow as pa
 from pyspark.sql import DataFrame
 
-from mixwright.functions.storage import checked, kept, removed, scratch
+from mixwright.functions.storage import checked, kept, release_memory, removed, scratch
 
 folder = scratch
 stored = kept
@@ -38,10 +35,4 @@ def id_name(id_col: str, *results: str) -> None:
         raise ValueError(f"the id column may not be named {id_col}: the result has a column of that name")
 
 
-def release_memory() -> None:
-    """Give freed memory of a worker process back to the system; workers live on between tasks."""
-    pa.default_memory_pool().release_unused()
-    try:
-        ctypes.CDLL("libc.so.6").malloc_trim(0)
-    except (OSError, AttributeError):  # another C library
-        pass
+__all__ = ["dropped", "folder", "free_names", "id_name", "release_memory", "sized", "stored"]
