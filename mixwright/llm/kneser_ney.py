@@ -26,7 +26,7 @@ result; other columns of the input are ignored. Scores of a model without traini
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+from collections.abc import Callable, Iterable, Iterator
 from dataclasses import dataclass
 
 import numpy as np
@@ -37,7 +37,7 @@ from pyspark.sql import functions as F
 from mixwright.functions.blocks import by_shard, changes, mix64, rolling_sums, spread, squeeze, stretch_hash
 
 from . import hash_arrays
-from .shared import dropped, folder, release_memory, stored
+from .shared import dropped, folder, lean, lean_group, release_memory, stored
 
 END = np.uint64(0x9E3779B97F4A7C15)
 START = np.uint64(0xC2B2AE3D27D4EB4F)
@@ -138,10 +138,14 @@ def _block(words: np.ndarray, columns: list[np.ndarray], counts: np.ndarray) ->
     return bytes([int(kind[1])]) + len(head).to_bytes(4, "little") + head + body
 
 
+def _words_of(blob: bytes) -> np.ndarray:
+    """The words of a block."""
+    return spread(blob[5 : 5 + int.from_bytes(blob[1:5], "little")], ("u8",), -1)[0]
+
+
 def _unblock(blob: bytes, order: int) -> tuple[np.ndarray, list[np.ndarray], np.ndarray]:
-    size = int.from_bytes(blob[1:5], "little")
-    *columns, counts = spread(blob[5 + size :], (f"u{blob[0]}",) * order + ("u8",), -1)
-    return spread(blob[5 : 5 + size], ("u8",), -1)[0], columns, counts
+    *columns, counts = spread(blob[5 + int.from_bytes(blob[1:5], "little") :], (f"u{blob[0]}",) * order + ("u8",), -1)
+    return _words_of(blob), columns, counts
 
 
 @dataclass(frozen=True)
@@ -175,8 +179,18 @@ def _among(values: np.ndarray, some: np.ndarray) -> np.ndarray:
     return some[np.minimum(np.searchsorted(some, values), len(some) - 1)] == values
 
 
+def _in_steps(make: Callable, columns: list[np.ndarray], step: int = 1 << 17) -> tuple[np.ndarray, ...]:
+    """``make`` of the columns' rows, a step after another, so that what it makes on its way stays small."""
+    parts = [make([c[i : i + step] for c in columns]) for i in range(0, max(1, len(columns[0])), step)]
+    return tuple(np.concatenate(column) for column in zip(*parts, strict=True))
+
+
 def places(words: np.ndarray, columns: list[np.ndarray], hot: np.ndarray, hot_pairs: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """Where n-grams are dealt (a hash), and which of them are of a hot token, of a hot pair."""
+    return _in_steps(lambda part: _places(words, part, hot, hot_pairs), columns)
+
+
+def _places(words: np.ndarray, columns: list[np.ndarray], hot: np.ndarray, hot_pairs: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     at = words[columns[0]]
     is_hot = _among(words, hot)[columns[0]]
     paired = pair_hash(at, words[columns[1]])
@@ -188,6 +202,15 @@ def places(words: np.ndarray, columns: list[np.ndarray], hot: np.ndarray, hot_pa
 
 def _hashes(words: np.ndarray, columns: list[np.ndarray]) -> tuple[np.ndarray, np.ndarray]:
     """Hashes of contexts and of whole n-grams."""
+    return _in_steps(lambda part: _hashed(words, part), columns)
+
+
+def _whole(words: np.ndarray, columns: list[np.ndarray]) -> np.ndarray:
+    """Hashes of whole n-grams."""
+    return _in_steps(lambda part: _hashed(words, part)[1:], columns)[0]
+
+
+def _hashed(words: np.ndarray, columns: list[np.ndarray]) -> tuple[np.ndarray, np.ndarray]:
     context = words[columns[0]]
     for c in columns[1:-1]:
         context = pair_hash(context, words[c])
@@ -195,6 +218,8 @@ def _hashes(words: np.ndarray, columns: list[np.ndarray]) -> tuple[np.ndarray, n
 
 
 def _array(keys: np.ndarray, *columns: np.ndarray) -> bytes:
+    if not columns:
+        return hash_arrays.pack(np.sort(keys), [])
     order = np.argsort(keys)
     return hash_arrays.pack(keys[order], [c[order] for c in columns])
 
@@ -205,6 +230,32 @@ def _once(label: str, keys: np.ndarray, *columns: np.ndarray) -> dict[str, bytes
     return {label: _array(keys[~one], *(c[~one] for c in columns)), f"{label} once": _array(keys[one])}
 
 
+def _merged(words: np.ndarray, parts: Iterable[tuple], width: int) -> tuple[list[np.ndarray], np.ndarray]:
+    """Distinct n-grams of blocks, opened one after another, under codes of ``words``, and the sums of their counts."""
+    k = len(words)
+    bits = max(1, int(k - 1).bit_length())
+    keys, counts, columns = [], [], []
+    for own, codes, n in parts:
+        code = np.searchsorted(words, own).astype(np.uint32)
+        if bits * width <= 63:
+            keys.append(_packed([code[c] for c in codes], k)[0])
+        else:
+            columns.append([code[c] for c in codes])
+        counts.append(n.astype(np.uint32) if len(n) and n.max() < 1 << 32 else n)
+    counts = [np.concatenate(counts)]
+    if columns:
+        return grouped([np.concatenate([c[i] for c in columns]) for i in range(width)], k, counts[0])
+    keys = np.concatenate(keys)
+    order = np.argsort(keys)
+    counts = counts.pop()[order]
+    keys = keys[order]
+    del order
+    at = np.flatnonzero(changes((keys,)))
+    sums = np.add.reduceat(counts, at, dtype=np.uint64) if len(at) else np.zeros(0, np.uint64)
+    keys = keys[at]
+    return [(keys >> np.uint64(bits * j) & np.uint64((1 << bits) - 1)).astype(np.uint32) for j in range(width - 1, -1, -1)], sums
+
+
 def _runs(columns: list[np.ndarray], counts: np.ndarray) -> tuple[np.ndarray, tuple[np.ndarray, ...]]:
     """Of sorted n-grams: the first row of each context, and its total and grams seen once, twice and more."""
     if not len(counts):
@@ -285,36 +336,32 @@ def fit(df: DataFrame, text: str = "text", shard_bytes: int = 16 << 20, hot_samp
             keys, (times,) = _summed([np.concatenate([p[i] for p in parts]) for i in range(2)])
             arrays["words"] = hash_arrays.pack(keys, [times])
             facts[order, :2] = len(keys), times.sum()
-        parts = [_unblock(x.as_py(), order) for k, x in zip(kinds, table.column("block"), strict=True) if k == "gram"]
-        if not parts:
+        blobs = [x for k, x in zip(kinds, table.column("block"), strict=True) if k == "gram"]
+        if not blobs:
             hash_arrays.write(f"{target}/grams-{shard:07d}", arrays)
             return pa.Table.from_batches([batch([("fact", -1, facts.tobytes())])])
-        words = np.unique(np.concatenate([p[0] for p in parts]))
-        codes = [np.searchsorted(words, p[0]).astype(np.uint32) for p in parts]
-        columns = [np.concatenate([c[p[1][k]] for c, p in zip(codes, parts, strict=True)]) for k in range(order)]
-        counts = np.concatenate([p[2] for p in parts])
-        del parts
-        columns, counts = grouped(columns, len(words), counts)
+        words = np.unique(np.concatenate([_words_of(x.as_py()) for x in blobs]))
+        columns, counts = _merged(words, (_unblock(x.as_py(), order) for x in blobs), order)
         numbers = np.zeros((5, len(words)), np.uint64)
         for level in range(order, 1, -1):
             if level < order:  # drop the farthest token; what is left counts the tokens before it
                 columns, counts = grouped([*columns[:-2], columns[-1]], len(words))
-            whole, is_hot, is_pair = places(words, columns, hot, hot_pairs)
             if level == 2:
-                part = is_hot if order > 2 else np.zeros(len(counts), bool)
-                for s, at in by_shard(mix64(_hashes(words, columns)[1][part]) % np.uint64(shards), shards):
-                    at = np.flatnonzero(part)[at]
-                    out.append(("pair", s, _block(words, [c[at] for c in columns], counts[at])))
+                part = places(words, columns, hot, hot_pairs)[1] if order > 2 else np.zeros(len(counts), bool)
+                spilt = [c[part] for c in columns]
+                for s, at in by_shard(mix64(_whole(words, spilt)) % np.uint64(shards), shards):
+                    out.append(("pair", s, _block(words, [c[at] for c in spilt], counts[part][at])))
                 columns, counts = [c[~part] for c in columns], counts[~part]
                 as_context(numbers, columns, counts)
             else:
                 heads, sums = _runs(columns, counts)
-                context, split = _hashes(words, columns)[0][heads], is_pair[heads]
+                opening = [c[heads] for c in columns]
+                context, split = _hashes(words, opening)[0], places(words, opening, hot, hot_pairs)[2]
                 arrays |= _once(f"context{level}", context[~split], *(x[~split] for x in sums))
                 if split.any():
                     rows = np.sort(context[split]), np.argsort(context[split])
                     out += [(f"context{level}", s, squeeze((rows[0][at], *(x[split][rows[1]][at] for x in sums)), -1)) for s, at in by_shard(mix64(rows[0]) % np.uint64(shards), shards)]
-            arrays |= _once(f"gram{level}", _hashes(words, columns)[1], counts)
+            arrays |= _once(f"gram{level}", _whole(words, columns), counts)
             facts[level - 1] = _census(counts)
         hash_arrays.write(f"{target}/grams-{shard:07d}", arrays)
         out += word_rows(words, numbers)
@@ -333,7 +380,7 @@ def fit(df: DataFrame, text: str = "text", shard_bytes: int = 16 << 20, hot_samp
             words = np.unique(np.concatenate([p[0] for p in parts]))
             columns = [np.concatenate([np.searchsorted(words, p[0]).astype(np.uint32)[p[1][k]] for p in parts]) for k in range(2)]
             columns, counts = grouped(columns, len(words), np.concatenate([p[2] for p in parts]))
-            arrays |= _once("gram2", _hashes(words, columns)[1], counts)
+            arrays |= _once("gram2", _whole(words, columns), counts)
             facts[1] = _census(counts)
             numbers = np.zeros((5, len(words)), np.uint64)
             as_context(numbers, columns, counts)
@@ -353,9 +400,9 @@ def fit(df: DataFrame, text: str = "text", shard_bytes: int = 16 << 20, hot_samp
         return pa.table({"kind": ["words"], "sums": [[int((sums[0] > 0).sum()), *_census(sums[0])[1:]]]})
 
     shape = "kind string, shard int, block binary"
-    first = stored(df.select(body).mapInArrow(gather, shape).groupBy("shard").applyInArrow(merge, shape), "kneser-ney-merged")
-    second = stored(first.filter(F.col("kind").rlike("pair|context")).groupBy("shard").applyInArrow(merge_hot, shape), "kneser-ney-hot")
-    final = first.unionByName(second).filter("kind in ('word', 'fact')").groupBy("shard").applyInArrow(merge_words, "kind string, sums array<long>")
+    first = stored(df.select(body).mapInArrow(lean(gather), shape).groupBy("shard").applyInArrow(lean_group(merge), shape), "kneser-ney-merged")
+    second = stored(first.filter(F.col("kind").rlike("pair|context")).groupBy("shard").applyInArrow(lean_group(merge_hot), shape), "kneser-ney-hot")
+    final = first.unionByName(second).filter("kind in ('word', 'fact')").groupBy("shard").applyInArrow(lean_group(merge_words), "kind string, sums array<long>")
     total = {"grams": [0] * 5 * (order + 1), "words": [0] * 5}
     for kind, at, n in final.select("kind", F.posexplode("sums").alias("at", "n")).groupBy("kind", "at").agg(F.sum("n")).collect():
         total[kind][at] = n
@@ -390,7 +437,7 @@ def _hot_contexts(drawn: DataFrame, share: float) -> tuple[np.ndarray, np.ndarra
                         h, n = np.unique(values, return_counts=True)
                         yield pa.RecordBatch.from_arrays([pa.array(np.full(len(h), kind, "i4")), pa.array(h.view("i8")), pa.array(n)], names=["kind", "h", "n"])
 
-    counts = stored(drawn.mapInArrow(run, "kind int, h long, n long").groupBy("kind", "h").agg(F.sum("n").alias("n")), "kneser-ney-sample")
+    counts = stored(drawn.mapInArrow(lean(run), "kind int, h long, n long").groupBy("kind", "h").agg(F.sum("n").alias("n")), "kneser-ney-sample")
     total = counts.filter("kind = 0").agg(F.coalesce(F.sum("n"), F.lit(0))).first()[0]
     rows = counts.filter((F.col("n") > share * total) & (F.col("n") > 2)).collect()
     dropped(counts)
@@ -496,7 +543,7 @@ def score(df: DataFrame, model: Model, id_col: str = "doc_id", text: str = "text
                 yield pa.RecordBatch.from_arrays([b.column(0).slice(lo, hi - lo), pa.array(n, pa.int64()), pa.array(known, pa.int64()), pa.array(base), pa.array(got)], names=[id_col, "n_tokens", "n_known", "base_score", "score"])
 
     body = F.encode(F.coalesce(F.col(text), F.lit("")), "UTF-8")
-    return df.select(F.col(f"`{id_col}`"), body.alias("text")).mapInArrow(run, f"`{id_col}` {kind}, n_tokens long, n_known long, base_score double, score double")
+    return df.select(F.col(f"`{id_col}`"), body.alias("text")).mapInArrow(lean(run), f"`{id_col}` {kind}, n_tokens long, n_known long, base_score double, score double")
 
 
 def fold(id_col: Column, folds: int = 7) -> Column:

@@ -479,3 +479,18 @@ def test_hash_arrays(tmp_path):
         assert hit[: len(keys)].all() and not hit[len(keys) :].any()
         assert all((g == x).all() for g, x in zip(got, numbers))
         assert not files.array(f"f{n}", "none").find(keys)[0].any() and files.array("missing", "a") is None
+
+
+def test_merged_blocks_equal_grouped_rows():
+    rng = np.random.default_rng(1)
+    parts, words = [], np.unique(rng.integers(0, 1 << 40, 300, dtype=np.uint64))
+    for _ in range(3):
+        own = np.sort(rng.choice(words, 90, replace=False))
+        parts.append((own, [rng.integers(0, 90, 500).astype("u2") for _ in range(3)], rng.integers(1, 5, 500).astype("u8")))
+    want = collections.Counter()
+    for own, codes, n in parts:
+        for *row, k in zip(*(own[c].tolist() for c in codes), n.tolist()):
+            want[tuple(row)] += k
+    columns, sums = kneser_ney._merged(words, iter(parts), 3)
+    got = dict(zip(zip(*(words[c].tolist() for c in columns)), sums.tolist()))
+    assert got == want and sums.dtype == np.uint64
