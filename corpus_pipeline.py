@@ -32,7 +32,7 @@ def cut_repeats(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def mix_sources(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Every document, scheduled at its source's natural share: files and the rows in them follow the slots of the schedule."""
+    """Every document, scheduled at its source's natural share: files and the rows in them follow the slots of the schedule, and bins are packed along them."""
     sizes = shared.stored(docs.select("doc_id", "source", F.coalesce(F.octet_length("text"), F.lit(0)).cast("long").alias("n_bytes")), "mix-sizes")
     slot, key = shared.free_names(docs, "_p_slot", "_p_id")
     chosen = shared.stored(pfair.mix(sizes, size=F.col("n_bytes"), ceiling=1.0).groupBy(F.col("doc_id").alias(key)).agg(F.min("slot").alias(slot)), "mix-slots")
@@ -41,11 +41,11 @@ def mix_sources(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def pack_bins(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Bins of 2048 words, without two near copies (of a SimHash group) or three documents of a source in one bin."""
+    """Bins of 2048 words along the schedule of the mixture, without two near copies (of a SimHash group) or three documents of a source in one bin."""
     words = F.size(F.array_remove(F.split(F.coalesce(F.col("text"), F.lit("")), quality_rules.SPACE), ""))
     near = simhash.near_groups(docs.select("doc_id", "text")).groupBy(F.col("doc_id").alias("id")).agg(F.min("component").alias("cluster"))
-    sizes = docs.select("doc_id", "source", words.alias("n_words")).join(near, F.col("doc_id").eqNullSafe(F.col("id"))).drop("id")
-    return packing.pack(shared.stored(sizes, "pack-sizes"), F.col("n_words"), F.col("cluster"))
+    sizes = shared.numbered(docs).select("doc_id", "source", words.alias("n_words"), shared.PLACE).join(near, F.col("doc_id").eqNullSafe(F.col("id"))).drop("id")
+    return packing.pack(shared.stored(sizes, "pack-sizes"), F.col("n_words"), F.col("cluster"), place=F.col(shared.PLACE))
 
 
 STAGES = [

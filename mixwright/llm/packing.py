@@ -10,6 +10,9 @@ A pool sees its own bins alone. So bins that stay more than ``slack`` empty hand
 dealt to fewer pools and packed again, until one pool holds it, and a bin is left open for want of fitting
 pieces in the whole table rather than in its pool. Each round moves what the one before could not fill.
 
+With ``place``, a gapless number from 0 such as a record's place in a training order, pools are stretches of that order, and later ones
+join neighbours: bins hold records that are scheduled together. Bins are numbered, and pieces in them laid, by their places.
+
 Memory is one pool; a cluster or source may fill a pool entirely. Pieces that are alike in length, source and cluster
 follow one another, and what refused one of them refuses the rest, so a group of copies is searched once.
 
@@ -33,7 +36,7 @@ from pyspark.sql import functions as F
 from mixwright.operators.near import integer_ids
 
 from . import token_store
-from .shared import folder, stored
+from .shared import folder, lean_group, stored
 
 PLACED = "doc_id long, piece int, piece_start long, n_tokens long, source string, cluster long, pool long, bin int, bin_offset long, bin_tokens long, bin_pieces int"
 
@@ -99,44 +102,58 @@ def best_fit(pieces: list[tuple], capacity: int, per_source: int = 2) -> list[tu
     return out
 
 
-def pack(df: DataFrame, tokens: Column, cluster: Column, capacity: int = 2048, per_source: int = 2, id_col: str = "doc_id", source: str = "source", pool_rows: int = 4096, slack: float = 0.02) -> DataFrame:
-    """One row per piece, with its bin and place in it. ``cluster`` is a long that equal or near-equal records share."""
+def pack(df: DataFrame, tokens: Column, cluster: Column, capacity: int = 2048, per_source: int = 2, id_col: str = "doc_id", source: str = "source", pool_rows: int = 4096, slack: float = 0.02, place: Column | None = None) -> DataFrame:
+    """One row per piece, with its bin and offset in it. ``cluster`` is a long that equal or near-equal records share; ``place`` is kept as a column."""
     if capacity < 1 or per_source < 1:
         raise ValueError("capacity and per_source must be positive")
     integer_ids(df, id_col)
+    more = [] if place is None else ["place"]
+    schema, shape = (SCHEMA, PLACED) if place is None else (SCHEMA.append(pa.field("place", pa.int64())), f"{PLACED}, place long")
 
     def packed(number: int, rows: list[tuple]) -> pa.Table:
-        """``rows``: (document, piece, start, length, source, cluster)."""
+        """``rows``: (document, piece, start, length, source, cluster, and the place if it is given)."""
         rows.sort(key=lambda r: tuple((v is not None, v) for v in r))
         src, clu = ({v: i for i, v in enumerate(sorted({r[k] for r in rows} - {None}))} for k in (4, 5))
         parts: dict = {}
-        for d, k, _, _, s, c in rows:
+        for d, k, _, _, s, c, *_ in rows:
             parts.setdefault((d, s, c), set()).add(k)
         several = {x: len(clu) + i for i, x in enumerate(x for x in parts if len(parts[x]) > 1)}
         pieces = []
-        for at, (d, _, _, n, s, c) in enumerate(rows):
+        for at, (d, _, _, n, s, c, *_) in enumerate(rows):
             bits = (1 << clu[c] if c is not None else 0) | (1 << several[d, s, c] if (d, s, c) in several else 0)
             pieces.append((n, src.get(s, -1), bits, at))
         pieces.sort(key=lambda p: (-p[0], p[1], p[2], p[3]))
         placed = best_fit([p[:3] for p in pieces], capacity, per_source)
+        if more:
+            along, number_of, filled = sorted(range(len(pieces)), key=lambda i: (rows[pieces[i][3]][6], pieces[i][3])), {}, {}
+            for i in along:
+                b = number_of.setdefault(placed[i][0], len(number_of))
+                placed[i] = b, filled.get(b, 0)
+                filled[b] = placed[i][1] + pieces[i][0]
         tokens_in, pieces_in = [0] * (1 + max(b for b, _ in placed)), [0] * (1 + max(b for b, _ in placed))
         for p, (b, _) in zip(pieces, placed, strict=True):
             tokens_in[b] += p[0]
             pieces_in[b] += 1
-        out = [(*rows[p[3]], number, b, offset, tokens_in[b], pieces_in[b]) for p, (b, offset) in zip(pieces, placed, strict=True)]
-        return pa.table([pa.array(c, type=t) for c, t in zip(zip(*out, strict=True), SCHEMA.types, strict=True)], schema=SCHEMA)
+        out = [(*rows[p[3]][:6], number, b, offset, tokens_in[b], pieces_in[b], *rows[p[3]][6:]) for p, (b, offset) in zip(pieces, placed, strict=True)]
+        return pa.table([pa.array(c, type=t) for c, t in zip(zip(*out, strict=True), schema.types, strict=True)], schema=schema)
 
     def first(pool: pa.Table) -> pa.Table:
-        rows = zip(*(pool.column(k).to_pylist() for k in ("doc_id", "n_tokens", "source", "cluster")), strict=True)
-        return packed(pool.column("pool")[0].as_py(), [(d, k, start, min(capacity, n - start), s, c) for d, n, s, c in rows for k, start in enumerate(range(0, max(n, 1), capacity))])
+        rows = zip(*(pool.column(k).to_pylist() for k in ("doc_id", "n_tokens", "source", "cluster", *more)), strict=True)
+        return packed(pool.column("pool")[0].as_py(), [(d, k, start, min(capacity, n - start), s, c, *p) for d, n, s, c, *p in rows for k, start in enumerate(range(0, max(n, 1), capacity))])
 
     def again(pool: pa.Table) -> pa.Table:
-        return packed(pool.column("pool")[0].as_py(), list(zip(*(pool.column(k).to_pylist() for k in ("doc_id", "piece", "piece_start", "n_tokens", "source", "cluster")), strict=True)))
+        return packed(pool.column("pool")[0].as_py(), list(zip(*(pool.column(k).to_pylist() for k in ("doc_id", "piece", "piece_start", "n_tokens", "source", "cluster", *more)), strict=True)))
+
+    narrow = df.select(F.col(f"`{id_col}`").cast("long").alias("doc_id"), F.coalesce(tokens, F.lit(0)).cast("long").alias("n_tokens"), F.col(f"`{source}`").cast("string").alias("source"), cluster.cast("long").alias("cluster"), *([] if place is None else [place.cast("long").alias("place")]))
+    n_rows = df.select(F.lit(1)).count()
+    pools = max(1, -(-n_rows // pool_rows))
+
+    def dealt(n: int) -> Column:
+        if place is None:
+            return F.pmod(F.xxhash64("doc_id", "n_tokens", "cluster", "source"), F.lit(n)).cast("long")
+        return F.least(F.lit(n - 1), F.floor(F.col("place") * n / max(1, n_rows))).cast("long")
 
-    narrow = df.select(F.col(f"`{id_col}`").cast("long").alias("doc_id"), F.coalesce(tokens, F.lit(0)).cast("long").alias("n_tokens"), F.col(f"`{source}`").cast("string").alias("source"), cluster.cast("long").alias("cluster"))
-    pools = max(1, -(-df.select(F.lit(1)).count() // pool_rows))
-    dealt = lambda n: F.pmod(F.xxhash64("doc_id", "n_tokens", "cluster", "source"), F.lit(n)).cast("long")
-    done, turn, parts, low = stored(narrow.withColumn("pool", dealt(pools)).groupBy("pool").applyInArrow(first, PLACED), "packed"), 0, [], F.col("bin_tokens") < (1 - slack) * capacity
+    done, turn, parts, low = stored(narrow.withColumn("pool", dealt(pools)).groupBy("pool").applyInArrow(lean_group(first), shape), "packed"), 0, [], F.col("bin_tokens") < (1 - slack) * capacity
     while pools > 1:
         left = done.filter(low).count()
         fewer, turn = -(-left // pool_rows), turn + 1
@@ -144,7 +161,7 @@ def pack(df: DataFrame, tokens: Column, cluster: Column, capacity: int = 2048, p
             break
         parts.append(done.filter(~low))
         pool = (F.lit(turn << 40) + dealt(fewer)).cast("long")
-        done, pools = stored(done.filter(low).withColumn("pool", pool).groupBy("pool").applyInArrow(again, PLACED), "packed"), fewer
+        done, pools = stored(done.filter(low).withColumn("pool", pool).groupBy("pool").applyInArrow(lean_group(again), shape), "packed"), fewer
     for p in parts:
         done = done.unionByName(p)
     return done

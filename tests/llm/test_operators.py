@@ -481,6 +481,29 @@ def test_hash_arrays(tmp_path):
         assert not files.array(f"f{n}", "none").find(keys)[0].any() and files.array("missing", "a") is None
 
 
+def test_pipeline_packs_bins_along_the_schedule(spark, tmp_path):
+    """The same rows in another order are packed otherwise: pools are stretches of the schedule, and bins follow it."""
+    import corpus_pipeline
+
+    docs = spark.range(9000).select(F.col("id").alias("doc_id"), F.concat_ws(" ", F.array_repeat(F.concat(F.lit("w"), "id"), 40)).alias("text"), F.lit("en").alias("lang"), F.concat(F.lit("s"), F.col("id") % 90).alias("source"), F.lit(1).cast("long").alias("n_chars"))
+    found = {}
+    for name, key in (("up", F.col("doc_id")), ("down", -F.col("doc_id"))):
+        docs.repartitionByRange(3, key).sortWithinPartitions(key).write.parquet(str(tmp_path / name))
+        found[name] = corpus_pipeline.pack_bins(spark, spark.read.parquet(str(tmp_path / name)), "").collect()
+        assert {r.doc_id for r in found[name]} == set(range(9000))
+        assert all(r.place == (r.doc_id if name == "up" else 8999 - r.doc_id) for r in found[name])
+        assert all(r.pool == r.place * 3 // 9000 for r in found[name] if r.pool < 1 << 40)
+        first = {}
+        for r in sorted(found[name], key=lambda r: r.place):
+            first.setdefault((r.pool, r.bin), r.place)
+        for pool in {p for p, _ in first}:
+            at = [first[k] for k in sorted(k for k in first if k[0] == pool)]
+            assert at == sorted(at)
+    assert {(r.doc_id, r.pool, r.bin) for r in found["up"]} != {(r.doc_id, r.pool, r.bin) for r in found["down"]}
+    small = docs.limit(50)  # not read as it is from files
+    assert sorted(r.place for r in corpus_pipeline.pack_bins(spark, small, "").collect()) == list(range(50))
+
+
 def test_merged_blocks_equal_grouped_rows():
     rng = np.random.default_rng(1)
     parts, words = [], np.unique(rng.integers(0, 1 << 40, 300, dtype=np.uint64))
