@@ -6,7 +6,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from mixwright.functions.hashing import buckets, uniform
-from mixwright.functions.storage import kept
+from mixwright.functions.storage import checked, kept
 from mixwright.functions.text import words
 
 VOCAB = 1 << 14
@@ -49,6 +49,38 @@ def fit(docs: DataFrame, man: DataFrame | None = None, order: int = 2, vocab: in
     return model
 
 
+def fit_asked(docs: DataFrame, arrivals: DataFrame, texts: DataFrame, last: int, by: tuple[str, ...] = (), vocab: int = VOCAB) -> dict:
+    """``fit`` at order two with keys (by, step) for steps 1 to ``last``, of what scoring ``texts`` asks: their tokens, contexts and pairs, and all totals.
+
+    ``arrivals`` (doc_id, by, step, copies) tells how many copies of a document come in at a step; a step's model counts all that have
+    come by then. Texts are hashed once, a document's arrivals are met only by tokens that are asked, and what has come
+    is summed over steps in the tables of asked counts.
+    """
+    keys = [*by, "step"]
+    own = grams(texts, texts.columns[0], 2, vocab)
+    asked = {
+        "uni": own.select("t").distinct(),
+        "ctx": own.filter("x is not null").select("x").distinct(),
+        "bi": own.filter("x is not null").select("x", "t").distinct(),
+    }
+    who = arrivals.filter("copies > 0").groupBy("doc_id").agg(F.collect_list(F.struct(*keys, "copies")).alias("who"))
+    coded = kept(docs.join(who, "doc_id").select("who", buckets(words(F.lower(F.col("text"))), vocab).alias("ts")), "ngram-codes")
+    steps = F.explode(F.sequence(F.col("step"), F.lit(last))).alias("step")
+
+    def grown(rows: DataFrame, cells: list[str], n, name: str) -> DataFrame:
+        """Sums of copies times ``n`` at each arrival, and over all up to each step."""
+        came = rows.select(*cells, n.alias("m"), F.explode("who").alias("w")).groupBy(*[F.col(f"w.{k}").alias(k) for k in keys], *cells).agg(F.sum(F.col("w.copies") * F.col("m")).alias("m"))
+        return kept(came.select(*by, *cells, "m", steps).groupBy(*keys, *cells).agg(F.sum("m").alias(name)), f"ngram-{name}")
+
+    cells = F.transform("ts", lambda t, i: F.struct(t.alias("t"), F.when(i > 0, F.get("ts", i - 1)).alias("x")))
+    tokens_of = coded.select("who", F.explode(cells).alias("c")).select("who", "c.t", "c.x")
+    one, model = F.lit(1).cast("long"), {"vocab": vocab, "by": tuple(keys), "order": 2}
+    for label, cols, name in (("uni", ["t"], "n_t"), ("ctx", ["x"], "n_x"), ("bi", ["x", "t"], "n_xt")):
+        model[label] = grown(tokens_of.join(checked(kept(asked[label], "ngram-asked")), cols), cols, one, name)
+    model["total"] = grown(coded.filter(F.size("ts") > 0), [], F.size("ts").cast("long"), "n_all")
+    return model
+
+
 def score(model: dict, texts: DataFrame, id_col: str, keep: tuple[str, ...] = (), text: str = "text") -> DataFrame:
     """(id, keep, by, pos, logp). A token without a seen context rests on the unigram, whose mass takes the bigram's share."""
     by, v = list(model["by"]), model["vocab"]

@@ -105,14 +105,15 @@ def _(spark, sf):
 
 
 def curves(spark, sf) -> DataFrame:
-    """(method, step, metric) at ten checkpoints of a hash-ordered manifest; counts are additive, so a checkpoint's model is a tagged aggregate."""
+    """(method, step, metric) at ten checkpoints of a hash-ordered manifest; counts are additive, so a checkpoint's model sums what has come in by then."""
     docs = lang_clean(spark, sf)
     man = manifests(spark, docs)
     rows = man.select("method", "doc_id", F.explode(F.sequence(F.lit(1), F.col("copies"))).alias("copy"))
     first = F.floor(uniform(F.concat_ws("/", F.col("doc_id").cast("string"), F.col("copy").cast("string"))) * 10).cast("int") + 1
-    steps = rows.select("method", "doc_id", F.explode(F.sequence(first, F.lit(10))).alias("step")).groupBy("method", "doc_id", "step").agg(F.count("*").alias("copies"))
-    model = ngram.fit(docs, steps, by=("method", "step"))
-    return kept(ngram.perplexity(ngram.score(model, load(spark, sf, "benchmark"), "item_id"), ("method", "step")).select("method", "step", F.col("perplexity").alias("metric")), "curve")
+    arrivals = rows.groupBy("method", "doc_id", first.alias("step")).agg(F.count("*").alias("copies"))
+    bench = load(spark, sf, "benchmark")
+    model = ngram.fit_asked(docs, arrivals, bench, 10, by=("method",))
+    return kept(ngram.perplexity(ngram.score(model, bench, "item_id"), ("method", "step")).select("method", "step", F.col("perplexity").alias("metric")), "curve")
 
 
 @query("steps_to_target")
