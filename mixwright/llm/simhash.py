@@ -35,10 +35,11 @@ import xxhash
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from mixwright.functions.storage import TEXT_ROWS
 from mixwright.operators.components import components
 from mixwright.operators.near import NearSets, asked_pairs, integer_ids, settle
 
-from .shared import free_names, id_name, sized, stored
+from .shared import free_names, id_name, lean, sized, stored
 
 BITS = 64
 SEED = 42
@@ -75,7 +76,7 @@ def fingerprints(df: DataFrame, id_col: str = "doc_id", text: str = "text", widt
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(np.array(got, dtype="u8").view("i8"))], names=[id_col, "fp"])
 
     narrow = df.select(F.col(id_col), F.encode(F.coalesce(F.col(text), F.lit("")), "UTF-8").alias("text"))
-    return narrow.mapInArrow(run, f"`{id_col}` {kind.simpleString()}, fp long")
+    return narrow.mapInArrow(lean(run), f"`{id_col}` {kind.simpleString()}, fp long")
 
 
 def masks(radius: int) -> list[int]:
@@ -131,7 +132,7 @@ def near_groups(df: DataFrame, id_col: str = "doc_id", text: str = "text", width
     integer_ids(df, id_col)
     id_name(id_col, "fp", "component")
     df, id_given, id_col = df.select(F.col(f"`{id_col}`").alias("id"), F.col(f"`{text}`").alias("text")), id_col, "id"
-    prints = stored(fingerprints(df, id_col, "text", width), "simhash-prints")
+    prints = stored(fingerprints(df, id_col, "text", width), "simhash-prints", TEXT_ROWS)
     nodes = stored(prints.groupBy("fp").agg(F.min(id_col).cast("long").alias("least")), "simhash-nodes")
     found = links(nodes, radius, bucket_rows)
     at = lambda side: nodes.select(F.col("fp").alias(side), F.col("least").alias(f"{side}_id"))
