@@ -194,23 +194,33 @@ def mixing_law(fits: pd.DataFrame, names: list[str], start: np.ndarray, steps: i
     return best[1]
 
 
-def all_weights(spark: SparkSession, docs: DataFrame, vocab: int = 1 << 10) -> dict[str, DataFrame]:
-    """The six baselines' weights for a corpus of (doc_id, domain, text, n_tokens)."""
+BASELINES = ("natural", "minimax", "cond_entropy", "bivariate", "generalisation", "mixing_law")
+
+
+def all_weights(spark: SparkSession, docs: DataFrame, vocab: int = 1 << 10, methods: tuple[str, ...] | None = None) -> dict[str, DataFrame]:
+    """The six baselines' weights, or those of ``methods``, for a corpus of (doc_id, domain, text, n_tokens); only what they need is counted."""
     from . import domains, ngram
     from .corpus import stats
 
-    t = table(ngram.domain_table(docs, vocab))
-    mixes = trial_mixtures(t)
-    two = trial_losses(ngram.domain_parts(docs, vocab), mixes, vocab=vocab)
-    one = two[two["volume"] == 1.0]
-    law_rows = [(r.domain, [float(x) for x in mixes[r.trial]], r.loss) for r in one.itertuples()]
-    fits4 = fit_bivariate(spark.createDataFrame(two)).toPandas().set_index("domain").loc[t.names].reset_index()
-    fits6 = fit_mixing_law(spark.createDataFrame(law_rows, "domain string, shares array<double>, loss double"), t.names).toPandas()
-    return {
-        "natural": domains.natural(stats(docs)),
-        "minimax": frame(spark, t.names, minimax(t)),
-        "cond_entropy": cond_entropy(ngram.conditional_entropy(docs)),
-        "bivariate": frame(spark, t.names, bivariate(fits4)),
-        "generalisation": frame(spark, t.names, generalisation(t)),
-        "mixing_law": frame(spark, t.names, mixing_law(fits6, t.names, t.natural)),
-    }
+    asked, out = set(BASELINES if methods is None else methods), {}
+    if "natural" in asked:
+        out["natural"] = domains.natural(stats(docs))
+    if "cond_entropy" in asked:
+        out["cond_entropy"] = cond_entropy(ngram.conditional_entropy(docs))
+    if asked & {"minimax", "bivariate", "generalisation", "mixing_law"}:
+        t = table(ngram.domain_table(docs, vocab))
+    if "minimax" in asked:
+        out["minimax"] = frame(spark, t.names, minimax(t))
+    if "generalisation" in asked:
+        out["generalisation"] = frame(spark, t.names, generalisation(t))
+    if asked & {"bivariate", "mixing_law"}:
+        mixes = trial_mixtures(t)
+        two = trial_losses(ngram.domain_parts(docs, vocab), mixes, vocab=vocab)
+    if "bivariate" in asked:
+        fits4 = fit_bivariate(spark.createDataFrame(two)).toPandas().set_index("domain").loc[t.names].reset_index()
+        out["bivariate"] = frame(spark, t.names, bivariate(fits4))
+    if "mixing_law" in asked:
+        law_rows = [(r.domain, [float(x) for x in mixes[r.trial]], r.loss) for r in two[two["volume"] == 1.0].itertuples()]
+        fits6 = fit_mixing_law(spark.createDataFrame(law_rows, "domain string, shares array<double>, loss double"), t.names).toPandas()
+        out["mixing_law"] = frame(spark, t.names, mixing_law(fits6, t.names, t.natural))
+    return {m: out[m] for m in BASELINES if m in out}

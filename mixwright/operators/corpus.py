@@ -2,11 +2,12 @@
 
 from __future__ import annotations
 
+import numpy as np
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from mixwright.functions.hashing import uniform
-from mixwright.functions.storage import kept
+from mixwright.functions.hashing import CODES, buckets, meets, uniform, windows
+from mixwright.functions.storage import checked, kept
 from mixwright.functions.text import n_tokens, ngrams, words
 from mixwright.functions.udfs import nfc as nfc_of
 
@@ -58,16 +59,23 @@ def decontaminate(docs: DataFrame, bench: DataFrame, n: int = 8, text: str = "te
     """Documents that share no n-gram with the benchmark.
 
     The benchmark's distinct grams, 8 bytes each, are broadcast if they are counted to be at most ``MAX_GRAMS``; hashes of a
-    document's grams are made in its row, and documents that hit one are checked by the grams themselves.
+    document's grams are made in its row, and documents that hit one are checked by the grams themselves. Stored ``codes`` of the
+    text, if there are any, are hashed instead of the grams.
     """
     bad = kept(shingles(bench, n, text, bench.columns[0]).select("gram").distinct().withColumn("h", F.xxhash64("gram")), "benchmark-grams")
     hashes = bad.select("h").distinct()
-    hashes = F.broadcast(hashes) if bad.count() <= MAX_GRAMS else hashes
-    hit = shingles(docs, n, text, id_col, distinct=False).select(id_col, F.xxhash64("gram").alias("h")).join(hashes, "h", "left_semi").select(id_col).distinct()
+    few = bad.count() <= MAX_GRAMS
+    if few and "codes" in docs.columns and text == "text":
+        coded = bench.select(windows(buckets(words(F.lower(F.col(text))), CODES), n).alias("h"))
+        asked = np.array([r[0] for r in coded.select(F.explode("h")).distinct().collect()], np.int64)
+        hit = docs.filter(meets(F.col("codes"), n, asked)).select(id_col).distinct()
+    else:
+        hashes = F.broadcast(hashes) if few else hashes
+        hit = shingles(docs, n, text, id_col, distinct=False).select(id_col, F.xxhash64("gram").alias("h")).join(hashes, "h", "left_semi").select(id_col).distinct()
     hit = kept(hit, "benchmark-hits")
     some = F.broadcast(hit) if hit.count() <= MAX_GRAMS else hit
     dirty = shingles(docs.join(some, id_col, "left_semi"), n, text, id_col).join(bad, "gram", "left_semi").select(id_col).distinct()
-    return docs.join(dirty, id_col, "left_anti")
+    return docs.join(checked(kept(dirty, "benchmark-documents"), MAX_GRAMS), id_col, "left_anti")
 
 
 def near_pairs(docs: DataFrame, n: int = 5, threshold: float = 0.8, text: str = "text", id_col: str = "doc_id") -> DataFrame:

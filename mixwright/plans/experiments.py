@@ -8,15 +8,14 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from mixwright.functions.hashing import uniform
-from mixwright.functions.storage import kept, scratch
-from mixwright.functions.text import n_tokens
+from mixwright.functions.storage import TEXT_ROWS, kept, scratch
 from mixwright.operators import analysis, baselines, cluster, corpus, diversity, domains, embed, metrics, ngram, quality, sampling
 from mixwright.sources.tables import load
 from mixwright.streaming import scoring
 
 from . import oracles as sql
 from .mixer import PerDocumentMixer
-from .queries import clean_docs, given_vectors, lang_corpus, query, scored
+from .queries import given_vectors, lang_corpus, query, scored
 
 SHARE = 0.2
 CLUSTERS = 20
@@ -37,9 +36,9 @@ def text_scored(docs: DataFrame, k: int = CLUSTERS) -> DataFrame:
 
 def manifests(spark, docs: DataFrame, share: float = SHARE, methods: tuple[str, ...] | None = None, seed: int = 42) -> DataFrame:
     """(method, doc_id, domain, n_tokens, copies) of every mixer on one corpus."""
-    weights = baselines.all_weights(spark, docs)
+    weights = baselines.all_weights(spark, docs, methods=methods)
     narrow = docs.select("doc_id", "domain", "n_tokens")
-    parts = [domains.sample(narrow, w, share, seed=seed).select(F.lit(m).alias("method"), "doc_id", "domain", "n_tokens", "copies") for m, w in weights.items() if methods is None or m in methods]
+    parts = [domains.sample(narrow, w, share, seed=seed).select(F.lit(m).alias("method"), "doc_id", "domain", "n_tokens", "copies") for m, w in weights.items()]
     pdm = sampling.copies(sampling.score_frequencies(text_scored(docs), share=share), seed)
     parts.append(pdm.select(F.lit("per_document").alias("method"), "doc_id", "domain", "n_tokens", "copies"))
     return kept(union(parts).filter("copies > 0"), "manifests")
@@ -47,17 +46,22 @@ def manifests(spark, docs: DataFrame, share: float = SHARE, methods: tuple[str,
 
 def results(docs: DataFrame, man: DataFrame, bench: DataFrame, chat: DataFrame, order: int = 2, vocab: int = ngram.VOCAB) -> DataFrame:
     """(method, metric, value, higher, place): tokens drawn, two perplexities, two accuracies and their mean, of a model of each method's manifest."""
-    model = ngram.fit(docs, man.select("doc_id", "copies", "method"), order, vocab, by=("method",))
+    endings = kept(ngram.choices(bench, "item_id"), "endings")
+    model = ngram.SideBySide(docs, man, {"bench": bench, "chat": chat, "endings": endings}, order, vocab)
+    scored = model.scored()
     parts = [man.groupBy("method").agg(F.sum(F.col("copies") * F.col("n_tokens")).cast("double").alias("value")).select("method", F.lit("tokens").alias("metric"), "value", F.lit(True).alias("higher"))]
-    for name, texts, key in (("validation_ppl", bench, "item_id"), ("instruction_ppl", chat, "conv_id")):
-        parts.append(ngram.perplexity(ngram.score(model, texts, key), ("method",)).select("method", F.lit(name).alias("metric"), F.col("perplexity").alias("value"), F.lit(False).alias("higher")))
-    parts.append(ngram.accuracies(model, bench, "item_id").select("method", "metric", "value", F.lit(True).alias("higher")))
+    for name, texts in (("validation_ppl", "bench"), ("instruction_ppl", "chat")):
+        parts.append(model.perplexities(scored, texts).select("method", F.lit(name).alias("metric"), F.col("perplexity").alias("value"), F.lit(False).alias("higher")))
+    accuracies = ngram.with_mean(ngram.last_word_accuracy(model.last_words(bench), bench, "item_id"), model.choice_accuracy(scored, endings, "endings"), ["method"])
+    parts.append(accuracies.select("method", "metric", "value", F.lit(True).alias("higher")))
     return metrics.leaderboard(union(parts))
 
 
 def lang_clean(spark, sf) -> DataFrame:
-    d = clean_docs(spark, sf)
-    return kept(d.withColumn("n_tokens", n_tokens("text")), "clean-documents")
+    """Decontaminated documents with the codes of their words, which are hashed once."""
+    d = load(spark, sf, "documents").select("doc_id", "text", F.col("lang").alias("domain"))
+    d = kept(ngram.coded(d), "coded-documents", TEXT_ROWS).withColumn("n_tokens", F.size("codes").cast("long"))
+    return corpus.decontaminate(d, load(spark, sf, "benchmark"))
 
 
 def chat_of(spark, sf) -> DataFrame:
@@ -67,7 +71,7 @@ def chat_of(spark, sf) -> DataFrame:
 def weight_table(name):
     def run(spark, sf):
         docs = lang_corpus(spark, sf)
-        return baselines.all_weights(spark, docs)[name]
+        return baselines.all_weights(spark, docs, methods=(name,))[name]
 
     return run
 
