@@ -12,7 +12,8 @@ that, and so is what reaches the driver. Single tokens are read by ranges of a f
 and one rank a level.
 
 Encoding works on words between ASCII white space, which no tokenizer of this kind joins, and keeps a bounded dictionary of
-words met before; a test compares it with encoding whole texts. Words of Latin letters go straight to the vocabulary model only
+words met before, in two halves of which the older is left behind; a test compares it with encoding whole texts. Words of Latin letters,
+and what stands before their closing marks, go straight to the vocabulary model only
 where the tokenizer's own rules say that its normaliser does no more to them than lower their case and compose them.
 
 Defined results: a null text counts as empty and gives the end id alone; a null id sorts first; rows that repeat an id
@@ -29,7 +30,7 @@ import sys
 import uuid
 import zlib
 from array import array
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
@@ -47,11 +48,13 @@ MAGIC = b"DAC1"
 BLOCK = 512
 LEAST = -(1 << 63)
 CACHE_WORDS = 500_000
+CACHE_MARKS = 10_000
 _loaded: dict = {}
 
 
 LETTERS = re.compile(r"[A-Za-zÀ-ÖØ-öø-ÿ]+")
-PROBES = ("word", "Word", "WORD", "été", "ÉTÉ", "straße", "a", "é", "unbelievable", "ñandúes", "word.", "Mot,", "été.")
+MARKS = bytes(c for c in range(33, 127) if not chr(c).isalnum())
+PROBES = ("word", "Word", "WORD", "été", "ÉTÉ", "straße", "a", "é", "unbelievable", "ñandúes", "word.", "Mot,", "été.", "word'", "word$$$", "mot.%%%", "Été,&&&", "a_", "b<|", "c!?\"")
 
 
 def _plain_rules(rules: dict) -> bool:
@@ -64,10 +67,21 @@ def _plain_rules(rules: dict) -> bool:
     return fine and bool(split) and split[-1]["type"] == "ByteLevel" and not split[-1]["add_prefix_space"] and all(letters(x) for x in split[:-1])
 
 
+class _Words(dict):
+    """Ids by word; a word that is not there yet is asked from ``make``."""
+
+    def __init__(self, make: Callable[[bytes], bytes]):
+        self.make = make
+
+    def __missing__(self, word: bytes) -> bytes:
+        got = self[word] = self.make(word)
+        return got
+
+
 class WordEncoder:
     """Ids of a text as little-endian bytes of ``dtype``, by a dictionary of words.
 
-    A word of Latin letters alone, or with one full stop or comma behind, goes straight to the vocabulary model, past
+    A word of Latin letters alone, or with ASCII marks behind, goes straight to the vocabulary model, past
     normaliser and splitter, if this tokenizer's rules allow it and the probe words get the same ids either way; other words take the whole way.
     """
 
@@ -78,12 +92,16 @@ class WordEncoder:
         self.dtype = np.dtype("<u2" if self.tokenizer.get_vocab_size(with_added_tokens=True) <= 1 << 16 and end_id < 1 << 16 else "<u4")
         self.code = "H" if self.dtype.itemsize == 2 else "I"
         self.end = self._bytes([end_id])
-        self.known: dict[bytes, bytes] = {}
+        self.known, self.before = _Words(self._new), {}
+        self.tokenize, n = self.tokenizer.model.tokenize, self.dtype.itemsize
+        every = np.arange(1 + max(self.tokenizer.get_vocab(with_added_tokens=True).values(), default=0)).astype(self.dtype).tobytes()
+        self.pieces = [every[i : i + n] for i in range(0, len(every), n)]
         visible = pre_tokenizers.ByteLevel(add_prefix_space=False, use_regex=False)
         self.letters = {ord(c): visible.pre_tokenize_str(c)[0][0] for c in map(chr, range(0x41, 0x100)) if LETTERS.fullmatch(c)}
-        self.marks = {m: self._bytes(self.tokenizer.encode(m, add_special_tokens=False).ids) for m in ".,"}
+        self.marks: dict[bytes, bytes] = {}
         self.direct, self.caseless = True, self._case_is_lost()
-        self.direct = _plain_rules(json.loads(self.tokenizer.to_str())) and all(self._straight(w) == self._bytes(self.tokenizer.encode(w, add_special_tokens=False).ids) for w in PROBES)
+        self.direct = _plain_rules(json.loads(self.tokenizer.to_str())) and all(self._straight(w.encode()) == self._bytes(self.tokenizer.encode(w, add_special_tokens=False).ids) for w in PROBES)
+        self.known.clear()
 
     @classmethod
     def shared(cls, path: str, end_id: int) -> WordEncoder:
@@ -103,37 +121,44 @@ class WordEncoder:
         upper = "".join(map(chr, range(65, 91)))
         return all(ids(w) == ids(w.lower()) for w in (*upper, upper, *PROBES))
 
-    def _straight(self, word: str) -> bytes | None:
-        tail = b""
-        if len(word) > 1 and word[-1] in self.marks:
-            word, tail = word[:-1], self.marks[word[-1]]
-        if not self.direct or not LETTERS.fullmatch(word):
+    def _straight(self, word: bytes) -> bytes | None:
+        """A word with marks behind is its letters' ids, which are remembered too, and the marks'."""
+        if not self.direct:
+            return None
+        letters = word.rstrip(MARKS)
+        if letters.isalpha():  # ASCII alone
+            text = letters.lower().decode()
+        elif LETTERS.fullmatch(text := letters.decode("utf-8", "replace")):
+            text = text.lower().translate(self.letters)
+        else:
             return None
-        return self._bytes([t.id for t in self.tokenizer.model.tokenize(word.lower().translate(self.letters))]) + tail
-
-    def _learn(self, words: set[bytes]) -> None:
-        rest = []
-        for w in words:
-            text = w.decode("utf-8", "replace")
-            if (got := self._straight(text)) is None:
-                rest.append((w, text))
-            else:
-                self.known[w] = got
-        for k in range(0, len(rest), 20_000):
-            part = rest[k : k + 20_000]
-            got = self.tokenizer.encode_batch([t for _, t in part], add_special_tokens=False)
-            self.known.update((w, self._bytes(e.ids)) for (w, _), e in zip(part, got, strict=True))
+        if len(letters) == len(word):
+            return b"".join([self.pieces[t.id] for t in self.tokenize(text)])
+        if (tail := self.marks.get(end := word[len(letters) :])) is None:
+            if len(self.marks) > CACHE_MARKS:
+                self.marks.clear()
+            tail = self.marks[end] = self._whole(end)
+        got = self.known.get(letters) or self.before.get(letters) or b"".join([self.pieces[t.id] for t in self.tokenize(text)])
+        self.known[letters] = got
+        return got + tail
+
+    def _whole(self, word: bytes) -> bytes:
+        return self._bytes(self.tokenizer.encode(word.decode("utf-8", "replace"), add_special_tokens=False).ids)
+
+    def _new(self, word: bytes) -> bytes:
+        """Ids of a word that is not among those met lately."""
+        for find in (self.before.get, self._straight, self._whole):
+            if (got := find(word)) is not None:
+                return got
 
     def encode(self, texts: list[bytes]) -> Iterator[bytes]:
         for at in range(0, len(texts), 256):
-            # A text that might spell a special token keeps its case.
-            docs = [(t.lower() if self.caseless and b"<|" not in t else t).split() for t in texts[at : at + 256]]
-            if len(self.known) > CACHE_WORDS:
-                self.known.clear()
-            self._learn(set().union(*docs).difference(self.known))
+            if len(self.known) > CACHE_WORDS // 2:
+                self.before, self.known = self.known, _Words(self._new)  # a word that comes again is taken from the half before
             look = self.known.__getitem__
-            for d in docs:
-                yield b"".join(map(look, d)) + self.end
+            for t in texts[at : at + 256]:
+                # A text that might spell a special token keeps its case.
+                yield b"".join(map(look, (t.lower() if self.caseless and b"<|" not in t else t).split())) + self.end
 
 
 def pack_codes(values: np.ndarray) -> bytes:
@@ -282,15 +307,17 @@ def _of_files(index: DataFrame, shape: str, rows) -> DataFrame:
     return files.repartition(min(1 + index.count(), 4096)).mapInArrow(read, shape)  # a number keeps a few small rows from being put into one task
 
 
-def read_digests(index: DataFrame) -> DataFrame:
-    """(doc_id, start, n_tokens, ids_crc32) read from the files."""
+def file_digests(path: str, start: int) -> pa.RecordBatch:
+    """The digests of a file's documents; its levels are unpacked once."""
+    ids, offsets, codes = read_file(path)
+    tokens = memoryview(codes.slice(0, len(codes)).astype("<u4", copy=False)).cast("B")
+    crc = [zlib.crc32(tokens[4 * a : 4 * b]) for a, b in zip(offsets[:-1].tolist(), offsets[1:].tolist(), strict=True)]
+    return pa.RecordBatch.from_arrays([pa.array(ids, pa.int64()), pa.array(offsets[:-1] + start), pa.array(np.diff(offsets)), pa.array(crc, pa.int64())], names=["doc_id", "start", "n_tokens", "ids_crc32"])
 
-    def rows(path: str, start: int) -> pa.RecordBatch:
-        ids, offsets, codes = read_file(path)
-        crc = [zlib.crc32(codes.slice(int(a), int(b)).astype("<u4").tobytes()) for a, b in zip(offsets[:-1], offsets[1:], strict=True)]
-        return pa.RecordBatch.from_arrays([pa.array(ids, pa.int64()), pa.array(offsets[:-1] + start), pa.array(np.diff(offsets)), pa.array(crc, pa.int64())], names=["doc_id", "start", "n_tokens", "ids_crc32"])
 
-    return _of_files(index, "doc_id long, start long, n_tokens long, ids_crc32 long", rows)
+def read_digests(index: DataFrame) -> DataFrame:
+    """(doc_id, start, n_tokens, ids_crc32) read from the files."""
+    return _of_files(index, "doc_id long, start long, n_tokens long, ids_crc32 long", file_digests)
 
 
 def documents(index: DataFrame) -> DataFrame:

@@ -135,6 +135,36 @@ def test_word_encoder_equals_whole_texts(text):
     assert got == Tokenizer.from_file(VOCAB).encode(text, add_special_tokens=False).ids + [1]
 
 
+def test_words_with_marks_and_words_met_before_spare_the_whole_way(monkeypatch):
+    import random
+    import string
+
+    from tokenizers import Tokenizer
+
+    whole = Tokenizer.from_file(VOCAB)
+    coder = token_store.WordEncoder(VOCAB, 1)
+    draw = random.Random(3)
+    ends = ["".join(draw.choices(string.punctuation, k=draw.randint(1, 5))) for _ in range(3000)]
+    texts = [f"{w}{e}" for e, w in zip(ends, ["the", "Word", "Été", "s", "don't", "ßa", "x1", "unbelievably"] * 375, strict=True)]
+    for text, got in zip(texts, coder.encode([t.encode() for t in texts]), strict=True):
+        assert np.frombuffer(got, "<u2").tolist() == whole.encode(text, add_special_tokens=False).ids + [1], text
+    monkeypatch.setattr(coder, "_whole", lambda w: pytest.fail(f"{w} took the whole way"))
+    monkeypatch.setattr(token_store, "CACHE_WORDS", 2)
+    coder.marks.setdefault(b"$$$", coder._bytes(whole.encode("$$$", add_special_tokens=False).ids))
+    once = list(coder.encode([b"planet$$$ river"] * 300))
+    assert len(set(once)) == 1 and coder.before
+    monkeypatch.setattr(coder, "tokenize", lambda t: pytest.fail(f"{t} was forgotten"))
+    assert next(coder.encode([b"river planet$$$"]))
+
+
+def test_digests_unpack_a_file_at_once(monkeypatch, spark):
+    docs = spark.range(50).select(F.col("id").alias("doc_id"), F.concat(F.lit("text number "), F.col("id").cast("string")).alias("text"))
+    path = token_store.write_tokens(docs, VOCAB).first().path
+    read, cut = [], token_store.Codes.slice
+    monkeypatch.setattr(token_store.Codes, "slice", lambda self, a, b: read.append((a, b)) or cut(self, a, b))
+    assert token_store.file_digests(path, 7).num_rows == 50 and len(read) == 1
+
+
 def test_codes():
     values = np.array([0, 255, 256, 70000, 5, 49000, 1 << 23] * 300)
     codes = token_store.Codes(token_store.pack_codes(values))
